@@ -4,9 +4,11 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Java and RE2 pattern of the six ASCII white-space characters that part words.
 SPACE = r"[\x20\x09-\x0D]+"
@@ -42,7 +44,31 @@ def words(text: Column) -> Column:
     return F.array_remove(F.split(F.coalesce(text, F.lit("")), SPACE), "")
 
 
-def replace_columns(df: DataFrame, new: dict[str, Column], drop: tuple[str, ...] = ()) -> DataFrame:
-    """``df`` plus ``new``; a column of the input with one of those names (in any case) gives way."""
-    names = {n.lower() for n in new} | {n.lower() for n in drop}
-    return df.select(*[F.col(f"`{c}`") for c in df.columns if c.lower() not in names], *[v.alias(k) for k, v in new.items()])
+def map_text(df: DataFrame, keep: list[str], fields: list[tuple[str, T.DataType]], fn: Callable[[list], list], binary: bool = False) -> DataFrame:
+    """``keep`` columns of ``df`` and the new ``fields``, which ``fn`` makes from a batch's whole texts (a list of str or
+    bytes with None for null) as a list of arrays. Rows stay where they are; a batch is one Arrow record batch."""
+    keep = [c for c in keep if c.lower() not in {n.lower() for n, _ in fields}]
+    rows = df.select(*[F.col(f"`{c}`") for c in keep], F.col("text").cast("binary" if binary else "string").alias("_text"))
+    schema = T.StructType([*rows.schema.fields[:-1], *[T.StructField(n, t) for n, t in fields]])
+    names = schema.fieldNames()
+
+    def run(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            for i in range(0, b.num_rows, 1024):  # bounds what Python objects hold at once
+                part = b.slice(i, 1024)
+                made = [a if isinstance(a, pa.Array) else pa.array(a) for a in fn(part.column(part.num_columns - 1).to_pylist())]
+                yield pa.RecordBatch.from_arrays([*part.columns[:-1], *made], names=names)
+
+    return rows.mapInArrow(run, schema)
+
+
+def remainder(doc_id: Column, parts: int) -> Column:
+    """crc32 of the id as text, modulo ``parts``; a null id counts as empty text."""
+    return F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")) % parts
+
+
+def uniform(*columns: Column) -> Column:
+    """A hash-random number in [0, 1) of the columns."""
+    return F.shiftrightunsigned(F.xxhash64(F.lit("uniform"), *columns), 11) / float(1 << 53)

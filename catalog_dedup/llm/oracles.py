@@ -19,7 +19,8 @@ covered AS (SELECT rid, sum(least(8, coalesce(nxt - i, 8))) AS n FROM twice GROU
 counted AS (SELECT s.rid, doc_id, lang, source, t, len(ws)::BIGINT AS n_words, coalesce(list_sum(list_transform(ws, lambda w: length(w))), 0)::BIGINT AS word_chars,
     length(regexp_replace(t, '[^#*$%&|<>]+', '', 'g'))::BIGINT AS n_symbols, (len(ls) - len(list_distinct(ls)))::BIGINT AS n_dup_lines,
     coalesce(n, 0)::BIGINT AS n_repeat_words, len(ls)::BIGINT AS n_lines, length(regexp_replace(t, '[^\p{{Lu}}]+', '', 'g'))::BIGINT AS n_capitals,
-    length(regexp_replace(t, '[^!?]+', '', 'g'))::BIGINT AS n_marks
+    length(regexp_replace(t, '[^!?]+', '', 'g'))::BIGINT AS n_marks,
+    len(list_filter(ws, lambda w, i: i > 1 AND ws[i - 1] = w))::BIGINT AS n_stutters
     FROM split_up s LEFT JOIN covered c ON s.rid = c.rid),
 measured AS (SELECT *, n_words < 20 OR 100 * n_repeat_words > 30 * n_words AS base_failed,
     CASE WHEN n_words = 0 THEN 0 ELSE 1000 * n_symbols // n_words END AS m_symbols,
@@ -27,6 +28,7 @@ measured AS (SELECT *, n_words < 20 OR 100 * n_repeat_words > 30 * n_words AS ba
     CASE WHEN word_chars = 0 THEN 0 ELSE 1000 * n_capitals // word_chars END AS m_capitals,
     CASE WHEN n_words = 0 THEN 0 ELSE 1000 * n_marks // n_words END AS m_marks,
     CASE WHEN n_lines = 0 THEN 0 ELSE 1000 * n_dup_lines // n_lines END AS m_dup_lines,
+    CASE WHEN n_words = 0 THEN 0 ELSE 1000 * n_stutters // n_words END AS m_stutters,
     CASE WHEN n_words = 0 THEN 0 ELSE 1000 * word_chars // n_words END AS m_word_length FROM counted)"""
 
 
@@ -73,4 +75,10 @@ ordered AS (SELECT s.*, source_size, target, epochs, floor(target)::BIGINT - epo
     FROM sized s JOIN budgets b ON s.source IS NOT DISTINCT FROM b.source)
 SELECT doc_id, source, size, source_size, target, (epochs * size + CASE WHEN upto <= budget THEN size WHEN upto - tie < budget THEN (budget - upto + tie) * size // tie ELSE 0 END)::BIGINT AS taken FROM ordered"""
 
-SQL = {"op2_quality_rules": _OP2, "op7_mix_sources": _OP7}
+_OP10 = r"""WITH parts AS (SELECT page_id, coalesce(regexp_extract(url, '(?s)^.*?://(.*)$', 1), '') AS rest FROM pages),
+urls AS (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*', 0), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(rest, '^[^/?#]*(/[^?#]*)', 1) AS path, row_number() OVER () AS rid FROM parts),
+rules(h, p, v) AS (VALUES ('com', '/', 'allow'), ('example.com', '/en/', 'block'), ('www.example.com', '/en/', 'allow'), ('net', '/es/', 'block'), ('net', '/fr/', 'block')),
+fits AS (SELECT rid, arg_max(h || p, length(h) * 1000 + length(p)) AS rule, arg_max(v, length(h) * 1000 + length(p)) AS v FROM urls JOIN rules ON (host = h OR ends_with(host, '.' || h)) AND starts_with(path, p) GROUP BY rid)
+SELECT page_id, host, path, rule, coalesce(v, 'allow') AS verdict FROM urls LEFT JOIN fits USING (rid)"""
+
+SQL = {"op10_url_filters": _OP10, "op2_quality_rules": _OP2, "op7_mix_sources": _OP7}

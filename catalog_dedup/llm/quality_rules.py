@@ -24,7 +24,7 @@ WINDOW = 8
 FENCE = 3
 LEAST_GROUP = 50
 #: Measure -> least spread in per mille: a fence never lies closer to the quartile than FENCE times this.
-MEASURES = {"symbols": 50, "repeats": 90, "capitals": 90, "marks": 90, "dup_lines": 90, "word_length": 500}
+MEASURES = {"symbols": 50, "repeats": 90, "capitals": 90, "marks": 90, "dup_lines": 170, "stutters": 90, "word_length": 500}
 BASE = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 
 
@@ -44,6 +44,7 @@ def document_measures(docs: DataFrame, keep: list[str]) -> DataFrame:
         "_marks": F.length(F.regexp_replace(t, "[^!?]+", "")).cast("long"),
         "_hash": F.transform("_words", lambda w: F.xxhash64(w)),
     }).drop("_words", "_lines", "text" if "text" not in keep else "_words")
+    step = step.withColumn("_stutters", F.size(F.filter("_hash", lambda h, i: F.coalesce(F.get("_hash", i - 1) == h, F.lit(False)))).cast("long"))
     none = F.array().cast("array<bigint>")
     runs = F.when(F.size("_hash") < WINDOW, none).otherwise(F.transform(F.sequence(F.lit(0), F.size("_hash") - WINDOW), lambda i: F.xxhash64(*[F.get("_hash", i + k) for k in range(WINDOW)])))
     step = step.withColumn("_runs", runs).drop("_hash")
@@ -58,7 +59,8 @@ def document_measures(docs: DataFrame, keep: list[str]) -> DataFrame:
     return step.withColumns({
         "m_symbols": rate("n_symbols", "n_words"), "m_repeats": rate("n_repeat_words", "n_words"), "m_capitals": rate("_capitals", "word_chars"),
         "m_marks": rate("_marks", "n_words"), "m_dup_lines": rate("n_dup_lines", "n_lines"), "m_word_length": rate("word_chars", "n_words"),
-    }).drop("_capitals", "_marks")
+        "m_stutters": rate("_stutters", "n_words"),
+    }).drop("_capitals", "_marks", "_stutters")
 
 
 def bucket(value: Column) -> Column:

@@ -6,7 +6,10 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import mixing, quality_rules
+from pyspark.sql import functions as F
+
+from . import language_id, mixing, quality_classifier, quality_rules, simhash, url_filters
+from .common import remainder
 from .oracles import SQL
 
 
@@ -14,13 +17,38 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    model = quality_classifier.fit(docs, table(spark, sf_dir, "labels"))
+    held_out = (remainder(F.col("doc_id"), quality_classifier.FOLDS) == quality_classifier.HELD_OUT).alias("held_out")
+    return quality_classifier.score(docs, model, ["doc_id"]).select("doc_id", held_out, "score", "predicted")
+
+
 def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.apply_rules(table(spark, sf_dir, "documents"), ["doc_id"])
 
 
+def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.duplicate_classes(table(spark, sf_dir, "documents"))
+
+
 def op7_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_sizes(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op2_quality_rules, op7_mix_sources)}
+def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    held_out = (remainder(F.col("doc_id"), language_id.FOLDS) == language_id.HELD_OUT).alias("held_out")
+    return language_id.identify(table(spark, sf_dir, "documents"), ["doc_id"]).select("doc_id", held_out, "lang_pred", "score")
+
+
+#: The rules that op10 applies, as host, path, verdict.
+URL_RULES = [("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.com", "/en/", "allow"), ("net", "/es/", "block"), ("net", "/fr/", "block")]
+
+
+def op10_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rules = spark.createDataFrame(URL_RULES, "host string, path string, verdict string")
+    return url_filters.judge(table(spark, sf_dir, "pages").select("page_id", "url"), rules, ["page_id"])
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_quality_classifier, op2_quality_rules, op3_simhash_near_dedup, op7_mix_sources, op9_language_id, op10_url_filters)}
 ORACLES: dict[str, str] = {k: v for k, v in SQL.items() if k in QUERIES}
