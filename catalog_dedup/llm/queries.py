@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from pyspark.sql import functions as F
 
-from . import language_id, mixing, quality_classifier, quality_rules, simhash, url_filters
+from . import language_id, mixing, quality_classifier, quality_rules, simhash, token_output, url_filters
 from .common import remainder
 from .oracles import SQL
 
@@ -36,6 +36,13 @@ def op7_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_sizes(table(spark, sf_dir, "documents"))
 
 
+def op8_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    manifest = token_output.write_shards(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
+    return token_output.read_shards(manifest, digest=True)
+
+
 def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     held_out = (remainder(F.col("doc_id"), language_id.FOLDS) == language_id.HELD_OUT).alias("held_out")
     return language_id.identify(table(spark, sf_dir, "documents"), ["doc_id"]).select("doc_id", held_out, "lang_pred", "score")
@@ -50,5 +57,5 @@ def op10_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filters.judge(table(spark, sf_dir, "pages").select("page_id", "url"), rules, ["page_id"])
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_quality_classifier, op2_quality_rules, op3_simhash_near_dedup, op7_mix_sources, op9_language_id, op10_url_filters)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_quality_classifier, op2_quality_rules, op3_simhash_near_dedup, op7_mix_sources, op8_token_output, op9_language_id, op10_url_filters)}
 ORACLES: dict[str, str] = {k: v for k, v in SQL.items() if k in QUERIES}
