@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from pyspark.sql import functions as F
 
-from . import language_id, lattice, mixing, pieces, quality_classifier, quality_rules, simhash, token_counts, token_output, url_filters
+from . import language_id, lattice, mixing, nn_descent, pieces, quality_classifier, quality_rules, simhash, token_counts, token_output, url_filters
 from .common import remainder
 from .oracles import SQL
 
@@ -32,6 +32,10 @@ def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.duplicate_classes(table(spark, sf_dir, "documents"))
 
 
+def op4_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return nn_descent.neighbours(table(spark, sf_dir, "embeddings").select("vec_id", "embedding"))
+
+
 def piece_table() -> pieces.PieceTable:
     import public_tokenizers
 
@@ -71,5 +75,5 @@ def op10_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filters.judge(table(spark, sf_dir, "pages").select("page_id", "url"), rules, ["page_id"])
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_quality_classifier, op2_quality_rules, op3_simhash_near_dedup, op5_token_counts, op6_sentencepiece, op7_mix_sources, op8_token_output, op9_language_id, op10_url_filters)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_quality_classifier, op2_quality_rules, op3_simhash_near_dedup, op4_nearest_neighbours, op5_token_counts, op6_sentencepiece, op7_mix_sources, op8_token_output, op9_language_id, op10_url_filters)}
 ORACLES: dict[str, str] = {k: v for k, v in SQL.items() if k in QUERIES}
