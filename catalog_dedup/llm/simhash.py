@@ -25,6 +25,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.window import Window
 
 from .common import map_text, stash
 
@@ -125,14 +126,29 @@ def components(edges: DataFrame) -> DataFrame:
         before = now
 
 
-def duplicate_classes(docs: DataFrame, keep: list[str] | None = None) -> DataFrame:
-    """``keep`` columns (doc_id by default), ``fingerprint`` (16 hex digits) and ``component_id`` of every row."""
-    keep = [c for c in keep or ["doc_id"] if c not in ("fingerprint", "component_id")]
-    rows = stash(with_fingerprint(docs, keep), "fingerprints")
+def classes(rows: DataFrame) -> DataFrame:
+    """_node, root, component_id for every distinct fingerprint of ``rows`` (doc_id, _fp)."""
     nodes = stash(rows.groupBy(F.col("_fp").alias("fp")).agg(F.min("doc_id").alias("least")), "nodes")
     roots = stash(components(links(nodes.select("fp"))), "roots")
     named = nodes.join(roots, F.col("fp") == F.col("node"), "left").withColumn("root", F.coalesce("root", "fp"))
     names = named.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = named.select(F.col("fp").alias("_node"), "root").join(names, "root").select("_node", "component_id")
-    out = rows.join(named, F.col("_fp") == F.col("_node"))
-    return out.select(*[F.col(f"`{c}`") for c in keep], F.lower(F.lpad(F.hex("_fp"), 16, "0")).alias("fingerprint"), "component_id")
+    return named.select(F.col("fp").alias("_node"), "root").join(names, "root").select("_node", "root", "component_id")
+
+
+def duplicate_classes(docs: DataFrame) -> DataFrame:
+    """doc_id, ``fingerprint`` (16 hex digits) and ``component_id`` of every row."""
+    rows = stash(with_fingerprint(docs, ["doc_id"]), "fingerprints")
+    out = rows.join(classes(rows), F.col("_fp") == F.col("_node"))
+    return out.select("doc_id", F.lower(F.lpad(F.hex("_fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def one_of_each(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs`` without near-duplicates: of each component the one with the smallest doc_id stays (ids that are
+    null come last, ties go to the smaller fingerprint, and of repeated rows one stays)."""
+    rows = stash(with_fingerprint(docs, ["doc_id"]), "fingerprints")
+    named = rows.join(classes(rows), F.col("_fp") == F.col("_node"))
+    first = named.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull(), F.col("doc_id").alias("id"), F.col("_fp").alias("fp"))).alias("x"))
+    first = stash(first.select("root", F.col("x.id").alias("_id"), F.col("x.fp").alias("_of")), "first")
+    full = with_fingerprint(docs, docs.columns).join(first, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_fp") == F.col("_of")))
+    w = Window.partitionBy("root").orderBy(F.xxhash64("text"), F.xxhash64(*[F.col(f"`{c}`") for c in docs.columns]))
+    return full.withColumn("_turn", F.row_number().over(w)).filter("_turn = 1").select(*[F.col(f"`{c}`") for c in docs.columns])

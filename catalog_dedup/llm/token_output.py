@@ -36,29 +36,51 @@ REMEMBERED = 400_000
 _FOOTER = "<5Q8s"
 
 
+def byte_letters() -> list[str]:
+    """The letter that byte-level vocabularies write for each byte: printable Latin-1 stands for itself, others count up from 256."""
+    own = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    rest = iter(range(256, 512))
+    return [chr(b if b in own else next(rest)) for b in range(256)]
+
+
 def word_tokenizer(path: str):
-    """texts -> list of bytes (uint32 ids). Splits at ASCII white space, which this vocabulary's own splitter never crosses."""
+    """texts -> list of bytes (uint32 ids). Splits at ASCII white space, which this vocabulary's own splitter never crosses.
+
+    Words are remembered. Those of Latin letters alone, perhaps with full stops or commas behind, are one pre-token (and one
+    of marks), so their lower-cased bytes go straight to the vocabulary's merges; others take the tokenizer's whole way.
+    """
+    import re
+    from array import array
+
     from tokenizers import Tokenizer
 
     tok = Tokenizer.from_file(path)
-    specials = sorted((t.content, i) for i, t in tok.get_added_tokens_decoder().items())
-    mark, mark_id = specials[0]
+    merges = tok.model.tokenize
+    letters = byte_letters()
+    # Latin letters that have one small letter each and that normalisation leaves alone (not the dotted capital I).
+    simple = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f]+)([.,]*)").fullmatch
     spaces = str.maketrans("\n\t\r\x0b\x0c", "     ")
     memo: dict[str, bytes] = {}
-
-    def learn(words: list[str]) -> None:
-        plain = [w for w in words if "<|" not in w]
-        for i in range(0, len(plain), 512):
-            part = plain[i : i + 512]
-            ids = np.array(tok.encode(mark.join(part), add_special_tokens=False).ids, np.uint32)
-            ends = np.flatnonzero(ids == mark_id)
-            if len(ends) != len(part) - 1:
-                raise ValueError("the separator is not a token of its own")
-            for w, x in zip(part, np.split(ids, ends), strict=True):
-                memo[w] = (x[1:] if len(x) and x[0] == mark_id else x).tobytes()
-        for w in words:
-            if w not in memo:
-                memo[w] = np.array(tok.encode(w, add_special_tokens=False).ids, np.uint32).tobytes()
+    heads: dict[str, bytes] = {}
+
+    def whole(text: str) -> bytes:
+        return array("I", tok.encode(text, add_special_tokens=False).ids).tobytes()
+
+    def learn(word: str) -> bytes:
+        found = simple(word)
+        if not found:
+            return whole(word)
+        head, marks = found.groups()
+        head = head.lower()
+        ids = heads.get(head)
+        if ids is None:
+            spelt = head if head.isascii() else "".join([letters[b] for b in head.encode()])
+            ids = heads[head] = array("I", [x.id for x in merges(spelt)]).tobytes()
+        if marks:
+            if marks not in heads:
+                heads[marks] = whole(marks)
+            ids += heads[marks]
+        return ids
 
     def encode(texts: list[str | None]) -> list[bytes]:
         out = []
@@ -66,9 +88,10 @@ def word_tokenizer(path: str):
             words = t.translate(spaces).split(" ") if t else []
             if len(memo) > REMEMBERED:
                 memo.clear()
-            new = [w for w in set(words) if w not in memo]
-            if new:
-                learn(new)
+                heads.clear()
+            for w in words:
+                if w not in memo:
+                    memo[w] = learn(w)
             out.append(b"".join(map(memo.__getitem__, words)))
         return out
 
