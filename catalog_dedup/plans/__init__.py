@@ -1 +1,6 @@
+"""The engine's named queries."""
 
+from . import basics  # noqa: F401
+from .registry import ORACLES, QUERIES
+
+__all__ = ["ORACLES", "QUERIES"]
