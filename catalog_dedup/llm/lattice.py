@@ -15,6 +15,7 @@ to the empty text. Rows may repeat. Input columns named like a result are replac
 
 from __future__ import annotations
 
+import uuid
 from collections import Counter
 
 import numpy as np
@@ -22,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import map_text, stash
+from .common import map_text, release, stash
 from .pieces import SPACE_MARK, PieceTable, splitter
 
 LONG = 64
@@ -52,100 +53,140 @@ def distinct_pre_tokens(docs: DataFrame, table: PieceTable) -> DataFrame:
     return docs.select("text").mapInArrow(count, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
 
-def edges(words: DataFrame, table: PieceTable) -> DataFrame:
-    """word, n and its lattice: edges (end, start, score, id) by end and start; the id of an unknown character is -1."""
+#: An edge in one long: end, start (22 bits each) and id + 1 (20 bits, 0 for an unknown character).
+_END, _START, _MASK = 42, 20, (1 << 22) - 1
+
+
+def edges(words: DataFrame, table: PieceTable, parts: int) -> DataFrame:
+    """wid and its lattice: (e, s) with the packed edge and its score, by end and start.
+
+    Everything happens within the partitions of ``wid``: exploding and the broadcast join keep them, so grouping needs no shuffle.
+    """
     spark = words.sparkSession
-    known = spark.createDataFrame([(p, i, float(s)) for p, (i, s) in table.pieces.items()], "piece string, id int, score double")
-    starts = words.select("word", "n", F.posexplode(F.transform(F.sequence(F.lit(1), F.length("word")), lambda s: F.substring("word", s, F.lit(table.longest)))).alias("start", "window"))
-    subs = starts.select("word", "n", "start", F.explode(F.transform(F.sequence(F.lit(1), F.length("window")), lambda k: F.substring("window", F.lit(1), k))).alias("piece"))
-    hits = subs.join(F.broadcast(known), "piece", "left").filter(F.col("id").isNotNull() | (F.length("piece") == 1))
-    edge = F.struct((F.col("start") + F.length("piece")).alias("end"), "start", F.coalesce("score", F.lit(table.unknown)).alias("score"), F.coalesce("id", F.lit(-1)).alias("id"))
-    return hits.groupBy("word").agg(F.max("n").alias("n"), F.sort_array(F.collect_list(edge)).alias("edges"))
+    known = spark.createDataFrame([(p, i + 1, float(s)) for p, (i, s) in table.pieces.items()], "piece string, code long, score double")
+    starts = words.repartition(parts, "wid").select("wid", "word", F.explode(F.sequence(F.lit(1), F.length("word"))).alias("start"))
+    subs = starts.select("wid", "word", "start", F.explode(F.sequence(F.lit(1), F.least(F.lit(table.longest), F.length("word") - F.col("start") + 1))).alias("n"))
+    hits = subs.select("wid", "start", "n", F.substring("word", F.col("start"), F.col("n")).alias("piece")).join(F.broadcast(known), "piece", "left").filter("code IS NOT NULL OR n = 1")
+    from_ = F.col("start").cast("long") - 1
+    packed = F.shiftleft(from_ + F.col("n"), _END).bitwiseOR(F.shiftleft(from_, _START)).bitwiseOR(F.coalesce("code", F.lit(0).cast("long")))
+    return hits.select("wid", F.struct(packed.alias("e"), F.coalesce("score", F.lit(table.unknown)).alias("s")).alias("x")).groupBy("wid").agg(F.sort_array(F.collect_list("x")).alias("edges"))
+
+
+def _end(e: Column) -> Column:
+    return F.shiftright(e, _END).cast("int")
+
+
+def _start(e: Column) -> Column:
+    return F.shiftright(e, _START).bitwiseAND(_MASK).cast("int")
 
 
 def viterbi(lattice: Column) -> Column:
-    """Array of (end, start, score, id): for each position the last edge of the best path to it. Edges come by end, then start."""
-    none = F.array().cast("array<struct<end:int,start:int,score:double,id:int>>")
+    """Struct of arrays: for each position the best score and the packed last edge of the best path to it. Edges come by end, then start."""
+    empty = F.struct(F.array().cast("array<double>").alias("score"), F.array().cast("array<bigint>").alias("edge"))
 
     def step(best, x):
-        reached = F.when(x["start"] == 0, F.lit(0.0)).otherwise(F.get(best, x["start"] - 1)["score"]) + x["score"]
-        new = F.array(F.struct(x["end"].alias("end"), x["start"].alias("start"), reached.alias("score"), x["id"].alias("id")))
-        last = F.get(best, F.size(best) - 1)
-        return F.when(F.size(best) < x["end"], F.concat(best, new)).when(reached > last["score"], F.concat(F.slice(best, F.lit(1), F.size(best) - 1), new)).otherwise(best)
+        reached = x["s"] + F.when(_start(x["e"]) == 0, F.lit(0.0)).otherwise(F.get(best["score"], _start(x["e"]) - 1))
+        size = F.size(best["edge"])
+        grown = lambda score, edge: F.struct(F.concat(score, F.array(reached)).alias("score"), F.concat(edge, F.array(x["e"])).alias("edge"))
+        shorter = lambda a: F.slice(a, F.lit(1), size - 1)
+        return F.when(size < _end(x["e"]), grown(best["score"], best["edge"])).when(reached > F.get(best["score"], size - 1), grown(shorter(best["score"]), shorter(best["edge"]))).otherwise(best)
 
-    return F.aggregate(lattice, none, step)
+    return F.aggregate(lattice, empty, step, lambda best: best["edge"])
 
 
-def path(best: Column, word: Column, table: PieceTable) -> Column:
+def path(last: Column, word: Column, table: PieceTable) -> Column:
     """The ids along the best path, unknown characters spelt."""
-    start = F.struct(F.size(best).alias("at"), F.array().cast("array<struct<id:int,start:int>>").alias("way"))
+    start = F.struct(F.size(last).alias("at"), F.array().cast("array<bigint>").alias("way"))
 
     def back(state, i):
-        x = F.get(best, i - 1)
-        return F.when(state["at"] == i, F.struct(x["start"].alias("at"), F.concat(F.array(F.struct(x["id"].alias("id"), x["start"].alias("start"))), state["way"]).alias("way"))).otherwise(state)
+        e = F.get(last, i - 1)
+        return F.when(state["at"] == i, F.struct(_start(e).alias("at"), F.concat(F.array(e), state["way"]).alias("way"))).otherwise(state)
 
-    way = F.aggregate(F.reverse(F.sequence(F.lit(1), F.size(best))), start, back)["way"]
-    code = lambda p: F.hex(F.encode(F.substring(word, p["start"] + 1, F.lit(1)), "UTF-8"))
-    spelt = (lambda p: F.transform(F.sequence(F.lit(0), (F.length(code(p)) / 2).cast("int") - 1), lambda k: F.conv(F.substring(code(p), 2 * k + 1, F.lit(2)), 16, 10).cast("int") + table.bytes_from)) if table.bytes_from >= 0 else (lambda p: F.array(F.lit(table.unknown_id)))
-    return F.flatten(F.transform(way, lambda p: F.when(p["id"] >= 0, F.array(p["id"])).otherwise(spelt(p))))
+    way = F.aggregate(F.reverse(F.sequence(F.lit(1), F.size(last))), start, back)["way"]
+    code = lambda e: e.bitwiseAND((1 << 20) - 1).cast("int") - 1
+    text = lambda e: F.hex(F.encode(F.substring(word, _start(e) + 1, F.lit(1)), "UTF-8"))
+    spelt = (lambda e: F.transform(F.sequence(F.lit(0), (F.length(text(e)) / 2).cast("int") - 1), lambda k: F.conv(F.substring(text(e), 2 * k + 1, F.lit(2)), 16, 10).cast("int") + table.bytes_from)) if table.bytes_from >= 0 else (lambda e: F.array(F.lit(table.unknown_id)))
+    return F.flatten(F.transform(way, lambda e: F.when(code(e) >= 0, F.array(code(e))).otherwise(spelt(e))))
 
 
 def fold_long(word: str, lattice: list, table: PieceTable) -> list[int]:
     """The same recurrence over the grouped edges of one long pre-token."""
-    score, last = [0.0] + [-np.inf] * len(word), [None] * (len(word) + 1)
+    score, last = [0.0] + [-np.inf] * len(word), [0] * (len(word) + 1)
     for x in lattice:
-        if score[x["start"]] + x["score"] > score[x["end"]]:
-            score[x["end"]], last[x["end"]] = score[x["start"]] + x["score"], x
+        a, b = x["e"] >> _START & _MASK, x["e"] >> _END
+        if score[a] + x["s"] > score[b]:
+            score[b], last[b] = score[a] + x["s"], x["e"]
     out, at = [], len(word)
     while at:
-        x = last[at]
-        out.append([x["id"]] if x["id"] >= 0 else [table.bytes_from + v for v in word[x["start"]].encode("utf-8")] if table.bytes_from >= 0 else [table.unknown_id])
-        at = x["start"]
+        code, at = (last[at] & (1 << 20) - 1) - 1, last[at] >> _START & _MASK
+        out.append([code] if code >= 0 else [table.bytes_from + v for v in word[at].encode("utf-8")] if table.bytes_from >= 0 else [table.unknown_id])
     return [i for part in reversed(out) for i in part]
 
 
+def id_type(table: PieceTable) -> np.dtype:
+    """The narrowest type that holds every id and one value more."""
+    most = max([table.unknown_id, table.bytes_from + 255, *(i for i, _ in table.pieces.values())])
+    return np.dtype("<u2" if most < 0xFFFF else "<u4")
+
+
 def dictionary(docs: DataFrame, table: PieceTable) -> DataFrame:
-    """word, n and ids of every distinct pre-token, written to the shared folder."""
-    words = stash(distinct_pre_tokens(docs, table), "pre-tokens")
-    short = edges(words.filter(F.length("word") <= LONG).repartition("word"), table).withColumn("best", viterbi(F.col("edges")))
-    short = short.select("word", "n", path(F.col("best"), F.col("word"), table).alias("ids"))
-    long = edges(words.filter(F.length("word") > LONG).repartition("word"), table)
+    """word, n and code (its ids as bytes) of every distinct pre-token, written to the shared folder."""
+    words = stash(distinct_pre_tokens(docs, table).withColumn("wid", F.monotonically_increasing_id()), "pre-tokens")
+    release(docs.sparkSession)
+    kind = id_type(table)
+    parts = max(12, words.count() // 40_000)
+    short, long = words.filter(F.length("word") <= LONG), words.filter(F.length("word") > LONG)
+    best = edges(short, table, parts).select("wid", viterbi(F.col("edges")).alias("last"))
+    best = best.join(short.repartition(parts, "wid").hint("shuffle_hash"), "wid").select("word", "n", path(F.col("last"), F.col("word"), table).alias("ids"))
+
+    def pack(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            ids = b.column(2)
+            flat, ends = ids.flatten().to_numpy(zero_copy_only=False).astype(kind).tobytes(), np.r_[0, np.cumsum(ids.value_lengths().to_numpy(zero_copy_only=False))] * kind.itemsize
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([flat[x:y] for x, y in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)], pa.binary())], names=["word", "n", "code"])
 
     def fold(batches):
         import pyarrow as pa
 
         for b in batches:
             for r in b.to_pylist():
-                yield pa.RecordBatch.from_arrays([pa.array([r["word"]]), pa.array([r["n"]], pa.int64()), pa.array([fold_long(r["word"], r["edges"], table)], pa.list_(pa.int32()))], names=["word", "n", "ids"])
+                yield pa.RecordBatch.from_arrays([pa.array([r["word"]]), pa.array([r["n"]], pa.int64()), pa.array([np.array(fold_long(r["word"], r["edges"], table), kind).tobytes()])], names=["word", "n", "code"])
 
-    return stash(short.union(long.mapInArrow(fold, "word string, n long, ids array<int>")), "dictionary")
+    schema = "word string, n long, code binary"
+    if long.isEmpty():
+        made = best.mapInArrow(pack, schema)
+    else:
+        slow = edges(long, table, parts).join(long, "wid").select("word", "n", "edges")
+        made = best.mapInArrow(pack, schema).union(slow.mapInArrow(fold, schema))
+    return stash(made, "dictionary")
 
 
 def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = True) -> DataFrame:
     """``keep`` columns, ``n_tokens``, ``ids`` and, with ``check``, ``round_trip`` (the ids decode to the text) of every row."""
+    spark = docs.sparkSession
     entries = dictionary(docs, table)
-    by_count = entries.filter(F.length("word") <= LONG)
-    total = by_count.count()
+    release(spark)
+    usual = entries.filter(F.length("word") <= LONG)
+    total = usual.count()
     whole = total <= HEAD and total == entries.count()
-    head = by_count if total <= HEAD else by_count.orderBy(F.desc("n"), "word").limit(HEAD)
-    got = head.select("word", "ids").toArrow()
-    flat = got.column("ids").combine_chunks()
-    offsets = flat.offsets.to_numpy() if len(got) else np.zeros(1, np.int32)
-    values = (flat.values.to_numpy() if len(got) else np.zeros(0, np.int32)).astype(np.uint16 if table_fits(table) else np.uint32)
-    shared = docs.sparkSession.sparkContext.broadcast((got.column("word").combine_chunks() if len(got) else [], offsets, values))
+    got = (usual if total <= HEAD else usual.orderBy(F.desc("n"), "word").limit(HEAD)).select("word", "code").toArrow()
+    shared, name = spark.sparkContext.broadcast((got.column("word").combine_chunks(), got.column("code").combine_chunks()) if len(got) else ([], [])), uuid.uuid4().hex
     keep = [c for c in keep if c.lower() not in ("n_tokens", "ids", "round_trip")]
-    spelt = decoding_table(table) if check else None
+    spelt, kind = decoding_table(table) if check else None, id_type(table)
     fields = [("n_tokens", T.LongType()), ("ids", T.ArrayType(T.IntegerType())), *([("round_trip", T.BooleanType())] if check else [])]
-    cache: list = []
 
-    def lookup() -> tuple[dict[str, bytes], np.dtype]:
-        """The head of the dictionary as word -> bytes of ids, built once a task."""
-        if not cache:
-            words, at, ids = shared.value
-            words = words.to_pylist() if len(words) else []
-            data, at = ids.tobytes(), (at * ids.itemsize).tolist()
-            cache.extend(({w: data[a:b] for w, a, b in zip(words, at, at[1:], strict=False)}, ids.dtype))
-        return tuple(cache)
+    def lookup() -> dict[str, bytes]:
+        """The head of the dictionary, built once a worker process (which keeps it on a module that outlives the task)."""
+        import pyspark
+
+        held = pyspark.__dict__.setdefault("_catalog_dedup_head", {})
+        if name not in held:
+            held.clear()
+            words, codes = shared.value
+            held[name] = dict(zip(words.to_pylist(), codes.to_pylist(), strict=True)) if len(words) else {}
+        return held[name]
 
     def columns(coded: list[np.ndarray]) -> list:
         import pyarrow as pa
@@ -155,67 +196,68 @@ def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = Tr
         return [pa.array(np.diff(ends), pa.int64()), ids]
 
     def spell(texts: list) -> list:
-        (known, kind), split = lookup(), splitter(table)
+        known, split = lookup(), splitter(table)
         coded = [np.frombuffer(b"".join(map(known.__getitem__, split(t))), kind) for t in texts]
         return columns(coded) + ([np.array([decode_ids(c, spelt) == (t or "") for t, c in zip(texts, coded, strict=True)], bool)] if check else [])
 
     if whole:
         return map_text(docs, keep, fields, spell)
 
-    # Pre-tokens beyond the head: which ones each distinct text lacks, their ids by a join, and a list of them per text.
-    rows = docs.select(*[F.col(f"`{c}`") for c in dict.fromkeys([*keep, "text"])], F.xxhash64("text").alias("_a"), F.hash("text").alias("_b"))
+    # Pre-tokens beyond the head: which ones each distinct text lacks (as hashes), their ids by a join, and a list of them per text.
+    rows = docs.select(*[F.col(f"`{c}`") for c in dict.fromkeys([*keep, "text"])], F.xxhash64("text").alias("_a"))
 
     def missing(texts: list) -> list:
-        (known, _), split = lookup(), splitter(table)
+        known, split = lookup(), splitter(table)
         return [[list({w for w in split(t) if w not in known}) for t in texts]]
 
     def partly(texts: list) -> list:
-        """Ids of the head with a hole where an entry is missing, the missing pre-tokens in order, and a digest of the text."""
+        """Compressed: the ids of the head with a hole where an entry is missing, and the missing pre-tokens in order; and a digest of the text."""
         from xxhash import xxh3_128_digest
+        from zstandard import ZstdCompressor
 
-        (known, kind), split = lookup(), splitter(table)
-        hole, coded, holes = np.array([np.iinfo(kind).max], kind).tobytes(), [], []
+        known, split, zip_ = lookup(), splitter(table), ZstdCompressor(level=1).compress
+        hole, coded = np.array([np.iinfo(kind).max], kind).tobytes(), []
         for t in texts:
             words = split(t)
-            coded.append(b"".join([known.get(w, hole) for w in words]))
-            holes.append([w for w in words if w not in known])
-        return [coded, holes, [xxh3_128_digest((t or "").encode("utf-8")) for t in texts]]
+            ids = b"".join([known.get(w, hole) for w in words])
+            coded.append(zip_(len(ids).to_bytes(8, "little") + ids + "\0".join([w for w in words if w not in known]).encode()))
+        return [coded, [xxh3_128_digest((t or "").encode()) for t in texts]]
 
-    wanted = map_text(rows, ["_a", "_b"], [("words", T.ArrayType(T.StringType()))], missing).select("_a", "_b", F.explode("words").alias("word")).distinct()
-    found = wanted.join(entries.select("word", F.col("ids").alias("w_ids")), "word").groupBy("_a", "_b").agg(F.collect_list(F.struct("word", "w_ids")).alias("_more"))
-    coded = map_text(rows, [*keep, "_a", "_b"], [("_coded", T.BinaryType()), ("_holes", T.ArrayType(T.StringType())), ("_digest", T.BinaryType())], partly)
-    joined = coded.join(found, ["_a", "_b"], "left").select(*[F.col(f"`{c}`") for c in keep], "_coded", "_holes", "_digest", "_more")
-    small = table_fits(table)
+    twice = lambda w: [F.xxhash64(w).alias("h"), F.xxhash64(F.reverse(w)).alias("k")]
+    wanted = map_text(rows, ["_a"], [("words", T.ArrayType(T.StringType()))], missing).select("_a", F.explode("words").alias("w")).select("_a", *twice(F.col("w"))).distinct()
+    found = wanted.join(entries.select(*twice(F.col("word")), "code"), ["h", "k"]).groupBy("_a").agg(F.collect_list(F.struct("h", "code")).alias("_more"))
+    coded = map_text(rows, [*keep, "_a"], [("_coded", T.BinaryType()), ("_digest", T.BinaryType())], partly)
+    joined = coded.join(found, "_a", "left").select(*[F.col(f"`{c}`") for c in keep], "_coded", "_digest", "_more")
 
     def fill(batches):
         import pyarrow as pa
-        from xxhash import xxh3_128_digest
+        from xxhash import xxh3_128_digest, xxh64_intdigest
+        from zstandard import ZstdDecompressor
 
-        kind = np.uint16 if small else np.uint32
+        unzip = ZstdDecompressor().decompress
         for whole_batch in batches:
             for i in range(0, whole_batch.num_rows, 512):
                 b = whole_batch.slice(i, 512)
                 out, trips = [], []
-                for data, holes, digest, more in zip(*[c.to_pylist() for c in b.columns[-4:]], strict=True):
-                    ids = np.frombuffer(data, kind)
+                for data, digest, more in zip(*[c.to_pylist() for c in b.columns[-3:]], strict=True):
+                    data = unzip(data)
+                    n = int.from_bytes(data[:8], "little")
+                    ids, holes = np.frombuffer(data[8 : 8 + n], kind), data[8 + n :]
                     if holes:
-                        own = {m["word"]: np.array(m["w_ids"], kind) for m in more}
+                        own = {m["h"]: m["code"] for m in more}
                         parts = np.split(ids, np.flatnonzero(ids == np.iinfo(kind).max))
-                        ids = np.concatenate([parts[0], *[x for w, p in zip(holes, parts[1:], strict=True) for x in (own[w], p[1:])]])
+                        codes = [own[h - (1 << 64) if h >= 1 << 63 else h] for h in (xxh64_intdigest(w, 42) for w in holes.split(b"\0"))]
+                        ids = np.frombuffer(parts[0].tobytes() + b"".join([x for code, p in zip(codes, parts[1:], strict=True) for x in (code, p[1:].tobytes())]), kind)
                     out.append(ids)
                     if check:
-                        trips.append(xxh3_128_digest(decode_ids(ids, spelt).encode("utf-8")) == digest)
+                        trips.append(xxh3_128_digest(decode_ids(ids, spelt).encode()) == digest)
                 made = columns(out) + ([pa.array(trips, pa.bool_())] if check else [])
-                yield pa.RecordBatch.from_arrays([*b.columns[:-4], *made], names=[*keep, *[n for n, _ in fields]])
+                yield pa.RecordBatch.from_arrays([*b.columns[:-3], *made], names=[*keep, *[n for n, _ in fields]])
 
     schema = T.StructType([*joined.schema.fields[: len(keep)], *[T.StructField(n, t) for n, t in fields]])
     return joined.mapInArrow(fill, schema)
 
 
-def table_fits(table: PieceTable) -> bool:
-    return max([table.unknown_id, table.bytes_from + 255, *(i for i, _ in table.pieces.values())]) < 0xFFFF
-
-
 def decoding_table(table: PieceTable) -> list[bytes]:
     """The bytes that each id stands for, by id."""
     out = [b""] * (max([table.unknown_id, table.bytes_from + 255, *(i for i, _ in table.pieces.values())]) + 1)
