@@ -40,9 +40,9 @@ def dense_features(df: DataFrame, key: str, text: str, limit: int = FIRST, width
     """The same as one array<int> a row, without a shuffle: token contributions are added by a fold over the dimensions."""
     hashes = F.transform(first_tokens(F.col(text), limit), token_hash)
     entries = F.transform(hashes, lambda h: F.struct((h % width).alias("d"), F.when(F.shiftright(h, 16) % 2 == 1, -1).otherwise(1).alias("v")))
-    rows = df.withColumn("_entries", entries)
-    vec = F.transform(F.sequence(F.lit(0), F.lit(width - 1)), lambda d: F.aggregate(F.filter("_entries", lambda e: e["d"] == d), F.lit(0), lambda a, e: a + e["v"]))
-    return rows.withColumn("vec", vec).drop("_entries")
+    # Binding the entries by a one-element array computes them once and not once a dimension.
+    spread = lambda es: F.transform(F.sequence(F.lit(0), F.lit(width - 1)), lambda d: F.aggregate(F.filter(es, lambda e: e["d"] == d), F.lit(0), lambda a, e: a + e["v"]))
+    return df.withColumn("vec", F.transform(F.array(entries), spread)[0])
 
 
 def budget_coverage(df: DataFrame, text: str, limits: tuple[int, ...] = (8, 16, 32, 64)) -> DataFrame:
