@@ -71,35 +71,40 @@ def _best(owner: np.ndarray, other: np.ndarray, score: np.ndarray, most: int) ->
     return order[rank < most]
 
 
-def _grouped(owner: np.ndarray, other: np.ndarray, score: np.ndarray, names: tuple[str, str, str]):
-    """An Arrow table with a row per owner (sorted) and lists of others and scores."""
+_PROPOSED = "home int, us array<long>, nears array<long>, scores array<float>"
+
+
+def _proposals(home: np.ndarray, own: np.ndarray, other: np.ndarray, score: np.ndarray):
+    """An Arrow table with one row per home block and lists of (node, proposed neighbour, score)."""
     import pyarrow as pa
 
-    first = np.r_[0, np.flatnonzero(owner[1:] != owner[:-1]) + 1, len(owner)].astype(np.int32) if len(owner) else np.zeros(1, np.int32)
-    return pa.table([pa.array(owner[first[:-1]], pa.int64()), pa.ListArray.from_arrays(first, pa.array(other, pa.int64())), pa.ListArray.from_arrays(first, pa.array(score, pa.float32()))], names=list(names))
+    order = np.argsort(home, kind="stable")
+    home = home[order]
+    first = np.r_[0, np.flatnonzero(home[1:] != home[:-1]) + 1, len(home)].astype(np.int32) if len(home) else np.zeros(1, np.int32)
+    lists = [pa.ListArray.from_arrays(first, pa.array(x[order], t)) for x, t in ((own, pa.int64()), (other, pa.int64()), (score, pa.float32()))]
+    return pa.table([pa.array(home[first[:-1]], pa.int32()), *lists], names=["home", "us", "nears", "scores"])
 
 
 def start_graph(nodes: DataFrame, blocks: int) -> DataFrame:
     """The graph of the best exact neighbours within the own blocks."""
 
     def exact(table):
-        ids, x = table.column("node").to_numpy(), _matrix(table.column("short"), np.float16)
+        ids, home, x = table.column("node").to_numpy(), table.column("home").to_numpy(), _matrix(table.column("short"), np.float16)
         own, other, score = [], [], []
         for i in range(0, len(ids), 512):
             s = x[i : i + 512] @ x.T
             s[np.arange(len(s)), np.arange(i, i + len(s))] = -np.inf
             k = min(DEGREE, len(ids) - 1)
             top = np.argpartition(-s, k - 1, 1)[:, :k] if k else np.zeros((len(s), 0), int)
-            own.append(np.repeat(ids[i : i + 512], k))
+            own.append(np.repeat(np.arange(i, i + len(s)), k))
             other.append(ids[top].ravel())
             score.append(np.take_along_axis(s, top, 1).ravel())
         own, other, score = map(np.concatenate, (own, other, score))
-        at = _best(own, other, score, DEGREE)
-        return _grouped(own[at], other[at], score[at], ("u", "near_", "score_"))
+        return _proposals(home[own], ids[own], other, score)
 
     deals = F.explode(F.array(*[F.struct(F.lit(k).alias("deal"), block_of(F.col("node"), blocks, k).alias("block")) for k in range(DEALS if blocks > 1 else 1)]))
-    found = nodes.select("node", "short", deals.alias("d")).select("d.deal", "d.block", "node", "short").groupBy("deal", "block").applyInArrow(exact, "u long, near_ array<long>, score_ array<float>")
-    empty = nodes.select("node", F.array().cast("array<long>").alias("near"), F.array().cast("array<float>").alias("score"))
+    found = nodes.select("node", "short", F.col("block").alias("home"), deals.alias("d")).select("d.deal", "d.block", "home", "node", "short").groupBy("deal", "block").applyInArrow(exact, _PROPOSED)
+    empty = nodes.select("block", "node", F.array().cast("array<long>").alias("near"), F.array().cast("array<float>").alias("score"))
     return joined_back(empty, found)
 
 
@@ -111,11 +116,11 @@ def descend(nodes: DataFrame, graph: DataFrame, blocks: int) -> DataFrame:
     meet = edges.select(F.col("near").alias("member"), F.col("node").alias("centre"), "fresh").union(turned.select(F.col("node").alias("member"), F.col("near").alias("centre"), "fresh"))
     meet = meet.groupBy("member", block_of(F.col("centre"), blocks).alias("block")).agg(F.collect_list("centre").alias("centres"), F.collect_list("fresh").alias("flags"))
     worst = graph.select(F.col("node").alias("w_node"), F.when(F.size("score") < DEGREE, F.lit(float("-inf"))).otherwise(F.array_min("score")).cast("float").alias("worst"))
-    lookup = nodes.select("node", "short").join(worst, F.col("node") == F.col("w_node"), "left").select("node", "short", "worst")
-    sent = meet.join(lookup, F.col("member") == F.col("node")).select("block", "member", "short", "worst", "centres", "flags")
+    lookup = nodes.select("node", "short", F.col("block").alias("home")).join(worst, F.col("node") == F.col("w_node"), "left").select("node", "short", "home", "worst")
+    sent = meet.join(lookup, F.col("member") == F.col("node")).select("block", "member", "short", "home", "worst", "centres", "flags")
 
     def compare(table):
-        ids, x = table.column("member").to_numpy(), _matrix(table.column("short"), np.float16)
+        ids, home, x = table.column("member").to_numpy(), table.column("home").to_numpy(), _matrix(table.column("short"), np.float16)
         worst = np.nan_to_num(table.column("worst").to_numpy(zero_copy_only=False).astype(np.float32), nan=-np.inf, neginf=-np.inf)
         centres, offsets = _lists(table.column("centres"))
         flags, _ = _lists(table.column("flags"))
@@ -139,41 +144,41 @@ def descend(nodes: DataFrame, graph: DataFrame, blocks: int) -> DataFrame:
             other.append(m[top][good])
             score.append(v[good])
         if not own:
-            return _grouped(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.float32), ("u", "near_", "score_"))
-        own, other, score = ids[np.concatenate(own)], ids[np.concatenate(other)], np.concatenate(score)
+            return _proposals(*[np.zeros(0, t) for t in (np.int32, np.int64, np.int64, np.float32)])
+        own, other, score = np.concatenate(own), ids[np.concatenate(other)], np.concatenate(score)
         at = _best(own, other, score, PER_BLOCK)
-        return _grouped(own[at], other[at], score[at], ("u", "near_", "score_"))
+        return _proposals(home[own[at]], ids[own[at]], other[at], score[at])
 
-    found = sent.groupBy("block").applyInArrow(compare, "u long, near_ array<long>, score_ array<float>")
-    return joined_back(graph, found)
+    return joined_back(graph.select("block", "node", "near", "score"), sent.groupBy("block").applyInArrow(compare, _PROPOSED))
 
 
 def joined_back(graph: DataFrame, found: DataFrame) -> DataFrame:
-    """The graph with the proposals ``found`` (u, near_, score_): best DEGREE of old and new; new edges are fresh."""
-    found = found.groupBy("u").agg(F.flatten(F.collect_list("near_")).alias("more"), F.flatten(F.collect_list("score_")).alias("more_score"))
-    both = graph.join(found, F.col("node") == F.col("u"), "left").select("node", "near", "score", "more", "more_score")
+    """The graph with the proposals ``found``: the best DEGREE of old and new edges of each node; new ones are fresh."""
 
-    def merge(batches):
+    def merge(old, new):
         import pyarrow as pa
 
-        for b in batches:
-            nodes_, near, score, fresh, changed = [], [], [], [], []
-            for node, n, s, more, more_score in zip(*[col.to_pylist() for col in b.columns], strict=True):
-                ids, val = np.array(n + (more or []), np.int64), np.array(s + (more_score or []), np.float32)
-                new = np.arange(len(ids)) >= len(n)
-                order = np.lexsort((new, ids))
-                ids, val, new = ids[order], val[order], new[order]
-                keep = np.r_[True, ids[1:] != ids[:-1]] if len(ids) else np.zeros(0, bool)  # a known edge comes before the same one proposed
-                ids, val, new = ids[keep], val[keep], new[keep]
-                top = np.lexsort((ids, -val))[:DEGREE]
-                nodes_.append(node)
-                near.append(ids[top])
-                score.append(val[top])
-                fresh.append(new[top])
-                changed.append(int(new[top].sum()))
-            yield pa.RecordBatch.from_arrays([pa.array(nodes_, pa.int64()), pa.array(near, pa.list_(pa.int64())), pa.array(score, pa.list_(pa.float32())), pa.array(fresh, pa.list_(pa.bool_())), pa.array(changed, pa.int32())], names=["node", "near", "score", "fresh", "changed"])
-
-    return both.mapInArrow(merge, "node long, near array<long>, score array<float>, fresh array<boolean>, changed int")
+        kinds = pa.schema([("block", pa.int32()), ("node", pa.int64()), ("near", pa.list_(pa.int64())), ("score", pa.list_(pa.float32())), ("fresh", pa.list_(pa.bool_())), ("changed", pa.int32())])
+        if not old.num_rows:
+            return kinds.empty_table()
+        nodes = old.column("node").to_numpy()
+        by = np.argsort(nodes)
+        near, ends = _lists(old.column("near"))
+        score = _lists(old.column("score"))[0]
+        us, nears, scores = (_lists(new.column(c))[0] for c in ("us", "nears", "scores"))
+        own = np.r_[np.repeat(np.arange(len(nodes)), np.diff(ends)), by[np.searchsorted(nodes[by], us)] if len(us) else np.zeros(0, int)]
+        other, value, fresh = np.r_[near, nears].astype(np.int64), np.r_[score, scores].astype(np.float32), np.r_[np.zeros(len(near), bool), np.ones(len(us), bool)]
+        order = np.lexsort((fresh, other, own))  # a known edge comes before the same one proposed
+        order = order[np.r_[True, (own[order][1:] != own[order][:-1]) | (other[order][1:] != other[order][:-1])]] if len(order) else order
+        own, other, value, fresh = own[order], other[order], value[order], fresh[order]
+        at = _best(own, other, value, DEGREE)
+        own, other, value, fresh = own[at], other[at], value[at], fresh[at]
+        ends = np.r_[0, np.cumsum(np.bincount(own, minlength=len(nodes)))].astype(np.int32)
+        lists = [pa.ListArray.from_arrays(ends, pa.array(x, t)) for x, t in ((other, pa.int64()), (value, pa.float32()), (fresh, pa.bool_()))]
+        return pa.table([old.column("block"), old.column("node"), *lists, pa.array(np.bincount(own, fresh, len(nodes)).astype(np.int32))], schema=kinds)
+
+    schema = "block int, node long, near array<long>, score array<float>, fresh array<boolean>, changed int"
+    return graph.groupBy("block").cogroup(found.groupBy("home")).applyInArrow(merge, schema)
 
 
 def build(nodes: DataFrame, blocks: int, count: int) -> DataFrame:
