@@ -1,6 +1,6 @@
 """The engine's named queries."""
 
-from . import basics, matching, search, streams  # noqa: F401
+from . import basics, matching, models, search, streams  # noqa: F401
 from .registry import ORACLES, QUERIES
 
 __all__ = ["ORACLES", "QUERIES"]
