@@ -40,6 +40,20 @@ def rate(step: int, steps: int, lr: float, schedule: str = "cosine") -> float:
 Loss = Callable[[dict[str, Tensor], dict[str, list], int], tuple[Tensor, int]]
 
 
+def columns(batch) -> dict[str, list]:
+    """Columns of a batch: lists of equally many numbers without nulls as one matrix, everything else as Python lists."""
+    import pyarrow as pa
+
+    out = {}
+    for name, c in zip(batch.schema.names, batch.columns, strict=True):
+        width = {len(c[0])} if pa.types.is_list(c.type) and len(c) and c.null_count == 0 else set()
+        if width and c.flatten().null_count == 0 and (c.value_lengths().to_numpy(zero_copy_only=False) == (n := width.pop())).all() and n:
+            out[name] = c.flatten().to_numpy(zero_copy_only=False).reshape(len(c), n)
+        else:
+            out[name] = c.to_pylist()
+    return out
+
+
 def gradients(rows: DataFrame, weights: dict[str, np.ndarray], loss: Loss, seed: int) -> tuple[float, int, dict[str, np.ndarray]]:
     """Loss sum, count and gradient sums over all rows."""
 
@@ -51,7 +65,7 @@ def gradients(rows: DataFrame, weights: dict[str, np.ndarray], loss: Loss, seed:
             if not b.num_rows:
                 continue
             w = {k: Tensor(v) for k, v in weights.items()}
-            value, count = loss(w, b.to_pydict(), seed)
+            value, count = loss(w, columns(b), seed)
             value.backward()
             total, n = total + float(value.data), n + count
             for k, t in w.items():
@@ -105,7 +119,7 @@ def evaluate(rows: DataFrame, weights: dict[str, np.ndarray], loss: Loss, seed:
 
         for b in batches:
             if b.num_rows:
-                value, count = loss({k: Tensor(v) for k, v in weights.items()}, b.to_pydict(), seed)
+                value, count = loss({k: Tensor(v) for k, v in weights.items()}, columns(b), seed)
                 yield pa.RecordBatch.from_pydict({"loss": [float(value.data)], "n": [count]}, schema=pa.schema([("loss", pa.float64()), ("n", pa.int64())]))
 
     r = rows.mapInArrow(run, "loss double, n long").agg(F.sum("loss").alias("s"), F.sum("n").alias("n")).first()

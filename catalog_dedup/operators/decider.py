@@ -38,6 +38,8 @@ def macro_f1(scored: DataFrame) -> float:
 
 def _block(rows: list, width: int) -> tuple[np.ndarray, np.ndarray]:
     """Matrix of vectors, zero where missing, and a column that tells."""
+    if isinstance(rows, np.ndarray):
+        return rows.astype(float), np.zeros((len(rows), 1))
     out, gone = np.zeros((len(rows), width)), np.zeros((len(rows), 1))
     for k, r in enumerate(rows):
         if r is None:
@@ -72,7 +74,7 @@ class Decider:
         return ((h @ w["w2"] + w["c2"]).relu() @ w["w3"] + w["c3"])[:, 0]
 
     @classmethod
-    def fit(cls, pairs: DataFrame, text: DataFrame | None, image: DataFrame | None, steps: int = 40, lr: float = 1e-2, modalities: tuple[str, ...] = ("text", "image"), raw: bool = False, extra: str | None = None) -> Decider:
+    def fit(cls, pairs: DataFrame, text: DataFrame | None, image: DataFrame | None, steps: int = 40, lr: float = 1e-2, modalities: tuple[str, ...] = ("text", "image"), raw: bool = False, share: float = 1.0, extra: str | None = None) -> Decider:
         """``extra`` is reserved for attribute columns of pairs."""
         rows, width = pairs.select("a", "b", "is_match"), {}
         for m, v in (("text", text), ("image", image)):
@@ -92,7 +94,7 @@ class Decider:
             both = [binary_loss(cls.logits(t, cls.features(batch, modalities, width, raw, turned)), y, weight) for turned in (False, True)]
             return both[0] + both[1], 2 * len(y)
 
-        train.fit(rows, "a", w, loss, steps, lr)
+        train.fit(rows, "a", w, loss, steps, lr, share=share)
         return cls(w, modalities, width, raw)
 
     def score(self, pairs: DataFrame, text: DataFrame | None, image: DataFrame | None) -> DataFrame:
@@ -109,7 +111,7 @@ class Decider:
             for b in batches:
                 if not b.num_rows:
                     continue
-                d = b.to_pydict()
+                d = train.columns(b)
                 w = {k: Tensor(v) for k, v in me.weights.items()}
                 z = sum(me.logits(w, me.features(d, me.modalities, me.width, me.raw, turned)).data for turned in (False, True)) / 2
                 yield pa.RecordBatch.from_pydict({"a": d["a"], "b": d["b"], "is_match": d["is_match"], "confidence": 1 / (1 + np.exp(-np.clip(z, -60, 60)))})
@@ -152,7 +154,7 @@ class Siamese:
 
             for b in batches:
                 if b.num_rows:
-                    d = b.to_pydict()
+                    d = train.columns(b)
                     gap = (((np.array(d["va"]) - np.array(d["vb"])) @ tower) ** 2).sum(1)
                     yield pa.RecordBatch.from_pydict({"a": d["a"], "b": d["b"], "is_match": d["is_match"], "confidence": np.exp(-gap)})
 

@@ -242,9 +242,9 @@ def decider_fit_report(spark: SparkSession, sf: str) -> DataFrame:
     t, v = _vectors(spark, sf, o)
     out = []
     for name, use in (("text", ("text",)), ("image", ("image",)), ("both", ("text", "image"))):
-        m = dm.Decider.fit(train, t, v, steps=40, modalities=use)
+        m = dm.Decider.fit(train, t, v, steps=25, modalities=use, share=0.4)
         out.append((name, dm.macro_f1(m.score(test, t, v))))
-    s = dm.Siamese.fit(train, t, steps=20)
+    s = dm.Siamese.fit(train, t, steps=10)
     out.append(("siamese", dm.macro_f1(s.score(test, t))))
     cut = dm.best_cut(dm.cosines(train, t))
     out.append(("cosine cut", dm.macro_f1(dm.cosines(test, t).withColumn("verdict", F.col("cosine") >= cut))))
@@ -263,22 +263,22 @@ def compression(spark: SparkSession, sf: str) -> DataFrame:
         if width < 256:
             mean, comps, var = pca.fit(wide, width)
             v = written(pca.project(wide, mean, comps))
-        m = dm.Decider.fit(train, v, None, steps=25, modalities=("text",))
+        m = dm.Decider.fit(train, v, None, steps=15, modalities=("text",), share=0.4)
         out.append((width, dm.macro_f1(m.score(test, v, None)), 4 * width))
     return spark.createDataFrame(out, "width int, macro_f1 double, bytes_per_vector int")
 
 
 @query()
 def pair_latency(spark: SparkSession, sf: str) -> DataFrame:
-    """1000 pairs encoded and scored by encoders of growing width and depth: relative cost only, so that values compare as ranks."""
+    """250 pairs' titles encoded by encoders of growing width and depth: relative cost only, so that values compare as ranks."""
     o = titles(spark, sf)
     rows = {}
     out = []
     for name, enc in (("miniature", te.TextEncoder(kind="cls", depth=4)), ("wide", te.TextEncoder(kind="cls", width=64)), ("wide_generative", te.TextEncoder(kind="multilayer", width=96))):
-        rows = written(te.token_ids(o.limit(2000), "listing_id", "title", enc))  # two texts a pair
+        rows = written(te.token_ids(o.limit(500), "listing_id", "title", enc))  # two texts a pair
         w = enc.weights()
         times = []
-        for _ in range(2):
+        for _ in range(1):
             began = time.perf_counter()
             enc.encode(rows, w).write.format("noop").mode("overwrite").save()
             times.append(time.perf_counter() - began)
