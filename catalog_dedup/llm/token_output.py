@@ -31,8 +31,8 @@ from .common import shared_folder, stash
 BLOCK = 65536
 MAGIC = b"BPLANES1"
 END = 1
-#: Words that a tokenizer remembers before it starts anew.
-REMEMBERED = 400_000
+#: Words that a worker's tokenizer remembers before it starts anew (about 250 MB).
+REMEMBERED = 1_000_000
 _FOOTER = "<5Q8s"
 
 
@@ -98,6 +98,17 @@ def word_tokenizer(path: str):
     return encode
 
 
+def kept_tokenizer(path: str):
+    """The worker process's tokenizer, kept with its words for later tasks on a module that outlives them."""
+    import pyspark
+
+    held = pyspark.__dict__.setdefault("_catalog_dedup_tokenizers", {})
+    if path not in held:
+        held.clear()
+        held[path] = word_tokenizer(path)
+    return held[path]
+
+
 class ShardWriter:
     """Appends documents to one shard; holds a block of ids and the table of documents."""
 
@@ -195,7 +206,7 @@ def write_shards(docs: DataFrame, vocabulary: str, end: int = END, folder: str |
                 part = b.slice(i, 512)
                 if writer is None:
                     sink = store.open_output_stream(path)
-                    encode, writer = word_tokenizer(vocabulary), ShardWriter(sink)
+                    encode, writer = kept_tokenizer(vocabulary), ShardWriter(sink)
                 for key, ids in zip(part.column(0).to_pylist(), encode(part.column(1).to_pylist()), strict=True):
                     writer.add(key, ids + last)
         if writer:
