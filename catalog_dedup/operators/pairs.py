@@ -11,6 +11,8 @@ from ..sources.listings import true_pairs
 
 #: Products whose hash is a multiple of this are for testing, the others for training (44 to 1).
 TEST_EVERY = 45
+#: What the two products of a negative pair share, and its name.
+NEGATIVES = ((("category",), "same leaf"), (("p_name", "p_brand"), "variant"), (("p_type",), "same type"))
 
 
 def split_of(product: Column) -> Column:
@@ -20,15 +22,14 @@ def split_of(product: Column) -> Column:
 
 def labelled(listings: DataFrame) -> DataFrame:
     """a, b, is_match, origin, split. Positives are all pairs of a product; negatives join the first listing of each product to that
-    of the next product of its leaf, and of its name and brand (variants). Pairs whose products fall in two splits are left out."""
-    pos = true_pairs(listings).select("a", "b", F.lit(True).alias("is_match"), F.lit("same product").alias("origin"), split_of(F.col("product_key")).alias("split"))
-    first = listings.groupBy("product_key", "category", "p_name", "p_brand").agg(F.min("listing_id").alias("a"))
-    out = pos
-    for keys, origin in ((["category"], "same leaf"), (["p_name", "p_brand"], "variant")):
-        w = Window.partitionBy(*keys).orderBy("a")
-        nxt = first.withColumns({"b": F.lead("a").over(w), "pb": F.lead("product_key").over(w)}).filter("b IS NOT NULL")
-        neg = nxt.withColumns({"split": split_of(F.col("product_key")), "other": split_of(F.col("pb"))}).filter("split = other")
-        out = out.unionByName(neg.select("a", "b", F.lit(False).alias("is_match"), F.lit(origin).alias("origin"), "split"))
+    of the next product of its split in the same leaf, of the same name and brand (variants), and of the same type. No product is in
+    both splits."""
+    rows = listings.withColumn("split", split_of(F.col("product_key")))
+    out = true_pairs(listings).select("a", "b", F.lit(True).alias("is_match"), F.lit("same product").alias("origin"), split_of(F.col("product_key")).alias("split"))
+    first = rows.groupBy("product_key", "category", "p_name", "p_brand", "p_type", "split").agg(F.min("listing_id").alias("a"))
+    for keys, origin in NEGATIVES:
+        nxt = first.withColumn("b", F.lead("a").over(Window.partitionBy(*keys, "split").orderBy("a"))).filter("b IS NOT NULL")
+        out = out.unionByName(nxt.select("a", "b", F.lit(False).alias("is_match"), F.lit(origin).alias("origin"), "split"))
     return out
 
 

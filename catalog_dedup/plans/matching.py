@@ -26,15 +26,14 @@ def offers3(spark: SparkSession, sf: str) -> DataFrame:
 _SPLIT = f"CASE WHEN ('0x' || substr(md5(product_key::VARCHAR), 1, 8))::BIGINT % {pairs.TEST_EVERY} = 0 THEN 'test' ELSE 'train' END"
 
 
-def _negatives(keys: str, origin: str) -> str:
-    split2 = _SPLIT.replace("product_key", "pb")
-    return f"SELECT a, b, false AS is_match, '{origin}' AS origin, {_SPLIT} AS split FROM (SELECT *, lead(a) OVER w AS b, lead(product_key) OVER w AS pb FROM firsts WINDOW w AS (PARTITION BY {keys} ORDER BY a)) WHERE b IS NOT NULL AND {_SPLIT} = {split2}"
+def _negatives(keys: tuple[str, ...], origin: str) -> str:
+    return f"SELECT a, b, false AS is_match, '{origin}' AS origin, split FROM (SELECT *, lead(a) OVER (PARTITION BY {', '.join(keys)}, split ORDER BY a) AS b FROM firsts) WHERE b IS NOT NULL"
 
 
 LABELLED = f"""{O3},
-firsts AS (SELECT product_key, category, p_name, p_brand, min(listing_id) AS a FROM offers3 GROUP BY ALL),
+firsts AS (SELECT product_key, category, p_name, p_brand, p_type, {_SPLIT} AS split, min(listing_id) AS a FROM offers3 GROUP BY ALL),
 labelled AS (SELECT x.listing_id AS a, y.listing_id AS b, true AS is_match, 'same product' AS origin, {_SPLIT.replace('product_key', 'x.product_key')} AS split FROM offers3 x JOIN offers3 y ON x.product_key = y.product_key AND x.listing_id < y.listing_id
-    UNION ALL {_negatives('category', 'same leaf')} UNION ALL {_negatives('p_name, p_brand', 'variant')})"""
+    UNION ALL {" UNION ALL ".join(_negatives(k, n) for k, n in pairs.NEGATIVES)})"""
 
 SCORED = f"""{LABELLED}, {sql.features('offers3', 'listing_id', 'title')},
 dots AS (SELECT a, b, origin, sum(x.val * y.val)::BIGINT AS dot FROM labelled JOIN feats x ON x.listing_id = a JOIN feats y ON y.listing_id = b AND x.dim = y.dim GROUP BY ALL),

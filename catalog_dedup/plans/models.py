@@ -242,7 +242,7 @@ def decider_fit_report(spark: SparkSession, sf: str) -> DataFrame:
     t, v = _vectors(spark, sf, o)
     out = []
     for name, use in (("text", ("text",)), ("image", ("image",)), ("both", ("text", "image"))):
-        m = dm.Decider.fit(train, t, v, steps=25, modalities=use, share=0.4)
+        m = dm.Decider.fit(train, t, v, steps=60, lr=2e-2, modalities=use, share=0.3)
         out.append((name, dm.macro_f1(m.score(test, t, v))))
     s = dm.Siamese.fit(train, t, steps=10)
     out.append(("siamese", dm.macro_f1(s.score(test, t))))
@@ -263,7 +263,7 @@ def compression(spark: SparkSession, sf: str) -> DataFrame:
         if width < 256:
             mean, comps, var = pca.fit(wide, width)
             v = written(pca.project(wide, mean, comps))
-        m = dm.Decider.fit(train, v, None, steps=15, modalities=("text",), share=0.4)
+        m = dm.Decider.fit(train, v, None, steps=30, lr=2e-2, modalities=("text",), share=0.3)
         out.append((width, dm.macro_f1(m.score(test, v, None)), 4 * width))
     return spark.createDataFrame(out, "width int, macro_f1 double, bytes_per_vector int")
 
