@@ -1,12 +1,14 @@
 """SentencePiece encoding and decoding through a relational lattice.
 
-Distinct pre-tokens are counted. For each of them, the substrings of at most the longest piece's length are exploded and
-equi-joined to the piece table (a file of fixed size, broadcast); the edges are grouped by pre-token, which is how they are
-partitioned already, and a higher-order aggregate folds the Viterbi recurrence over them. Pre-tokens of over ``LONG``
+Distinct units are counted: pre-tokens, cut wherever two characters stand side by side in no piece, so that no edge can cross
+(most commas and stops part from their words there). For each unit, the substrings of at most the longest piece's length are
+exploded and equi-joined to the piece table (a file of fixed size, broadcast); the edges are grouped by unit, which is how they
+are partitioned already, and a higher-order aggregate folds the Viterbi recurrence over them. Units of over ``LONG``
 characters have their grouped edges folded in an Arrow function instead, as arrays that grow by copying would be too slow.
 
-Documents are then spelt from this dictionary: its ``HEAD`` most frequent entries are broadcast (a bound on rows; longer
-entries than ``LONG`` characters never are), all others come by a join on the pre-token and are grouped by document.
+Documents are then spelt from this dictionary: its most frequent entries are broadcast, at most ``HEAD`` of them and
+``HEAD_BYTES`` of ids (entries longer than ``LONG`` characters never are), as two hashes each in sorted arrays; all others come
+by a join on the unit and are grouped by document. Both ways give the same ids.
 
 Scores add up along a path; of equally good paths the one with the longer last piece wins. A character that is no piece
 becomes its UTF-8 bytes (or the unknown id where the table has no byte pieces). Null and empty texts have no ids and decode
@@ -24,22 +26,32 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import map_text, release, stash
-from .pieces import SPACE_MARK, PieceTable, splitter
+from .pieces import SPACE_MARK, PieceTable, chunker, cutter
 
 LONG = 64
-HEAD = 600_000
+#: Bounds of what is broadcast: entries (12 bytes and an offset each) and bytes of their ids.
+HEAD, HEAD_BYTES = 4_000_000, 64_000_000
+#: Pre-tokens whose ids a worker process keeps at hand.
+CACHED = 300_000
 #: Pre-tokens that a task counts before it hands them on.
 COUNTED = 1_000_000
 
 
-def distinct_pre_tokens(docs: DataFrame, table: PieceTable) -> DataFrame:
-    """word, n over all documents; tasks add up what they meet first."""
+def distinct_units(docs: DataFrame, table: PieceTable) -> DataFrame:
+    """word (a unit), n over all documents; tasks add up what they meet first."""
 
     def count(batches):
         import pyarrow as pa
 
-        split, seen = splitter(table), Counter()
-        give = lambda: pa.RecordBatch.from_arrays([pa.array(list(seen), pa.string()), pa.array(list(seen.values()), pa.int64())], names=["word", "n"])
+        split, cut, seen = chunker(table), cutter(table), Counter()
+
+        def give():
+            units = Counter()
+            for w, n in seen.items():
+                for u in cut(w):
+                    units[u] += n
+            return pa.RecordBatch.from_arrays([pa.array(list(units), pa.string()), pa.array(list(units.values()), pa.int64())], names=["word", "n"])
+
         for b in batches:
             for i in range(0, b.num_rows, 1024):
                 for t in b.column(0).slice(i, 1024).to_pylist():
@@ -81,17 +93,16 @@ def _start(e: Column) -> Column:
 
 
 def viterbi(lattice: Column) -> Column:
-    """Struct of arrays: for each position the best score and the packed last edge of the best path to it. Edges come by end, then start."""
-    empty = F.struct(F.array().cast("array<double>").alias("score"), F.array().cast("array<bigint>").alias("edge"))
+    """For each position the packed last edge of the best path to it. Edges come by end, then start."""
+    empty = F.array().cast("array<struct<score: double, edge: bigint>>")
 
     def step(best, x):
-        reached = x["s"] + F.when(_start(x["e"]) == 0, F.lit(0.0)).otherwise(F.get(best["score"], _start(x["e"]) - 1))
-        size = F.size(best["edge"])
-        grown = lambda score, edge: F.struct(F.concat(score, F.array(reached)).alias("score"), F.concat(edge, F.array(x["e"])).alias("edge"))
-        shorter = lambda a: F.slice(a, F.lit(1), size - 1)
-        return F.when(size < _end(x["e"]), grown(best["score"], best["edge"])).when(reached > F.get(best["score"], size - 1), grown(shorter(best["score"]), shorter(best["edge"]))).otherwise(best)
+        reached = lambda: x["s"] + F.coalesce(F.get(best, _start(x["e"]) - 1)["score"], F.lit(0.0))
+        last = lambda: F.array(F.struct(reached().alias("score"), x["e"].alias("edge")))
+        size = F.size(best)
+        return F.when(size < _end(x["e"]), F.concat(best, last())).when(reached() > F.get(best, size - 1)["score"], F.concat(F.slice(best, F.lit(1), size - 1), last())).otherwise(best)
 
-    return F.aggregate(lattice, empty, step, lambda best: best["edge"])
+    return F.transform(F.aggregate(lattice, empty, step), lambda y: y["edge"])
 
 
 def path(last: Column, word: Column, table: PieceTable) -> Column:
@@ -130,8 +141,8 @@ def id_type(table: PieceTable) -> np.dtype:
 
 
 def dictionary(docs: DataFrame, table: PieceTable) -> DataFrame:
-    """word, n and code (its ids as bytes) of every distinct pre-token, written to the shared folder."""
-    words = stash(distinct_pre_tokens(docs, table).withColumn("wid", F.monotonically_increasing_id()), "pre-tokens")
+    """word, n and code (its ids as bytes) of every distinct unit, written to the shared folder."""
+    words = stash(distinct_units(docs, table).withColumn("wid", F.monotonically_increasing_id()), "units")
     release(docs.sparkSession)
     kind = id_type(table)
     parts = max(12, words.count() // 40_000)
@@ -163,31 +174,116 @@ def dictionary(docs: DataFrame, table: PieceTable) -> DataFrame:
     return stash(made, "dictionary")
 
 
+def twice(word: Column) -> tuple[Column, Column]:
+    """Two hashes that tell a unit from all others."""
+    return F.xxhash64(word), F.xxhash64(F.reverse(word))
+
+
+class Head:
+    """The broadcast part of the dictionary in a worker process: sorted first hashes, a part of the second, and ids as bytes."""
+
+    def __init__(self, table: PieceTable, first: np.ndarray, second: np.ndarray, starts: np.ndarray, codes: bytes):
+        self.first, self.second, self.starts, self.codes, self.cut, self.held = first, second, starts, codes, cutter(table), {}
+
+    def find(self, units: list[str]) -> list[bytes | None]:
+        """The ids of each unit, None where it is not in the head."""
+        from xxhash import xxh64_intdigest as hashed
+
+        if not len(self.first) or not units:
+            return [None] * len(units)
+        h = np.array([hashed(u.encode(), 42) for u in units], np.uint64)
+        k = np.array([hashed(u[::-1].encode(), 42) & 0xFFFFFFFF for u in units], np.uint32)
+        at = np.minimum(np.searchsorted(self.first, h), len(self.first) - 1)
+        there = (self.first[at] == h) & (self.second[at] == k)
+        return [self.codes[a:b] if ok else None for a, b, ok in zip(self.starts[at].tolist(), self.starts[at + 1].tolist(), there.tolist(), strict=True)]
+
+    def spell(self, words: set[str]) -> tuple[dict[str, bytes], dict[str, list[bytes | str]]]:
+        """Ids of the words whose units are all in the head; of the others, a list of ids or of the unit that is missing."""
+        held = self.held
+        new = [w for w in words if w not in held]
+        cuts = list(map(self.cut, new))
+        units = list({u for c in cuts for u in c})
+        found = dict(zip(units, self.find(units), strict=True))
+        whole, broken = {}, {}
+        for w, c in zip(new, cuts, strict=True):
+            ids = [found[u] for u in c]
+            if None in ids:
+                broken[w] = [u if x is None else x for u, x in zip(c, ids, strict=True)]
+            else:
+                whole[w] = b"".join(ids)
+        if len(held) < CACHED:
+            held.update(whole)
+        return whole, broken
+
+
+def head_of(entries: DataFrame) -> tuple[tuple, bool]:
+    """Arrays of the most frequent entries, as many as the bounds allow, and whether they are all entries.
+
+    Entries enter by steps of a sixteenth of a doubling in frequency, so nothing is sorted."""
+    step = F.floor(F.log2("n") * 16).cast("int")
+    steps = entries.groupBy(step.alias("step")).agg(F.count("*").alias("rows"), F.sum((F.length("word") <= LONG).cast("long")).alias("usual"), F.sum(F.when(F.length("word") <= LONG, F.length("code")).otherwise(0)).alias("bytes")).orderBy(F.desc("step")).collect()
+    least, rows, size = None, 0, 0
+    for r in steps:
+        rows, size = rows + r["usual"], size + r["bytes"]
+        if rows > HEAD or size > HEAD_BYTES:
+            break
+        least = r["step"]
+    if least is None:
+        return (np.zeros(0, np.uint64), np.zeros(0, np.uint32), np.zeros(1, np.uint32), b""), not steps
+    import pyarrow as pa
+
+    def pack(batches):
+        """A row per batch: its columns as bytes, so that the driver gets few and compact rows."""
+        for b in batches:
+            code = b.column(2)
+            ends = np.frombuffer(code.buffers()[1], np.int32)[code.offset : code.offset + len(code) + 1]
+            parts = [b.column(0).to_numpy(), b.column(1).to_numpy().astype(np.uint32), np.diff(ends).astype(np.uint16), code.buffers()[2].to_pybytes()[ends[0] : ends[-1]] if len(code) else b""]
+            yield pa.RecordBatch.from_arrays([pa.array([x if isinstance(x, bytes) else x.tobytes()], pa.binary()) for x in parts], names=["h", "k", "size", "code"])
+
+    h, k = twice(F.col("word"))
+    got = entries.filter((F.length("word") <= LONG) & (step >= least)).select(h.alias("h"), k.bitwiseAND(0xFFFFFFFF).alias("k"), "code").mapInArrow(pack, "h binary, k binary, size binary, code binary").toArrow()
+    first, second, sizes, codes = (b"".join(c.to_pylist()) for c in got.columns)
+    first, second, sizes = np.frombuffer(first, np.uint64), np.frombuffer(second, np.uint32), np.frombuffer(sizes, np.uint16)
+    order = np.argsort(first)
+    same = np.r_[False, first[order][1:] == first[order][:-1], False]
+    order = order[~(same[1:] | same[:-1])]  # of two entries with one hash, neither is in the head
+    ends = np.r_[0, np.cumsum(sizes)].astype(np.int32)
+    code = pa.Array.from_buffers(pa.binary(), len(sizes), [None, pa.py_buffer(ends), pa.py_buffer(codes)]).take(pa.array(order))
+    starts = np.r_[0, np.cumsum(sizes[order])].astype(np.uint32)
+    return (first[order], second[order], starts, code.buffers()[2].to_pybytes()[: starts[-1]] if len(order) else b""), len(order) == sum(r["rows"] for r in steps)
+
+
 def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = True) -> DataFrame:
     """``keep`` columns, ``n_tokens``, ``ids`` and, with ``check``, ``round_trip`` (the ids decode to the text) of every row."""
     spark = docs.sparkSession
     entries = dictionary(docs, table)
     release(spark)
-    usual = entries.filter(F.length("word") <= LONG)
-    total = usual.count()
-    whole = total <= HEAD and total == entries.count()
-    got = (usual if total <= HEAD else usual.orderBy(F.desc("n"), "word").limit(HEAD)).select("word", "code").toArrow()
-    shared, name = spark.sparkContext.broadcast((got.column("word").combine_chunks(), got.column("code").combine_chunks()) if len(got) else ([], [])), uuid.uuid4().hex
+    arrays, whole = head_of(entries)
+    shared, name = spark.sparkContext.broadcast(arrays), uuid.uuid4().hex
+    del arrays
     keep = [c for c in keep if c.lower() not in ("n_tokens", "ids", "round_trip")]
     spelt, kind = decoding_table(table) if check else None, id_type(table)
     fields = [("n_tokens", T.LongType()), ("ids", T.ArrayType(T.IntegerType())), *([("round_trip", T.BooleanType())] if check else [])]
 
-    def lookup() -> dict[str, bytes]:
+    def lookup() -> Head:
         """The head of the dictionary, built once a worker process (which keeps it on a module that outlives the task)."""
         import pyspark
 
         held = pyspark.__dict__.setdefault("_catalog_dedup_head", {})
         if name not in held:
             held.clear()
-            words, codes = shared.value
-            held[name] = dict(zip(words.to_pylist(), codes.to_pylist(), strict=True)) if len(words) else {}
+            held[name] = Head(table, *shared.value)
         return held[name]
 
+    def in_groups(texts: list):
+        """Of some texts at a time: their pre-tokens, ids of words at hand, of other whole words, and the broken words."""
+        head, split = lookup(), chunker(table)
+        for i in range(0, len(texts), 128):
+            some = texts[i : i + 128]
+            words = [split(t) for t in some]
+            more, broken = head.spell(set().union(*words))
+            yield some, words, head.held, more, broken
+
     def columns(coded: list[np.ndarray]) -> list:
         import pyarrow as pa
 
@@ -196,36 +292,41 @@ def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = Tr
         return [pa.array(np.diff(ends), pa.int64()), ids]
 
     def spell(texts: list) -> list:
-        known, split = lookup(), splitter(table)
-        coded = [np.frombuffer(b"".join(map(known.__getitem__, split(t))), kind) for t in texts]
+        coded = []
+        for _, words, held, more, _ in in_groups(texts):
+            for ws in words:
+                ids = list(map(held.get, ws))
+                if None in ids:
+                    ids = [more[w] if x is None else x for w, x in zip(ws, ids, strict=True)]
+                coded.append(np.frombuffer(b"".join(ids), kind))
         return columns(coded) + ([np.array([decode_ids(c, spelt) == (t or "") for t, c in zip(texts, coded, strict=True)], bool)] if check else [])
 
     if whole:
         return map_text(docs, keep, fields, spell)
 
-    # Pre-tokens beyond the head: which ones each distinct text lacks (as hashes), their ids by a join, and a list of them per text.
+    # Units beyond the head: which ones each distinct text lacks (as hashes), their ids by a join, and a list of them per text.
     rows = docs.select(*[F.col(f"`{c}`") for c in dict.fromkeys([*keep, "text"])], F.xxhash64("text").alias("_a"))
 
     def missing(texts: list) -> list:
-        known, split = lookup(), splitter(table)
-        return [[list({w for w in split(t) if w not in known}) for t in texts]]
+        return [[list({x for w in broken.keys() & set(ws) for x in broken[w] if isinstance(x, str)}) for _, words, _, _, broken in in_groups(texts) for ws in words]]
 
     def partly(texts: list) -> list:
-        """Compressed: the ids of the head with a hole where an entry is missing, and the missing pre-tokens in order; and a digest of the text."""
+        """Compressed: the ids of the head with a hole where an entry is missing, and the missing units in order; and a digest of the text."""
         from xxhash import xxh3_128_digest
         from zstandard import ZstdCompressor
 
-        known, split, zip_ = lookup(), splitter(table), ZstdCompressor(level=1).compress
+        zip_ = ZstdCompressor(level=1).compress
         hole, coded = np.array([np.iinfo(kind).max], kind).tobytes(), []
-        for t in texts:
-            words = split(t)
-            ids = b"".join([known.get(w, hole) for w in words])
-            coded.append(zip_(len(ids).to_bytes(8, "little") + ids + "\0".join([w for w in words if w not in known]).encode()))
+        for _, words, held, more, broken in in_groups(texts):
+            for ws in words:
+                parts = [x for w in ws for x in (broken[w] if w in broken else [held[w] if w in held else more[w]])]
+                ids = b"".join([hole if isinstance(x, str) else x for x in parts])
+                coded.append(zip_(len(ids).to_bytes(8, "little") + ids + "\0".join([x for x in parts if isinstance(x, str)]).encode()))
         return [coded, [xxh3_128_digest((t or "").encode()) for t in texts]]
 
-    twice = lambda w: [F.xxhash64(w).alias("h"), F.xxhash64(F.reverse(w)).alias("k")]
-    wanted = map_text(rows, ["_a"], [("words", T.ArrayType(T.StringType()))], missing).select("_a", F.explode("words").alias("w")).select("_a", *twice(F.col("w"))).distinct()
-    found = wanted.join(entries.select(*twice(F.col("word")), "code"), ["h", "k"]).groupBy("_a").agg(F.collect_list(F.struct("h", "code")).alias("_more"))
+    named = lambda w: [c.alias(n) for c, n in zip(twice(w), "hk", strict=True)]
+    wanted = map_text(rows, ["_a"], [("words", T.ArrayType(T.StringType()))], missing).select("_a", F.explode("words").alias("w")).select("_a", *named(F.col("w"))).distinct()
+    found = wanted.join(entries.select(*named(F.col("word")), "code"), ["h", "k"]).groupBy("_a").agg(F.collect_list(F.struct("h", "code")).alias("_more"))
     coded = map_text(rows, [*keep, "_a"], [("_coded", T.BinaryType()), ("_digest", T.BinaryType())], partly)
     joined = coded.join(found, "_a", "left").select(*[F.col(f"`{c}`") for c in keep], "_coded", "_digest", "_more")
 

@@ -49,3 +49,25 @@ def splitter(table: PieceTable):
     """text -> list of pre-tokens; the text gets a space in front, as SentencePiece adds one. Null and empty texts have none."""
     find = re.compile(pre_token_pattern(table)).findall
     return lambda text: find(SPACE_MARK + text.replace(" ", SPACE_MARK)) if text else []
+
+
+def chunker(table: PieceTable):
+    """text -> list of chunks between spaces, much as pre-tokens but faster to get: the mark in front is left out, and a line
+    break that no piece holds begins a chunk which has no mark. Null and empty texts have none."""
+    if any("\n" in p for p in table.pieces):
+        return lambda text: text.split(" ") if text else []
+    return lambda text: text.replace("\n", " \n").split(" ") if text else []
+
+
+def cutter(table: PieceTable):
+    """chunk -> its units: with its mark, it is cut between two characters that stand side by side in no piece, where no edge
+    can cross."""
+    pairs = frozenset(p[i : i + 2] for p in table.pieces for i in range(len(p) - 1))
+    bare = not any("\n" in p for p in table.pieces)
+
+    def cut(chunk: str) -> list[str]:
+        word = chunk if bare and chunk[:1] == "\n" else SPACE_MARK + chunk
+        at = [i for i in range(1, len(word)) if word[i - 1 : i + 1] not in pairs]
+        return [word[a:b] for a, b in zip([0, *at], [*at, len(word)], strict=True)] if at else [word]
+
+    return cut
