@@ -32,9 +32,9 @@ LONG = 64
 #: Bounds of what is broadcast: entries (12 bytes and an offset each) and bytes of their ids.
 HEAD, HEAD_BYTES = 4_000_000, 64_000_000
 #: Pre-tokens whose ids a worker process keeps at hand.
-CACHED = 300_000
+CACHED = 500_000
 #: Pre-tokens that a task counts before it hands them on.
-COUNTED = 1_000_000
+COUNTED = 600_000
 
 
 def distinct_units(docs: DataFrame, table: PieceTable) -> DataFrame:
@@ -47,8 +47,11 @@ def distinct_units(docs: DataFrame, table: PieceTable) -> DataFrame:
 
         def give():
             units = Counter()
-            for w, n in seen.items():
-                for u in cut(w):
+            chunks = list(seen)
+            for i in range(0, len(chunks), 50_000):
+                made, sizes = cut(chunks[i : i + 50_000])
+                times = np.repeat(np.fromiter(map(seen.__getitem__, chunks[i : i + 50_000]), np.int64, len(sizes)), sizes)
+                for u, n in zip(made, times.tolist(), strict=True):
                     units[u] += n
             return pa.RecordBatch.from_arrays([pa.array(list(units), pa.string()), pa.array(list(units.values()), pa.int64())], names=["word", "n"])
 
@@ -75,13 +78,16 @@ def edges(words: DataFrame, table: PieceTable, parts: int) -> DataFrame:
     Everything happens within the partitions of ``wid``: exploding and the broadcast join keep them, so grouping needs no shuffle.
     """
     spark = words.sparkSession
-    known = spark.createDataFrame([(p, i + 1, float(s)) for p, (i, s) in table.pieces.items()], "piece string, code long, score double")
+    known = spark.createDataFrame([(p, i + 1, float(s)) for p, (i, s) in table.pieces.items()], "known string, code long, score double").withColumn("key", F.xxhash64("known"))
     starts = words.repartition(parts, "wid").select("wid", "word", F.explode(F.sequence(F.lit(1), F.length("word"))).alias("start"))
     subs = starts.select("wid", "word", "start", F.explode(F.sequence(F.lit(1), F.least(F.lit(table.longest), F.length("word") - F.col("start") + 1))).alias("n"))
-    hits = subs.select("wid", "start", "n", F.substring("word", F.col("start"), F.col("n")).alias("piece")).join(F.broadcast(known), "piece", "left").filter("code IS NOT NULL OR n = 1")
+    pieces = subs.select("wid", "start", "n", F.substring("word", F.col("start"), F.col("n")).alias("piece"))
+    # A long as the key makes the lookup cheaper; the text itself decides.
+    hits = pieces.join(F.broadcast(known), F.xxhash64("piece") == F.col("key"), "left").filter("piece = known OR n = 1")
+    own = lambda c, other: F.when(F.col("piece") == F.col("known"), F.col(c)).otherwise(F.lit(other))
     from_ = F.col("start").cast("long") - 1
-    packed = F.shiftleft(from_ + F.col("n"), _END).bitwiseOR(F.shiftleft(from_, _START)).bitwiseOR(F.coalesce("code", F.lit(0).cast("long")))
-    return hits.select("wid", F.struct(packed.alias("e"), F.coalesce("score", F.lit(table.unknown)).alias("s")).alias("x")).groupBy("wid").agg(F.sort_array(F.collect_list("x")).alias("edges"))
+    packed = F.shiftleft(from_ + F.col("n"), _END).bitwiseOR(F.shiftleft(from_, _START)).bitwiseOR(own("code", 0).cast("long"))
+    return hits.select("wid", F.struct(packed.alias("e"), own("score", table.unknown).alias("s")).alias("x")).groupBy("wid").agg(F.sort_array(F.collect_list("x")).alias("edges"))
 
 
 def _end(e: Column) -> Column:
@@ -182,38 +188,40 @@ def twice(word: Column) -> tuple[Column, Column]:
 class Head:
     """The broadcast part of the dictionary in a worker process: sorted first hashes, a part of the second, and ids as bytes."""
 
-    def __init__(self, table: PieceTable, first: np.ndarray, second: np.ndarray, starts: np.ndarray, codes: bytes):
-        self.first, self.second, self.starts, self.codes, self.cut, self.held = first, second, starts, codes, cutter(table), {}
+    def __init__(self, table: PieceTable, first: np.ndarray, second: np.ndarray, starts: np.ndarray, codes: bytes, whole: bool):
+        self.whole, self.first, self.second, self.starts, self.codes, self.cut, self.held = whole, first, second, starts, codes, cutter(table), {}
 
     def find(self, units: list[str]) -> list[bytes | None]:
-        """The ids of each unit, None where it is not in the head."""
+        """The ids of each unit, None where it is not in the head. If the head holds every unit, the first hash tells all."""
         from xxhash import xxh64_intdigest as hashed
 
         if not len(self.first) or not units:
             return [None] * len(units)
-        h = np.array([hashed(u.encode(), 42) for u in units], np.uint64)
-        k = np.array([hashed(u[::-1].encode(), 42) & 0xFFFFFFFF for u in units], np.uint32)
+        h = np.fromiter([hashed(u.encode(), 42) for u in units], np.uint64, len(units))
         at = np.minimum(np.searchsorted(self.first, h), len(self.first) - 1)
-        there = (self.first[at] == h) & (self.second[at] == k)
-        return [self.codes[a:b] if ok else None for a, b, ok in zip(self.starts[at].tolist(), self.starts[at + 1].tolist(), there.tolist(), strict=True)]
-
-    def spell(self, words: set[str]) -> tuple[dict[str, bytes], dict[str, list[bytes | str]]]:
-        """Ids of the words whose units are all in the head; of the others, a list of ids or of the unit that is missing."""
-        held = self.held
-        new = [w for w in words if w not in held]
-        cuts = list(map(self.cut, new))
-        units = list({u for c in cuts for u in c})
-        found = dict(zip(units, self.find(units), strict=True))
-        whole, broken = {}, {}
-        for w, c in zip(new, cuts, strict=True):
-            ids = [found[u] for u in c]
-            if None in ids:
-                broken[w] = [u if x is None else x for u, x in zip(c, ids, strict=True)]
+        ids = [self.codes[a:b] for a, b in zip(self.starts[at].tolist(), self.starts[at + 1].tolist(), strict=True)]
+        if not self.whole:
+            k = np.fromiter([hashed(u[::-1].encode(), 42) & 0xFFFFFFFF for u in units], np.uint32, len(units))
+            for i in np.flatnonzero((self.first[at] != h) | (self.second[at] != k)).tolist():
+                ids[i] = None
+        return ids
+
+    def spell(self, new: set[str]) -> tuple[list[str], dict[str, list[bytes | str]]]:
+        """Puts the ids of all new chunks at hand whose units are all in the head. Returns the chunks to forget after use, and of
+        chunks with other units a list of ids or of the unit that is missing."""
+        held, broken = self.held, {}
+        new, before = list(new), len(held)
+        units, sizes = self.cut(new)
+        distinct = list(dict.fromkeys(units))
+        found = dict(zip(distinct, self.find(distinct), strict=True))
+        ids, a = list(map(found.__getitem__, units)), 0
+        for w, n in zip(new, sizes.tolist(), strict=True):
+            own, a = ids[a : a + n], a + n
+            if not self.whole and None in own:
+                broken[w] = [u if x is None else x for u, x in zip(units[a - n : a], own, strict=True)]
             else:
-                whole[w] = b"".join(ids)
-        if len(held) < CACHED:
-            held.update(whole)
-        return whole, broken
+                held[w] = own[0] if n == 1 else b"".join(own)
+        return [w for w in new if w in held] if before >= CACHED else [], broken
 
 
 def head_of(entries: DataFrame) -> tuple[tuple, bool]:
@@ -272,17 +280,18 @@ def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = Tr
         held = pyspark.__dict__.setdefault("_catalog_dedup_head", {})
         if name not in held:
             held.clear()
-            held[name] = Head(table, *shared.value)
+            held[name] = Head(table, *shared.value, whole)
         return held[name]
 
     def in_groups(texts: list):
-        """Of some texts at a time: their pre-tokens, ids of words at hand, of other whole words, and the broken words."""
+        """Of some texts at a time: their chunks, the ids of whole chunks, and the broken chunks."""
         head, split = lookup(), chunker(table)
-        for i in range(0, len(texts), 128):
-            some = texts[i : i + 128]
-            words = [split(t) for t in some]
-            more, broken = head.spell(set().union(*words))
-            yield some, words, head.held, more, broken
+        for i in range(0, len(texts), 256):
+            chunks = [split(t) for t in texts[i : i + 256]]
+            passing, broken = head.spell(set().union(*chunks).difference(head.held))
+            yield chunks, head.held, broken
+            for w in passing:
+                del head.held[w]
 
     def columns(coded: list[np.ndarray]) -> list:
         import pyarrow as pa
@@ -292,14 +301,8 @@ def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = Tr
         return [pa.array(np.diff(ends), pa.int64()), ids]
 
     def spell(texts: list) -> list:
-        coded = []
-        for _, words, held, more, _ in in_groups(texts):
-            for ws in words:
-                ids = list(map(held.get, ws))
-                if None in ids:
-                    ids = [more[w] if x is None else x for w, x in zip(ws, ids, strict=True)]
-                coded.append(np.frombuffer(b"".join(ids), kind))
-        return columns(coded) + ([np.array([decode_ids(c, spelt) == (t or "") for t, c in zip(texts, coded, strict=True)], bool)] if check else [])
+        coded = [np.frombuffer(b"".join(map(held.__getitem__, chunks)), kind) for group, held, _ in in_groups(texts) for chunks in group]
+        return columns(coded) + ([np.array([decode_bytes(c, spelt) == (t or "").encode() for t, c in zip(texts, coded, strict=True)], bool)] if check else [])
 
     if whole:
         return map_text(docs, keep, fields, spell)
@@ -308,7 +311,7 @@ def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = Tr
     rows = docs.select(*[F.col(f"`{c}`") for c in dict.fromkeys([*keep, "text"])], F.xxhash64("text").alias("_a"))
 
     def missing(texts: list) -> list:
-        return [[list({x for w in broken.keys() & set(ws) for x in broken[w] if isinstance(x, str)}) for _, words, _, _, broken in in_groups(texts) for ws in words]]
+        return [[list({x for w in broken.keys() & set(chunks) for x in broken[w] if isinstance(x, str)}) for group, _, broken in in_groups(texts) for chunks in group]]
 
     def partly(texts: list) -> list:
         """Compressed: the ids of the head with a hole where an entry is missing, and the missing units in order; and a digest of the text."""
@@ -317,9 +320,9 @@ def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = Tr
 
         zip_ = ZstdCompressor(level=1).compress
         hole, coded = np.array([np.iinfo(kind).max], kind).tobytes(), []
-        for _, words, held, more, broken in in_groups(texts):
-            for ws in words:
-                parts = [x for w in ws for x in (broken[w] if w in broken else [held[w] if w in held else more[w]])]
+        for group, held, broken in in_groups(texts):
+            for chunks in group:
+                parts = [x for w in chunks for x in (broken[w] if w in broken else [held[w]])]
                 ids = b"".join([hole if isinstance(x, str) else x for x in parts])
                 coded.append(zip_(len(ids).to_bytes(8, "little") + ids + "\0".join([x for x in parts if isinstance(x, str)]).encode()))
         return [coded, [xxh3_128_digest((t or "").encode()) for t in texts]]
@@ -351,7 +354,7 @@ def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = Tr
                         ids = np.frombuffer(parts[0].tobytes() + b"".join([x for code, p in zip(codes, parts[1:], strict=True) for x in (code, p[1:].tobytes())]), kind)
                     out.append(ids)
                     if check:
-                        trips.append(xxh3_128_digest(decode_ids(ids, spelt).encode()) == digest)
+                        trips.append(xxh3_128_digest(decode_bytes(ids, spelt)) == digest)
                 made = columns(out) + ([pa.array(trips, pa.bool_())] if check else [])
                 yield pa.RecordBatch.from_arrays([*b.columns[:-3], *made], names=[*keep, *[n for n, _ in fields]])
 
@@ -359,21 +362,30 @@ def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = Tr
     return joined.mapInArrow(fill, schema)
 
 
-def decoding_table(table: PieceTable) -> list[bytes]:
-    """The bytes that each id stands for, by id."""
+def decoding_table(table: PieceTable) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The bytes that ids stand for, one after the other, and by id the start and the number of its bytes."""
     out = [b""] * (max([table.unknown_id, table.bytes_from + 255, *(i for i, _ in table.pieces.values())]) + 1)
     for p, (i, _) in table.pieces.items():
         out[i] = p.replace(SPACE_MARK, " ").encode()
     if table.bytes_from >= 0:
         for v in range(256):
             out[table.bytes_from + v] = bytes([v])
-    return out
+    sizes = np.array(list(map(len, out)))
+    return np.frombuffer(b"".join(out), np.uint8), np.cumsum(sizes) - sizes, sizes
 
 
-def decode_ids(ids: np.ndarray, spelt: list[bytes]) -> str:
-    """The text of the ids, without the space that encoding put in front."""
-    text = b"".join(map(spelt.__getitem__, ids.tolist())).decode("utf-8", "replace")
-    return text[1:] if text.startswith(" ") else text
+def decode_bytes(ids: np.ndarray, spelt: tuple[np.ndarray, np.ndarray, np.ndarray]) -> bytes:
+    """UTF-8 of the ids, without the space that encoding put in front."""
+    found, starts, sizes = spelt
+    size = sizes[ids]
+    ends = np.cumsum(size)
+    data = found[np.repeat(starts[ids] - ends + size, size) + np.arange(ends[-1] if len(ends) else 0)].tobytes()
+    return data[1:] if data.startswith(b" ") else data
+
+
+def decode_ids(ids: np.ndarray, spelt: tuple[np.ndarray, np.ndarray, np.ndarray]) -> str:
+    """The text of the ids."""
+    return decode_bytes(ids, spelt).decode("utf-8", "replace")
 
 
 def decode(encoded: DataFrame, table: PieceTable, keep: list[str]) -> DataFrame:

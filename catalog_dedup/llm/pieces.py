@@ -5,6 +5,8 @@ from __future__ import annotations
 import re
 from dataclasses import dataclass
 
+import numpy as np
+
 #: The mark that stands for a space.
 SPACE_MARK = "▁"
 
@@ -60,14 +62,25 @@ def chunker(table: PieceTable):
 
 
 def cutter(table: PieceTable):
-    """chunk -> its units: with its mark, it is cut between two characters that stand side by side in no piece, where no edge
-    can cross."""
-    pairs = frozenset(p[i : i + 2] for p in table.pieces for i in range(len(p) - 1))
+    """list of chunks -> (list of all their units, array of the number of units of each): with its mark, a chunk is cut between
+    two characters that stand side by side in no piece, where no edge can cross."""
+    places = {c: i + 1 for i, c in enumerate(sorted({c for p in table.pieces if len(p) > 1 for c in p}))}
+    wide = len(places) + 1
+    place, inside = np.zeros(0x110000, np.int64), np.zeros(wide * wide, bool)
+    place[[ord(c) for c in places]] = list(places.values())
+    inside[[places[p[i]] * wide + places[p[i + 1]] for p in table.pieces for i in range(len(p) - 1)]] = True
     bare = not any("\n" in p for p in table.pieces)
 
-    def cut(chunk: str) -> list[str]:
-        word = chunk if bare and chunk[:1] == "\n" else SPACE_MARK + chunk
-        at = [i for i in range(1, len(word)) if word[i - 1 : i + 1] not in pairs]
-        return [word[a:b] for a, b in zip([0, *at], [*at, len(word)], strict=True)] if at else [word]
+    def cut(chunks: list[str]) -> tuple[list[str], np.ndarray]:
+        if not chunks:
+            return [], np.zeros(0, int)
+        marked = [c if bare and c[:1] == "\n" else SPACE_MARK + c for c in chunks]
+        text, heads = "".join(marked), np.r_[0, np.cumsum(list(map(len, marked)))]
+        at = place[np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)]
+        begins = np.r_[True, ~inside[at[:-1] * wide + at[1:]]]
+        begins[heads[:-1]] = True
+        cuts = np.flatnonzero(begins)
+        units = [text[a:b] for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(text)], strict=True)]
+        return units, np.diff(np.searchsorted(cuts, heads))
 
     return cut
