@@ -32,9 +32,9 @@ LONG = 64
 #: Bounds of what is broadcast: entries (12 bytes and an offset each) and bytes of their ids.
 HEAD, HEAD_BYTES = 4_000_000, 64_000_000
 #: Pre-tokens whose ids a worker process keeps at hand.
-CACHED = 500_000
+CACHED = 400_000
 #: Pre-tokens that a task counts before it hands them on.
-COUNTED = 600_000
+COUNTED = 500_000
 
 
 def distinct_units(docs: DataFrame, table: PieceTable) -> DataFrame:
@@ -46,24 +46,23 @@ def distinct_units(docs: DataFrame, table: PieceTable) -> DataFrame:
         split, cut, seen = chunker(table), cutter(table), Counter()
 
         def give():
-            units = Counter()
             chunks = list(seen)
-            for i in range(0, len(chunks), 50_000):
-                made, sizes = cut(chunks[i : i + 50_000])
-                times = np.repeat(np.fromiter(map(seen.__getitem__, chunks[i : i + 50_000]), np.int64, len(sizes)), sizes)
+            for i in range(0, len(chunks), 100_000):
+                made, sizes = cut(chunks[i : i + 100_000])
+                times, units = np.repeat(np.fromiter(map(seen.__getitem__, chunks[i : i + 100_000]), np.int64, len(sizes)), sizes), Counter()
                 for u, n in zip(made, times.tolist(), strict=True):
                     units[u] += n
-            return pa.RecordBatch.from_arrays([pa.array(list(units), pa.string()), pa.array(list(units.values()), pa.int64())], names=["word", "n"])
+                yield pa.RecordBatch.from_arrays([pa.array(list(units), pa.string()), pa.array(list(units.values()), pa.int64())], names=["word", "n"])
 
         for b in batches:
             for i in range(0, b.num_rows, 1024):
                 for t in b.column(0).slice(i, 1024).to_pylist():
                     seen.update(split(t))
                 if len(seen) > COUNTED:
-                    yield give()
+                    yield from give()
                     seen.clear()
         if seen:
-            yield give()
+            yield from give()
 
     return docs.select("text").mapInArrow(count, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
@@ -197,11 +196,11 @@ class Head:
 
         if not len(self.first) or not units:
             return [None] * len(units)
-        h = np.fromiter([hashed(u.encode(), 42) for u in units], np.uint64, len(units))
+        h = np.fromiter([hashed(u, 42) for u in units], np.uint64, len(units))
         at = np.minimum(np.searchsorted(self.first, h), len(self.first) - 1)
         ids = [self.codes[a:b] for a, b in zip(self.starts[at].tolist(), self.starts[at + 1].tolist(), strict=True)]
         if not self.whole:
-            k = np.fromiter([hashed(u[::-1].encode(), 42) & 0xFFFFFFFF for u in units], np.uint32, len(units))
+            k = np.fromiter([hashed(u[::-1], 42) & 0xFFFFFFFF for u in units], np.uint32, len(units))
             for i in np.flatnonzero((self.first[at] != h) | (self.second[at] != k)).tolist():
                 ids[i] = None
         return ids
@@ -216,12 +215,14 @@ class Head:
         found = dict(zip(distinct, self.find(distinct), strict=True))
         ids, a = list(map(found.__getitem__, units)), 0
         for w, n in zip(new, sizes.tolist(), strict=True):
-            own, a = ids[a : a + n], a + n
-            if not self.whole and None in own:
-                broken[w] = [u if x is None else x for u, x in zip(units[a - n : a], own, strict=True)]
+            if n == 1 and ids[a] is not None:
+                held[w] = ids[a]
+            elif self.whole or None not in ids[a : a + n]:
+                held[w] = b"".join(ids[a : a + n])
             else:
-                held[w] = own[0] if n == 1 else b"".join(own)
-        return [w for w in new if w in held] if before >= CACHED else [], broken
+                broken[w] = [u if x is None else x for u, x in zip(units[a : a + n], ids[a : a + n], strict=True)]
+            a += n
+        return [w for w in new if w not in broken] if before >= CACHED else [], broken
 
 
 def head_of(entries: DataFrame) -> tuple[tuple, bool]:
@@ -286,8 +287,8 @@ def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = Tr
     def in_groups(texts: list):
         """Of some texts at a time: their chunks, the ids of whole chunks, and the broken chunks."""
         head, split = lookup(), chunker(table)
-        for i in range(0, len(texts), 256):
-            chunks = [split(t) for t in texts[i : i + 256]]
+        for i in range(0, len(texts), 512):
+            chunks = [split(t) for t in texts[i : i + 512]]
             passing, broken = head.spell(set().union(*chunks).difference(head.held))
             yield chunks, head.held, broken
             for w in passing:
