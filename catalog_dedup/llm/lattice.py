@@ -42,7 +42,9 @@ def distinct_units(docs: DataFrame, table: PieceTable) -> DataFrame:
 
     def count(batches):
         import pyarrow as pa
+        import pyspark
 
+        pyspark.__dict__.pop("_catalog_dedup_head", None)  # what an earlier run of this worker held
         split, cut, seen = chunker(table), cutter(table), Counter()
 
         def give():
