@@ -1,6 +1,6 @@
 """SentencePiece encoding and decoding through a relational lattice.
 
-Distinct units are counted: pre-tokens, cut wherever two characters stand side by side in no piece, so that no edge can cross
+Distinct units are counted: pre-tokens (a run of spaces with the word after it), cut wherever two characters stand side by side in no piece, so that no edge can cross
 (most commas and stops part from their words there). For each unit, the substrings of at most the longest piece's length are
 exploded and equi-joined to the piece table (a file of fixed size, broadcast); the edges are grouped by unit, which is how they
 are partitioned already, and a higher-order aggregate folds the Viterbi recurrence over them. Units of over ``LONG``

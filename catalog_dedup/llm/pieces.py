@@ -24,8 +24,7 @@ class PieceTable:
 
 
 def load(path: str) -> PieceTable:
-    """Pieces of the file with their scores. Pieces of several space marks alone are left out: files of this kind give them
-    scores so low that single marks always win, and without them every mark starts a pre-token of its own."""
+    """Pieces of the file with their scores, those of several space marks alone among them."""
     from sentencepiece import SentencePieceProcessor
 
     m = SentencePieceProcessor(model_file=path)
@@ -34,17 +33,17 @@ def load(path: str) -> PieceTable:
         p = m.id_to_piece(i)
         if m.is_byte(i):
             bytes_from = i if p == "<0x00>" else bytes_from
-        elif not (m.is_control(i) or m.is_unknown(i) or m.is_unused(i)) and (len(p) == 1 or p.strip(SPACE_MARK)):
+        elif not (m.is_control(i) or m.is_unknown(i) or m.is_unused(i)):
             pieces[p] = (i, m.get_score(i))
-    if any(SPACE_MARK in p[1:] for p in pieces):
-        raise ValueError("a piece holds a space mark beyond its first character")
+    if any(SPACE_MARK in p.lstrip(SPACE_MARK) for p in pieces):
+        raise ValueError("a piece holds a space mark after another character")
     return PieceTable(pieces, max(map(len, pieces)), min(s for _, s in pieces.values()) - 10, bytes_from, m.unk_id())
 
 
 def pre_token_pattern(table: PieceTable) -> str:
-    """Pre-tokens: a space mark with what follows; a line break alone if no piece holds one."""
+    """Pre-tokens: a run of space marks with what follows; a line break alone if no piece holds one."""
     stop = SPACE_MARK + ("" if any("\n" in p for p in table.pieces) else "\n")
-    return f"{SPACE_MARK}[^{stop}]*|[^{stop}]+|\n"
+    return f"{SPACE_MARK}+[^{stop}]*|[^{stop}]+|\n"
 
 
 def splitter(table: PieceTable):
@@ -54,11 +53,22 @@ def splitter(table: PieceTable):
 
 
 def chunker(table: PieceTable):
-    """text -> list of chunks between spaces, much as pre-tokens but faster to get: the mark in front is left out, and a line
-    break that no piece holds begins a chunk which has no mark. Null and empty texts have none."""
-    if any("\n" in p for p in table.pieces):
-        return lambda text: text.split(" ") if text else []
-    return lambda text: text.replace("\n", " \n").split(" ") if text else []
+    """text -> list of chunks between spaces, much as pre-tokens but faster to get: the first mark in front is left out (others
+    of its run stay, as spaces), and a line break that no piece holds begins a chunk which has no mark. Null and empty texts
+    have none."""
+    bare = not any("\n" in p for p in table.pieces)
+    find = re.compile(" +[^ \n]*|\n[^ \n]*" if bare else " +[^ ]*").findall
+
+    def split(text: str | None) -> list[str]:
+        if not text:
+            return []
+        if SPACE_MARK in text:
+            text = text.replace(SPACE_MARK, " ")
+        if "  " in text or text[0] == " ":
+            return [c.removeprefix(" ") for c in find(" " + text)]
+        return text.replace("\n", " \n").split(" ") if bare else text.split(" ")
+
+    return split
 
 
 def cutter(table: PieceTable):
@@ -75,7 +85,7 @@ def cutter(table: PieceTable):
         if not chunks:
             return [], np.zeros(0, int)
         marked = [c if bare and c[:1] == "\n" else SPACE_MARK + c for c in chunks]
-        text, heads = "".join(marked), np.r_[0, np.cumsum(list(map(len, marked)))]
+        text, heads = "".join(marked).replace(" ", SPACE_MARK), np.r_[0, np.cumsum(list(map(len, marked)))]
         at = place[np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)]
         begins = np.r_[True, ~inside[at[:-1] * wide + at[1:]]]
         begins[heads[:-1]] = True

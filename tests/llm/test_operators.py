@@ -210,6 +210,27 @@ def test_lattice_and_trie_equal_brute_force(docs, none, table, monkeypatch):
     assert lattice.encode(none, table, ["doc_id"]).count() == 0 and token_counts.count_tokens(none, table, ["doc_id"]).count() == 0
 
 
+def test_runs_of_spaces_equal_brute_force_over_the_whole_file(spark, table, monkeypatch):
+    from dataclasses import replace
+
+    m = sp.SentencePieceProcessor(model_file=public_tokenizers.path("piece_bpe_32k.model"))
+    every = {m.id_to_piece(i): (i, m.get_score(i)) for i in range(m.vocab_size()) if not (m.is_byte(i) or m.is_control(i) or m.is_unknown(i) or m.is_unused(i))}
+    full = replace(table, pieces=every, longest=max(map(len, every)), unknown=min(s for _, s in every.values()) - 10)
+    texts = ["a" + " " * 16 + "the end", "        return value", "if x:\n        return value", " ", "a ", "  a", "a  \n  b \n", "\n  \n", " " * 37 + "東  京", "tab \t  x", "x" + " " * 200 + "y", "a  b c   d", "the  the   the"]
+    want = [best_path(("▁" + t).replace(" ", "▁"), full) for t in texts]  # whole texts, cut nowhere
+    assert list(map(len, want[:2])) == [5, 6]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    for head in (lattice.HEAD, 3):
+        monkeypatch.setattr(lattice, "HEAD", head)
+        got = {r.doc_id: r for r in lattice.encode(rows, table, ["doc_id"]).collect()}
+        assert [list(got[i].ids) for i in range(len(texts))] == want and all(r.round_trip for r in got.values())
+    counts = {r.doc_id: r.n_tokens for r in token_counts.count_tokens(rows, table, ["doc_id"]).collect()}
+    assert [counts[i] for i in range(len(texts))] == list(map(len, want))
+    marks = spark.createDataFrame([(0, "a▁ ▁b"), (1, "▁▁ a")], "doc_id long, text string")  # marks in the text count as spaces
+    got = {r.doc_id: list(r.ids) for r in lattice.encode(marks, table, ["doc_id"]).collect()}
+    assert got == {0: best_path("▁a▁▁▁b", full), 1: best_path("▁▁▁▁a", full)}
+
+
 def test_shards(docs, none):
     from tokenizers import Tokenizer
 
