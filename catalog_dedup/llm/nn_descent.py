@@ -3,11 +3,13 @@
 Equal vectors are one node. Nodes are dealt by hash into blocks of about ``BLOCK``, ``DEALS`` times with other hashes;
 the best of the exact neighbours within the own blocks start the graph. In each round of NN-descent, edges and reversed edges (the best ``DEGREE`` of them) tell every node to which
 centres it is a neighbour; vectors meet at the block of the centre, pairs of neighbours of one centre are compared if one of
-the two edges is new, and better neighbours are joined back to their nodes. Rounds end when few edges change.
+the two edges is new, and better neighbours are joined back to their nodes. A centre and a block propose a node at most
+``DEGREE`` distinct neighbours, the best; as a node keeps no more, this loses none. Rounds end when few edges change, however
+many it takes: edges only get better, so they do end.
 
 A query starts at its own node or, if it has none, at the first nodes of some blocks, keeps a pool of the best ``POOL`` nodes and in every
 round expands its best ``EXPAND`` unexpanded ones by a join with the graph; scores are exact inner products of the original
-vectors in double precision. It stops when no pool has an unexpanded node or after ``HOPS`` rounds.
+vectors in double precision. It stops when no pool has an unexpanded node, which comes to pass as a node is expanded once at most.
 
 To build the graph, vectors get one more component that makes all of them equally long, so that the angle between them
 orders as the inner product does. Vectors that are null, zero, of another length than the most common, or that hold null or
@@ -27,12 +29,9 @@ from .common import stash
 BLOCK = 2048
 DEALS = 4
 DEGREE = 32
-ROUNDS = 7
 #: Share of edges that changed below which the graph is done.
 SETTLED = 0.01
-#: Proposals for a node from one centre, and from one block of centres.
-PER_CENTRE, PER_BLOCK = 8, 24
-POOL, EXPAND, HOPS = 256, 40, 7
+POOL, EXPAND = 256, 40
 
 
 def usable(table: DataFrame) -> DataFrame:
@@ -132,11 +131,16 @@ def descend(nodes: DataFrame, graph: DataFrame, blocks: int) -> DataFrame:
         for a, b in zip(bounds[:-1], bounds[1:], strict=True):
             if b - a < 2 or not f[a:b].any():
                 continue
-            m, new = r[a:b], f[a:b]
+            # A member told by an edge and by a reversed one stands once; it is new if either is.
+            m, at = np.unique(r[a:b], return_inverse=True)
+            if len(m) < 2:
+                continue
+            new = np.zeros(len(m), bool)
+            np.logical_or.at(new, at, f[a:b])
             s = x[m] @ x[m].T
             s[~(new[:, None] | new[None, :])] = -np.inf
-            s[m[:, None] == m[None, :]] = -np.inf
-            k = min(PER_CENTRE, len(m) - 1)
+            np.fill_diagonal(s, -np.inf)
+            k = min(DEGREE, len(m) - 1)
             top = np.argpartition(-s, k - 1, 1)[:, :k]
             v = np.take_along_axis(s, top, 1)
             good = v > worst[m][:, None]
@@ -146,7 +150,7 @@ def descend(nodes: DataFrame, graph: DataFrame, blocks: int) -> DataFrame:
         if not own:
             return _proposals(*[np.zeros(0, t) for t in (np.int32, np.int64, np.int64, np.float32)])
         own, other, score = np.concatenate(own), ids[np.concatenate(other)], np.concatenate(score)
-        at = _best(own, other, score, PER_BLOCK)
+        at = _best(own, other, score, DEGREE)
         return _proposals(home[own[at]], ids[own[at]], other[at], score[at])
 
     return joined_back(graph.select("block", "node", "near", "score"), sent.groupBy("block").applyInArrow(compare, _PROPOSED))
@@ -184,10 +188,10 @@ def joined_back(graph: DataFrame, found: DataFrame) -> DataFrame:
 def build(nodes: DataFrame, blocks: int, count: int) -> DataFrame:
     """node and adjacent (its neighbours and the best of those it is a neighbour of)."""
     graph = stash(start_graph(nodes, blocks), "graph")
-    for _ in range(ROUNDS if blocks > 1 else 0):
+    moving = blocks > 1
+    while moving:
         graph = stash(descend(nodes, graph, blocks), "graph")
-        if (graph.agg(F.sum("changed")).first()[0] or 0) <= SETTLED * DEGREE * count:
-            break
+        moving = (graph.agg(F.sum("changed")).first()[0] or 0) > SETTLED * DEGREE * count
     edges = graph.select("node", F.explode(F.arrays_zip("near", "score")).alias("e")).select("node", F.col("e.near").alias("near"), F.col("e.score").alias("score"))
     turned = edges.withColumn("k", F.row_number().over(Window.partitionBy("near").orderBy(F.desc("score"), "node"))).filter(F.col("k") <= 2 * DEGREE)
     both = edges.select("node", "near").union(turned.select(F.col("near").alias("node"), F.col("node").alias("near")))
@@ -251,7 +255,8 @@ def search(nodes: DataFrame, adjacency: DataFrame, queries: DataFrame, blocks: i
     none = lambda kind: F.array().cast(f"array<{kind}>")
     pool = queries.select("q", "vector", none("long").alias("ids"), none("double").alias("scores"), none("boolean").alias("done"), none("long").alias("next"))
     asked = queries.select("q", F.explode("start").alias("node"))
-    for hop in range(HOPS + 1):
+    hop = 0
+    while True:
         if hop:
             ahead = pool.select("q", F.explode("next").alias("node")).join(adjacency, "node").select("q", F.explode("adjacent").alias("node")).distinct()
             known = pool.select("q", F.explode("ids").alias("node"))
@@ -260,6 +265,7 @@ def search(nodes: DataFrame, adjacency: DataFrame, queries: DataFrame, blocks: i
         pool = stash(pool.join(found, F.col("q") == F.col("f_q"), "left").select("q", "vector", "ids", "scores", "done", "next", "more", "more_scores").mapInArrow(merge, schema), "pool")
         if pool.filter(F.size("next") > 0).isEmpty():
             break
+        hop += 1
     best = pool.select("q", F.explode(F.slice(F.arrays_zip("ids", "scores"), 1, top)).alias("x"))
     return best.select("q", F.col("x.ids").alias("node"), F.col("x.scores").alias("score"))
 

@@ -278,3 +278,28 @@ def test_neighbours(spark, monkeypatch):
     assert nn_descent.neighbours(spark.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
     few = spark.createDataFrame([(i, [float(i), 1.0]) for i in range(5)], "vec_id long, embedding array<double>")
     assert [r.vec_id for r in nn_descent.neighbours(few).orderBy("rank").collect()] == [1, 2, 3, 4]
+
+
+def test_descent_and_search_cut_nothing(spark, monkeypatch):
+    r = np.random.default_rng(4)
+    # Leaves that know only their centre: after one round each knows all the others.
+    x = r.normal(size=(20, 8)).astype(np.float16)
+    nodes = spark.createDataFrame([(0, i, v.tobytes(), v.astype(float).tobytes()) for i, v in enumerate(x)], "block int, node long, short binary, exact binary")
+    f = lambda a, b: float(x[a].astype(np.float32) @ x[b].astype(np.float32))
+    graph = [(0, 0, list(range(1, 20)), [f(0, i) for i in range(1, 20)], [True] * 19, 19)] + [(0, i, [0], [f(i, 0)], [True], 1) for i in range(1, 20)]
+    graph = spark.createDataFrame(graph, "block int, node long, near array<long>, score array<float>, fresh array<boolean>, changed int")
+    assert all(set(g.near) == set(range(20)) - {g.node} for g in nn_descent.descend(nodes, graph, 1).collect())
+    # A chain of nodes, each known to the one before it only.
+    n = 12
+    chain = spark.createDataFrame([(0, i, b"", np.array([float(i + 1), 1.0]).tobytes()) for i in range(n)], "block int, node long, short binary, exact binary")
+    adjacency = spark.createDataFrame([(i, [i + 1]) for i in range(n - 1)], "node long, adjacent array<long>")
+    query = spark.createDataFrame([(0, np.array([1.0, 0.0]).tobytes(), [0])], "q long, vector binary, start array<long>")
+    assert [h.node for h in nn_descent.search(chain, adjacency, query, 1, 1).collect()] == [n - 1]
+    # Rounds go on until edges have settled.
+    calls = []
+    from pyspark.sql import functions as F
+
+    monkeypatch.setattr(nn_descent, "start_graph", lambda *_: graph)
+    monkeypatch.setattr(nn_descent, "descend", lambda nodes, graph, blocks: calls.append(1) or graph.withColumn("changed", F.lit(100 if len(calls) < 9 else 0)))
+    nn_descent.build(nodes, 2, 20)
+    assert len(calls) == 9
