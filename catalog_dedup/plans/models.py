@@ -253,7 +253,7 @@ def decider_fit_report(spark: SparkSession, sf: str) -> DataFrame:
 
 @query()
 def compression(spark: SparkSession, sf: str) -> DataFrame:
-    """Macro-F1 of the decider on text vectors of 512 numbers and on their principal components."""
+    """Macro-F1 of the decider on text vectors of 256 numbers and on their principal components."""
     o, train, test = _labelled(spark, sf)
     wide = tx.dense_features(o.select("listing_id", "title"), "listing_id", "title", width=256).select(F.col("listing_id").alias("id"), F.transform("vec", lambda x: x.cast("float")).alias("vec"))
     wide = written(wide)
