@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import gc
+import re
 import tempfile
 import uuid
 from collections.abc import Callable
@@ -18,15 +19,25 @@ BROADCAST_ROWS = 100_000
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that the cluster names in spark.checkpoint.dir; a temporary one only where it is unset (tests)."""
+    """The folder that the cluster names in spark.checkpoint.dir. Where it is unset, a temporary one if everything runs in one
+    process (tests); on a cluster executors could not see each other's files there, so that is an error."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not folder:
+        if not re.fullmatch(r"local(\[[^]]*\])?", spark.sparkContext.master):
+            raise RuntimeError("spark.checkpoint.dir names no folder that all executors share")
         folder = "file://" + tempfile.mkdtemp(prefix="catalog_dedup_")
     if not spark.sparkContext.getCheckpointDir():
         spark.sparkContext.setCheckpointDir(folder)
     return folder.rstrip("/")
 
 
+def open_store(folder: str):
+    """(file system, path) of a folder given as URI or local path."""
+    from pyarrow import fs
+
+    return fs.FileSystem.from_uri(folder) if "://" in folder or folder.startswith("file:") else (fs.LocalFileSystem(), folder)
+
+
 def stash(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` as Parquet in the shared folder and read it back: later jobs start from it, and a lost executor loses nothing."""
     spark = df.sparkSession
@@ -51,12 +62,28 @@ def words(text: Column) -> Column:
     return F.array_remove(F.split(F.coalesce(text, F.lit("")), SPACE), "")
 
 
+def others(keep: list[str], made: list[str]) -> list[str]:
+    """The names in ``keep``, once each, but those of the columns ``made``, whatever their case."""
+    gone = {n.lower() for n in made}
+    return [c for c in dict.fromkeys(keep) if c.lower() not in gone]
+
+
+def carried(keep: list[str]) -> Column:
+    """``keep`` columns as one struct, so that their names meet no other name until ``unpacked``."""
+    return F.struct(*[F.col(f"`{c}`") for c in keep]) if keep else F.lit(None).cast("int")
+
+
+def unpacked(row: str, keep: list[str]) -> list[Column]:
+    return [F.col(row)[c].alias(c) for c in keep]
+
+
 def map_text(df: DataFrame, keep: list[str], fields: list[tuple[str, T.DataType]], fn: Callable[[list], list], binary: bool = False) -> DataFrame:
     """``keep`` columns of ``df`` and the new ``fields``, which ``fn`` makes from a batch's whole texts (a list of str or
-    bytes with None for null) as a list of arrays. Rows stay where they are; a batch is one Arrow record batch."""
-    keep = [c for c in keep if c.lower() not in {n.lower() for n, _ in fields}]
-    rows = df.select(*[F.col(f"`{c}`") for c in keep], F.col("text").cast("binary" if binary else "string").alias("_text"))
-    schema = T.StructType([*rows.schema.fields[:-1], *[T.StructField(n, t) for n, t in fields]])
+    bytes with None for null) as a list of arrays. Rows stay where they are; a batch is one Arrow record batch. A column of ``keep``
+    named like a new field is replaced by it; all other names are free."""
+    keep = others(keep, [n for n, _ in fields])
+    rows = df.select(carried(keep).alias("row"), F.col("text").cast("binary" if binary else "string").alias("text"))
+    schema = T.StructType([*(rows.schema["row"].dataType.fields if keep else []), *[T.StructField(n, t) for n, t in fields]])
     names = schema.fieldNames()
 
     def run(batches):
@@ -65,8 +92,8 @@ def map_text(df: DataFrame, keep: list[str], fields: list[tuple[str, T.DataType]
         for b in batches:
             for i in range(0, b.num_rows, 1024):  # bounds what Python objects hold at once
                 part = b.slice(i, 1024)
-                made = [a if isinstance(a, pa.Array) else pa.array(a) for a in fn(part.column(part.num_columns - 1).to_pylist())]
-                yield pa.RecordBatch.from_arrays([*part.columns[:-1], *made], names=names)
+                made = [a if isinstance(a, pa.Array) else pa.array(a) for a in fn(part.column(1).to_pylist())]
+                yield pa.RecordBatch.from_arrays([*(part.column(0).flatten() if keep else []), *made], names=names)
 
     return rows.mapInArrow(run, schema)
 

@@ -1,22 +1,27 @@
 """SentencePiece encoding and decoding through a relational lattice.
 
-Distinct units are counted: pre-tokens (a run of spaces with the word after it), cut wherever two characters stand side by side in no piece, so that no edge can cross
-(most commas and stops part from their words there). For each unit, the substrings of at most the longest piece's length are
-exploded and equi-joined to the piece table (a file of fixed size, broadcast); the edges are grouped by unit, which is how they
-are partitioned already, and a higher-order aggregate folds the Viterbi recurrence over them. Units of over ``LONG``
-characters have their grouped edges folded in an Arrow function instead, as arrays that grow by copying would be too slow.
-
-Documents are then spelt from this dictionary: its most frequent entries are broadcast, at most ``HEAD`` of them and
-``HEAD_BYTES`` of ids (entries longer than ``LONG`` characters never are), as two hashes each in sorted arrays; all others come
-by a join on the unit and are grouped by document. Both ways give the same ids.
-
-Scores add up along a path; of equally good paths the one with the longer last piece wins. A character that is no piece
-becomes its UTF-8 bytes (or the unknown id where the table has no byte pieces). Null and empty texts have no ids and decode
-to the empty text. Rows may repeat. Input columns named like a result are replaced. An empty table gives no rows.
+Distinct units (see ``units``) are counted. For each, the substrings of at most the longest piece's length are exploded and
+equi-joined to the piece table (a file of fixed size, broadcast); the edges are grouped by unit, which is how they are
+partitioned already, and a higher-order aggregate folds the Viterbi recurrence over them. Units of over ``LONG`` characters are
+exploded in blocks of ``STRIDE`` starts and their grouped edges folded block after block, so their length has no bound but the
+16 bytes a character that the fold keeps.
+
+The result is a dictionary from units, told apart by 96 hash bits, to ids. Documents are spelt from it in one pass: entries of
+the most frequent units, at most ``HEAD`` of them, are a sorted file in the shared folder that every worker maps into memory
+(its pages are shared); a task writes the ids of its documents to a file in the shared folder, with holes where a unit is not in
+the head, and names the distinct units it lacks. Those are joined with the dictionary, and the holes of each file are filled
+from its own rows of that join. Nothing but such units is shuffled, and every size of input goes this way.
+
+The pieces and scores of the file are read as a unigram lexicon whatever model it was made for: of a BPE file the ids are the
+best path by its scores and not its merges. Scores add up along a path; of equally good paths the one with the longer last piece
+wins. A character that is no piece becomes its UTF-8 bytes (or the unknown id where the table has no byte pieces). Null and empty
+texts have no ids and decode to the empty text. Rows may repeat. Input columns named like a result are replaced, others keep
+their names whatever they are. An empty table gives no rows.
 """
 
 from __future__ import annotations
 
+import io
 import uuid
 from collections import Counter
 
@@ -25,16 +30,17 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import map_text, release, stash
-from .pieces import SPACE_MARK, PieceTable, chunker, cutter
+from .common import carried, open_store, others, release, shared_folder, stash
+from .pieces import SPACE_MARK, PieceTable
+from .units import Cutter, hashes, hashes_of, portions
 
 LONG = 64
-#: Bounds of what is broadcast: entries (12 bytes and an offset each) and bytes of their ids.
-HEAD, HEAD_BYTES = 4_000_000, 64_000_000
-#: Pre-tokens whose ids a worker process keeps at hand.
-CACHED = 400_000
-#: Pre-tokens that a task counts before it hands them on.
-COUNTED = 500_000
+#: Starts of edges that a row of a long unit's lattice holds.
+STRIDE = 256
+#: Bound of the mapped part of the dictionary in entries (12 bytes, an offset and the ids each); entries of over BULKY bytes stay out.
+HEAD, BULKY = 1_000_000, 512
+#: Units that a task counts before it hands them on.
+COUNTED = 300_000
 
 
 def distinct_units(docs: DataFrame, table: PieceTable) -> DataFrame:
@@ -42,35 +48,37 @@ def distinct_units(docs: DataFrame, table: PieceTable) -> DataFrame:
 
     def count(batches):
         import pyarrow as pa
-        import pyspark
 
-        pyspark.__dict__.pop("_catalog_dedup_head", None)  # what an earlier run of this worker held
-        split, cut, seen = chunker(table), cutter(table), Counter()
+        cutter, seen = Cutter(table), Counter()
 
         def give():
-            chunks = list(seen)
-            for i in range(0, len(chunks), 100_000):
-                made, sizes = cut(chunks[i : i + 100_000])
-                times, units = np.repeat(np.fromiter(map(seen.__getitem__, chunks[i : i + 100_000]), np.int64, len(sizes)), sizes), Counter()
-                for u, n in zip(made, times.tolist(), strict=True):
-                    units[u] += n
-                yield pa.RecordBatch.from_arrays([pa.array(list(units), pa.string()), pa.array(list(units.values()), pa.int64())], names=["word", "n"])
+            units = list(seen)
+            for i in range(0, len(units), 50_000):
+                part = units[i : i + 50_000]
+                yield pa.RecordBatch.from_arrays([pa.array(part, pa.string()), pa.array([seen[u] for u in part], pa.int64())], names=["word", "n"])
+            seen.clear()
 
         for b in batches:
             for i in range(0, b.num_rows, 1024):
-                for t in b.column(0).slice(i, 1024).to_pylist():
-                    seen.update(split(t))
-                if len(seen) > COUNTED:
-                    yield from give()
-                    seen.clear()
-        if seen:
-            yield from give()
+                for codes, heads, _ in cutter.blocks(b.column(0).slice(i, 1024).to_pylist()):
+                    _, at, times = np.unique(hashes(codes, heads)[0], return_index=True, return_counts=True)
+                    text = codes.tobytes().decode("utf-32-le")
+                    for x, y, n in zip(heads[at].tolist(), heads[at + 1].tolist(), times.tolist(), strict=True):
+                        seen[text[x:y]] += n
+                    if len(seen) > COUNTED:
+                        yield from give()
+        yield from give()
 
     return docs.select("text").mapInArrow(count, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
 
-#: An edge in one long: end, start (22 bits each) and id + 1 (20 bits, 0 for an unknown character).
-_END, _START, _MASK = 42, 20, (1 << 22) - 1
+#: An edge of a unit of at most LONG characters in one long: end, start (11 bits each) and id + 1 (20 bits, 0 for an unknown character).
+_END, _START, _MASK = 31, 20, (1 << 11) - 1
+
+
+def piece_rows(spark, table: PieceTable) -> DataFrame:
+    """known, code (id + 1), score and a long as the key, which makes the lookup cheaper; the text itself decides."""
+    return F.broadcast(spark.createDataFrame([(p, i + 1, float(s)) for p, (i, s) in table.pieces.items()], "known string, code long, score double").withColumn("key", F.xxhash64("known")))
 
 
 def edges(words: DataFrame, table: PieceTable, parts: int) -> DataFrame:
@@ -78,13 +86,10 @@ def edges(words: DataFrame, table: PieceTable, parts: int) -> DataFrame:
 
     Everything happens within the partitions of ``wid``: exploding and the broadcast join keep them, so grouping needs no shuffle.
     """
-    spark = words.sparkSession
-    known = spark.createDataFrame([(p, i + 1, float(s)) for p, (i, s) in table.pieces.items()], "known string, code long, score double").withColumn("key", F.xxhash64("known"))
     starts = words.repartition(parts, "wid").select("wid", "word", F.explode(F.sequence(F.lit(1), F.length("word"))).alias("start"))
     subs = starts.select("wid", "word", "start", F.explode(F.sequence(F.lit(1), F.least(F.lit(table.longest), F.length("word") - F.col("start") + 1))).alias("n"))
     pieces = subs.select("wid", "start", "n", F.substring("word", F.col("start"), F.col("n")).alias("piece"))
-    # A long as the key makes the lookup cheaper; the text itself decides.
-    hits = pieces.join(F.broadcast(known), F.xxhash64("piece") == F.col("key"), "left").filter("piece = known OR n = 1")
+    hits = pieces.join(piece_rows(words.sparkSession, table), F.xxhash64("piece") == F.col("key"), "left").filter("piece = known OR n = 1")
     own = lambda c, other: F.when(F.col("piece") == F.col("known"), F.col(c)).otherwise(F.lit(other))
     from_ = F.col("start").cast("long") - 1
     packed = F.shiftleft(from_ + F.col("n"), _END).bitwiseOR(F.shiftleft(from_, _START)).bitwiseOR(own("code", 0).cast("long"))
@@ -127,28 +132,82 @@ def path(last: Column, word: Column, table: PieceTable) -> Column:
     return F.flatten(F.transform(way, lambda e: F.when(code(e) >= 0, F.array(code(e))).otherwise(spelt(e))))
 
 
-def fold_long(word: str, lattice: list, table: PieceTable) -> list[int]:
-    """The same recurrence over the grouped edges of one long pre-token."""
-    score, last = [0.0] + [-np.inf] * len(word), [0] * (len(word) + 1)
-    for x in lattice:
-        a, b = x["e"] >> _START & _MASK, x["e"] >> _END
-        if score[a] + x["s"] > score[b]:
-            score[b], last[b] = score[a] + x["s"], x["e"]
-    out, at = [], len(word)
-    while at:
-        code, at = (last[at] & (1 << 20) - 1) - 1, last[at] >> _START & _MASK
-        out.append([code] if code >= 0 else [table.bytes_from + v for v in word[at].encode("utf-8")] if table.bytes_from >= 0 else [table.unknown_id])
-    return [i for part in reversed(out) for i in part]
-
-
 def id_type(table: PieceTable) -> np.dtype:
     """The narrowest type that holds every id and one value more."""
     most = max([table.unknown_id, table.bytes_from + 255, *(i for i, _ in table.pieces.values())])
     return np.dtype("<u2" if most < 0xFFFF else "<u4")
 
 
+def spell_unknown(c: str, table: PieceTable) -> list[int]:
+    return [table.bytes_from + v for v in c.encode("utf-8")] if table.bytes_from >= 0 else [table.unknown_id]
+
+
+def long_units(units: DataFrame, table: PieceTable) -> DataFrame:
+    """n, h, k and code of units of over LONG characters: their edges by blocks of STRIDE starts, folded one block after the other."""
+
+    def cut(batches):
+        """A row per block: its number, how many edges' starts are its own, and its characters with those that its last pieces reach."""
+        import pyarrow as pa
+
+        kinds = pa.schema([("n", pa.int64()), ("h", pa.int64()), ("k", pa.int64()), ("block", pa.int32()), ("own", pa.int32()), ("word", pa.string())])
+        for b in batches:
+            for word, n in zip(*[c.to_pylist() for c in b.columns], strict=True):
+                h, k = hashes_of([word])
+                h, k = int(h.view(np.int64)[0]), int(k[0])
+                for first in range(0, len(word), STRIDE * 256):
+                    at = range(first, min(len(word), first + STRIDE * 256), STRIDE)
+                    yield pa.RecordBatch.from_pylist([{"n": n, "h": h, "k": k, "block": a // STRIDE, "own": min(STRIDE, len(word) - a), "word": word[a : a + STRIDE + table.longest - 1]} for a in at], schema=kinds)
+
+    blocks = units.select("word", "n").mapInArrow(cut, "n long, h long, k long, block int, own int, word string")
+    key = ["n", "h", "k", "block"]
+    starts = blocks.repartition("h", "k", "block").select(*key, "word", F.explode(F.sequence(F.lit(1), F.col("own"))).alias("start"))
+    subs = starts.select(*key, "start", F.explode(F.sequence(F.lit(1), F.least(F.lit(table.longest), F.length("word") - F.col("start") + 1))).alias("size"), "word")
+    pieces = subs.select(*key, "start", "size", F.substring("word", F.col("start"), F.col("size")).alias("piece"))
+    hits = pieces.join(piece_rows(units.sparkSession, table), F.xxhash64("piece") == F.col("key"), "left").filter("piece = known OR size = 1")
+    found = F.col("piece") == F.col("known")
+    edge = F.struct((F.col("start") - 1).alias("start"), "size", F.when(found, F.col("code") - 1).otherwise(-1).alias("id"), F.when(found, F.col("score")).otherwise(F.lit(table.unknown)).alias("score"), F.when(~found | F.col("known").isNull(), F.col("piece")).alias("c"))
+    lattice = hits.groupBy(*key).agg(F.sort_array(F.collect_list(edge)).alias("edges")).repartition("h", "k").sortWithinPartitions("h", "k", "block")
+    kind = id_type(table)
+
+    def fold(batches):
+        import pyarrow as pa
+
+        kinds = pa.schema([("n", pa.int64()), ("h", pa.int64()), ("k", pa.int64()), ("code", pa.binary())])
+        key, score, last, odd = None, [], [], {}
+
+        def done():
+            out, at = [], len(last) - 1
+            while at:
+                size, i = last[at]
+                at -= size
+                out.append([i] if i >= 0 else spell_unknown(odd[at], table))
+            return pa.RecordBatch.from_pylist([{"n": key[0], "h": key[1], "k": key[2], "code": np.array([i for part in reversed(out) for i in part], kind).tobytes()}], schema=kinds)
+
+        for b in batches:
+            for j in range(b.num_rows):
+                n, h, k, block, found = (c[j].as_py() for c in b.columns)
+                if key != (n, h, k):
+                    if key:
+                        yield done()
+                    key, score, last, odd = (n, h, k), [0.0], [(0, 0)], {}
+                for e in found:  # by start: a start's score is final when its edges are met
+                    a = block * STRIDE + e["start"]
+                    z = a + e["size"]
+                    while len(score) <= z:
+                        score.append(-np.inf)
+                        last.append((0, 0))
+                    if score[a] + e["score"] > score[z]:
+                        score[z], last[z] = score[a] + e["score"], (e["size"], e["id"])
+                    if e["id"] < 0:
+                        odd[a] = e["c"]
+        if key:
+            yield done()
+
+    return lattice.mapInArrow(fold, "n long, h long, k long, code binary")
+
+
 def dictionary(docs: DataFrame, table: PieceTable) -> DataFrame:
-    """word, n and code (its ids as bytes) of every distinct unit, written to the shared folder."""
+    """n, h and k (hashes) and code (ids as bytes) of every distinct unit, written to the shared folder."""
     words = stash(distinct_units(docs, table).withColumn("wid", F.monotonically_increasing_id()), "units")
     release(docs.sparkSession)
     kind = id_type(table)
@@ -161,208 +220,192 @@ def dictionary(docs: DataFrame, table: PieceTable) -> DataFrame:
         import pyarrow as pa
 
         for b in batches:
+            if not b.num_rows:
+                continue
             ids = b.column(2)
-            flat, ends = ids.flatten().to_numpy(zero_copy_only=False).astype(kind).tobytes(), np.r_[0, np.cumsum(ids.value_lengths().to_numpy(zero_copy_only=False))] * kind.itemsize
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([flat[x:y] for x, y in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)], pa.binary())], names=["word", "n", "code"])
+            flat = pa.py_buffer(ids.flatten().to_numpy(zero_copy_only=False).astype(kind).tobytes())
+            ends = np.r_[0, np.cumsum(ids.value_lengths().to_numpy(zero_copy_only=False))] * kind.itemsize
+            h, k = hashes_of(b.column(0).to_pylist())
+            code = pa.Array.from_buffers(pa.binary(), b.num_rows, [None, pa.py_buffer(ends.astype(np.int32)), flat])
+            yield pa.RecordBatch.from_arrays([b.column(1), pa.array(h.view(np.int64)), pa.array(k.astype(np.int64)), code], names=["n", "h", "k", "code"])
 
-    def fold(batches):
-        import pyarrow as pa
+    made = best.mapInArrow(pack, "n long, h long, k long, code binary")
+    return stash(made if long.isEmpty() else made.union(long_units(long, table)), "dictionary")
 
-        for b in batches:
-            for r in b.to_pylist():
-                yield pa.RecordBatch.from_arrays([pa.array([r["word"]]), pa.array([r["n"]], pa.int64()), pa.array([np.array(fold_long(r["word"], r["edges"], table), kind).tobytes()])], names=["word", "n", "code"])
 
-    schema = "word string, n long, code binary"
-    if long.isEmpty():
-        made = best.mapInArrow(pack, schema)
-    else:
-        slow = edges(long, table, parts).join(long, "wid").select("word", "n", "edges")
-        made = best.mapInArrow(pack, schema).union(slow.mapInArrow(fold, schema))
-    return stash(made, "dictionary")
+class Head:
+    """The mapped part of the dictionary: entries sorted by their first hash, found through the offsets of its upper bits, and their
+    ids one after the other, with a hole at the end."""
+
+    NAMES = ("buckets", "first", "second", "starts", "codes")
 
+    def __init__(self, folder: str):
+        self.buckets, self.first, self.second, self.starts, self.codes = (np.load(mapped(f"{folder}-{n}.npy"), mmap_mode="r") for n in self.NAMES)
+        self.shift = np.uint64(64 - (len(self.buckets) - 2).bit_length())
 
-def twice(word: Column) -> tuple[Column, Column]:
-    """Two hashes that tell a unit from all others."""
-    return F.xxhash64(word), F.xxhash64(F.reverse(word))
+    def find(self, first: np.ndarray, second: np.ndarray) -> np.ndarray:
+        """Positions of the entries, -1 where there is none."""
+        out = np.full(len(first), -1, np.int64)
+        if not len(self.first):
+            return out
+        bucket = (first >> self.shift).astype(np.int64)
+        at, end = self.buckets[bucket].astype(np.int64), self.buckets[bucket + 1].astype(np.int64)
+        rest = np.flatnonzero(at < end)
+        while len(rest):
+            p = at[rest]
+            hit = (self.first[p] == first[rest]) & (self.second[p] == second[rest])
+            out[rest[hit]] = p[hit]
+            rest = rest[~hit]
+            at[rest] += 1
+            rest = rest[at[rest] < end[rest]]
+        return out
 
 
-class Head:
-    """The broadcast part of the dictionary in a worker process: sorted first hashes, a part of the second, and ids as bytes."""
-
-    def __init__(self, table: PieceTable, first: np.ndarray, second: np.ndarray, starts: np.ndarray, codes: bytes, whole: bool):
-        self.whole, self.first, self.second, self.starts, self.codes, self.cut, self.held = whole, first, second, starts, codes, cutter(table), {}
-
-    def find(self, units: list[str]) -> list[bytes | None]:
-        """The ids of each unit, None where it is not in the head. If the head holds every unit, the first hash tells all."""
-        from xxhash import xxh64_intdigest as hashed
-
-        if not len(self.first) or not units:
-            return [None] * len(units)
-        h = np.fromiter([hashed(u, 42) for u in units], np.uint64, len(units))
-        at = np.minimum(np.searchsorted(self.first, h), len(self.first) - 1)
-        ids = [self.codes[a:b] for a, b in zip(self.starts[at].tolist(), self.starts[at + 1].tolist(), strict=True)]
-        if not self.whole:
-            k = np.fromiter([hashed(u[::-1], 42) & 0xFFFFFFFF for u in units], np.uint32, len(units))
-            for i in np.flatnonzero((self.first[at] != h) | (self.second[at] != k)).tolist():
-                ids[i] = None
-        return ids
-
-    def spell(self, new: set[str]) -> tuple[list[str], dict[str, list[bytes | str]]]:
-        """Puts the ids of all new chunks at hand whose units are all in the head. Returns the chunks to forget after use, and of
-        chunks with other units a list of ids or of the unit that is missing."""
-        held, broken = self.held, {}
-        new, before = list(new), len(held)
-        units, sizes = self.cut(new)
-        distinct = list(dict.fromkeys(units))
-        found = dict(zip(distinct, self.find(distinct), strict=True))
-        ids, a = list(map(found.__getitem__, units)), 0
-        for w, n in zip(new, sizes.tolist(), strict=True):
-            if n == 1 and ids[a] is not None:
-                held[w] = ids[a]
-            elif self.whole or None not in ids[a : a + n]:
-                held[w] = b"".join(ids[a : a + n])
-            else:
-                broken[w] = [u if x is None else x for u, x in zip(units[a : a + n], ids[a : a + n], strict=True)]
-            a += n
-        return [w for w in new if w not in broken] if before >= CACHED else [], broken
-
-
-def head_of(entries: DataFrame) -> tuple[tuple, bool]:
-    """Arrays of the most frequent entries, as many as the bounds allow, and whether they are all entries.
+def mapped(uri: str) -> str:
+    """A local path of a file in the shared folder: the file itself where the folder is mounted, else the executor's copy."""
+    from pyspark import SparkFiles
+
+    return uri.removeprefix("file://").removeprefix("file:") if uri.startswith(("file:", "/")) else SparkFiles.get(uri.rsplit("/", 1)[1])
+
+
+def head_of(entries: DataFrame, kind: np.dtype) -> tuple[str, Column]:
+    """Writes the most frequent entries, HEAD at most, to the shared folder; returns their place and the condition of the others.
 
     Entries enter by steps of a sixteenth of a doubling in frequency, so nothing is sorted."""
-    step = F.floor(F.log2("n") * 16).cast("int")
-    steps = entries.groupBy(step.alias("step")).agg(F.count("*").alias("rows"), F.sum((F.length("word") <= LONG).cast("long")).alias("usual"), F.sum(F.when(F.length("word") <= LONG, F.length("code")).otherwise(0)).alias("bytes")).orderBy(F.desc("step")).collect()
-    least, rows, size = None, 0, 0
+    import pyarrow as pa
+
+    spark = entries.sparkSession
+    step, usual = F.floor(F.log2("n") * 16).cast("int"), F.length("code") <= BULKY
+    steps = entries.filter(usual).groupBy(step.alias("step")).agg(F.count("*").alias("rows")).orderBy(F.desc("step")).collect()  # a few hundred at most
+    least, rows = 1 << 30, 0
     for r in steps:
-        rows, size = rows + r["usual"], size + r["bytes"]
-        if rows > HEAD or size > HEAD_BYTES:
+        rows += r["rows"]
+        if rows > HEAD:
             break
         least = r["step"]
-    if least is None:
-        return (np.zeros(0, np.uint64), np.zeros(0, np.uint32), np.zeros(1, np.uint32), b""), not steps
-    import pyarrow as pa
-
-    def pack(batches):
-        """A row per batch: its columns as bytes, so that the driver gets few and compact rows."""
-        for b in batches:
-            code = b.column(2)
-            ends = np.frombuffer(code.buffers()[1], np.int32)[code.offset : code.offset + len(code) + 1]
-            parts = [b.column(0).to_numpy(), b.column(1).to_numpy().astype(np.uint32), np.diff(ends).astype(np.uint16), code.buffers()[2].to_pybytes()[ends[0] : ends[-1]] if len(code) else b""]
-            yield pa.RecordBatch.from_arrays([pa.array([x if isinstance(x, bytes) else x.tobytes()], pa.binary()) for x in parts], names=["h", "k", "size", "code"])
-
-    h, k = twice(F.col("word"))
-    got = entries.filter((F.length("word") <= LONG) & (step >= least)).select(h.alias("h"), k.bitwiseAND(0xFFFFFFFF).alias("k"), "code").mapInArrow(pack, "h binary, k binary, size binary, code binary").toArrow()
-    first, second, sizes, codes = (b"".join(c.to_pylist()) for c in got.columns)
-    first, second, sizes = np.frombuffer(first, np.uint64), np.frombuffer(second, np.uint32), np.frombuffer(sizes, np.uint16)
+    inside = usual & (step >= least)
+    got = entries.filter(inside).select("h", "k", "code").toArrow()
+    first, second = got.column("h").to_numpy().view(np.uint64), got.column("k").to_numpy().astype(np.uint32)
     order = np.argsort(first)
-    same = np.r_[False, first[order][1:] == first[order][:-1], False]
-    order = order[~(same[1:] | same[:-1])]  # of two entries with one hash, neither is in the head
-    ends = np.r_[0, np.cumsum(sizes)].astype(np.int32)
-    code = pa.Array.from_buffers(pa.binary(), len(sizes), [None, pa.py_buffer(ends), pa.py_buffer(codes)]).take(pa.array(order))
-    starts = np.r_[0, np.cumsum(sizes[order])].astype(np.uint32)
-    return (first[order], second[order], starts, code.buffers()[2].to_pybytes()[: starts[-1]] if len(order) else b""), len(order) == sum(r["rows"] for r in steps)
-
-
-def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = True) -> DataFrame:
-    """``keep`` columns, ``n_tokens``, ``ids`` and, with ``check``, ``round_trip`` (the ids decode to the text) of every row."""
-    spark = docs.sparkSession
-    entries = dictionary(docs, table)
-    release(spark)
-    arrays, whole = head_of(entries)
-    shared, name = spark.sparkContext.broadcast(arrays), uuid.uuid4().hex
-    del arrays
-    keep = [c for c in keep if c.lower() not in ("n_tokens", "ids", "round_trip")]
-    spelt, kind = decoding_table(table) if check else None, id_type(table)
-    fields = [("n_tokens", T.LongType()), ("ids", T.ArrayType(T.IntegerType())), *([("round_trip", T.BooleanType())] if check else [])]
-
-    def lookup() -> Head:
-        """The head of the dictionary, built once a worker process (which keeps it on a module that outlives the task)."""
-        import pyspark
-
-        held = pyspark.__dict__.setdefault("_catalog_dedup_head", {})
-        if name not in held:
-            held.clear()
-            held[name] = Head(table, *shared.value, whole)
-        return held[name]
-
-    def in_groups(texts: list):
-        """Of some texts at a time: their chunks, the ids of whole chunks, and the broken chunks."""
-        head, split = lookup(), chunker(table)
-        for i in range(0, len(texts), 512):
-            chunks = [split(t) for t in texts[i : i + 512]]
-            passing, broken = head.spell(set().union(*chunks).difference(head.held))
-            yield chunks, head.held, broken
-            for w in passing:
-                del head.held[w]
-
-    def columns(coded: list[np.ndarray]) -> list:
-        import pyarrow as pa
+    code = pa.concat_arrays(got.column("code").cast(pa.binary()).chunks or [pa.array([], pa.binary())]).take(pa.array(order))
+    ends = np.frombuffer(code.buffers()[1], np.int32)[: len(code) + 1] if len(code) else np.zeros(1, np.int32)
+    codes = np.r_[np.frombuffer(code.buffers()[2] or b"", kind)[: ends[-1] // kind.itemsize], np.array([np.iinfo(kind).max], kind)]
+    bits = max(1, len(order).bit_length())
+    first, second = first[order], second[order]
+    buckets = np.searchsorted(first, np.r_[np.arange(1 << bits, dtype=np.uint64) << np.uint64(64 - bits)]).astype(np.uint32)
+    folder = f"{shared_folder(spark)}/head-{uuid.uuid4().hex}"
+    for name, data in zip(Head.NAMES, (np.r_[buckets, np.uint32(len(order))], first, second, (ends // kind.itemsize).astype(np.uint32), codes), strict=True):
+        store, path = open_store(f"{folder}-{name}.npy")
+        buffer = io.BytesIO()
+        np.save(buffer, data)
+        with store.open_output_stream(path) as sink:
+            sink.write(buffer.getbuffer())
+        if not folder.startswith(("file:", "/")):
+            spark.sparkContext.addFile(f"{folder}-{name}.npy")
+    return folder, ~inside
 
-        ends = np.cumsum([0, *map(len, coded)])
-        ids = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate([np.zeros(0, np.int32), *coded]).astype(np.int32)))
-        return [pa.array(np.diff(ends), pa.int64()), ids]
 
-    def spell(texts: list) -> list:
-        coded = [np.frombuffer(b"".join(map(held.__getitem__, chunks)), kind) for group, held, _ in in_groups(texts) for chunks in group]
-        return columns(coded) + ([np.array([decode_bytes(c, spelt) == (t or "").encode() for t, c in zip(texts, coded, strict=True)], bool)] if check else [])
+def gather(flat: np.ndarray, begins: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """Stretches of ``flat``, one after the other."""
+    ends = np.cumsum(sizes)
+    return flat[np.repeat(begins - ends + sizes, sizes) + np.arange(ends[-1] if len(ends) else 0)]
 
-    if whole:
-        return map_text(docs, keep, fields, spell)
 
-    # Units beyond the head: which ones each distinct text lacks (as hashes), their ids by a join, and a list of them per text.
-    rows = docs.select(*[F.col(f"`{c}`") for c in dict.fromkeys([*keep, "text"])], F.xxhash64("text").alias("_a"))
+def digest(text: bytes) -> bytes:
+    from xxhash import xxh3_128_digest
 
-    def missing(texts: list) -> list:
-        return [[list({x for w in broken.keys() & set(chunks) for x in broken[w] if isinstance(x, str)}) for group, _, broken in in_groups(texts) for chunks in group]]
+    return xxh3_128_digest(text)
 
-    def partly(texts: list) -> list:
-        """Compressed: the ids of the head with a hole where an entry is missing, and the missing units in order; and a digest of the text."""
-        from xxhash import xxh3_128_digest
-        from zstandard import ZstdCompressor
 
-        zip_ = ZstdCompressor(level=1).compress
-        hole, coded = np.array([np.iinfo(kind).max], kind).tobytes(), []
-        for group, held, broken in in_groups(texts):
-            for chunks in group:
-                parts = [x for w in chunks for x in (broken[w] if w in broken else [held[w]])]
-                ids = b"".join([hole if isinstance(x, str) else x for x in parts])
-                coded.append(zip_(len(ids).to_bytes(8, "little") + ids + "\0".join([x for x in parts if isinstance(x, str)]).encode()))
-        return [coded, [xxh3_128_digest((t or "").encode()) for t in texts]]
+def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = True) -> DataFrame:
+    """``keep`` columns, ``n_tokens``, ``ids`` and, with ``check``, ``round_trip`` (the ids decode to the text) of every row."""
+    spark, kind = docs.sparkSession, id_type(table)
+    entries = dictionary(docs, table)
+    release(spark)
+    folder, beyond = head_of(entries, kind)
+    keep = others(keep, ["n_tokens", "ids", "round_trip"])
+    rows = docs.select(carried(keep).alias("row"), "text")
+    place = f"{shared_folder(spark)}/spelt-{uuid.uuid4().hex}"
+    hole = np.iinfo(kind).max
+
+    def spell(batches):
+        """Writes a file with the rows, their ids with holes, the numbers of the units that belong there, and a digest of the text.
+        Returns its name and the numbered units."""
+        import pyarrow as pa
+        from pyspark import TaskContext
 
-    named = lambda w: [c.alias(n) for c, n in zip(twice(w), "hk", strict=True)]
-    wanted = map_text(rows, ["_a"], [("words", T.ArrayType(T.StringType()))], missing).select("_a", F.explode("words").alias("w")).select("_a", *named(F.col("w"))).distinct()
-    found = wanted.join(entries.select(*named(F.col("word")), "code"), ["h", "k"]).groupBy("_a").agg(F.collect_list(F.struct("h", "code")).alias("_more"))
-    coded = map_text(rows, [*keep, "_a"], [("_coded", T.BinaryType()), ("_digest", T.BinaryType())], partly)
-    joined = coded.join(found, "_a", "left").select(*[F.col(f"`{c}`") for c in keep], "_coded", "_digest", "_more")
+        kinds = pa.schema([("part", pa.int32()), ("path", pa.string()), ("j", pa.int32()), ("h", pa.int64()), ("k", pa.int64())])
+        part, cutter, head, lacking, sink, out = TaskContext.get().partitionId(), Cutter(table), Head(folder), {}, None, None
+        store, top = open_store(place)
+        path = f"{top}/{uuid.uuid4().hex}.arrows"
+        for b in batches:
+            texts = b.column(1).to_pylist()
+            for x, y in portions(texts):
+                made, sizes, holes, missing = [np.zeros(0, kind)], np.zeros(y - x, np.int64), np.zeros(y - x, np.int64), [np.zeros(0, np.int32)]
+                for block, heads, owner in cutter.blocks(texts[x:y]):
+                    h, k = hashes(block, heads)
+                    at = head.find(h, k)
+                    gone = np.flatnonzero(at < 0)
+                    begins = head.starts[at].astype(np.int64)
+                    n = head.starts[at + 1] - begins
+                    begins[gone], n[gone] = len(head.codes) - 1, 1
+                    made.append(gather(head.codes, begins, n))
+                    sizes += np.bincount(owner, n, y - x).astype(np.int64)
+                    if len(gone):
+                        holes += np.bincount(owner[gone], minlength=y - x)
+                        missing.append(np.array([lacking.setdefault(p, len(lacking)) for p in zip(h[gone].tolist(), k[gone].tolist(), strict=True)], np.int32))
+                lists = [pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(n)], pa.int32()), pa.array(np.concatenate(v))) for n, v in ((sizes, made), (holes, missing))]
+                digests = pa.array([digest((t or "").encode()) for t in texts[x:y]] if check else [None] * (y - x), pa.binary())
+                batch = pa.RecordBatch.from_arrays([b.column(0).slice(x, y - x), *lists, digests], names=["row", "ids", "holes", "digest"])
+                if out is None:
+                    store.create_dir(top, recursive=True)
+                    sink = store.open_output_stream(path)
+                    out = pa.ipc.new_stream(sink, batch.schema, options=pa.ipc.IpcWriteOptions(compression="zstd"))
+                out.write_batch(batch)
+        if out is not None:
+            out.close()
+            sink.close()
+            yield pa.RecordBatch.from_pylist([{"part": part, "path": path}], schema=kinds)
+            pairs = np.array(list(lacking), np.uint64).reshape(-1, 2)
+            for i in range(0, len(pairs), 100_000):
+                p = pairs[i : i + 100_000]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(p), part, np.int32)), pa.nulls(len(p), pa.string()), pa.array(np.arange(i, i + len(p), dtype=np.int32)), pa.array(np.ascontiguousarray(p[:, 0]).view(np.int64)), pa.array(p[:, 1].astype(np.int64))], schema=kinds)
+
+    told = stash(rows.mapInArrow(spell, "part int, path string, j int, h long, k long"), "spelt")
+    files = told.filter("path IS NOT NULL").select("part", "path")
+    # A list per file: as many units as one task met.
+    found = told.filter("path IS NULL").select("part", "j", "h", "k").join(entries.filter(beyond).select("h", "k", "code"), ["h", "k"]).groupBy("part").agg(F.collect_list(F.struct("j", "code")).alias("more"))
+    spelt = decoding_table(table) if check else None
+    fields = [("n_tokens", T.LongType()), ("ids", T.ArrayType(T.IntegerType())), *([("round_trip", T.BooleanType())] if check else [])]
 
     def fill(batches):
         import pyarrow as pa
-        from xxhash import xxh3_128_digest, xxh64_intdigest
-        from zstandard import ZstdDecompressor
-
-        unzip = ZstdDecompressor().decompress
-        for whole_batch in batches:
-            for i in range(0, whole_batch.num_rows, 512):
-                b = whole_batch.slice(i, 512)
-                out, trips = [], []
-                for data, digest, more in zip(*[c.to_pylist() for c in b.columns[-3:]], strict=True):
-                    data = unzip(data)
-                    n = int.from_bytes(data[:8], "little")
-                    ids, holes = np.frombuffer(data[8 : 8 + n], kind), data[8 + n :]
-                    if holes:
-                        own = {m["h"]: m["code"] for m in more}
-                        parts = np.split(ids, np.flatnonzero(ids == np.iinfo(kind).max))
-                        codes = [own[h - (1 << 64) if h >= 1 << 63 else h] for h in (xxh64_intdigest(w, 42) for w in holes.split(b"\0"))]
-                        ids = np.frombuffer(parts[0].tobytes() + b"".join([x for code, p in zip(codes, parts[1:], strict=True) for x in (code, p[1:].tobytes())]), kind)
-                    out.append(ids)
-                    if check:
-                        trips.append(xxh3_128_digest(decode_bytes(ids, spelt)) == digest)
-                made = columns(out) + ([pa.array(trips, pa.bool_())] if check else [])
-                yield pa.RecordBatch.from_arrays([*b.columns[:-3], *made], names=[*keep, *[n for n, _ in fields]])
-
-    schema = T.StructType([*joined.schema.fields[: len(keep)], *[T.StructField(n, t) for n, t in fields]])
-    return joined.mapInArrow(fill, schema)
+
+        for b in batches:
+            for path, more in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+                more = more.values
+                if more is not None:
+                    code = more.field("code")
+                    order = np.argsort(more.field("j").to_numpy())
+                    sizes = pa.compute.binary_length(code).to_numpy()[order] // kind.itemsize
+                    flat = np.frombuffer(b"".join(code.take(pa.array(order)).to_pylist()), kind)
+                    begins = np.cumsum(sizes) - sizes
+                store, _ = open_store(place)
+                with store.open_input_stream(path) as source:
+                    for r in pa.ipc.open_stream(source):
+                        ids, ends = r.column(1).flatten().to_numpy(), np.r_[0, np.cumsum(r.column(1).value_lengths().to_numpy())]
+                        at = r.column(2).flatten().to_numpy()
+                        if len(at):
+                            n, from_, gone = np.ones(len(ids), np.int64), np.arange(len(ids)), np.flatnonzero(ids == hole)
+                            n[gone], from_[gone] = sizes[at], len(ids) + begins[at]
+                            ids, ends = gather(np.concatenate([ids, flat]), from_, n), np.r_[0, np.cumsum(n)][ends]
+                        columns = [pa.array(np.diff(ends), pa.int64()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(ids.astype(np.int32)))]
+                        if check:
+                            columns.append(pa.array([digest(t) == d for t, d in zip(decode_rows(ids, ends, spelt), r.column(3).to_pylist(), strict=True)], pa.bool_()))
+                        yield pa.RecordBatch.from_arrays([*(r.column(0).flatten() if keep else []), *columns], names=[*keep, *[f for f, _ in fields]])
+
+    schema = T.StructType([*(rows.schema["row"].dataType.fields if keep else []), *[T.StructField(f, t) for f, t in fields]])
+    return files.join(found, "part", "left").select("path", "more").repartition(max(files.count(), 1)).mapInArrow(fill, schema)
 
 
 def decoding_table(table: PieceTable) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -377,13 +420,24 @@ def decoding_table(table: PieceTable) -> tuple[np.ndarray, np.ndarray, np.ndarra
     return np.frombuffer(b"".join(out), np.uint8), np.cumsum(sizes) - sizes, sizes
 
 
-def decode_bytes(ids: np.ndarray, spelt: tuple[np.ndarray, np.ndarray, np.ndarray]) -> bytes:
-    """UTF-8 of the ids, without the space that encoding put in front."""
+def decode_bytes(ids: np.ndarray, spelt: tuple[np.ndarray, np.ndarray, np.ndarray], first: bool = True) -> bytes:
+    """UTF-8 of the ids, if they are the first without the space that encoding put in front."""
     found, starts, sizes = spelt
-    size = sizes[ids]
-    ends = np.cumsum(size)
-    data = found[np.repeat(starts[ids] - ends + size, size) + np.arange(ends[-1] if len(ends) else 0)].tobytes()
-    return data[1:] if data.startswith(b" ") else data
+    data = gather(found, starts[ids], sizes[ids]).tobytes()
+    return data[1:] if first and data.startswith(b" ") else data
+
+
+def decode_rows(ids: np.ndarray, ends: np.ndarray, spelt: tuple[np.ndarray, np.ndarray, np.ndarray]):
+    """The UTF-8 bytes of each row's ids; at once where they are few, else row by row and stretch by stretch."""
+    if len(ids) <= 1 << 21:
+        found, starts, sizes = spelt
+        size = sizes[ids]
+        data, at = gather(found, starts[ids], size).tobytes(), np.r_[0, np.cumsum(size)][ends].tolist()
+        for a, b in zip(at[:-1], at[1:], strict=True):
+            yield data[a + 1 : b] if data[a : a + 1] == b" " and b > a else data[a:b]
+        return
+    for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True):
+        yield b"".join([decode_bytes(ids[i : min(b, i + (1 << 20))], spelt, i == a) for i in range(a, b, 1 << 20)])
 
 
 def decode_ids(ids: np.ndarray, spelt: tuple[np.ndarray, np.ndarray, np.ndarray]) -> str:

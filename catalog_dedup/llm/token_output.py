@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import shared_folder, stash
+from .common import open_store, shared_folder, stash
 
 BLOCK = 65536
 MAGIC = b"BPLANES1"
@@ -180,13 +180,6 @@ def read_shard(source) -> Iterator[tuple[int | None, bytes]]:
         held = data[need:]
 
 
-def open_store(folder: str):
-    """(file system, path) of a folder given as URI or local path."""
-    from pyarrow import fs
-
-    return fs.FileSystem.from_uri(folder) if "://" in folder or folder.startswith("file:") else (fs.LocalFileSystem(), folder)
-
-
 def write_shards(docs: DataFrame, vocabulary: str, end: int = END, folder: str | None = None) -> DataFrame:
     """Write the ids of all rows; returns the manifest: shard (number), path, docs, ids and start (ids in earlier shards)."""
     folder = folder or f"{shared_folder(docs.sparkSession)}/token-shards-{uuid.uuid4().hex}"
