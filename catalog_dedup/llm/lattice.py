@@ -7,10 +7,11 @@ exploded in blocks of ``STRIDE`` starts and their grouped edges folded block aft
 16 bytes a character that the fold keeps.
 
 The result is a dictionary from units, told apart by 96 hash bits, to ids. Documents are spelt from it in one pass: entries of
-the most frequent units, at most ``HEAD`` of them, are a sorted file in the shared folder that every worker maps into memory
-(its pages are shared); a task writes the ids of its documents to a file in the shared folder, with holes where a unit is not in
-the head, and names the distinct units it lacks. Those are joined with the dictionary, and the holes of each file are filled
-from its own rows of that join. Nothing but such units is shuffled, and every size of input goes this way.
+the most frequent units, at most ``HEAD`` of them, are files in the shared folder, sorted by hash, which every worker maps into
+memory (so a host holds each page once, and only pages in use). Where units are left that are not in this head, a task writes
+the ids of its documents to a file in the shared folder, with holes for those units, and names the distinct ones it lacks; they
+are joined with the dictionary, and the holes of each file are filled from its own rows of that join. So nothing but rare units
+is ever shuffled, and no text.
 
 The pieces and scores of the file are read as a unigram lexicon whatever model it was made for: of a BPE file the ids are the
 best path by its scores and not its merges. Scores add up along a path; of equally good paths the one with the longer last piece
@@ -21,7 +22,6 @@ their names whatever they are. An empty table gives no rows.
 
 from __future__ import annotations
 
-import io
 import uuid
 from collections import Counter
 
@@ -30,15 +30,16 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import carried, open_store, others, release, shared_folder, stash
+from .common import carried, discard, open_store, others, release, shared_folder, stash
 from .pieces import SPACE_MARK, PieceTable
 from .units import Cutter, hashes, hashes_of, portions
 
 LONG = 64
 #: Starts of edges that a row of a long unit's lattice holds.
 STRIDE = 256
-#: Bound of the mapped part of the dictionary in entries (12 bytes, an offset and the ids each); entries of over BULKY bytes stay out.
-HEAD, BULKY = 1_000_000, 512
+#: Bound of the mapped part of the dictionary in entries (16 bytes and the ids each), entries in one of its files, and the bytes
+#: of ids beyond which an entry stays out.
+HEAD, SHELF, BULKY = 100_000_000, 200_000, 512
 #: Units that a task counts before it hands them on.
 COUNTED = 300_000
 
@@ -230,36 +231,77 @@ def dictionary(docs: DataFrame, table: PieceTable) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b.column(1), pa.array(h.view(np.int64)), pa.array(k.astype(np.int64)), code], names=["n", "h", "k", "code"])
 
     made = best.mapInArrow(pack, "n long, h long, k long, code binary")
-    return stash(made if long.isEmpty() else made.union(long_units(long, table)), "dictionary")
+    made = stash(made if long.isEmpty() else made.union(long_units(long, table)), "dictionary")
+    discard(words)
+    return made
 
 
-class Head:
-    """The mapped part of the dictionary: entries sorted by their first hash, found through the offsets of its upper bits, and their
-    ids one after the other, with a hole at the end."""
-
-    NAMES = ("buckets", "first", "second", "starts", "codes")
+def stretches(begins: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """begin, begin + 1, ... of each stretch, one after the other."""
+    ends = np.cumsum(sizes)
+    return np.repeat(begins - ends + sizes, sizes) + np.arange(ends[-1] if len(ends) else 0)
 
-    def __init__(self, folder: str):
-        self.buckets, self.first, self.second, self.starts, self.codes = (np.load(mapped(f"{folder}-{n}.npy"), mmap_mode="r") for n in self.NAMES)
-        self.shift = np.uint64(64 - (len(self.buckets) - 2).bit_length())
 
-    def find(self, first: np.ndarray, second: np.ndarray) -> np.ndarray:
-        """Positions of the entries, -1 where there is none."""
+class Head:
+    """The mapped part of the dictionary. A file (shelf) holds the entries whose first hash begins with its number: offsets of
+    buckets by the bits that follow, the hashes in order, where ids start, and the ids one after the other."""
+
+    def __init__(self, paths: list[str | None], kind: np.dtype):
+        self.kind, self.bits = kind, (len(paths) - 1).bit_length()
+        self.shelves = [self.open(p) if p else None for p in paths]
+
+    @staticmethod
+    def shelf(first: np.ndarray, second: np.ndarray, starts: np.ndarray, ids: np.ndarray, bits: int) -> bytes:
+        """The file of entries in the order of their first hash."""
+        more = max(1, len(first).bit_length())
+        buckets = np.searchsorted(((first << np.uint64(bits)) >> np.uint64(64 - more)).astype(np.int64), np.arange((1 << more) + 1))
+        return b"".join([np.array([len(first), more], np.int64).tobytes(), first.tobytes(), buckets.astype(np.uint32).tobytes(), second.tobytes(), starts.astype(np.uint32).tobytes(), ids.tobytes()])
+
+    def open(self, path: str) -> tuple:
+        data = np.memmap(mapped(path), np.uint8, "r")
+        n, more = data[:16].view(np.int64).tolist()
+        ends = np.cumsum([16, 8 * n, 4 * ((1 << more) + 1), 4 * n, 4 * (n + 1)]).tolist()
+        kinds = (np.uint64, np.uint32, np.uint32, np.uint32)
+        return more, *(data[a:b].view(k) for a, b, k in zip(ends[:-1], ends[1:], kinds, strict=True)), data[ends[-1] :].view(self.kind)
+
+    def find(self, shelf: tuple, first: np.ndarray, second: np.ndarray) -> np.ndarray:
+        """Positions of the entries of units of one shelf, -1 where there is none."""
+        more, known, buckets, others_, _, _ = shelf
         out = np.full(len(first), -1, np.int64)
-        if not len(self.first):
-            return out
-        bucket = (first >> self.shift).astype(np.int64)
-        at, end = self.buckets[bucket].astype(np.int64), self.buckets[bucket + 1].astype(np.int64)
+        bucket = ((first << np.uint64(self.bits)) >> np.uint64(64 - more)).astype(np.int64)
+        at, end = buckets[bucket].astype(np.int64), buckets[bucket + 1].astype(np.int64)
         rest = np.flatnonzero(at < end)
         while len(rest):
             p = at[rest]
-            hit = (self.first[p] == first[rest]) & (self.second[p] == second[rest])
+            hit = (known[p] == first[rest]) & (others_[p] == second[rest])
             out[rest[hit]] = p[hit]
             rest = rest[~hit]
             at[rest] += 1
             rest = rest[at[rest] < end[rest]]
         return out
 
+    def spell(self, first: np.ndarray, second: np.ndarray, hole: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """The ids of all units one after the other, the number of each unit's, and which units are missing (a hole each)."""
+        number = (first >> np.uint64(64 - self.bits)).astype(np.int64) if self.bits else np.zeros(len(first), np.int64)
+        order, sizes, missing, found = np.argsort(number, kind="stable"), np.ones(len(first), np.int64), [], []
+        ends = np.cumsum(np.bincount(number, minlength=len(self.shelves))).tolist()
+        for shelf, a, b in zip(self.shelves, [0, *ends[:-1]], ends, strict=True):
+            if b == a:
+                continue
+            at = order[a:b]
+            p = self.find(shelf, first[at], second[at]) if shelf else np.full(b - a, -1)
+            missing.append(at[p < 0])
+            at, p = at[p >= 0], p[p >= 0]
+            if len(at):
+                begins = shelf[4][p].astype(np.int64)
+                sizes[at] = shelf[4][p + 1] - begins
+                found.append((shelf[5], at, begins))
+        starts = np.cumsum(sizes) - sizes
+        out = np.full(int(sizes.sum()), hole, self.kind)
+        for ids, at, begins in found:
+            out[stretches(starts[at], sizes[at])] = ids[stretches(begins, sizes[at])]
+        return out, sizes, np.sort(np.concatenate([np.zeros(0, np.int64), *missing]))
+
 
 def mapped(uri: str) -> str:
     """A local path of a file in the shared folder: the file itself where the folder is mounted, else the executor's copy."""
@@ -268,47 +310,51 @@ def mapped(uri: str) -> str:
     return uri.removeprefix("file://").removeprefix("file:") if uri.startswith(("file:", "/")) else SparkFiles.get(uri.rsplit("/", 1)[1])
 
 
-def head_of(entries: DataFrame, kind: np.dtype) -> tuple[str, Column]:
-    """Writes the most frequent entries, HEAD at most, to the shared folder; returns their place and the condition of the others.
-
-    Entries enter by steps of a sixteenth of a doubling in frequency, so nothing is sorted."""
-    import pyarrow as pa
+def head_of(entries: DataFrame, kind: np.dtype) -> tuple[list[str | None], Column]:
+    """Writes the most frequent entries, HEAD at most, to files in the shared folder; returns their paths by the upper bits of the
+    hash, and the condition of the entries left out.
 
+    Entries enter by steps of a sixteenth of a doubling in frequency, so nothing is sorted as a whole."""
     spark = entries.sparkSession
     step, usual = F.floor(F.log2("n") * 16).cast("int"), F.length("code") <= BULKY
     steps = entries.filter(usual).groupBy(step.alias("step")).agg(F.count("*").alias("rows")).orderBy(F.desc("step")).collect()  # a few hundred at most
     least, rows = 1 << 30, 0
     for r in steps:
-        rows += r["rows"]
-        if rows > HEAD:
+        if rows + r["rows"] > HEAD:
             break
-        least = r["step"]
-    inside = usual & (step >= least)
-    got = entries.filter(inside).select("h", "k", "code").toArrow()
-    first, second = got.column("h").to_numpy().view(np.uint64), got.column("k").to_numpy().astype(np.uint32)
-    order = np.argsort(first)
-    code = pa.concat_arrays(got.column("code").cast(pa.binary()).chunks or [pa.array([], pa.binary())]).take(pa.array(order))
-    ends = np.frombuffer(code.buffers()[1], np.int32)[: len(code) + 1] if len(code) else np.zeros(1, np.int32)
-    codes = np.r_[np.frombuffer(code.buffers()[2] or b"", kind)[: ends[-1] // kind.itemsize], np.array([np.iinfo(kind).max], kind)]
-    bits = max(1, len(order).bit_length())
-    first, second = first[order], second[order]
-    buckets = np.searchsorted(first, np.r_[np.arange(1 << bits, dtype=np.uint64) << np.uint64(64 - bits)]).astype(np.uint32)
+        least, rows = r["step"], rows + r["rows"]
+    inside, bits = usual & (step >= least), (rows // SHELF).bit_length()
     folder = f"{shared_folder(spark)}/head-{uuid.uuid4().hex}"
-    for name, data in zip(Head.NAMES, (np.r_[buckets, np.uint32(len(order))], first, second, (ends // kind.itemsize).astype(np.uint32), codes), strict=True):
-        store, path = open_store(f"{folder}-{name}.npy")
-        buffer = io.BytesIO()
-        np.save(buffer, data)
-        with store.open_output_stream(path) as sink:
-            sink.write(buffer.getbuffer())
-        if not folder.startswith(("file:", "/")):
-            spark.sparkContext.addFile(f"{folder}-{name}.npy")
-    return folder, ~inside
+    shelf = F.shiftrightunsigned("h", 64 - bits).cast("int") if bits else F.lit(0)
 
+    def write(batches):
+        import pyarrow as pa
 
-def gather(flat: np.ndarray, begins: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-    """Stretches of ``flat``, one after the other."""
-    ends = np.cumsum(sizes)
-    return flat[np.repeat(begins - ends + sizes, sizes) + np.arange(ends[-1] if len(ends) else 0)]
+        store, top = open_store(folder)
+        store.create_dir(top, recursive=True)
+        batches = list(batches)  # SHELF entries or few times as many
+        if not batches:
+            return
+        table = pa.Table.from_batches(batches)
+        numbers = table.column("shelf").to_numpy()
+        for n in np.unique(numbers).tolist():
+            part = table.filter(pa.array(numbers == n))
+            first, second = part.column("h").to_numpy().view(np.uint64), part.column("k").to_numpy().astype(np.uint32)
+            order = np.argsort(first)
+            codes = pa.concat_arrays(part.column("code").chunks).take(pa.array(order)).to_pylist()
+            starts = np.r_[0, np.cumsum(list(map(len, codes)))] // kind.itemsize
+            name = f"{n}-{uuid.uuid4().hex}.shelf"
+            with store.open_output_stream(f"{top}/{name}") as sink:
+                sink.write(Head.shelf(first[order], second[order], starts, np.frombuffer(b"".join(codes), kind), bits))
+            yield pa.RecordBatch.from_pylist([{"shelf": n, "name": name}], schema=pa.schema([("shelf", pa.int32()), ("name", pa.string())]))
+
+    shelves = entries.filter(inside).select(shelf.alias("shelf"), "h", "k", "code").repartition(1 << bits, "shelf").mapInArrow(write, "shelf int, name string").collect()  # a row a file
+    paths: list[str | None] = [None] * (1 << bits)
+    for r in shelves:
+        paths[r["shelf"]] = f"{folder}/{r['name']}"
+        if not folder.startswith(("file:", "/")):
+            spark.sparkContext.addFile(paths[r["shelf"]])
+    return paths, ~inside
 
 
 def digest(text: bytes) -> bytes:
@@ -321,62 +367,83 @@ def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = Tr
     """``keep`` columns, ``n_tokens``, ``ids`` and, with ``check``, ``round_trip`` (the ids decode to the text) of every row."""
     spark, kind = docs.sparkSession, id_type(table)
     entries = dictionary(docs, table)
+    paths, beyond = head_of(entries, kind)
     release(spark)
-    folder, beyond = head_of(entries, kind)
     keep = others(keep, ["n_tokens", "ids", "round_trip"])
     rows = docs.select(carried(keep).alias("row"), "text")
-    place = f"{shared_folder(spark)}/spelt-{uuid.uuid4().hex}"
-    hole = np.iinfo(kind).max
+    place, hole = f"{shared_folder(spark)}/spelt-{uuid.uuid4().hex}", np.iinfo(kind).max
+    spelt = decoding_table(table) if check else None
+    fields = [("n_tokens", T.LongType()), ("ids", T.ArrayType(T.IntegerType())), *([("round_trip", T.BooleanType())] if check else [])]
+    schema = T.StructType([*(rows.schema["row"].dataType.fields if keep else []), *[T.StructField(f, t) for f, t in fields]])
 
-    def spell(batches):
-        """Writes a file with the rows, their ids with holes, the numbers of the units that belong there, and a digest of the text.
-        Returns its name and the numbered units."""
+    def finished(row, ids: np.ndarray, ends: np.ndarray, same):
+        """A batch of results; ``same`` compares a row's decoded bytes with what is known of its text."""
         import pyarrow as pa
-        from pyspark import TaskContext
 
-        kinds = pa.schema([("part", pa.int32()), ("path", pa.string()), ("j", pa.int32()), ("h", pa.int64()), ("k", pa.int64())])
-        part, cutter, head, lacking, sink, out = TaskContext.get().partitionId(), Cutter(table), Head(folder), {}, None, None
-        store, top = open_store(place)
-        path = f"{top}/{uuid.uuid4().hex}.arrows"
+        columns = [pa.array(np.diff(ends), pa.int64()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(ids.astype(np.int32)))]
+        if check:
+            columns.append(pa.array([same(i, t) for i, t in enumerate(decode_rows(ids, ends, spelt))], pa.bool_()))
+        return pa.RecordBatch.from_arrays([*(row.flatten() if keep else []), *columns], names=[*keep, *[f for f, _ in fields]])
+
+    def in_portions(batches, lacking: dict):
+        """row, texts, ids, ends of the rows' ids, numbers of the missing units and ends of the rows' numbers."""
+        cutter, head = Cutter(table), Head(paths, kind)
         for b in batches:
-            texts = b.column(1).to_pylist()
-            for x, y in portions(texts):
+            every = b.column(1).to_pylist()
+            for x, y in portions(every):
                 made, sizes, holes, missing = [np.zeros(0, kind)], np.zeros(y - x, np.int64), np.zeros(y - x, np.int64), [np.zeros(0, np.int32)]
-                for block, heads, owner in cutter.blocks(texts[x:y]):
+                for block, heads, owner in cutter.blocks(every[x:y]):
                     h, k = hashes(block, heads)
-                    at = head.find(h, k)
-                    gone = np.flatnonzero(at < 0)
-                    begins = head.starts[at].astype(np.int64)
-                    n = head.starts[at + 1] - begins
-                    begins[gone], n[gone] = len(head.codes) - 1, 1
-                    made.append(gather(head.codes, begins, n))
+                    ids, n, gone = head.spell(h, k, hole)
+                    made.append(ids)
                     sizes += np.bincount(owner, n, y - x).astype(np.int64)
                     if len(gone):
                         holes += np.bincount(owner[gone], minlength=y - x)
                         missing.append(np.array([lacking.setdefault(p, len(lacking)) for p in zip(h[gone].tolist(), k[gone].tolist(), strict=True)], np.int32))
-                lists = [pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(n)], pa.int32()), pa.array(np.concatenate(v))) for n, v in ((sizes, made), (holes, missing))]
-                digests = pa.array([digest((t or "").encode()) for t in texts[x:y]] if check else [None] * (y - x), pa.binary())
-                batch = pa.RecordBatch.from_arrays([b.column(0).slice(x, y - x), *lists, digests], names=["row", "ids", "holes", "digest"])
-                if out is None:
-                    store.create_dir(top, recursive=True)
-                    sink = store.open_output_stream(path)
-                    out = pa.ipc.new_stream(sink, batch.schema, options=pa.ipc.IpcWriteOptions(compression="zstd"))
-                out.write_batch(batch)
+                yield b.column(0).slice(x, y - x), every[x:y], np.concatenate(made), np.r_[0, np.cumsum(sizes)], np.concatenate(missing), np.r_[0, np.cumsum(holes)]
+
+    def whole(batches):
+        for row, texts, ids, ends, _, _ in in_portions(batches, {}):
+            yield finished(row, ids, ends, lambda i, t, texts=texts: t == (texts[i] or "").encode())
+
+    if entries.filter(beyond).isEmpty():  # no hole anywhere
+        return rows.mapInArrow(whole, schema)
+
+    def spell(batches):
+        """Writes a file with the rows, their ids with holes, the numbers of the units that belong there, and a digest of the text.
+        Returns its name and the numbered units."""
+        import pyarrow as pa
+        from pyspark import TaskContext
+
+        kinds = pa.schema([("part", pa.int32()), ("path", pa.string()), ("j", pa.int32()), ("h", pa.int64()), ("k", pa.int64())])
+        part, lacking, out = TaskContext.get().partitionId(), {}, None
+        store, top = open_store(place)
+        path = f"{top}/{uuid.uuid4().hex}.arrows"
+        for row, texts, ids, ends, missing, holes in in_portions(batches, lacking):
+            lists = [pa.ListArray.from_arrays(pa.array(e, pa.int32()), pa.array(v)) for e, v in ((ends, ids), (holes, missing))]
+            digests = pa.array([digest((t or "").encode()) if check else None for t in texts], pa.binary())
+            batch = pa.RecordBatch.from_arrays([row, *lists, digests], names=["row", "ids", "holes", "digest"])
+            if out is None:
+                store.create_dir(top, recursive=True)
+                sink = store.open_output_stream(path)
+                out = pa.ipc.new_stream(sink, batch.schema, options=pa.ipc.IpcWriteOptions(compression="zstd"))
+            out.write_batch(batch)
         if out is not None:
             out.close()
             sink.close()
             yield pa.RecordBatch.from_pylist([{"part": part, "path": path}], schema=kinds)
             pairs = np.array(list(lacking), np.uint64).reshape(-1, 2)
             for i in range(0, len(pairs), 100_000):
-                p = pairs[i : i + 100_000]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(p), part, np.int32)), pa.nulls(len(p), pa.string()), pa.array(np.arange(i, i + len(p), dtype=np.int32)), pa.array(np.ascontiguousarray(p[:, 0]).view(np.int64)), pa.array(p[:, 1].astype(np.int64))], schema=kinds)
+                h, k = (np.ascontiguousarray(c).view(np.int64) for c in pairs[i : i + 100_000].T)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h), part, np.int32)), pa.nulls(len(h), pa.string()), pa.array(np.arange(i, i + len(h), dtype=np.int32)), pa.array(h), pa.array(k)], schema=kinds)
 
     told = stash(rows.mapInArrow(spell, "part int, path string, j int, h long, k long"), "spelt")
+    release(spark)
     files = told.filter("path IS NOT NULL").select("part", "path")
+    spread = 3 * max(files.count(), 1)  # by number, so that the list of each file is made where it is used
     # A list per file: as many units as one task met.
-    found = told.filter("path IS NULL").select("part", "j", "h", "k").join(entries.filter(beyond).select("h", "k", "code"), ["h", "k"]).groupBy("part").agg(F.collect_list(F.struct("j", "code")).alias("more"))
-    spelt = decoding_table(table) if check else None
-    fields = [("n_tokens", T.LongType()), ("ids", T.ArrayType(T.IntegerType())), *([("round_trip", T.BooleanType())] if check else [])]
+    lacked = told.filter("path IS NULL").select("part", "j", "h", "k").join(entries.filter(beyond).select("h", "k", "code"), ["h", "k"])
+    found = lacked.select("part", "j", "code").repartition(spread, "part").groupBy("part").agg(F.collect_list(F.struct("j", "code")).alias("more"))
 
     def fill(batches):
         import pyarrow as pa
@@ -398,14 +465,11 @@ def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = Tr
                         if len(at):
                             n, from_, gone = np.ones(len(ids), np.int64), np.arange(len(ids)), np.flatnonzero(ids == hole)
                             n[gone], from_[gone] = sizes[at], len(ids) + begins[at]
-                            ids, ends = gather(np.concatenate([ids, flat]), from_, n), np.r_[0, np.cumsum(n)][ends]
-                        columns = [pa.array(np.diff(ends), pa.int64()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(ids.astype(np.int32)))]
-                        if check:
-                            columns.append(pa.array([digest(t) == d for t, d in zip(decode_rows(ids, ends, spelt), r.column(3).to_pylist(), strict=True)], pa.bool_()))
-                        yield pa.RecordBatch.from_arrays([*(r.column(0).flatten() if keep else []), *columns], names=[*keep, *[f for f, _ in fields]])
+                            ids, ends = np.concatenate([ids, flat])[stretches(from_, n)], np.r_[0, np.cumsum(n)][ends]
+                        known = r.column(3).to_pylist()
+                        yield finished(r.column(0), ids, ends, lambda i, t, known=known: digest(t) == known[i])
 
-    schema = T.StructType([*(rows.schema["row"].dataType.fields if keep else []), *[T.StructField(f, t) for f, t in fields]])
-    return files.join(found, "part", "left").select("path", "more").repartition(max(files.count(), 1)).mapInArrow(fill, schema)
+    return files.repartition(spread, "part").join(found, "part", "left").select("path", "more").mapInArrow(fill, schema)
 
 
 def decoding_table(table: PieceTable) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -423,7 +487,7 @@ def decoding_table(table: PieceTable) -> tuple[np.ndarray, np.ndarray, np.ndarra
 def decode_bytes(ids: np.ndarray, spelt: tuple[np.ndarray, np.ndarray, np.ndarray], first: bool = True) -> bytes:
     """UTF-8 of the ids, if they are the first without the space that encoding put in front."""
     found, starts, sizes = spelt
-    data = gather(found, starts[ids], sizes[ids]).tobytes()
+    data = found[stretches(starts[ids], sizes[ids])].tobytes()
     return data[1:] if first and data.startswith(b" ") else data
 
 
@@ -432,7 +496,7 @@ def decode_rows(ids: np.ndarray, ends: np.ndarray, spelt: tuple[np.ndarray, np.n
     if len(ids) <= 1 << 21:
         found, starts, sizes = spelt
         size = sizes[ids]
-        data, at = gather(found, starts[ids], size).tobytes(), np.r_[0, np.cumsum(size)][ends].tolist()
+        data, at = found[stretches(starts[ids], size)].tobytes(), np.r_[0, np.cumsum(size)][ends].tolist()
         for a, b in zip(at[:-1], at[1:], strict=True):
             yield data[a + 1 : b] if data[a : a + 1] == b" " and b > a else data[a:b]
         return
