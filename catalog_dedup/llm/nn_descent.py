@@ -1,24 +1,33 @@
 """Approximate nearest neighbours (largest inner product): an NN-descent graph, searched greedily.
 
-Equal vectors are one node. Nodes are dealt by hash into blocks of about ``BLOCK``, ``DEALS`` times with other hashes;
-the best of the exact neighbours within the own blocks start the graph. In each round of NN-descent, edges and reversed edges (the best ``DEGREE`` of them) tell every node to which
-centres it is a neighbour; vectors meet at the block of the centre, pairs of neighbours of one centre are compared if one of
-the two edges is new, and better neighbours are joined back to their nodes. A centre and a block propose a node at most
-``DEGREE`` distinct neighbours, the best; as a node keeps no more, this loses none. Rounds end when few edges change, however
-many it takes: edges only get better, so they do end.
-
-A query starts at its own node or, if it has none, at the first nodes of some blocks, keeps a pool of the best ``POOL`` nodes and in every
-round expands its best ``EXPAND`` unexpanded ones by a join with the graph; scores are exact inner products of the original
+Equal vectors are one node. To start the graph, nodes are dealt several times to the cell of their nearest seed, with other seeds
+each time (cells above ``LEAF`` are split by hash), and the ``START`` best of the exact neighbours within a cell enter. Cells hold
+about four times the square root of all nodes, LEAF at most, and deals grow with the logarithm of the number of cells, so that every size of input
+is worked on alike.
+
+In each round of NN-descent a node hands on its best ``SAMPLE`` edges that are new, and as many old ones drawn anew each round;
+the same number of reversed edges of either kind is drawn by hash. They tell every node of which centres it is a member. Members of centres without
+a new one stay at home; the vectors of others meet at blocks of about ``MEET`` centres, a row per node and block and so 4 * SAMPLE
+rows of a node at most whatever the number of nodes. Pairs of members of one centre are compared if one of the two edges is new,
+and better neighbours are joined back to their nodes. A centre and a block propose a node at most ``DEGREE`` distinct neighbours,
+the best; as a node keeps no more, this loses none. An edge counts as new until it has been handed on. Rounds end when few edges
+change, however many it takes: edges only get better, so they do end.
+
+A query starts at its own node or, if it has none, at the first nodes of some blocks, keeps a pool of the best nodes (``POOL`` for
+each doubling of the number of nodes) and in every round expands its best ``EXPAND`` unexpanded ones by a join with the graph; scores are exact inner products of the original
 vectors in double precision. It stops when no pool has an unexpanded node, which comes to pass as a node is expanded once at most.
 
 To build the graph, vectors get one more component that makes all of them equally long, so that the angle between them
 orders as the inner product does. Vectors that are null, zero, of another length than the most common, or that hold null or
-non-finite components take no part; neither do rows with a null id. Of rows with one id and different vectors each counts.
-Ties go to the smaller vec_id. An empty table gives no rows.
+non-finite components take no part; neither do rows with a null id. Of rows with one id and different vectors each counts, rows
+that repeat an id and a vector count once.
+Ties go to the smaller vec_id. Extra columns are ignored, whatever their names. An empty table gives no rows.
 """
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -26,12 +35,14 @@ from pyspark.sql.window import Window
 
 from .common import stash
 
-BLOCK = 2048
-DEALS = 4
-DEGREE = 32
+BLOCK, MEET = 2048, 256
+LEAF, START = 2048, 12
+#: Seeds of all deals, at most; every task holds them.
+MOST_SEEDS = 65_536
+DEGREE, SAMPLE = 32, 16
 #: Share of edges that changed below which the graph is done.
 SETTLED = 0.01
-POOL, EXPAND = 256, 40
+POOL, EXPAND = 24, 40
 
 
 def usable(table: DataFrame) -> DataFrame:
@@ -43,6 +54,17 @@ def usable(table: DataFrame) -> DataFrame:
     return rows.filter(F.size("vector") == (size["n"] if size else 0))
 
 
+def deals_for(count: int) -> tuple[int, int]:
+    """How often nodes are dealt, and to how many cells."""
+    cells = max(1, math.ceil(count / min(LEAF, 4 * math.sqrt(max(count, 1)))))
+    deals = 2 + 2 * math.ceil(math.log2(cells))
+    return deals, max(1, min(cells, MOST_SEEDS // deals))
+
+
+def pool_for(count: int) -> int:
+    return POOL * max(1, math.ceil(math.log2(max(count, 2))))
+
+
 def block_of(node: Column, blocks: int, deal: int = 0) -> Column:
     return F.pmod(F.xxhash64(node, F.lit(deal)), F.lit(blocks)).cast("int")
 
@@ -84,16 +106,36 @@ def _proposals(home: np.ndarray, own: np.ndarray, other: np.ndarray, score: np.n
     return pa.table([pa.array(home[first[:-1]], pa.int32()), *lists], names=["home", "us", "nears", "scores"])
 
 
-def start_graph(nodes: DataFrame, blocks: int) -> DataFrame:
-    """The graph of the best exact neighbours within the own blocks."""
+def start_graph(nodes: DataFrame, count: int) -> DataFrame:
+    """The graph of the best exact neighbours within the cells of all deals."""
+    deals, cells = deals_for(count)
+    seeds = nodes.orderBy(F.xxhash64("node", F.lit("seed")), "node").limit(deals * cells).select("short").toArrow()
+    seeds = _matrix(seeds.column("short"), np.float16)
+    seeds = [seeds[np.arange(d, len(seeds), deals)] for d in range(deals)]
+
+    def deal(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            if not b.num_rows:
+                continue
+            x = _matrix(b.column(2), np.float16)
+            near = np.stack([(x @ c.T).argmax(1) if len(c) else np.zeros(len(x), np.int64) for c in seeds], 1).astype(np.int32)
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, near.size + 1, deals), pa.int32()), pa.array(near.ravel()))
+            yield pa.RecordBatch.from_arrays([*b.columns, lists], names=["block", "node", "short", "cells"])
+
+    dealt = stash(nodes.select("block", "node", "short").mapInArrow(deal, "block int, node long, short binary, cells array<int>"), "dealt")
+    each = dealt.select("block", "node", "short", F.posexplode("cells").alias("deal", "cell"))
+    sizes = each.groupBy("deal", "cell").agg(F.ceil(F.count("*") / LEAF).cast("int").alias("parts"))  # a row a seed
+    each = each.join(F.broadcast(sizes), ["deal", "cell"]).withColumn("part", F.pmod(F.xxhash64("node", "deal"), F.col("parts")).cast("int"))
 
     def exact(table):
-        ids, home, x = table.column("node").to_numpy(), table.column("home").to_numpy(), _matrix(table.column("short"), np.float16)
+        ids, home, x = table.column("node").to_numpy(), table.column("block").to_numpy(), _matrix(table.column("short"), np.float16)
         own, other, score = [], [], []
+        k = min(START, len(ids) - 1)
         for i in range(0, len(ids), 512):
             s = x[i : i + 512] @ x.T
             s[np.arange(len(s)), np.arange(i, i + len(s))] = -np.inf
-            k = min(DEGREE, len(ids) - 1)
             top = np.argpartition(-s, k - 1, 1)[:, :k] if k else np.zeros((len(s), 0), int)
             own.append(np.repeat(np.arange(i, i + len(s)), k))
             other.append(ids[top].ravel())
@@ -101,36 +143,41 @@ def start_graph(nodes: DataFrame, blocks: int) -> DataFrame:
         own, other, score = map(np.concatenate, (own, other, score))
         return _proposals(home[own], ids[own], other, score)
 
-    deals = F.explode(F.array(*[F.struct(F.lit(k).alias("deal"), block_of(F.col("node"), blocks, k).alias("block")) for k in range(DEALS if blocks > 1 else 1)]))
-    found = nodes.select("node", "short", F.col("block").alias("home"), deals.alias("d")).select("d.deal", "d.block", "home", "node", "short").groupBy("deal", "block").applyInArrow(exact, _PROPOSED)
-    empty = nodes.select("block", "node", F.array().cast("array<long>").alias("near"), F.array().cast("array<float>").alias("score"))
-    return joined_back(empty, found)
+    found = each.select("deal", "cell", "part", "block", "node", "short").groupBy("deal", "cell", "part").applyInArrow(exact, _PROPOSED)
+    empty = nodes.select("block", "node", F.array().cast("array<long>").alias("near"), F.array().cast("array<float>").alias("score"), F.array().cast("array<boolean>").alias("fresh"))
+    return joined_back(empty, found, 0)
 
 
-def descend(nodes: DataFrame, graph: DataFrame, blocks: int) -> DataFrame:
+def members(graph: DataFrame, turn: int) -> DataFrame:
+    """centre, member, fresh: both ends of the edges that the nodes hand on."""
+    side = lambda c, new: graph.select("node", F.explode(c).alias("near"), F.lit(new).alias("fresh"))
+    edges = side("new", True).union(side("old", False))
+    drawn = Window.partitionBy("near", "fresh").orderBy(F.xxhash64("node", "near", F.lit(turn)), "node")
+    turned = edges.withColumn("k", F.row_number().over(drawn)).filter(F.col("k") <= SAMPLE)
+    return edges.select(F.col("node").alias("centre"), F.col("near").alias("member"), "fresh").union(turned.select(F.col("near").alias("centre"), F.col("node").alias("member"), "fresh"))
+
+
+def descend(nodes: DataFrame, graph: DataFrame, count: int, turn: int) -> DataFrame:
     """One round: the graph after neighbours of neighbours have met, with ``changed`` new edges per node."""
-    edges = graph.select("node", F.explode(F.arrays_zip("near", "score", "fresh")).alias("e")).select("node", F.col("e.near").alias("near"), F.col("e.score").alias("score"), F.col("e.fresh").alias("fresh"))
-    turned = edges.withColumn("k", F.row_number().over(Window.partitionBy("near").orderBy(F.desc("score"), "node"))).filter(F.col("k") <= DEGREE)
-    # member: whose vector goes to the block of the centre.
-    meet = edges.select(F.col("near").alias("member"), F.col("node").alias("centre"), "fresh").union(turned.select(F.col("node").alias("member"), F.col("near").alias("centre"), "fresh"))
-    meet = meet.groupBy("member", block_of(F.col("centre"), blocks).alias("block")).agg(F.collect_list("centre").alias("centres"), F.collect_list("fresh").alias("flags"))
-    worst = graph.select(F.col("node").alias("w_node"), F.when(F.size("score") < DEGREE, F.lit(float("-inf"))).otherwise(F.array_min("score")).cast("float").alias("worst"))
-    lookup = nodes.select("node", "short", F.col("block").alias("home")).join(worst, F.col("node") == F.col("w_node"), "left").select("node", "short", "home", "worst")
-    sent = meet.join(lookup, F.col("member") == F.col("node")).select("block", "member", "short", "home", "worst", "centres", "flags")
+    meets = max(1, -(-count // MEET))
+    # A list per centre: 4 * SAMPLE members at most.
+    moving = members(graph, turn).groupBy("centre").agg(F.collect_list(F.struct("member", "fresh")).alias("m")).filter(F.exists("m", lambda x: x["fresh"]))
+    meet = moving.select("centre", F.explode("m").alias("x")).select("centre", "x.member", "x.fresh")
+    meet = meet.groupBy("member", block_of(F.col("centre"), meets, 1).alias("at")).agg(F.collect_list("centre").alias("centres"), F.collect_list("fresh").alias("flags"))
+    lookup = nodes.select("node", "short", F.col("block").alias("home")).join(graph.select(F.col("node").alias("w_node"), "worst"), F.col("node") == F.col("w_node")).select("node", "short", "home", "worst")
+    sent = meet.join(lookup, F.col("member") == F.col("node")).select("at", "member", "short", "home", "worst", "centres", "flags")
 
     def compare(table):
         ids, home, x = table.column("member").to_numpy(), table.column("home").to_numpy(), _matrix(table.column("short"), np.float16)
-        worst = np.nan_to_num(table.column("worst").to_numpy(zero_copy_only=False).astype(np.float32), nan=-np.inf, neginf=-np.inf)
+        worst = table.column("worst").to_numpy(zero_copy_only=False)
         centres, offsets = _lists(table.column("centres"))
         flags, _ = _lists(table.column("flags"))
         row = np.repeat(np.arange(len(ids)), np.diff(offsets))
         order = np.lexsort((row, centres))
         c, r, f = centres[order], row[order], flags[order].astype(bool)
         bounds = np.r_[0, np.flatnonzero(c[1:] != c[:-1]) + 1, len(c)]
-        own, other, score = [], [], []
+        own, other, score = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.float32)]
         for a, b in zip(bounds[:-1], bounds[1:], strict=True):
-            if b - a < 2 or not f[a:b].any():
-                continue
             # A member told by an edge and by a reversed one stands once; it is new if either is.
             m, at = np.unique(r[a:b], return_inverse=True)
             if len(m) < 2:
@@ -140,57 +187,72 @@ def descend(nodes: DataFrame, graph: DataFrame, blocks: int) -> DataFrame:
             s = x[m] @ x[m].T
             s[~(new[:, None] | new[None, :])] = -np.inf
             np.fill_diagonal(s, -np.inf)
-            k = min(DEGREE, len(m) - 1)
-            top = np.argpartition(-s, k - 1, 1)[:, :k]
-            v = np.take_along_axis(s, top, 1)
-            good = v > worst[m][:, None]
-            own.append(np.repeat(m, k).reshape(-1, k)[good])
-            other.append(m[top][good])
-            score.append(v[good])
-        if not own:
-            return _proposals(*[np.zeros(0, t) for t in (np.int32, np.int64, np.int64, np.float32)])
+            i, j = np.nonzero(s > worst[m][:, None])
+            own.append(m[i])
+            other.append(m[j])
+            score.append(s[i, j])
         own, other, score = np.concatenate(own), ids[np.concatenate(other)], np.concatenate(score)
         at = _best(own, other, score, DEGREE)
         return _proposals(home[own[at]], ids[own[at]], other[at], score[at])
 
-    return joined_back(graph.select("block", "node", "near", "score"), sent.groupBy("block").applyInArrow(compare, _PROPOSED))
+    return joined_back(graph.select("block", "node", "near", "score", "fresh"), sent.groupBy("at").applyInArrow(compare, _PROPOSED), turn)
+
 
+_GRAPH = "block int, node long, near array<long>, score array<float>, fresh array<boolean>, new array<long>, old array<long>, worst float, changed int"
 
-def joined_back(graph: DataFrame, found: DataFrame) -> DataFrame:
-    """The graph with the proposals ``found``: the best DEGREE of old and new edges of each node; new ones are fresh."""
 
-    def merge(old, new):
+def joined_back(graph: DataFrame, found: DataFrame, turn: int) -> DataFrame:
+    """The graph with the proposals ``found``: the best DEGREE of old and new edges of each node, with those that it hands on next
+    (``new``, which count as old from then on, and ``old``), its worst score and how many edges changed."""
+
+    def merge(table, proposed):
         import pyarrow as pa
 
-        kinds = pa.schema([("block", pa.int32()), ("node", pa.int64()), ("near", pa.list_(pa.int64())), ("score", pa.list_(pa.float32())), ("fresh", pa.list_(pa.bool_())), ("changed", pa.int32())])
-        if not old.num_rows:
-            return kinds.empty_table()
-        nodes = old.column("node").to_numpy()
-        by = np.argsort(nodes)
-        near, ends = _lists(old.column("near"))
-        score = _lists(old.column("score"))[0]
-        us, nears, scores = (_lists(new.column(c))[0] for c in ("us", "nears", "scores"))
-        own = np.r_[np.repeat(np.arange(len(nodes)), np.diff(ends)), by[np.searchsorted(nodes[by], us)] if len(us) else np.zeros(0, int)]
-        other, value, fresh = np.r_[near, nears].astype(np.int64), np.r_[score, scores].astype(np.float32), np.r_[np.zeros(len(near), bool), np.ones(len(us), bool)]
-        order = np.lexsort((fresh, other, own))  # a known edge comes before the same one proposed
+        names = ("block", "node", "near", "score", "fresh", "new", "old", "worst", "changed")
+        nodes = table.column("node").to_numpy() if table.num_rows else np.zeros(0, np.int64)
+        n, by = len(nodes), np.argsort(nodes)
+        near, ends = _lists(table.column("near"))
+        score, fresh = _lists(table.column("score"))[0], _lists(table.column("fresh"))[0].astype(bool)
+        us, nears, scores = (_lists(proposed.column(c))[0] for c in ("us", "nears", "scores"))
+        own = np.r_[np.repeat(np.arange(n), np.diff(ends)), by[np.searchsorted(nodes[by], us)] if len(us) else np.zeros(0, int)]
+        other, value, came = np.r_[near, nears].astype(np.int64), np.r_[score, scores].astype(np.float32), np.r_[np.zeros(len(near), bool), np.ones(len(us), bool)]
+        fresh = np.r_[fresh, np.ones(len(us), bool)]
+        order = np.lexsort((came, other, own))  # a known edge comes before the same one proposed
         order = order[np.r_[True, (own[order][1:] != own[order][:-1]) | (other[order][1:] != other[order][:-1])]] if len(order) else order
-        own, other, value, fresh = own[order], other[order], value[order], fresh[order]
+        own, other, value, fresh, came = (v[order] for v in (own, other, value, fresh, came))
         at = _best(own, other, value, DEGREE)
-        own, other, value, fresh = own[at], other[at], value[at], fresh[at]
-        ends = np.r_[0, np.cumsum(np.bincount(own, minlength=len(nodes)))].astype(np.int32)
-        lists = [pa.ListArray.from_arrays(ends, pa.array(x, t)) for x, t in ((other, pa.int64()), (value, pa.float32()), (fresh, pa.bool_()))]
-        return pa.table([old.column("block"), old.column("node"), *lists, pa.array(np.bincount(own, fresh, len(nodes)).astype(np.int32))], schema=kinds)
-
-    schema = "block int, node long, near array<long>, score array<float>, fresh array<boolean>, changed int"
-    return graph.groupBy("block").cogroup(found.groupBy("home")).applyInArrow(merge, schema)
-
-
-def build(nodes: DataFrame, blocks: int, count: int) -> DataFrame:
+        own, other, value, fresh, came = (v[at] for v in (own, other, value, fresh, came))
+
+        def first(chosen, key):
+            """Of the chosen edges the SAMPLE first of each node by key."""
+            e = np.flatnonzero(chosen)
+            e = e[np.lexsort((key[e], own[e]))]
+            heads = np.r_[0, np.flatnonzero(np.diff(own[e])) + 1] if len(e) else np.zeros(0, int)
+            return e[np.arange(len(e)) - np.repeat(heads, np.diff(np.r_[heads, len(e)])) < SAMPLE]
+
+        new = first(fresh, np.arange(len(own)))
+        mixed = (nodes[own] * 31 + other + turn).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) if len(own) else np.zeros(0, np.uint64)
+        old = first(~fresh, mixed ^ (mixed >> np.uint64(29)))
+        fresh[new] = False
+        size = np.bincount(own, minlength=n)
+        worst = np.full(n, -np.inf, np.float32)
+        np.minimum.at(low := np.full(n, np.inf, np.float32), own, value)
+        worst[size >= DEGREE] = low[size >= DEGREE]
+        column = lambda e, x, kind: pa.ListArray.from_arrays(np.r_[0, np.cumsum(np.bincount(own[e], minlength=n))].astype(np.int32), pa.array(x[e], kind))
+        every = np.arange(len(own))
+        lists = [column(every, other, pa.int64()), column(every, value, pa.float32()), column(every, fresh, pa.bool_()), column(new, other, pa.int64()), column(old, other, pa.int64())]
+        block = table.column("block") if n else pa.array([], pa.int32())
+        return pa.table([block, pa.array(nodes, pa.int64()), *lists, pa.array(worst), pa.array(np.bincount(own, came, n).astype(np.int32))], names=names)
+
+    return graph.groupBy("block").cogroup(found.groupBy("home")).applyInArrow(merge, _GRAPH)
+
+
+def build(nodes: DataFrame, count: int) -> DataFrame:
     """node and adjacent (its neighbours and the best of those it is a neighbour of)."""
-    graph = stash(start_graph(nodes, blocks), "graph")
-    moving = blocks > 1
+    graph, turn, moving = stash(start_graph(nodes, count), "graph"), 0, True
     while moving:
-        graph = stash(descend(nodes, graph, blocks), "graph")
+        turn += 1
+        graph = stash(descend(nodes, graph, count, turn), "graph")
         moving = (graph.agg(F.sum("changed")).first()[0] or 0) > SETTLED * DEGREE * count
     edges = graph.select("node", F.explode(F.arrays_zip("near", "score")).alias("e")).select("node", F.col("e.near").alias("near"), F.col("e.score").alias("score"))
     turned = edges.withColumn("k", F.row_number().over(Window.partitionBy("near").orderBy(F.desc("score"), "node"))).filter(F.col("k") <= 2 * DEGREE)
@@ -198,8 +260,8 @@ def build(nodes: DataFrame, blocks: int, count: int) -> DataFrame:
     return stash(both.groupBy("node").agg(F.collect_set("near").alias("adjacent")), "adjacency")
 
 
-def search(nodes: DataFrame, adjacency: DataFrame, queries: DataFrame, blocks: int, top: int) -> DataFrame:
-    """q, node, score: the best nodes found for ``queries`` (q, vector, start: array of nodes), at least ``top`` where there are."""
+def search(nodes: DataFrame, adjacency: DataFrame, queries: DataFrame, blocks: int, top: int, most: int) -> DataFrame:
+    """q, node, score: the best nodes found for ``queries`` (q, vector, start: array of nodes), at least ``top`` where there are; pools hold ``most``."""
     stored = nodes.select("block", "node", "exact")
 
     def score_in_block(asked, table):
@@ -226,7 +288,7 @@ def search(nodes: DataFrame, adjacency: DataFrame, queries: DataFrame, blocks: i
     def scored(asked: DataFrame) -> DataFrame:
         """asked: q, node -> q with lists of nodes and scores, those below the pool's worst left out."""
         by = asked.groupBy("q", block_of(F.col("node"), blocks).alias("block")).agg(F.collect_list("node").alias("wanted"))
-        by = by.join(pool.select(F.col("q").alias("p_q"), "vector", F.when(F.size("scores") < POOL, F.lit(float("-inf"))).otherwise(F.array_min("scores")).alias("worst")), F.col("q") == F.col("p_q")).select("block", "q", "vector", "worst", "wanted")
+        by = by.join(pool.select(F.col("q").alias("p_q"), "vector", F.when(F.size("scores") < most, F.lit(float("-inf"))).otherwise(F.array_min("scores")).alias("worst")), F.col("q") == F.col("p_q")).select("block", "q", "vector", "worst", "wanted")
         found = by.groupBy("block").cogroup(stored.groupBy("block")).applyInArrow(score_in_block, "q long, ids array<long>, scores array<double>")
         return found.groupBy(F.col("q").alias("f_q")).agg(F.flatten(F.collect_list("ids")).alias("more"), F.flatten(F.collect_list("scores")).alias("more_scores"))
 
@@ -243,7 +305,7 @@ def search(nodes: DataFrame, adjacency: DataFrame, queries: DataFrame, blocks: i
                 i1, s1, d1 = i1[order], s1[order], d1[order]
                 keep = np.r_[True, i1[1:] != i1[:-1]] if len(i1) else np.zeros(0, bool)
                 i1, s1, d1 = i1[keep], s1[keep], d1[keep]
-                best = np.lexsort((i1, -s1))[:POOL]
+                best = np.lexsort((i1, -s1))[:most]
                 i1, s1, d1 = i1[best], s1[best], d1[best]
                 ids.append(i1)
                 scores.append(s1)
@@ -272,10 +334,10 @@ def search(nodes: DataFrame, adjacency: DataFrame, queries: DataFrame, blocks: i
 
 def neighbours(table: DataFrame, every: int = 20, top: int = 20) -> DataFrame:
     """query_id, rank, vec_id, score: the ``top`` nearest other rows found for each row whose vec_id is divisible by ``every``."""
-    rows = stash(usable(table), "vectors")
-    groups = rows.groupBy("vector").agg(F.min("vec_id").alias("least"), F.count("*").alias("copies"))
-    sized = stash(groups.withColumn("node", F.xxhash64("vector")).withColumn("norm2", F.aggregate("vector", F.lit(0.0), lambda a, x: a + x * x)), "nodes")
-    stats = sized.agg(F.count("*").alias("n"), F.max("norm2").alias("m")).first()
+    rows = stash(usable(table).distinct(), "vectors")
+    groups = stash(rows.select("vector").distinct().withColumn("norm2", F.aggregate("vector", F.lit(0.0), lambda a, x: a + x * x)), "groups")
+    numbered = stash(groups.withColumn("node", F.monotonically_increasing_id()), "numbered")
+    stats = numbered.agg(F.count("*").alias("n"), F.max("norm2").alias("m")).first()
     count, longest = stats["n"], stats["m"] or 0.0
     blocks = max(1, -(-count // BLOCK))
 
@@ -288,14 +350,15 @@ def neighbours(table: DataFrame, every: int = 20, top: int = 20) -> DataFrame:
             short = (np.c_[v, rest] / max(np.sqrt(longest), 1e-300)).astype(np.float16)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x.tobytes() for x in short]), pa.array([x.tobytes() for x in v])], names=["node", "short", "exact"])
 
-    packed = sized.select("node", "vector", "norm2").mapInArrow(pack, "node long, short binary, exact binary")
+    packed = numbered.select("node", "vector", "norm2").mapInArrow(pack, "node long, short binary, exact binary")
     nodes = stash(packed.withColumn("block", block_of(F.col("node"), blocks)), "blocks")
-    adjacency = build(nodes, blocks, count)
-    asking = stash(rows.filter(F.col("vec_id") % every == 0).select("vec_id", F.xxhash64("vector").alias("node")).distinct(), "asking")
+    adjacency = build(nodes, count)
+    owners = stash(rows.join(numbered.select("node", "vector"), "vector").select("vec_id", "node"), "owners")
+    asking = owners.filter(F.col("vec_id") % every == 0)
     queries = asking.select("node").distinct().join(nodes.select("node", "exact"), "node").select(F.col("node").alias("q"), F.col("exact").alias("vector"), F.array("node").alias("start"))
-    found = stash(search(nodes, adjacency, stash(queries, "queries"), blocks, top + 1), "found")
+    found = stash(search(nodes, adjacency, stash(queries, "queries"), blocks, top + 1, max(pool_for(count), top + 1)), "found")
     # A node stands for its copies; the first top + 1 of them by id are enough.
-    first = rows.select("vec_id", F.xxhash64("vector").alias("node")).withColumn("k", F.row_number().over(Window.partitionBy("node").orderBy("vec_id"))).filter(F.col("k") <= top + 1).drop("k")
+    first = owners.withColumn("k", F.row_number().over(Window.partitionBy("node").orderBy("vec_id"))).filter(F.col("k") <= top + 1).drop("k")
     hits = asking.select(F.col("vec_id").alias("query_id"), F.col("node").alias("q")).join(found, "q").join(first, "node").filter("vec_id != query_id").select("query_id", "vec_id", "score").distinct()
     ranked = hits.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))).filter(F.col("rank") <= top)
     return ranked.select("query_id", "rank", "vec_id", "score")
