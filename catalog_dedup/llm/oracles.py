@@ -1,6 +1,6 @@
 """DuckDB SQL of the queries that SQL can express."""
 
-from .quality_rules import FENCE, LEAST_GROUP, MEASURES
+from .quality_rules import FENCE, LEAST_GROUP, LEAST_SPREAD, MEASURES, PART
 
 _WORD = r"[^\x20\x09-\x0D]+"
 
@@ -35,8 +35,7 @@ measured AS (SELECT *, n_words < 20 OR 100 * n_repeat_words > 30 * n_words AS ba
 def verdict_sql(docs: str) -> str:
     """CTEs up to ``judged``: ``measured`` with ``kept``."""
     each = " UNION ALL ".join(f"SELECT lang, source, '{m}' AS measure, m_{m} AS v FROM measured WHERE NOT base_failed" for m in MEASURES)
-    least = " ".join(f"WHEN '{m}' THEN {x}" for m, x in MEASURES.items())
-    fence = f"q3 + {FENCE} * greatest(q3 - q1, CASE measure {least} END)"
+    fence = f"q3 + {FENCE} * greatest(q3 - q1, q2 // {PART}, {LEAST_SPREAD})"
 
     def level(name: str, by: str) -> str:
         comma = by + "," if by else ""
@@ -44,7 +43,7 @@ def verdict_sql(docs: str) -> str:
         return f"""
 {name}_b AS (SELECT {comma} measure, bucket, sum(n) AS n FROM sketch GROUP BY {comma} measure, bucket),
 {name}_c AS (SELECT *, sum(n) OVER ({part}) AS total, sum(n) OVER ({part} ORDER BY bucket) AS below FROM {name}_b),
-{name}_q AS (SELECT {comma} measure, max(total) AS total, min(bucket) FILTER (below * 4 >= total) AS q1, min(bucket) FILTER (below * 4 >= total * 3) AS q3 FROM {name}_c GROUP BY {comma} measure),
+{name}_q AS (SELECT {comma} measure, max(total) AS total, min(bucket) FILTER (below * 4 >= total) AS q1, min(bucket) FILTER (below * 4 >= total * 2) AS q2, min(bucket) FILTER (below * 4 >= total * 3) AS q3 FROM {name}_c GROUP BY {comma} measure),
 {name}_f AS (SELECT {comma} measure, total, {fence} AS fence FROM {name}_q)"""
 
     within = " AND ".join(f"coalesce(m_{m} <= (SELECT max(fence) FROM limits f WHERE f.measure = '{m}' AND f.lang IS NOT DISTINCT FROM d.lang AND f.source IS NOT DISTINCT FROM d.source), true)" for m in MEASURES)

@@ -4,11 +4,13 @@ Every document gets integer measures (per mille). A mergeable quantile sketch of
 source: counts of log-linear buckets (exact below 128, 64 buckets a power of two above, so a quantile is off by under
 1/64). Bucket counts add up, so sketches of sources merge into that of their language and of the corpus; and they are
 integers, so reruns and other engines agree. A document is rejected if a measure lies beyond the outer fence of its own
-group: the upper quartile plus ``FENCE`` interquartile ranges (at least the measure's least spread). Groups of under
-``LEAST_GROUP`` documents use the sketch of their language, languages as small that of the corpus.
+group: the upper quartile plus ``FENCE`` spreads. The spread is the interquartile range, and at least a tenth of the median
+and a tenth of a word (100 per mille; what a measure that is zero for most documents goes by): one rule for all measures.
+Groups of under ``LEAST_GROUP`` documents use the sketch of their language, languages as small that of the corpus.
 
 Only DataFrame functions run. Null texts count as empty. Null languages and sources are groups of their own. Repeated
-rows are judged one by one. Input columns named like a result column are replaced. An empty table gives no rows.
+rows are judged one by one. Input columns named like a result column, in any case, are replaced; all other names are free. An
+empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -18,22 +20,23 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from .common import SPACE, small, stash, words
+from .common import carried, others, small, stash, unpacked, words
 
 WINDOW = 8
 FENCE = 3
 LEAST_GROUP = 50
-#: Measure -> least spread in per mille: a fence never lies closer to the quartile than FENCE times this.
-MEASURES = {"symbols": 50, "repeats": 90, "capitals": 90, "marks": 90, "dup_lines": 170, "stutters": 90, "word_length": 500}
+#: Least spread: 1 in so many of the median, and per mille.
+PART, LEAST_SPREAD = 10, 100
+MEASURES = ("symbols", "repeats", "capitals", "marks", "dup_lines", "stutters", "word_length")
 BASE = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 
 
 def document_measures(docs: DataFrame, keep: list[str]) -> DataFrame:
-    """``keep`` columns of ``docs`` with the base counts and, as ``m_<name>``, the measures in per mille."""
+    """``row`` (the ``keep`` columns of ``docs``), lang and source with the base counts and, as ``m_<name>``, the measures in per mille."""
     t = F.coalesce(F.col("text"), F.lit(""))
     zero = F.lit(0).cast("long")
     lines = F.filter(F.split(t, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
-    step = docs.select(*[F.col(f"`{c}`") for c in dict.fromkeys([*keep, "lang", "source", "text"])]).withColumns({"_words": words(F.col("text")), "_lines": lines})
+    step = docs.select(carried(keep).alias("row"), "lang", "source", "text").withColumns({"_words": words(F.col("text")), "_lines": lines})
     step = step.withColumns({
         "n_words": F.size("_words").cast("long"),
         "word_chars": F.aggregate("_words", zero, lambda a, w: a + F.length(w)),
@@ -43,7 +46,7 @@ def document_measures(docs: DataFrame, keep: list[str]) -> DataFrame:
         "_capitals": F.length(F.regexp_replace(t, r"[^\p{Lu}]+", "")).cast("long"),
         "_marks": F.length(F.regexp_replace(t, "[^!?]+", "")).cast("long"),
         "_hash": F.transform("_words", lambda w: F.xxhash64(w)),
-    }).drop("_words", "_lines", "text" if "text" not in keep else "_words")
+    }).drop("_words", "_lines", "text")
     step = step.withColumn("_stutters", F.size(F.filter("_hash", lambda h, i: F.coalesce(F.get("_hash", i - 1) == h, F.lit(False)))).cast("long"))
     none = F.array().cast("array<bigint>")
     runs = F.when(F.size("_hash") < WINDOW, none).otherwise(F.transform(F.sequence(F.lit(0), F.size("_hash") - WINDOW), lambda i: F.xxhash64(*[F.get("_hash", i + k) for k in range(WINDOW)])))
@@ -80,9 +83,8 @@ def fences(sketch: DataFrame, by: list[str]) -> DataFrame:
     merged = sketch.groupBy(*by, "measure", "bucket").agg(F.sum("n").alias("n"))
     w = Window.partitionBy(*by, "measure")
     q = merged.withColumns({"total": F.sum("n").over(w), "below": F.sum("n").over(w.orderBy("bucket").rowsBetween(Window.unboundedPreceding, 0))})
-    q = q.groupBy(*by, "measure").agg(F.first("total").alias("total"), *[F.min(F.when(F.col("below") * 4 >= F.col("total") * k, F.col("bucket"))).alias(f"q{k}") for k in (1, 3)])
-    least = F.create_map(*[F.lit(x) for pair in MEASURES.items() for x in pair])[F.col("measure")]
-    fence = F.col("q3") + FENCE * F.greatest(F.col("q3") - F.col("q1"), least)
+    q = q.groupBy(*by, "measure").agg(F.first("total").alias("total"), *[F.min(F.when(F.col("below") * 4 >= F.col("total") * k, F.col("bucket"))).alias(f"q{k}") for k in (1, 2, 3)])
+    fence = F.col("q3") + FENCE * F.greatest(F.col("q3") - F.col("q1"), F.expr(f"q2 DIV {PART}"), F.lit(LEAST_SPREAD))
     return q.groupBy(*by).agg(F.max("total").alias("total"), *[F.max(F.when(F.col("measure") == m, fence)).alias(f"f_{m}") for m in MEASURES])
 
 
@@ -102,7 +104,7 @@ def base_failed() -> Column:
 
 def apply_rules(docs: DataFrame, keep: list[str]) -> DataFrame:
     """``keep`` columns of ``docs`` (text, lang and source must be there), the base counts, ``base_failed`` and ``kept``."""
-    keep = [c for c in keep if c not in (*BASE, "base_failed", "kept")]
+    keep = others(keep, [*BASE, "base_failed", "kept"])
     measured = stash(document_measures(docs, keep), "measures")
     limits = small(stash(thresholds(sketches(measured)), "thresholds"))
     out = measured.join(limits, F.col("lang").eqNullSafe(F.col("t_lang")) & F.col("source").eqNullSafe(F.col("t_source")), "left")
@@ -110,4 +112,4 @@ def apply_rules(docs: DataFrame, keep: list[str]) -> DataFrame:
     for m in MEASURES:
         within &= F.coalesce(F.col(f"m_{m}") <= F.col(f"f_{m}"), F.lit(True))
     failed = base_failed()
-    return out.select(*[F.col(f"`{c}`") for c in keep], *BASE, failed.alias("base_failed"), (~failed & within).alias("kept"))
+    return out.select(*unpacked("row", keep), *BASE, failed.alias("base_failed"), (~failed & within).alias("kept"))
