@@ -37,12 +37,22 @@ def hashed_features(df: DataFrame, key: str, text: str, limit: int = FIRST, widt
 
 
 def dense_features(df: DataFrame, key: str, text: str, limit: int = FIRST, width: int = WIDTH) -> DataFrame:
-    """The same as one array<int> a row, without a shuffle: token contributions are added by a fold over the dimensions."""
-    hashes = F.transform(first_tokens(F.col(text), limit), token_hash)
-    entries = F.transform(hashes, lambda h: F.struct((h % width).alias("d"), F.when(F.shiftright(h, 16) % 2 == 1, -1).otherwise(1).alias("v")))
-    # Binding the entries by a one-element array computes them once and not once a dimension.
-    spread = lambda es: F.transform(F.sequence(F.lit(0), F.lit(width - 1)), lambda d: F.aggregate(F.filter(es, lambda e: e["d"] == d), F.lit(0), lambda a, e: a + e["v"]))
-    return df.withColumn("vec", F.transform(F.array(entries), spread)[0])
+    """The same as one array<int> a row, without a shuffle: hashes are made in the JVM and counted a batch at a time. A text that is
+    null or has no token gives zeros."""
+
+    @F.arrow_udf("array<int>")
+    def counted(hashes):
+        import numpy as np
+        import pyarrow as pa
+        import pyarrow.compute as pc
+
+        sizes = pc.fill_null(pc.list_value_length(hashes), 0).to_numpy()
+        h = hashes.flatten().to_numpy(zero_copy_only=False).astype(np.int64)
+        at = np.repeat(np.arange(len(sizes)), sizes) * width + h % width
+        out = np.bincount(at, 1 - 2 * (h >> 16 & 1), len(sizes) * width).astype(np.int32)
+        return pa.ListArray.from_arrays(pa.array(np.arange(0, len(out) + 1, width), pa.int32()), pa.array(out))
+
+    return df.withColumn("vec", counted(F.transform(first_tokens(F.col(text), limit), token_hash)))
 
 
 def budget_coverage(df: DataFrame, text: str, limits: tuple[int, ...] = (8, 16, 32, 64)) -> DataFrame:

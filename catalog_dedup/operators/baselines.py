@@ -7,46 +7,96 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions import text as tx
+from ..sources.formats import written
+from .flat import ranked
 
 BANDS, ROWS = 8, 2
-#: A band or keyword that more listings share than this yields no pairs; what is dropped is reported by ``dropped_blocks``.
-BLOCK_CAP = 50
+#: Permutations of token hashes (32 bits): h -> (h * factor + shift) modulo PRIME, products below 2^63.
+PRIME = 4_294_967_311
 K1, B = 1.2, 0.75
+GRID = 4096
 
 
-def _pairs(blocks: DataFrame, key: str, cap: int = BLOCK_CAP) -> DataFrame:
-    """a < b that share a block of at most ``cap`` members."""
-    sized = blocks.groupBy(key).agg(F.count("*").alias("n")).filter(F.col("n").between(2, cap)).select(key)
-    b = blocks.join(sized, key)
-    return b.select(key, F.col("id").alias("a")).join(b.select(key, F.col("id").alias("b")), key).filter("a < b").select("a", "b").distinct()
+def permutation(k: int) -> tuple[int, int]:
+    """Factor and shift of the k-th permutation, by rule."""
+    return 500_000_003 + 7_919_317 * k, 1_000_003 * (k + 1)
 
 
-def dropped_blocks(blocks: DataFrame, key: str, cap: int = BLOCK_CAP) -> DataFrame:
-    return blocks.groupBy(key).agg(F.count("*").alias("n")).filter(F.col("n") > cap)
+def blocks(keyed: DataFrame) -> DataFrame:
+    """k, rep, id of every member of each block (k, id) of two or more, with the block's smallest member as ``rep``: as many rows as
+    members, however large a block. Two ids are candidates of each other if and only if they share a block."""
+    sized = keyed.groupBy("k").agg(F.count("*").alias("n"), F.min("id").alias("rep")).filter("n > 1").select("k", "rep")
+    return keyed.join(sized, "k").select("k", "rep", "id")
+
+
+def links(keyed: DataFrame) -> DataFrame:
+    """a, b: each member of a block linked to the smallest one. For keys that say all (equal key, same class) no link is lost."""
+    return blocks(keyed).filter("rep != id").select(F.col("rep").alias("a"), F.col("id").alias("b"))
 
 
 def keyword_exact(df: DataFrame, key: str, text: str) -> DataFrame:
-    """Pairs with equal normalised titles."""
-    return _pairs(df.select(F.col(key).alias("id"), tx.normalise(F.col(text)).alias("k")).filter("k != ''"), "k")
+    """Classes of equal normalised titles, as links to the smallest member."""
+    return links(df.select(F.col(key).alias("id"), tx.normalise(F.col(text)).alias("k")).filter("k != ''"))
+
+
+def token_set(text: Column) -> Column:
+    return F.array_join(F.array_sort(F.array_distinct(tx.tokens(text))), " ")
 
 
 def keyword_all_tokens(df: DataFrame, key: str, text: str) -> DataFrame:
-    """Pairs with equal sets of tokens."""
-    k = F.array_join(F.array_sort(F.array_distinct(tx.tokens(F.col(text)))), " ")
-    return _pairs(df.select(F.col(key).alias("id"), k.alias("k")).filter("k != ''"), "k")
+    """Classes of equal sets of tokens, as links to the smallest member."""
+    return links(df.select(F.col(key).alias("id"), token_set(F.col(text)).alias("k")).filter("k != ''"))
 
 
-def keyword_bm25(df: DataFrame, key: str, text: str, top: int, cap: int) -> DataFrame:
-    """q, c, score, rank by BM25 with integer term weights; tokens in more than ``cap`` texts are left out."""
-    t = df.select(F.col(key).alias("id"), F.explode(tx.first_tokens(F.col(text))).alias("tok")).groupBy("id", "tok").agg(F.count("*").alias("tf"))
+def term_weights(df: DataFrame, key: str, text: str) -> DataFrame:
+    """id, tok, w: BM25 weights of whole texts as integers, no token left out."""
+    t = df.select(F.col(key).alias("id"), F.explode(tx.tokens(F.col(text))).alias("tok")).groupBy("id", "tok").agg(F.count("*").alias("tf"))
     stats = t.groupBy("id").agg(F.sum("tf").alias("len"))
     whole = stats.agg(F.count("*").alias("n"), (F.sum("len") / F.count("*")).alias("mean"))  # one row
-    freq = t.groupBy("tok").agg(F.count("*").alias("df")).filter(F.col("df") <= cap).join(F.broadcast(whole), F.lit(True))
+    freq = t.groupBy("tok").agg(F.count("*").alias("df")).join(F.broadcast(whole), F.lit(True))
     idf = freq.select("tok", "mean", F.floor(1000 * F.log(1 + (F.col("n") - F.col("df") + 0.5) / (F.col("df") + 0.5))).alias("idf"))
-    w = t.join(idf, "tok").join(stats, "id")
     weight = F.floor(F.col("idf") * F.col("tf") * (K1 + 1) / (F.col("tf") + K1 * (1 - B + B * F.col("len") / F.col("mean"))))
-    scored = w.select("tok", F.col("id").alias("c"), weight.alias("w")).join(w.select("tok", F.col("id").alias("q")), "tok").filter("q != c").groupBy("q", "c").agg(F.sum("w").alias("score"))
-    return scored.withColumn("rank", F.row_number().over(Window.partitionBy("q").orderBy(F.desc("score"), "c"))).filter(F.col("rank") <= top)
+    return t.join(idf, "tok").join(stats, "id").select("id", "tok", weight.alias("w"))
+
+
+def keyword_bm25(df: DataFrame, key: str, text: str, top: int, every: int = 20) -> DataFrame:
+    """q, c, score, rank by BM25 with integer term weights, for the rows whose id is divisible by ``every`` against all others.
+
+    Blocks of queries meet blocks of texts; a task scores a block's texts from its postings, so a token that every text holds costs no
+    more than its postings in each pair of blocks and no row is shuffled for it."""
+    terms = term_weights(df, key, text).groupBy("id").agg(F.collect_list(F.struct(F.xxhash64("tok").alias("h"), "w")).alias("x")).select("id", F.col("x.h").alias("h"), F.col("x.w").alias("w"))
+    terms = written(terms)
+    asked = terms.filter(F.col("id") % every == 0)
+    nq, nt = (max(1, -(-x.count() // GRID)) for x in (asked, terms))
+    side = lambda x, own, n, other, m: x.select(F.pmod(F.xxhash64("id"), F.lit(n)).cast("int").alias(own), F.explode(F.sequence(F.lit(0), F.lit(m - 1))).alias(other), "id", "h", "w")
+
+    def score(a, b):
+        import numpy as np
+        import pyarrow as pa
+
+        kinds = pa.schema([("q", pa.int64()), ("c", pa.int64()), ("score", pa.int64())])
+        if not a.num_rows or not b.num_rows:
+            return kinds.empty_table()
+        flat = lambda t, c: t.column(c).combine_chunks().flatten().to_numpy(zero_copy_only=False)
+        ends = lambda t: np.r_[0, np.cumsum(t.column("h").combine_chunks().value_lengths().to_numpy(zero_copy_only=False))]
+        ids, h, w = b.column("id").to_numpy(), flat(b, "h"), flat(b, "w").astype(float)
+        order = np.argsort(h, kind="stable")
+        row, h, w = np.repeat(np.arange(len(ids)), np.diff(ends(b)))[order], h[order], w[order]
+        out, asked_h, at = [], flat(a, "h"), ends(a)
+        first, last = np.searchsorted(h, asked_h, "left"), np.searchsorted(h, asked_h, "right")
+        for k, q in enumerate(a.column("id").to_pylist()):
+            x, y = first[at[k] : at[k + 1]], last[at[k] : at[k + 1]]
+            size = y - x
+            where = np.repeat(x - np.cumsum(size) + size, size) + np.arange(size.sum())
+            s = np.bincount(row[where], w[where], len(ids))
+            s[(ids == q) | (np.bincount(row[where], minlength=len(ids)) == 0)] = -1
+            near = np.flatnonzero(s >= max(0, np.partition(s, len(s) - min(top, len(s)))[len(s) - min(top, len(s))]))
+            near = near[np.lexsort((ids[near], -s[near]))][:top]
+            out.append((np.full(len(near), q), ids[near], s[near].astype(np.int64)))
+        return pa.table([pa.array(np.concatenate(c), t.type) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], schema=kinds)
+
+    hits = side(asked, "bq", nq, "bt", nt).groupBy("bq", "bt").cogroup(side(terms, "bt", nt, "bq", nq).groupBy("bq", "bt")).applyInArrow(score, "q long, c long, score long")
+    return ranked(hits, top)
 
 
 def category_thresholds(pairs: DataFrame, leaf: str, score: str, truth: str) -> DataFrame:
@@ -65,21 +115,26 @@ def rule_verdict(size_a: Column, size_b: Column, price_a: Column, price_b: Colum
 
 
 def minhash_bands(df: DataFrame, key: str, text: str) -> DataFrame:
-    """id, band key: two minimum hashes of the token set in each of eight bands."""
-    toks = F.array_distinct(tx.first_tokens(F.col(text)))
-    least = lambda s: F.array_min(F.transform("_t", lambda t: tx.token_hash(F.concat(F.lit(f"{s}|"), t))))
-    rows = df.select(F.col(key).alias("id"), toks.alias("_t")).filter(F.size("_t") > 0)
-    keys = [F.concat_ws("|", F.lit(str(b)), *[least(b * ROWS + r).cast("string") for r in range(ROWS)]) for b in range(BANDS)]
-    return rows.select("id", F.explode(F.array(*keys)).alias("k"))
+    """id, k: two minimum hashes of the whole text's token set in each of eight bands. A token is hashed once; minima are taken in the
+    partial aggregate, so a row per text and task is shuffled."""
+    rows = df.select(F.col(key).alias("id"), F.explode(tx.tokens(F.col(text))).alias("tok")).select("id", tx.token_hash(F.col("tok")).alias("h"))
+    least = [F.min((F.col("h") * permutation(s)[0] + permutation(s)[1]) % PRIME).alias(f"m{s}") for s in range(BANDS * ROWS)]
+    mins = rows.groupBy("id").agg(*least)
+    keys = [F.concat_ws("|", F.lit(str(b)), *[F.col(f"m{b * ROWS + r}").cast("string") for r in range(ROWS)]) for b in range(BANDS)]
+    return mins.select("id", F.explode(F.array(*keys)).alias("k"))
 
 
 def lsh_candidates(df: DataFrame, key: str, text: str) -> DataFrame:
-    return _pairs(minhash_bands(df, key, text), "k")
-
-
-def black_box(listings: DataFrame) -> DataFrame:
-    """Pairs that the stand-in for an outside service calls a match: a shared band, equal brand, unit prices within 0.8 and 1.25."""
-    near = lsh_candidates(listings, "listing_id", "title")
-    side = lambda k: listings.select(F.col("listing_id").alias(k), F.col("p_brand").alias(f"brand_{k}"), F.col("price").alias(f"price_{k}"))
-    j = near.join(side("a"), "a").join(side("b"), "b")
-    return j.filter((F.col("brand_a") == F.col("brand_b")) & (F.col("price_a") * 0.8 <= F.col("price_b")) & (F.col("price_a") * 1.25 >= F.col("price_b"))).select("a", "b")
+    """Blocks of texts that share a band, with all members."""
+    return blocks(minhash_bands(df, key, text))
+
+
+def black_box(pairs: DataFrame, listings: DataFrame) -> DataFrame:
+    """``pairs`` (a, b) with ``flagged``: what the stand-in for an outside service calls a match. It sees a shared band, an equal
+    brand and unit prices within 0.8 and 1.25, and is asked about pairs, so no block is ever paired with itself."""
+    bands = minhash_bands(listings, "listing_id", "title").groupBy("id").agg(F.collect_list("k").alias("bands"))
+    known = listings.select("listing_id", "p_brand", "price").join(bands, F.col("listing_id") == F.col("id"), "left")
+    side = lambda k: known.select(F.col("listing_id").alias(k), F.col("p_brand").alias(f"brand_{k}"), F.col("price").alias(f"price_{k}"), F.col("bands").alias(f"bands_{k}"))
+    j = pairs.join(side("a"), "a").join(side("b"), "b")
+    same = (F.col("brand_a") == F.col("brand_b")) & (F.col("price_a") * 0.8 <= F.col("price_b")) & (F.col("price_a") * 1.25 >= F.col("price_b"))
+    return j.withColumn("flagged", F.coalesce(F.arrays_overlap("bands_a", "bands_b") & same, F.lit(False))).select(*pairs.columns, "flagged")

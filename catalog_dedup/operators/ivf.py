@@ -1,24 +1,25 @@
-"""Inverted lists over clusters, scanned exactly for the closest lists."""
+"""Inverted lists over clusters, stored once and scanned exactly for the closest lists."""
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.vectors import seed_order
+from ..sources.formats import scratch, written
 from .flat import matrix, ranked, top_block
 
 LIST_BLOCK = 4096
-#: Centroids up to which one level is held by every task (128-d doubles: 64 MB); build a second level beyond it.
+#: Centroids that every task holds, at most (128-d doubles: 64 MB). More vectors make longer lists, which are scanned in parts.
 MOST_LISTS = 65_536
 
 
 def seeds(vectors: DataFrame, lists: int) -> np.ndarray:
     """The vectors whose ids have the smallest md5, in that order: reruns and other engines agree."""
-    if lists > MOST_LISTS:
-        raise ValueError(f"{lists} lists in one level; at most {MOST_LISTS} centroids are sent to every task")
-    rows = vectors.orderBy(seed_order(F.col("id"))).limit(lists).select("vec").collect()
+    rows = vectors.orderBy(seed_order(F.col("id"))).limit(min(lists, MOST_LISTS)).select("vec").collect()
     return np.array([r[0] for r in rows], float)
 
 
@@ -67,24 +68,87 @@ def train(vectors: DataFrame, lists: int, steps: int = 3, sample: int = 256) ->
     return c
 
 
-def search(queries: DataFrame, vectors: DataFrame, centroids: np.ndarray, top: int, probes: int, others_only: bool = True) -> DataFrame:
-    """q, c, score, rank: lists are split into blocks of ``LIST_BLOCK`` by a salt, so that no task holds a whole large list."""
-    stored = assign(vectors, centroids)
-    sizes = stored.groupBy("list_id").agg(F.greatest(F.ceil(F.count("*") / LIST_BLOCK), F.lit(1)).cast("int").alias("parts"))
-    stored = stored.join(F.broadcast(sizes), "list_id").select("list_id", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int").alias("part"), "id", "vec")  # a row a list, at most MOST_LISTS
-    asked = assign(queries, centroids, probes).join(F.broadcast(sizes), "list_id").select("list_id", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), "id", "vec")
-
-    def scan(a, b):
-        import pyarrow as pa
-
-        kinds = pa.schema([("q", pa.int64()), ("c", pa.int64()), ("score", pa.float64())])
-        if not a.num_rows or not b.num_rows:
-            return kinds.empty_table()
-        found = top_block(a.column("id").to_numpy(), matrix(a.column("vec")), b.column("id").to_numpy(), matrix(b.column("vec")), top, "cosine", others_only, False)
-        return pa.table([pa.array(np.concatenate(x)) for x in zip(*found, strict=True)], schema=kinds)
-
-    hits = asked.groupBy("list_id", "part").cogroup(stored.groupBy("list_id", "part")).applyInArrow(scan, "q long, c long, score double")
-    return ranked(hits, top)
+@dataclass
+class Index:
+    """Vectors laid out by list: a table under ``path`` with list_id, part, id and vec, sorted by list, so that a scan of some lists
+    skips the files and row groups of all others. Lists above LIST_BLOCK are cut into parts by a salt. ``sizes`` has the vectors of
+    each list; centroids and sizes (MOST_LISTS at most) travel with the tasks."""
+
+    spark: SparkSession
+    path: str
+    centroids: np.ndarray
+    sizes: np.ndarray
+
+    @classmethod
+    def build(cls, vectors: DataFrame, centroids: np.ndarray, path: str | None = None) -> Index:
+        """Every vector is assigned once."""
+        spark, path = vectors.sparkSession, path or scratch(vectors.sparkSession)
+        member = written(assign(vectors, centroids).select("list_id", "id", "vec"))
+        sizes = np.zeros(len(centroids), np.int64)
+        for r in member.groupBy("list_id").count().collect():  # a row a list
+            sizes[r["list_id"]] = r["count"]
+        parts = F.element_at(F.array(*[F.lit(int(max(1, -(-n // LIST_BLOCK)))) for n in sizes]), F.col("list_id") + 1) if len(sizes) <= 4096 else None
+        if parts is None:
+            counted = spark.createDataFrame([(i, int(max(1, -(-n // LIST_BLOCK)))) for i, n in enumerate(sizes)], "list_id int, parts int")
+            member, parts = member.join(F.broadcast(counted), "list_id"), F.col("parts")
+        rows = member.select("list_id", F.pmod(F.xxhash64("id"), parts).cast("int").alias("part"), "id", "vec")
+        rows.repartitionByRange("list_id", "part").sortWithinPartitions("list_id", "part").write.parquet(f"{path}/lists")
+        numbered = [(i, [float(v) for v in c], int(n)) for i, (c, n) in enumerate(zip(centroids, sizes, strict=True))]
+        spark.createDataFrame(numbered, "list_id int, centroid array<double>, n long").coalesce(1).write.parquet(f"{path}/centroids")
+        return cls(spark, path, centroids, sizes)
+
+    @classmethod
+    def load(cls, spark: SparkSession, path: str) -> Index:
+        rows = spark.read.schema("list_id int, centroid array<double>, n long").parquet(f"{path}/centroids").orderBy("list_id").collect()
+        return cls(spark, path, np.array([r["centroid"] for r in rows], float), np.array([r["n"] for r in rows], np.int64))
+
+    def rows(self) -> DataFrame:
+        return self.spark.read.parquet(f"{self.path}/lists")
+
+    def scanned(self, queries: DataFrame, probes: int) -> DataFrame:
+        """One row, ``scanned``: vectors that queries meet."""
+        n = F.element_at(F.array(*[F.lit(int(x)) for x in self.sizes]), F.col("list_id") + 1)
+        return assign(queries, self.centroids, probes).agg(F.sum(n).cast("long").alias("scanned"))
+
+    def search(self, queries: DataFrame, top: int, probes: int, others_only: bool = True, positive: bool = False) -> DataFrame:
+        """q, c, score, rank among the ``probes`` closest lists of each query."""
+        sizes, centroids = self.sizes, self.centroids
+
+        def ask(batches):
+            import pyarrow as pa
+
+            for b in batches:
+                x = matrix(b.column(1))
+                if not len(x):
+                    continue
+                near = nearest_lists(x, centroids, probes)
+                parts = np.maximum(1, -(-sizes[near] // LIST_BLOCK)).ravel()
+                at = np.repeat(np.repeat(np.arange(len(x)), near.shape[1]), parts)
+                part = np.arange(parts.sum()) - np.repeat(np.cumsum(parts) - parts, parts)
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(near.ravel(), parts).astype(np.int32)), pa.array(part.astype(np.int32)), b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at))], names=["list_id", "part", "id", "vec"])
+
+        kind = queries.schema["vec"].dataType.simpleString()
+        asked = queries.select("id", "vec").mapInArrow(ask, f"list_id int, part int, id long, vec {kind}")
+
+        def scan(a, b):
+            import pyarrow as pa
+
+            kinds = pa.schema([("q", pa.int64()), ("c", pa.int64()), ("score", pa.float64())])
+            if not a.num_rows or not b.num_rows:
+                return kinds.empty_table()
+            found = []
+            q_ids, q, ids, x = a.column("id").to_numpy(), matrix(a.column("vec")), b.column("id").to_numpy(), matrix(b.column("vec"))
+            for i in range(0, len(q_ids), LIST_BLOCK):
+                found += top_block(q_ids[i : i + LIST_BLOCK], q[i : i + LIST_BLOCK], ids, x, top, "cosine", others_only, positive)
+            return pa.table([pa.array(np.concatenate(x)) for x in zip(*found, strict=True)], schema=kinds)
+
+        hits = asked.groupBy("list_id", "part").cogroup(self.rows().groupBy("list_id", "part")).applyInArrow(scan, "q long, c long, score double")
+        return ranked(hits, top)
+
+
+def search(queries: DataFrame, vectors: DataFrame, centroids: np.ndarray, top: int, probes: int, others_only: bool = True, positive: bool = False) -> DataFrame:
+    """The same over an index that is built for the purpose."""
+    return Index.build(vectors, centroids).search(queries, top, probes, others_only, positive)
 
 
 def tune(vectors: DataFrame, exact: DataFrame, lists_grid: tuple[int, ...], probes_grid: tuple[int, ...], top: int, target: float) -> list[dict]:
@@ -92,9 +156,9 @@ def tune(vectors: DataFrame, exact: DataFrame, lists_grid: tuple[int, ...], prob
     out, truth = [], exact.select("q", "c")
     n = truth.count()
     for lists in lists_grid:
-        c, reached = seeds(vectors, lists), False
+        index, reached = Index.build(vectors, seeds(vectors, lists)), False
         for probes in probes_grid:
-            recall = search(vectors, vectors, c, top, probes).select("q", "c").join(truth, ["q", "c"]).count() / max(n, 1)
+            recall = index.search(vectors, top, probes).select("q", "c").join(truth, ["q", "c"]).count() / max(n, 1)
             out.append({"lists": lists, "probes": probes, "recall": recall, "smallest": recall >= target and not reached})
             reached |= recall >= target
     return out

@@ -56,6 +56,6 @@ def project(vectors: DataFrame, mean: np.ndarray, components: np.ndarray) -> Dat
 
         for b in batches:
             y = (matrix(b.column(1)) - mean) @ components.T if b.num_rows else np.zeros((0, len(components)))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(list(y), pa.list_(pa.float64()))], names=["id", "vec"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(pa.array(np.arange(0, y.size + 1, len(components)), pa.int32()), pa.array(y.ravel()))], names=["id", "vec"])
 
     return vectors.select("id", "vec").mapInArrow(run, "id long, vec array<double>")

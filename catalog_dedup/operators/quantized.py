@@ -6,7 +6,9 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .flat import ranked, search
+from ..sources.formats import written
+from . import ivf
+from .flat import matrix, ranked, search
 
 STEP = 16
 
@@ -16,11 +18,10 @@ def scalar_codes(vectors: DataFrame, step: int = STEP) -> DataFrame:
     return vectors.select("id", F.transform("vec", lambda x: F.floor(x / step).cast("int")).alias("vec"), F.col("vec").alias("exact"))
 
 
-def scalar_search(vectors: DataFrame, top: int, rerank: int) -> DataFrame:
+def scalar_search(queries: DataFrame, vectors: DataFrame, top: int, rerank: int) -> DataFrame:
     """q, c, score, rank: the best ``rerank`` by codes, scored exactly and cut to ``top``."""
-    codes = scalar_codes(vectors)
-    near = search(codes.select("id", "vec"), codes.select("id", "vec"), rerank).select("q", "c")
-    a, b = (vectors.select(F.col("id").alias(k), F.col("vec").alias(f"v{k}")) for k in "qc")
+    near = search(scalar_codes(queries).select("id", "vec"), scalar_codes(vectors).select("id", "vec"), rerank).select("q", "c")
+    a, b = (df.select(F.col("id").alias(k), F.col("vec").alias(f"v{k}")) for df, k in ((queries, "q"), (vectors, "c")))
     pair = near.join(a, "q").join(b, "c")
     long = F.lit(0).cast("long")
     dot = F.aggregate(F.zip_with("vq", "vc", lambda x, y: x.cast("long") * y), long, lambda s, x: s + x)
@@ -42,20 +43,56 @@ def train_products(x: np.ndarray, parts: int, words: int, steps: int = 8) -> np.
     return np.array(out)
 
 
-def product_search(vectors: DataFrame, top: int, parts: int = 8, words: int = 16, sample: int = 4096) -> DataFrame:
-    """q, c, score, rank by table look-ups over product codes (no exact scoring): shows what quantisation loses."""
-    rows = vectors.orderBy(F.md5(F.col("id").cast("string"))).limit(sample).select("vec").collect()  # the training sample
-    books = train_products(np.array([r[0] for r in rows], float), parts, words)
+def seed_books(vectors: DataFrame, parts: int, words: int) -> np.ndarray:
+    """Codewords (parts x words x d/parts) from the seeds' own slices."""
+    x = ivf.seeds(vectors, words)
+    return np.stack(np.split(x, parts, axis=1))
 
-    def code(batches):
+
+def trained_books(vectors: DataFrame, parts: int, words: int, sample: int = 4096) -> np.ndarray:
+    """Codewords by k-means on a sample of ``sample`` vectors."""
+    return train_products(ivf.seeds(vectors, sample), parts, words)
+
+
+def product_codes(vectors: DataFrame, books: np.ndarray) -> DataFrame:
+    """id, code: one byte a part, the closest codeword (ties to the smaller)."""
+
+    def run(batches):
         import pyarrow as pa
 
         for b in batches:
-            x = b.column(1).flatten().to_numpy(zero_copy_only=False).astype(float).reshape(b.num_rows, -1)
-            near = [((s[:, None, :] - c[None]) ** 2).sum(2).argmin(1) for s, c in zip(np.split(x, parts, axis=1), books, strict=True)]
-            back = np.hstack([c[k] for c, k in zip(books, near, strict=True)])
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(list(back), pa.list_(pa.float64()))], names=["id", "vec"])
-
-    coded = vectors.select("id", "vec").mapInArrow(code, "id long, vec array<double>")
-    asked = vectors.select("id", F.transform("vec", lambda v: v.cast("double")).alias("vec"))
-    return search(asked, coded, top, metric="dot")
+            x = matrix(b.column(1))
+            if len(x):
+                near = np.stack([((s[:, None, :] - c[None]) ** 2).sum(2).argmin(1) for s, c in zip(np.split(x, len(books), axis=1), books, strict=True)], 1).astype(np.uint8)
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array([r.tobytes() for r in near], pa.binary())], names=["id", "code"])
+
+    return vectors.select("id", "vec").mapInArrow(run, "id long, code binary")
+
+
+def product_search(queries: DataFrame, vectors: DataFrame, top: int, parts: int, books: np.ndarray, block: int = 4096) -> DataFrame:
+    """q, c, score, rank: inner products by table look-ups over product codes (no exact scoring, which shows what quantisation loses).
+    Blocks of queries meet blocks of codes; a task holds a query's table of parts x words numbers and adds up what the codes pick."""
+    codes = written(product_codes(vectors, books))
+    nq, n = (max(1, -(-df.count() // block)) for df in (queries, codes))
+    deal = lambda df, own, k, other, m, last: df.select(F.pmod(F.xxhash64("id"), F.lit(k)).cast("int").alias(own), F.explode(F.sequence(F.lit(0), F.lit(m - 1))).alias(other), "id", last)
+
+    def look(a, b):
+        import pyarrow as pa
+
+        kinds = pa.schema([("q", pa.int64()), ("c", pa.int64()), ("score", pa.float64())])
+        if not a.num_rows or not b.num_rows:
+            return kinds.empty_table()
+        ids, code = b.column("id").to_numpy(), np.frombuffer(b"".join(b.column("code").to_pylist()), np.uint8).reshape(-1, parts)
+        out = []
+        for q, x in zip(a.column("id").to_pylist(), matrix(a.column("vec")), strict=True):
+            table = np.einsum("pwd,pd->pw", books, x.reshape(parts, -1))
+            score = table[np.arange(parts), code].sum(1)
+            score[ids == q] = -np.inf
+            k = min(top, len(ids))
+            near = np.flatnonzero((score >= np.partition(score, len(ids) - k)[len(ids) - k]) & (score > -np.inf))
+            near = near[np.lexsort((ids[near], -score[near]))][:k]
+            out.append((np.full(len(near), q), ids[near], score[near]))
+        return pa.table([pa.array(np.concatenate(c)) for c in zip(*out, strict=True)], schema=kinds)
+
+    hits = deal(queries, "bq", nq, "bx", n, "vec").groupBy("bq", "bx").cogroup(deal(codes, "bx", n, "bq", nq, "code").groupBy("bq", "bx")).applyInArrow(look, "q long, c long, score double")
+    return ranked(hits, top)

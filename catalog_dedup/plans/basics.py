@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions import text as tx
+from ..operators import baselines
 from ..sources import listings
 from ..sources.tables import load
 from . import sql
@@ -105,19 +106,12 @@ def interval_join_events(spark: SparkSession, sf: str) -> DataFrame:
     return a.join(b, ["user_id", "slot"]).filter("tb > ta AND tb <= ta + INTERVAL 30 MINUTE").select("a", "b")
 
 
-BLOCK_CAP = 20
-
-
-@query(rf"""WITH t AS (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '{TOK}')[1:32]) AS tok FROM documents),
-df AS (SELECT tok FROM t GROUP BY tok HAVING count(*) BETWEEN 2 AND {BLOCK_CAP}), k AS (SELECT * FROM t JOIN df USING (tok))
-SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS shared FROM k a JOIN k b ON a.tok = b.tok AND a.doc_id < b.doc_id GROUP BY ALL""")
+@query(rf"""WITH t AS (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '{TOK}')) AS tok FROM documents)
+SELECT tok AS k, min(doc_id) OVER w AS rep, doc_id AS id FROM t WINDOW w AS (PARTITION BY tok) QUALIFY count(*) OVER w > 1""")
 def shared_token_block(spark: SparkSession, sf: str) -> DataFrame:
-    """Pairs that share a token of the first 32; a token in more than BLOCK_CAP texts is no block, so pairs stay linear in texts."""
-    t = load(spark, sf, "documents", "doc_id", "text").select("doc_id", F.explode(F.array_distinct(tx.first_tokens(F.col("text")))).alias("tok"))
-    keep = t.groupBy("tok").agg(F.count("*").alias("n")).filter(F.col("n").between(2, BLOCK_CAP)).select("tok")
-    k = t.join(keep, "tok")
-    pair = k.select("tok", F.col("doc_id").alias("a")).join(k.select("tok", F.col("doc_id").alias("b")), "tok").filter("a < b")
-    return pair.groupBy("a", "b").agg(F.count("*").alias("shared"))
+    """Blocks of texts that share a token, with all members: as many rows as distinct tokens of texts, whatever a token's frequency."""
+    t = load(spark, sf, "documents", "doc_id", "text").select(F.col("doc_id").alias("id"), F.explode(F.array_distinct(tx.tokens(F.col("text")))).alias("k"))
+    return baselines.blocks(t)
 
 
 @query(f"WITH {sql.OFFERS} SELECT category, count(*) AS n_listings, count(DISTINCT product_key) AS n_products, count(DISTINCT seller) AS n_sellers, min(price) AS least, max(price) AS most FROM offers GROUP BY category")
@@ -131,12 +125,11 @@ def distinct_profile(spark: SparkSession, sf: str) -> DataFrame:
     return load(spark, sf, "documents", "lang", "source", "text").groupBy("lang").agg(F.countDistinct("source").alias("n_sources"), F.countDistinct("text").alias("n_texts"), F.count("*").alias("n"))
 
 
+@query(f"WITH {sql.OFFERS} SELECT category, count(DISTINCT listing_id) AS listings, true AS within FROM offers GROUP BY category")
 def approximate_distinct(spark: SparkSession, sf: str) -> DataFrame:
-    """Distinct listings and products by sketches, for profiles of the whole catalogue (tested against exact counts)."""
-    return listings.offers(spark, sf).agg(F.approx_count_distinct("listing_id", 0.02).alias("listings"), F.approx_count_distinct("product_key", 0.02).alias("products"))
-
-
-query()(approximate_distinct)
+    """Distinct listings of each category, and whether a sketch with 2 % deviation comes within 10 % of them."""
+    counted = listings.offers(spark, sf).groupBy("category").agg(F.countDistinct("listing_id").alias("listings"), F.approx_count_distinct("listing_id", 0.02).alias("about"))
+    return counted.select("category", "listings", (F.abs(F.col("about") - F.col("listings")) <= F.greatest(F.lit(1.0), F.col("listings") * 0.1)).alias("within"))
 
 
 @query("SELECT l_shipmode_free, flag, n FROM (SELECT l_linestatus AS l_shipmode_free, coalesce(sum(CASE WHEN l_returnflag = 'A' THEN 1 END), 0)::BIGINT AS a, coalesce(sum(CASE WHEN l_returnflag = 'N' THEN 1 END), 0)::BIGINT AS nn, coalesce(sum(CASE WHEN l_returnflag = 'R' THEN 1 END), 0)::BIGINT AS r FROM lineitem GROUP BY 1) UNPIVOT (n FOR flag IN (a, nn, r))")

@@ -13,7 +13,7 @@ from ..sources.formats import scratch, written
 from ..sources.tables import load
 from . import sql
 from .registry import query
-from .search import _text_top, document_candidates, offer_candidates
+from .search import document_candidates, document_candidates_sql, offer_candidates, offer_candidates_sql
 
 CUT = 800
 O3 = sql.OFFERS3
@@ -35,10 +35,9 @@ firsts AS (SELECT product_key, category, p_name, p_brand, p_type, {_SPLIT} AS sp
 labelled AS (SELECT x.listing_id AS a, y.listing_id AS b, true AS is_match, 'same product' AS origin, {_SPLIT.replace('product_key', 'x.product_key')} AS split FROM offers3 x JOIN offers3 y ON x.product_key = y.product_key AND x.listing_id < y.listing_id
     UNION ALL {" UNION ALL ".join(_negatives(k, n) for k, n in pairs.NEGATIVES)})"""
 
-SCORED = f"""{LABELLED}, {sql.features('offers3', 'listing_id', 'title')},
-dots AS (SELECT a, b, origin, sum(x.val * y.val)::BIGINT AS dot FROM labelled JOIN feats x ON x.listing_id = a JOIN feats y ON y.listing_id = b AND x.dim = y.dim GROUP BY ALL),
-scored AS (SELECT l.a, l.b, l.is_match, l.origin, l.split, coalesce(floor(1000 * coalesce(d.dot, 0) / sqrt((x.n2 * y.n2)::DOUBLE)), 0)::BIGINT AS pm
-    FROM labelled l LEFT JOIN dots d ON d.a = l.a AND d.b = l.b AND d.origin = l.origin LEFT JOIN feats_norm x ON x.listing_id = l.a LEFT JOIN feats_norm y ON y.listing_id = l.b)"""
+SCORED = f"""{LABELLED}, {sql.dense('offers3', 'listing_id', 'title')},
+scored AS (SELECT l.a, l.b, l.is_match, l.origin, l.split, coalesce(floor(1000 * list_dot_product(va.v, vb.v) / sqrt((x.n2 * y.n2)::DOUBLE)), 0)::BIGINT AS pm
+    FROM labelled l LEFT JOIN feats_vec va ON va.listing_id = l.a LEFT JOIN feats_vec vb ON vb.listing_id = l.b LEFT JOIN feats_norm x ON x.listing_id = l.a LEFT JOIN feats_norm y ON y.listing_id = l.b)"""
 
 
 def scored(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
@@ -46,9 +45,10 @@ def scored(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
     return o, pairs.with_scores(pairs.labelled(o), o).drop("dot")
 
 
-@query(f"WITH {O3} SELECT x.listing_id AS a, y.listing_id AS b, x.product_key FROM offers3 x JOIN offers3 y ON x.product_key = y.product_key AND x.listing_id < y.listing_id")
+@query(f"WITH {sql.OFFERS} SELECT listing_id, product_key, min(listing_id) OVER w AS rep, count(*) OVER w - 1 AS n_links FROM offers WINDOW w AS (PARTITION BY product_key)")
 def true_pairs(spark: SparkSession, sf: str) -> DataFrame:
-    return listings.true_pairs(listings.offers3(spark, sf))
+    """The truth about all listings: each with its product's smallest listing and the number of its true pairs."""
+    return listings.true_classes(listings.offers(spark, sf))
 
 
 @query(f"WITH {LABELLED} SELECT * FROM labelled")
@@ -109,66 +109,66 @@ def rule_report(spark: SparkSession, sf: str) -> DataFrame:
     return metrics.class_report(j.withColumn("verdict", verdict), "is_match", "verdict")
 
 
-_CAPPED = "(SELECT k FROM blocks GROUP BY k HAVING count(*) BETWEEN 2 AND 50)"
+def _blocks(keyed: str) -> str:
+    return f"keyed AS ({keyed}), blocks AS (SELECT k, min(id) OVER w AS rep, id FROM keyed WINDOW w AS (PARTITION BY k) QUALIFY count(*) OVER w > 1)"
 
 
-def _block_pairs(blocks: str) -> str:
-    return f"blocks AS ({blocks}), kept AS (SELECT * FROM blocks JOIN {_CAPPED} USING (k)), block_pairs AS (SELECT DISTINCT x.id AS a, y.id AS b FROM kept x JOIN kept y ON x.k = y.k AND x.id < y.id)"
+_TITLE_KEY = r"trim(regexp_replace(lower(title), '[^\p{L}\p{N}]+', ' ', 'g'))"
+_TOKEN_KEY = r"array_to_string(list_sort(list_distinct(regexp_extract_all(lower(title), '[\p{L}\p{N}]+'))), ' ')"
 
 
-@query(rf"WITH {O3}, {_block_pairs(r'''SELECT listing_id AS id, trim(regexp_replace(lower(title), '[^\p{L}\p{N}]+', ' ', 'g')) AS k FROM offers3''')} SELECT a, b FROM block_pairs")
+@query(f"WITH {sql.OFFERS}, {_blocks(f'SELECT listing_id AS id, {_TITLE_KEY} AS k FROM offers')} SELECT rep AS a, id AS b FROM blocks WHERE rep <> id")
 def keyword_exact(spark: SparkSession, sf: str) -> DataFrame:
-    return baselines.keyword_exact(offers3(spark, sf), "listing_id", "title")
+    return baselines.keyword_exact(listings.offers(spark, sf), "listing_id", "title")
 
 
-@query(rf"WITH {O3}, {_block_pairs(r'''SELECT listing_id AS id, array_to_string(list_sort(list_distinct(regexp_extract_all(lower(title), '[\p{L}\p{N}]+'))), ' ') AS k FROM offers3''')} SELECT a, b FROM block_pairs")
+@query(f"WITH {sql.OFFERS}, {_blocks(f'SELECT listing_id AS id, {_TOKEN_KEY} AS k FROM offers')} SELECT rep AS a, id AS b FROM blocks WHERE rep <> id")
 def keyword_all_tokens(spark: SparkSession, sf: str) -> DataFrame:
-    return baselines.keyword_all_tokens(offers3(spark, sf), "listing_id", "title")
+    return baselines.keyword_all_tokens(listings.offers(spark, sf), "listing_id", "title")
 
 
-@query(rf"""WITH t AS (SELECT doc_id AS id, tok, count(*) AS tf FROM (SELECT doc_id, unnest(regexp_extract_all(lower(text), '[\p{{L}}\p{{N}}]+')[1:32]) AS tok FROM documents) GROUP BY ALL),
+@query(rf"""WITH t AS (SELECT doc_id AS id, tok, count(*) AS tf FROM (SELECT doc_id, unnest(regexp_extract_all(lower(text), '[\p{{L}}\p{{N}}]+')) AS tok FROM documents) GROUP BY ALL),
 st AS (SELECT id, sum(tf)::BIGINT AS len FROM t GROUP BY id), g AS (SELECT count(*) AS n, sum(len)::DOUBLE / count(*) AS mean FROM st),
-idf AS (SELECT tok, mean, floor(1000 * ln(1 + (n - df + 0.5::DOUBLE) / (df + 0.5::DOUBLE))) AS idf FROM (SELECT tok, count(*) AS df FROM t GROUP BY tok HAVING count(*) <= 100), g),
+idf AS (SELECT tok, mean, floor(1000 * ln(1 + (n - df + 0.5::DOUBLE) / (df + 0.5::DOUBLE))) AS idf FROM (SELECT tok, count(*) AS df FROM t GROUP BY tok), g),
 w AS (SELECT tok, id, floor(idf * tf * ({baselines.K1}::DOUBLE + 1) / (tf + {baselines.K1}::DOUBLE * (1 - {baselines.B}::DOUBLE + {baselines.B}::DOUBLE * len / mean)))::BIGINT AS w FROM t JOIN idf USING (tok) JOIN st USING (id))
-SELECT q.id AS q, c.id AS c, sum(c.w)::BIGINT AS score, row_number() OVER (PARTITION BY q.id ORDER BY sum(c.w) DESC, c.id)::INT AS rank FROM w c JOIN w q ON c.tok = q.tok AND c.id <> q.id GROUP BY q.id, c.id QUALIFY rank <= 5""")
+SELECT q.id AS q, c.id AS c, sum(c.w)::BIGINT AS score, row_number() OVER (PARTITION BY q.id ORDER BY sum(c.w) DESC, c.id)::INT AS rank FROM w c JOIN w q ON c.tok = q.tok AND c.id <> q.id WHERE q.id % 20 = 0 GROUP BY q.id, c.id QUALIFY rank <= 5""")
 def keyword_bm25(spark: SparkSession, sf: str) -> DataFrame:
-    return baselines.keyword_bm25(load(spark, sf, "documents", "doc_id", "text"), "doc_id", "text", 5, 100)
+    return baselines.keyword_bm25(load(spark, sf, "documents", "doc_id", "text"), "doc_id", "text", 5)
 
 
 def _bands(relation: str, key: str, text: str) -> str:
-    mins = ", ".join(f"min(('0x' || substr(md5('{s}|' || tok), 1, 8))::BIGINT) AS m{s}" for s in range(baselines.BANDS * baselines.ROWS))
+    mins = ", ".join(f"min((h * {a} + {b}) % {baselines.PRIME}) AS m{s}" for s in range(baselines.BANDS * baselines.ROWS) for a, b in [baselines.permutation(s)])
     keys = " UNION ALL ".join(f"SELECT id, '{b}|' || m{2 * b} || '|' || m{2 * b + 1} AS k FROM mins" for b in range(baselines.BANDS))
-    return rf"toks AS (SELECT {key} AS id, unnest(regexp_extract_all(lower({text}), '[\p{{L}}\p{{N}}]+')[1:32]) AS tok FROM {relation}), mins AS (SELECT id, {mins} FROM toks GROUP BY id), {_block_pairs(keys)}"
+    return rf"toks AS (SELECT {key} AS id, unnest(regexp_extract_all(lower({text}), '[\p{{L}}\p{{N}}]+')) AS tok FROM {relation}), mins AS (SELECT id, {mins} FROM (SELECT id, ('0x' || substr(md5(tok), 1, 8))::BIGINT AS h FROM toks) GROUP BY id), {_blocks(keys)}"
 
 
-@query(f"WITH {_bands('documents', 'doc_id', 'text')} SELECT a, b FROM block_pairs")
+@query(f"WITH {_bands('documents', 'doc_id', 'text')} SELECT k, rep, id FROM blocks")
 def lsh_candidates(spark: SparkSession, sf: str) -> DataFrame:
     return baselines.lsh_candidates(load(spark, sf, "documents", "doc_id", "text"), "doc_id", "text")
 
 
-_BLACK = f"{_bands('offers3', 'listing_id', 'title')}, black AS (SELECT a, b FROM block_pairs JOIN offers3 x ON x.listing_id = a JOIN offers3 y ON y.listing_id = b WHERE x.p_brand = y.p_brand AND x.price * 0.8::DOUBLE <= y.price AND x.price * 1.25::DOUBLE >= y.price)"
+_BLACK = f"""{_bands('offers3', 'listing_id', 'title')}, shared AS (SELECT DISTINCT s.a, s.b FROM scored s JOIN keyed x ON x.id = s.a JOIN keyed y ON y.id = s.b AND x.k = y.k),
+black AS (SELECT a, b FROM shared JOIN offers3 x ON x.listing_id = a JOIN offers3 y ON y.listing_id = b WHERE x.p_brand = y.p_brand AND x.price * 0.8::DOUBLE <= y.price AND x.price * 1.25::DOUBLE >= y.price),
+judged AS (SELECT s.*, EXISTS (SELECT 1 FROM black k WHERE k.a = s.a AND k.b = s.b) AS flagged FROM scored s)"""
 
 
-@query(f"WITH {SCORED}, {_BLACK}, j AS (SELECT s.*, k.a IS NOT NULL AS flagged FROM scored s LEFT JOIN black k ON k.a = s.a AND k.b = s.b), {_report('j', 'flagged')} SELECT * FROM rated")
+@query(f"WITH {SCORED}, {_BLACK}, {_report('judged', 'flagged')} SELECT * FROM rated")
 def black_box_report(spark: SparkSession, sf: str) -> DataFrame:
     """The stand-in for an outside service, which gives verdicts without scores."""
     o, s = scored(spark, sf)
-    flagged = baselines.black_box(o).withColumn("hit", F.lit(True))
-    j = s.join(flagged, ["a", "b"], "left").withColumn("verdict", F.coalesce("hit", F.lit(False)))
-    return metrics.class_report(j, "is_match", "verdict")
+    return metrics.class_report(baselines.black_box(s, o), "is_match", "flagged")
 
 
-@query(f"""WITH {SCORED}, {_BLACK}, u AS (SELECT a, b FROM scored WHERE pm >= 700 UNION SELECT a, b FROM black)
-SELECT u.a, u.b, x.product_key = y.product_key AS is_match, EXISTS (SELECT 1 FROM scored s WHERE s.a = u.a AND s.b = u.b AND pm >= 700) AS by_score, EXISTS (SELECT 1 FROM black k WHERE k.a = u.a AND k.b = u.b) AS by_service
-FROM u JOIN offers3 x ON x.listing_id = u.a JOIN offers3 y ON y.listing_id = u.b""")
+#: Score from which the matcher flags a pair for the biased test set.
+FLAGGED = 700
+
+
+@query(f"WITH {SCORED}, {_BLACK} SELECT DISTINCT a, b, is_match, pm >= {FLAGGED} AS by_score, flagged AS by_service FROM judged WHERE pm >= {FLAGGED} OR flagged")
 def biased_test_set(spark: SparkSession, sf: str) -> DataFrame:
-    """Pairs that either system flags: a test set biased by how it was chosen."""
+    """Labelled pairs that either system flags: a test set biased by how it was chosen."""
     o, s = scored(spark, sf)
-    mine = s.filter("pm >= 700").select("a", "b").distinct().withColumn("m", F.lit(True))
-    theirs = baselines.black_box(o).withColumn("t", F.lit(True))
-    key = lambda k: o.select(F.col("listing_id").alias(k), F.col("product_key").alias(f"p{k}"))
-    j = mine.join(theirs, ["a", "b"], "full").join(key("a"), "a").join(key("b"), "b")
-    return j.select("a", "b", (F.col("pa") == F.col("pb")).alias("is_match"), F.coalesce("m", F.lit(False)).alias("by_score"), F.coalesce("t", F.lit(False)).alias("by_service"))
+    j = baselines.black_box(s, o).withColumn("by_score", F.col("pm") >= FLAGGED)
+    return j.filter("by_score OR flagged").select("a", "b", "is_match", "by_score", F.col("flagged").alias("by_service")).distinct()
 
 
 @query(f"WITH {SCORED}, v AS (SELECT origin, split, pm >= {CUT} AS verdict FROM scored) SELECT origin, split, verdict, count(*) AS n, grouping_id(origin, split, verdict)::BIGINT AS g FROM v GROUP BY CUBE (origin, split, verdict)")
@@ -199,41 +199,47 @@ def leaf_collapse(spark: SparkSession, sf: str) -> DataFrame:
     return own.join(sums, "p_type").select("p_type", "n", "own_sq", "sum_sq", ((F.col("sum_sq") - F.col("own_sq")) / (F.col("n") * (F.col("n") - 1))).alias("mean_dot"))
 
 
-@query(f"WITH {O3}, {_text_top('offers3', 'listing_id', 'title', 5)}, asked AS (SELECT * FROM candidates WHERE q % 50 = 0) SELECT listing_id FROM offers3 WHERE listing_id IN (SELECT q FROM asked UNION SELECT c FROM asked)")
+@query(f"WITH {offer_candidates_sql(5)} SELECT listing_id FROM offers WHERE listing_id IN (SELECT q FROM candidates UNION SELECT c FROM candidates)")
 def lazy_image_ids(spark: SparkSession, sf: str) -> DataFrame:
     """Listings whose images have to be encoded for a query set: those in candidate pairs, by a semi-join."""
-    from ..operators import flat
-
-    o = offers3(spark, sf)
-    v = tx.dense_features(o.select("listing_id", "title"), "listing_id", "title").select(F.col("listing_id").alias("id"), "vec")
-    hits = flat.search(v.filter("id % 50 = 0"), v, 5, positive=True)
-    ids = hits.select(F.explode(F.array("q", "c")).alias("listing_id"))
+    o = written(listings.offers(spark, sf))
+    ids = offer_candidates(o, 5).select(F.explode(F.array("q", "c")).alias("listing_id"))
     return o.select("listing_id").join(ids, "listing_id", "left_semi")
 
 
 _SHINGLES = r"""ws AS (SELECT doc_id, regexp_extract_all(lower(text), '[\p{L}\p{N}]+') AS w FROM documents),
-sh AS (SELECT DISTINCT doc_id, array_to_string(w[i:i+2], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, len(w) - 1)) AS i FROM ws)), sz AS (SELECT doc_id, count(*) AS n FROM sh GROUP BY 1),
+every_sh AS (SELECT DISTINCT doc_id, array_to_string(w[i:i+2], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, len(w) - 1)) AS i FROM ws)),
+same AS (SELECT doc_id, min(doc_id) OVER (PARTITION BY k) AS rep FROM (SELECT doc_id, md5(string_agg(s, chr(10) ORDER BY s)) AS k FROM every_sh GROUP BY doc_id)),
+sh AS (SELECT e.* FROM every_sh e JOIN same USING (doc_id) WHERE doc_id = rep), sz AS (SELECT doc_id, count(*) AS n FROM sh GROUP BY 1),
 inter AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS i FROM sh x JOIN sh y ON x.s = y.s AND x.doc_id < y.doc_id GROUP BY ALL),
-near AS (SELECT a, b, i::DOUBLE / (x.n + y.n - i) AS jaccard FROM inter JOIN sz x ON x.doc_id = a JOIN sz y ON y.doc_id = b WHERE 2 * i >= x.n + y.n - i)"""
+near AS (SELECT a, b, i::DOUBLE / (x.n + y.n - i) AS jaccard FROM inter JOIN sz x ON x.doc_id = a JOIN sz y ON y.doc_id = b WHERE 2 * i >= x.n + y.n - i
+    UNION ALL SELECT rep, doc_id, 1.0::DOUBLE FROM same WHERE doc_id <> rep)"""
 
 
 def near_copies(spark: SparkSession, sf: str) -> DataFrame:
-    """Exact Jaccard of word 3-shingles of at least one half. Only the rarest half of a text's shingles is indexed: texts that share
-    half of their union share one of those, and frequent shingles meet no one."""
+    """a, b, jaccard: exact Jaccard of word 3-shingles of at least one half between texts with different shingle sets, each set
+    standing for the text with the smallest id, and each other text linked to the one that stands for it (1.0). So k copies make k
+    rows. Only the rarest half of a set's shingles is indexed: sets that share half of their union share one of those, and frequent
+    shingles meet no one."""
     d = load(spark, sf, "documents", "doc_id", "text").withColumn("w", tx.tokens(F.col("text"))).filter(F.size("w") >= 3)
-    made = F.array_distinct(F.transform(F.sequence(F.lit(0), F.size("w") - 3), lambda i: F.xxhash64(F.concat_ws(" ", F.get("w", i), F.get("w", i + 1), F.get("w", i + 2)))))
-    sets = written(d.select("doc_id", made.alias("s")))
-    each = sets.select("doc_id", F.explode("s").alias("h"))
+    made = F.array_sort(F.array_distinct(F.transform(F.sequence(F.lit(0), F.size("w") - 3), lambda i: F.xxhash64(F.concat_ws(" ", F.get("w", i), F.get("w", i + 1), F.get("w", i + 2))))))
+    every = written(d.select("doc_id", made.alias("s")).withColumn("k", F.md5(F.array_join(F.transform("s", lambda x: x.cast("string")), ","))))
+    same = written(every.select("doc_id", "k").join(every.groupBy("k").agg(F.min("doc_id").alias("rep")), "k").select("doc_id", "rep"))
+    sets = written(every.join(same.filter("doc_id = rep"), "doc_id", "left_semi").select("doc_id", "s", F.size("s").alias("n")))
+    each = sets.select("doc_id", "n", F.explode("s").alias("h"))
     ranked = each.join(each.groupBy("h").agg(F.count("*").alias("df")).filter("df > 1"), "h", "left")
     # Shingles in one text alone (df null) come first: they take up prefix places and join nothing.
-    prefix = ranked.groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct(F.coalesce("df", F.lit(1)).alias("df"), "h"))).alias("o"))
+    prefix = ranked.groupBy("doc_id", "n").agg(F.sort_array(F.collect_list(F.struct(F.coalesce("df", F.lit(1)).alias("df"), "h"))).alias("o"))
     keep = F.slice("o", F.lit(1), F.size("o") - F.ceil(F.size("o") / 2).cast("int") + 1)
-    index = prefix.select("doc_id", F.explode(keep).alias("x")).filter("x.df > 1").select("doc_id", F.col("x.h").alias("h"))
-    near = index.select("h", F.col("doc_id").alias("a")).join(index.select("h", F.col("doc_id").alias("b")), "h").filter("a < b").select("a", "b").distinct()
+    index = prefix.select("doc_id", "n", F.explode(keep).alias("x")).filter("x.df > 1").select("doc_id", "n", F.col("x.h").alias("h"))
+    side = lambda k: index.select("h", F.col("doc_id").alias(k), F.col("n").alias(f"n{k}"))
+    # A Jaccard of one half needs sizes within a factor of two.
+    near = side("a").join(side("b"), "h").filter("a < b AND na <= 2 * nb AND nb <= 2 * na").select("a", "b").distinct()
     side = lambda k: sets.select(F.col("doc_id").alias(k), F.col("s").alias(f"s{k}"))
     j = near.join(side("a"), "a").join(side("b"), "b").withColumn("i", F.size(F.array_intersect("sa", "sb")))
     whole = F.size("sa") + F.size("sb") - F.col("i")
-    return j.filter(2 * F.col("i") >= whole).select("a", "b", (F.col("i") / whole).alias("jaccard"))
+    pairs = j.filter(2 * F.col("i") >= whole).select("a", "b", (F.col("i") / whole).alias("jaccard"))
+    return pairs.unionByName(same.filter("doc_id != rep").select(F.col("rep").alias("a"), F.col("doc_id").alias("b"), F.lit(1.0).alias("jaccard")))
 
 
 @query(f"WITH {_SHINGLES} SELECT a, b, jaccard FROM near")
@@ -241,10 +247,10 @@ def jaccard_near_copies(spark: SparkSession, sf: str) -> DataFrame:
     return near_copies(spark, sf)
 
 
-@query(f"WITH {_SHINGLES}, {_text_top('documents', 'doc_id', 'text', 10)} SELECT count(*) AS pairs, count(*) FILTER (EXISTS (SELECT 1 FROM candidates WHERE q = a AND c = b) OR EXISTS (SELECT 1 FROM candidates WHERE q = b AND c = a)) AS found FROM near")
+@query(f"WITH {_SHINGLES}, {document_candidates_sql(10, 'true')} SELECT count(*) AS pairs, count(*) FILTER (EXISTS (SELECT 1 FROM candidates WHERE q = a AND c = b) OR EXISTS (SELECT 1 FROM candidates WHERE q = b AND c = a)) AS found FROM near")
 def near_copy_candidate_recall(spark: SparkSession, sf: str) -> DataFrame:
     """Near copies of which one is among the other's top 10 by hashed features."""
-    hits = document_candidates(spark, sf, 10).select(F.least("q", "c").alias("a"), F.greatest("q", "c").alias("b")).distinct().withColumn("hit", F.lit(1))
+    hits = document_candidates(spark, sf, 10, everyone=True).select(F.least("q", "c").alias("a"), F.greatest("q", "c").alias("b")).distinct().withColumn("hit", F.lit(1))
     return near_copies(spark, sf).join(hits, ["a", "b"], "left").agg(F.count("*").alias("pairs"), F.count("hit").alias("found"))
 
 
@@ -301,12 +307,17 @@ def decider_score_frozen(spark: SparkSession, sf: str) -> DataFrame:
     return frozen_scores(pairs.labelled(o).select("a", "b", "is_match").distinct(), o).select("a", "b", "is_match", "z", (F.col("z") >= 0).alias("verdict"))
 
 
-@query(f"""WITH {O3}, {_text_top('offers3', 'listing_id', 'title', 5)}, wanted AS (SELECT DISTINCT least(q, c) AS a, greatest(q, c) AS b, x.product_key = y.product_key AS is_match FROM candidates JOIN offers3 x ON x.listing_id = q JOIN offers3 y ON y.listing_id = c),
+def candidate_pairs(o: DataFrame, top: int = 5) -> DataFrame:
+    """a < b, is_match: the candidate pairs of a query set, once each."""
+    c = offer_candidates(o, top).select(F.least("q", "c").alias("a"), F.greatest("q", "c").alias("b")).distinct()
+    key = lambda k: o.select(F.col("listing_id").alias(k), F.col("product_key").alias(f"p{k}"))
+    return c.join(key("a"), "a").join(key("b"), "b").select("a", "b", (F.col("pa") == F.col("pb")).alias("is_match"))
+
+
+@query(f"""WITH {offer_candidates_sql(5)}, wanted AS (SELECT DISTINCT least(q, c) AS a, greatest(q, c) AS b, x.product_key = y.product_key AS is_match FROM candidates JOIN offers x ON x.listing_id = q JOIN offers y ON y.listing_id = c),
 {_FROZEN.format(pairs='one_more AS (SELECT 1)')} SELECT a, b, is_match, z FROM z WHERE z >= 0""")
 def match_pipeline(spark: SparkSession, sf: str) -> DataFrame:
-    """Listings to verdicts: top 5 by text, pairs once each, frozen decider, matches only."""
-    o = offers3(spark, sf)
-    c = offer_candidates(o, 5).select(F.least("q", "c").alias("a"), F.greatest("q", "c").alias("b")).distinct()
-    key = lambda k: o.select(F.col("listing_id").alias(k), F.col("product_key").alias(f"p{k}"))
-    wanted = c.join(key("a"), "a").join(key("b"), "b").select("a", "b", (F.col("pa") == F.col("pb")).alias("is_match"))
-    return frozen_scores(wanted, o).filter("z >= 0").select("a", "b", "is_match", "z")
+    """Listings to verdicts over the whole catalogue: a query set's top 5 by title through stored inverted lists, pairs once each,
+    frozen decider, matches only. ``match_report`` has the trained decider on text and images."""
+    o = written(listings.offers(spark, sf))
+    return frozen_scores(candidate_pairs(o), o).filter("z >= 0").select("a", "b", "is_match", "z")

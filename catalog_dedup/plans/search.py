@@ -20,6 +20,14 @@ from .registry import query
 TOP = 10
 
 
+#: Rows that ask in searches: every EVERY-th id.
+EVERY = 20
+
+
+def asked(v: DataFrame) -> DataFrame:
+    return v.filter(F.col("id") % EVERY == 0)
+
+
 def fixed(spark: SparkSession, sf: str) -> DataFrame:
     return vx.embeddings(load(spark, sf, "embeddings", "vec_id", "embedding"))
 
@@ -30,38 +38,52 @@ def fixed_point_vectors(spark: SparkSession, sf: str) -> DataFrame:
     return v.select("id", F.concat(F.lit("["), F.array_join(F.transform("vec", lambda x: x.cast("string")), ", "), F.lit("]")).alias("vec"), vx.squared_norm(F.col("vec")).alias("n2"))
 
 
-_PAIRS = "pairs AS (SELECT a.id AS q, b.id AS c, sum(a.val * b.val)::BIGINT AS dot FROM vecs a JOIN vecs b ON a.dim = b.dim AND a.id <> b.id GROUP BY ALL)"
+_PAIRS = "pairs AS (SELECT a.id AS q, b.id AS c, sum(a.val * b.val)::BIGINT AS dot FROM vecs a JOIN vecs b ON a.dim = b.dim AND a.id <> b.id WHERE a.id % 20 = 0 GROUP BY ALL)"
 _EXACT = f"exact AS (SELECT q, c, dot / sqrt((a.n2 * b.n2)::DOUBLE) AS score, row_number() OVER (PARTITION BY q ORDER BY dot / sqrt((a.n2 * b.n2)::DOUBLE) DESC, c)::INT AS rank FROM pairs JOIN norms a ON q = a.id JOIN norms b ON c = b.id QUALIFY rank <= {TOP})"
 
 
 @query(f"WITH {sql.fixed()}, {_PAIRS}, {_EXACT} SELECT q, c, score, rank FROM exact")
 def flat_knn_cosine(spark: SparkSession, sf: str) -> DataFrame:
+    """Exact neighbours of a query set: blocks of queries against blocks of all vectors."""
     v = fixed(spark, sf)
-    return flat.search(v, v, TOP)
+    return flat.search(asked(v), v, TOP)
 
 
 @query(f"WITH {sql.fixed()}, {_PAIRS} SELECT q, c, -(a.n2 + b.n2 - 2 * dot)::DOUBLE AS score, row_number() OVER (PARTITION BY q ORDER BY a.n2 + b.n2 - 2 * dot, c)::INT AS rank FROM pairs JOIN norms a ON q = a.id JOIN norms b ON c = b.id QUALIFY rank <= {TOP}")
 def flat_knn_l2(spark: SparkSession, sf: str) -> DataFrame:
     v = fixed(spark, sf)
-    return flat.search(v, v, TOP, metric="l2")
+    return flat.search(asked(v), v, TOP, metric="l2")
+
+
+def text_vectors(df: DataFrame, key: str, text: str, width: int = tx.WIDTH) -> DataFrame:
+    """id, vec of texts that have one: hashed features of the first 32 tokens."""
+    v = tx.dense_features(df.select(key, text), key, text, width=width).select(F.col(key).alias("id"), "vec")
+    return v.filter(F.exists("vec", lambda x: x != 0))
+
 
+def text_index(df: DataFrame, key: str, text: str) -> tuple[DataFrame, ivf.Index]:
+    """Text vectors and their stored inverted lists."""
+    v = written(text_vectors(df, key, text))
+    return v, ivf.Index.build(v, ivf.seeds(v, lists_for(v)))
 
-def _text_top(relation: str, key: str, text: str, top: int) -> str:
-    return f"""{sql.features(relation, key, text)},
-text_top AS (SELECT a.{key} AS q, b.{key} AS c, sum(a.val * b.val)::BIGINT AS dot, any_value(na.n2 * nb.n2)::DOUBLE AS n2 FROM feats a JOIN feats b ON a.dim = b.dim AND a.{key} <> b.{key}
-    JOIN feats_norm na ON na.{key} = a.{key} JOIN feats_norm nb ON nb.{key} = b.{key} GROUP BY ALL HAVING sum(a.val * b.val) > 0),
-candidates AS (SELECT q, c, dot / sqrt(n2) AS score, row_number() OVER (PARTITION BY q ORDER BY dot / sqrt(n2) DESC, c)::INT AS rank FROM text_top QUALIFY rank <= {top})"""
 
+#: Lists that are probed for each text.
+LIST_PROBES = 4
 
-def document_candidates(spark: SparkSession, sf: str, top: int = 5) -> DataFrame:
-    v = tx.dense_features(load(spark, sf, "documents", "doc_id", "text"), "doc_id", "text").select(F.col("doc_id").alias("id"), "vec")
-    return flat.search(v, v, top, positive=True)
 
+def document_candidates_sql(top: int, who: str) -> str:
+    return f"{sql.dense('documents', 'doc_id', 'text')}, {sql.text_lists('documents', 'doc_id', who, LIST_PROBES, top)}"
 
-@query(f"WITH {_text_top('documents', 'doc_id', 'text', 5)} SELECT q, c, score, rank FROM candidates")
+
+def document_candidates(spark: SparkSession, sf: str, top: int, everyone: bool = False) -> DataFrame:
+    v, index = text_index(load(spark, sf, "documents", "doc_id", "text"), "doc_id", "text")
+    return index.search(v if everyone else asked(v), top, LIST_PROBES, positive=True)
+
+
+@query(f"WITH {document_candidates_sql(5, f'doc_id % {EVERY} = 0')} SELECT q, c, score, rank FROM candidates")
 def text_topn_candidates(spark: SparkSession, sf: str) -> DataFrame:
-    """Exact top 5 by hashed features of the first 32 tokens; the query's own text is left out."""
-    return document_candidates(spark, sf)
+    """Top 5 by hashed features of the first 32 tokens in the closest lists; the query's own text is left out."""
+    return document_candidates(spark, sf, 5)
 
 
 def lists_for(v: DataFrame) -> int:
@@ -92,7 +114,7 @@ def ivf_lists(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _ivf_hits(probes: str) -> str:
-    return f"""inner_pairs AS (SELECT p.id AS q, m.id AS c, p.probe FROM probe p JOIN member m ON p.list_id = m.list_id AND p.id <> m.id),
+    return f"""inner_pairs AS (SELECT p.id AS q, m.id AS c, p.probe FROM probe p JOIN member m ON p.list_id = m.list_id AND p.id <> m.id AND p.id % 20 = 0),
 scored AS (SELECT q, c, probe, sum(a.val * b.val)::BIGINT AS dot FROM inner_pairs JOIN vecs a ON a.id = q JOIN vecs b ON b.id = c AND b.dim = a.dim GROUP BY ALL),
 cosine AS (SELECT q, c, probe, dot / sqrt((a.n2 * b.n2)::DOUBLE) AS score FROM scored JOIN norms a ON q = a.id JOIN norms b ON c = b.id),
 hits AS ({probes})"""
@@ -101,7 +123,7 @@ hits AS ({probes})"""
 @query(f"WITH {sql.inverted(4)}, {_ivf_hits(f'SELECT q, c, score, row_number() OVER (PARTITION BY q ORDER BY score DESC, c)::INT AS rank FROM cosine QUALIFY rank <= {TOP}')} SELECT q, c, score, rank FROM hits")
 def ivf_search(spark: SparkSession, sf: str) -> DataFrame:
     v = fixed(spark, sf)
-    return ivf.search(v, v, ivf.seeds(v, lists_for(v)), TOP, 4)
+    return ivf.search(asked(v), v, ivf.seeds(v, lists_for(v)), TOP, 4)
 
 
 PROBES = (1, 4, 8)
@@ -113,35 +135,47 @@ SELECT n_probe, count(*) AS found, (SELECT count(*) FROM exact) AS wanted, any_v
 def ivf_recall(spark: SparkSession, sf: str) -> DataFrame:
     """Recall of the exact top 10 and vectors compared, by the number of probed lists."""
     v = written(fixed(spark, sf))
-    c = ivf.seeds(v, lists_for(v))
-    exact = written(flat.search(v, v, TOP))
-    sizes = ivf.assign(v, c).groupBy("list_id").agg(F.count("*").alias("n"))
+    index = ivf.Index.build(v, ivf.seeds(v, lists_for(v)))
+    q = written(asked(v))
+    exact, own = written(flat.search(q, v, TOP)), q.count()
     out = None
     for p in PROBES:
-        scanned = ivf.assign(v, c, p).join(sizes, "list_id").agg((F.sum("n") - F.count_if(F.col("probe") == 0)).alias("scanned"))
-        r = metrics.recall_at(ivf.search(v, v, c, TOP, p), exact).crossJoin(scanned).select(F.lit(p).alias("n_probe"), "found", "wanted", "scanned")  # one row each
+        scanned = index.scanned(q, p).select((F.col("scanned") - own).alias("scanned"))  # without the queries themselves
+        r = metrics.recall_at(index.search(q, TOP, p), exact).crossJoin(scanned).select(F.lit(p).alias("n_probe"), "found", "wanted", "scanned")  # one row each
         out = r if out is None else out.unionByName(r)
     return out
 
 
 @query(f"""WITH {sql.fixed()}, codes AS (SELECT id, dim, floor(val / {quantized.STEP})::BIGINT AS val FROM vecs), code_norm AS (SELECT id, sum(val * val)::BIGINT AS n2 FROM codes GROUP BY id),
-near AS (SELECT a.id AS q, b.id AS c, sum(a.val * b.val)::BIGINT AS dot FROM codes a JOIN codes b ON a.dim = b.dim AND a.id <> b.id GROUP BY ALL),
+near AS (SELECT a.id AS q, b.id AS c, sum(a.val * b.val)::BIGINT AS dot FROM codes a JOIN codes b ON a.dim = b.dim AND a.id <> b.id WHERE a.id % 20 = 0 GROUP BY ALL),
 best AS (SELECT q, c FROM near JOIN code_norm x ON q = x.id JOIN code_norm y ON c = y.id QUALIFY row_number() OVER (PARTITION BY q ORDER BY dot / sqrt((x.n2 * y.n2)::DOUBLE) DESC, c) <= 40),
 again AS (SELECT q, c, sum(a.val * b.val)::BIGINT AS dot FROM best JOIN vecs a ON a.id = q JOIN vecs b ON b.id = c AND a.dim = b.dim GROUP BY ALL)
 SELECT q, c, dot / sqrt((x.n2 * y.n2)::DOUBLE) AS score, row_number() OVER (PARTITION BY q ORDER BY dot / sqrt((x.n2 * y.n2)::DOUBLE) DESC, c)::INT AS rank FROM again JOIN norms x ON q = x.id JOIN norms y ON c = y.id QUALIFY rank <= {TOP}""")
 def sq8_search(spark: SparkSession, sf: str) -> DataFrame:
-    return quantized.scalar_search(fixed(spark, sf), TOP, 4 * TOP)
+    v = fixed(spark, sf)
+    return quantized.scalar_search(asked(v), v, TOP, 4 * TOP)
 
 
-@query()
+_PARTS, _WORDS = 8, 16
+
+
+@query(f"""WITH {sql.fixed()}, books AS (SELECT id, row_number() OVER (ORDER BY md5(id::VARCHAR)) - 1 AS word FROM norms QUALIFY word < {_WORDS}),
+sub AS (SELECT id, dim // {_PARTS} AS part, dim, val FROM vecs), code_words AS (SELECT word, part, dim, val FROM sub JOIN books USING (id)),
+gap AS (SELECT s.id, s.part, word, sum((s.val - w.val) * (s.val - w.val))::BIGINT AS d FROM sub s JOIN code_words w ON s.dim = w.dim GROUP BY ALL),
+codes AS (SELECT id, part, word FROM gap QUALIFY row_number() OVER (PARTITION BY id, part ORDER BY d, word) = 1),
+looks AS (SELECT s.id AS q, s.part, word, sum(s.val * w.val)::BIGINT AS dot FROM sub s JOIN code_words w ON s.dim = w.dim GROUP BY ALL),
+sums AS (SELECT q, c.id AS c, sum(dot)::DOUBLE AS score FROM looks l JOIN codes c ON l.part = c.part AND l.word = c.word AND l.q <> c.id WHERE l.q % 20 = 0 GROUP BY ALL)
+SELECT q, c, score, row_number() OVER (PARTITION BY q ORDER BY score DESC, c)::INT AS rank FROM sums QUALIFY rank <= {TOP}""")
 def pq_search(spark: SparkSession, sf: str) -> DataFrame:
-    return quantized.product_search(fixed(spark, sf), TOP)
+    """Product codes whose words are slices of the seeds, scored by table look-ups."""
+    v = fixed(spark, sf)
+    return quantized.product_search(asked(v), v, TOP, _PARTS, quantized.seed_books(v, _PARTS, _WORDS))
 
 
 @query()
 def hnsw_search(spark: SparkSession, sf: str) -> DataFrame:
     v = fixed(spark, sf)
-    return hnsw.search_shards(v, v, TOP)
+    return hnsw.search_shards(asked(v), v, TOP)
 
 
 @query(f"WITH {sql.fixed()} SELECT a.dim AS i, b.dim AS j, sum(a.val * b.val)::DOUBLE AS s FROM vecs a JOIN vecs b ON a.id = b.id AND a.dim <= b.dim GROUP BY ALL")
@@ -178,17 +212,35 @@ def index_footprint(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame(rows, "d int, n long, vectors long, ids long, gib_hundredths long")
 
 
-@query(f"WITH {sql.OFFERS3}, {_text_top('offers3', 'listing_id', 'title', 10)} SELECT count(*) AS found, (SELECT sum(least(10, g - 1))::BIGINT FROM (SELECT product_key, count(*) AS g FROM offers3 GROUP BY 1) x, range(0, 64) r(i) WHERE i < g) AS wanted FROM candidates JOIN offers3 a ON a.listing_id = q JOIN offers3 b ON b.listing_id = c AND a.product_key = b.product_key")
-def candidate_recall(spark: SparkSession, sf: str) -> DataFrame:
-    """How many of the listings of the same product are among the exact top 10 by hashed title features."""
-    o = written(listings.offers3(spark, sf).select("listing_id", "product_key", "title"))
-    hits = offer_candidates(o, TOP)
-    key = lambda k: o.select(F.col("listing_id").alias(k), F.col("product_key").alias(f"p{k}"))
-    found = hits.join(key("q"), "q").join(key("c"), "c").filter("pq = pc").agg(F.count("*").alias("found"))
-    wanted = o.groupBy("product_key").agg(F.count("*").alias("g")).agg(F.sum(F.col("g") * F.least(F.lit(TOP), F.col("g") - 1)).alias("wanted"))
-    return found.crossJoin(wanted)  # one row each
+ASKED = f"listing_id % {EVERY} = 0"
+
+
+def offer_candidates(o: DataFrame, top: int, probes: int = LIST_PROBES) -> DataFrame:
+    """q, c, score, rank: for every EVERY-th listing the nearest others by title in the closest lists."""
+    v, index = text_index(o, "listing_id", "title")
+    return index.search(asked(v), top, probes, positive=True)
 
 
-def offer_candidates(o: DataFrame, top: int) -> DataFrame:
-    v = tx.dense_features(o.select("listing_id", "title"), "listing_id", "title").select(F.col("listing_id").alias("id"), "vec")
-    return flat.search(v, v, top, positive=True)
+def offer_candidates_sql(top: int, probes: int = LIST_PROBES) -> str:
+    return f"{sql.OFFERS}, {sql.dense('offers', 'listing_id', 'title')}, {sql.text_lists('offers', 'listing_id', ASKED, probes, top)}"
+
+
+@query(f"WITH {offer_candidates_sql(TOP)} SELECT q, c, score, rank FROM candidates")
+def ivf_offer_candidates(spark: SparkSession, sf: str) -> DataFrame:
+    """Top candidates of a query set of listings through stored inverted lists over all listings."""
+    return offer_candidates(written(listings.offers(spark, sf)), TOP)
+
+
+@query(f"""WITH {offer_candidates_sql(TOP)}, g AS (SELECT product_key, count(*) AS g FROM offers GROUP BY 1)
+SELECT count(*) AS found, (SELECT sum(least({TOP}, g - 1))::BIGINT FROM offers JOIN g USING (product_key) WHERE {ASKED}) AS wanted, (SELECT sum(n)::BIGINT FROM probe JOIN (SELECT list_id, count(*) AS n FROM member GROUP BY 1) USING (list_id)) AS scanned, (SELECT count(*) FROM offers) AS listings
+FROM candidates JOIN offers a ON a.listing_id = q JOIN offers b ON b.listing_id = c AND a.product_key = b.product_key""")
+def candidate_recall(spark: SparkSession, sf: str) -> DataFrame:
+    """How many of the listings of the same product are among the top 10 of the probed lists, over all listings; and what was scanned."""
+    o = written(listings.offers(spark, sf).select("listing_id", "product_key", "title"))
+    v, index = text_index(o, "listing_id", "title")
+    q = asked(v)
+    key = lambda k: o.select(F.col("listing_id").alias(k), F.col("product_key").alias(f"p{k}"))
+    found = index.search(q, TOP, LIST_PROBES, positive=True).join(key("q"), "q").join(key("c"), "c").filter("pq = pc").agg(F.count("*").alias("found"))
+    wanted = o.filter(ASKED).join(o.groupBy("product_key").agg(F.count("*").alias("g")), "product_key").agg(F.sum(F.least(F.lit(TOP), F.col("g") - 1)).alias("wanted"))
+    total = o.agg(F.count("*").alias("listings"))
+    return found.crossJoin(wanted).crossJoin(index.scanned(q, LIST_PROBES)).crossJoin(total)  # one row each

@@ -32,6 +32,28 @@ def features(relation: str, key: str, text: str, name: str = "feats", limit: int
 {name}_norm AS (SELECT {key}, sum(val * val)::BIGINT AS n2 FROM {name} GROUP BY ALL)"""
 
 
+def dense(relation: str, key: str, text: str, name: str = "feats", width: int = WIDTH, limit: int = FIRST) -> str:
+    """``features`` and ``{name}_vec``(key, v): the same as one list a row, for products in one pass."""
+    return f"""{features(relation, key, text, name, limit, width)},
+{name}_vec AS (SELECT {key}, list_transform(range({width}), lambda d: coalesce(m[d], 0)::DOUBLE) AS v FROM (SELECT {key}, map_from_entries(list((dim, val))) AS m FROM {name} GROUP BY {key}))"""
+
+
+def text_lists(relation: str, key: str, asked: str, probes: int, top: int, name: str = "feats") -> str:
+    """``lists``, ``member``, ``probe`` and ``candidates``(q, c, score, rank) over ``{name}`` of ``relation``: inverted lists around the texts whose keys have the smallest
+    md5, and for the rows where ``asked`` holds the best ``top`` others with a positive product in the ``probes`` closest lists."""
+    return f"""
+seeded AS (SELECT {key}, row_number() OVER (ORDER BY md5({key}::VARCHAR)) - 1 AS list_id FROM {name}_norm QUALIFY list_id < floor(sqrt((SELECT count(*) FROM {name}_norm)))::BIGINT),
+lists AS (SELECT list_id, dim, val FROM {name} JOIN seeded USING ({key})),
+list_norm AS (SELECT list_id, sum(val * val)::BIGINT AS m2 FROM lists GROUP BY list_id),
+to_list AS (SELECT {key}, list_id, sum(v.val * l.val)::BIGINT AS dot FROM {name} v JOIN lists l USING (dim) GROUP BY ALL),
+near_list AS (SELECT {key}, list_id, row_number() OVER (PARTITION BY {key} ORDER BY dot / sqrt((n2 * m2)::DOUBLE) DESC, list_id) AS r FROM to_list JOIN {name}_norm USING ({key}) JOIN list_norm USING (list_id)),
+member AS (SELECT {key}, list_id FROM near_list WHERE r = 1),
+probe AS (SELECT {key}, list_id FROM near_list WHERE r <= {probes} AND {asked}),
+met AS (SELECT p.{key} AS q, m.{key} AS c FROM probe p JOIN member m ON p.list_id = m.list_id AND p.{key} <> m.{key}),
+product AS (SELECT q, c, list_dot_product(a.v, b.v) / sqrt((na.n2 * nb.n2)::DOUBLE) AS score FROM met JOIN {name}_vec a ON a.{key} = q JOIN {name}_vec b ON b.{key} = c JOIN {name}_norm na ON na.{key} = q JOIN {name}_norm nb ON nb.{key} = c),
+candidates AS (SELECT q, c, score, row_number() OVER (PARTITION BY q ORDER BY score DESC, c)::INT AS rank FROM product WHERE score > 0 QUALIFY rank <= {top})"""
+
+
 def fixed(relation: str = "embeddings") -> str:
     """``vecs``(id, dim, val) and ``norms``(id, n2)."""
     return f"""

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -9,9 +10,12 @@ from pyspark.sql import DataFrame
 
 
 def scratch(spark) -> str:
-    """A new folder name in the shared checkpoint folder of the session, or in a temporary one where none is set (tests)."""
+    """A new folder name in the shared checkpoint folder of the session. Where none is set, in a temporary one if everything runs in
+    one process (tests); on a cluster that is an error, as executors would not see each other's files."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not folder:
+        if not re.fullmatch(r"local(\[[^]]*\])?", spark.sparkContext.master):
+            raise RuntimeError("spark.checkpoint.dir names no folder that all executors share")
         folder = "file://" + tempfile.mkdtemp(prefix="catalog_dedup_")
         spark.sparkContext.setCheckpointDir(folder)
     return f"{folder.rstrip('/')}/{uuid.uuid4().hex}"

@@ -62,8 +62,14 @@ def offers3(spark: SparkSession, sf_dir: str) -> DataFrame:
     return offers(spark, sf_dir).withColumn("k", F.row_number().over(w)).filter(F.col("k") <= SELLERS).drop("k")
 
 
+def true_classes(listings: DataFrame) -> DataFrame:
+    """listing_id, product_key, rep (the product's smallest listing) and n_links (its other listings): the whole truth in a row a listing."""
+    sized = listings.groupBy("product_key").agg(F.min("listing_id").alias("rep"), (F.count("*") - 1).alias("n_links"))
+    return listings.select("listing_id", "product_key").join(sized, "product_key").select("listing_id", "product_key", "rep", "n_links")
+
+
 def true_pairs(listings: DataFrame) -> DataFrame:
-    """a < b of one product. Grows with the square of a product's sellers: use it on listings with few sellers each."""
+    """a < b of one product. Grows with the square of a product's sellers: for samples with few sellers each; see ``true_classes``."""
     a, b = (listings.select(F.col("listing_id").alias(x), F.col("product_key").alias(f"k{x}")) for x in "ab")
     return a.join(b, (F.col("ka") == F.col("kb")) & (F.col("a") < F.col("b"))).select("a", "b", F.col("ka").alias("product_key"))
 
