@@ -447,6 +447,7 @@ def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = Tr
 
     def fill(batches):
         import pyarrow as pa
+        import pyarrow.compute as pc
 
         for b in batches:
             for path, more in zip(b.column(0).to_pylist(), b.column(1), strict=True):
@@ -454,7 +455,7 @@ def encode(docs: DataFrame, table: PieceTable, keep: list[str], check: bool = Tr
                 if more is not None:
                     code = more.field("code")
                     order = np.argsort(more.field("j").to_numpy())
-                    sizes = pa.compute.binary_length(code).to_numpy()[order] // kind.itemsize
+                    sizes = pc.binary_length(code).to_numpy()[order] // kind.itemsize
                     flat = np.frombuffer(b"".join(code.take(pa.array(order)).to_pylist()), kind)
                     begins = np.cumsum(sizes) - sizes
                 store, _ = open_store(place)
