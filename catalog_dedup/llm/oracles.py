@@ -78,6 +78,6 @@ _OP10 = r"""WITH parts AS (SELECT page_id, coalesce(regexp_extract(url, '(?s)^.*
 urls AS (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*', 0), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(rest, '^[^/?#]*(/[^?#]*)', 1) AS path, row_number() OVER () AS rid FROM parts),
 rules(h, p, v) AS (VALUES ('com', '/', 'allow'), ('example.com', '/en/', 'block'), ('www.example.com', '/en/', 'allow'), ('net', '/es/', 'block'), ('net', '/fr/', 'block')),
 fits AS (SELECT rid, arg_max(h || p, length(h) * 1000 + length(p)) AS rule, arg_max(v, length(h) * 1000 + length(p)) AS v FROM urls JOIN rules ON (host = h OR ends_with(host, '.' || h)) AND starts_with(path, p) GROUP BY rid)
-SELECT page_id, host, path, rule, coalesce(v, 'allow') AS verdict FROM urls LEFT JOIN fits USING (rid)"""
+SELECT page_id, host, path, rule, coalesce(v, CASE WHEN regexp_matches(host, '(^|\.)(ads-track\.example\.org|cheap-pills\.example\.(net|org)|free-bets\.example\.org)$') THEN 'block' ELSE 'allow' END) AS verdict FROM urls LEFT JOIN fits USING (rid)"""
 
 SQL = {"op10_url_filters": _OP10, "op2_quality_rules": _OP2, "op7_mix_sources": _OP7}

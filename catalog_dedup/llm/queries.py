@@ -69,10 +69,14 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 #: The rules that op10 applies, as host, path, verdict.
 URL_RULES = [("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.com", "/en/", "allow"), ("net", "/es/", "block"), ("net", "/fr/", "block")]
 
+#: The URLs that op10 blocks where no rule fits; roots stand for their sites.
+LISTED_URLS = ["https://ads-track.example.org/", "http://cheap-pills.example.net:80", "https://Free-Bets.example.org/?", "https://cheap-pills.example.org"]
+
 
 def op10_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     rules = spark.createDataFrame(URL_RULES, "host string, path string, verdict string")
-    return url_filters.judge(table(spark, sf_dir, "pages").select("page_id", "url"), rules, ["page_id"])
+    listed = spark.createDataFrame([(u,) for u in LISTED_URLS], "url string")
+    return url_filters.judge(table(spark, sf_dir, "pages").select("page_id", "url"), rules, ["page_id"], listed=listed)
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_quality_classifier, op2_quality_rules, op3_simhash_near_dedup, op4_nearest_neighbours, op5_token_counts, op6_sentencepiece, op7_mix_sources, op8_token_output, op9_language_id, op10_url_filters)}
