@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from .common import map_text, stash
+from .common import carried, map_text, small, stash, unpacked
 
 MOST_BITS = 2
 SHINGLE = 3
@@ -82,10 +82,10 @@ def links(nodes: DataFrame) -> DataFrame:
     blocks = [F.shiftrightunsigned("fp", 16 * k).bitwiseAND(0xFFFF) for k in range(4)]
     bins = F.array(*[F.struct(F.lit(n).alias("choice"), (F.shiftleft(blocks[i], 16) + blocks[j]).alias("value")) for n, (i, j) in enumerate(combinations(range(4), 2))])
     filed = nodes.select("fp", F.explode(bins).alias("x")).select("fp", "x.choice", "x.value")
-    sizes = filed.groupBy("choice", "value").agg(F.count("*").alias("n"))
-    large = sizes.filter(F.col("n") > BIN)
-    small_bins = filed.join(sizes.filter(F.col("n").between(2, BIN)), ["choice", "value"])
-    grouped = small_bins.groupBy("choice", "value").agg(F.collect_list("fp").alias("members")).select("members")
+    # Crowded bins are few (BIN times fewer than nodes at most): sent along if small, so that no bin is gathered for the sake of a join.
+    crowded_bins = small(stash(filed.groupBy("choice", "value").agg(F.count("*").alias("n")).filter(F.col("n") > BIN).select("choice", "value"), "crowded"))
+    rest = filed.join(crowded_bins, ["choice", "value"], "left_anti")
+    grouped = rest.groupBy("choice", "value").agg(F.collect_list("fp").alias("members")).filter(F.size("members") > 1).select("members")
 
     def pairs(batches):
         for frame in batches:
@@ -99,7 +99,7 @@ def links(nodes: DataFrame) -> DataFrame:
             yield pd.DataFrame({"a": e[:, 0], "b": e[:, 1]})
 
     near = grouped.mapInPandas(pairs, "a long, b long")
-    crowded = filed.join(large, ["choice", "value"], "left_semi").select("fp").distinct()
+    crowded = filed.join(crowded_bins, ["choice", "value"], "left_semi").select("fp").distinct()
     flips = F.concat(F.array(F.col("fp")), F.transform(F.sequence(F.lit(0), F.lit(63)), lambda k: F.col("fp").bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), k))))
     hub = crowded.select("fp", F.explode(flips).alias("point")).groupBy("point").agg(F.min("fp").alias("a"), F.collect_list("fp").alias("bs")).filter(F.size("bs") > 1)
     star = hub.select("a", F.explode("bs").alias("b")).filter("a != b").distinct()
@@ -146,9 +146,16 @@ def one_of_each(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` without near-duplicates: of each component the one with the smallest doc_id stays (ids that are
     null come last, ties go to the smaller fingerprint, and of repeated rows one stays)."""
     rows = stash(with_fingerprint(docs, ["doc_id"]), "fingerprints")
-    named = rows.join(classes(rows), F.col("_fp") == F.col("_node"))
-    first = named.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull(), F.col("doc_id").alias("id"), F.col("_fp").alias("fp"))).alias("x"))
-    first = stash(first.select("root", F.col("x.id").alias("_id"), F.col("x.fp").alias("_of")), "first")
-    full = with_fingerprint(docs, docs.columns).join(first, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_fp") == F.col("_of")))
-    w = Window.partitionBy("root").orderBy(F.xxhash64("text"), F.xxhash64(*[F.col(f"`{c}`") for c in docs.columns]))
-    return full.withColumn("_turn", F.row_number().over(w)).filter("_turn = 1").select(*[F.col(f"`{c}`") for c in docs.columns])
+    named = rows.join(classes(rows), F.col("_fp") == F.col("_node")).select("doc_id", "root", F.col("_fp").alias("node"))
+    return first_of_each(docs, named, with_fingerprint, "_fp")
+
+
+def first_of_each(docs: DataFrame, named: DataFrame, mark, column: str) -> DataFrame:
+    """One row of ``docs`` for each root of ``named`` (doc_id, node, root). ``mark`` adds a row's node as ``column``."""
+    packed = docs.select(carried(docs.columns).alias("row"), "doc_id", "text")
+    first = named.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col("node").alias("node"))).alias("x"))
+    first = stash(first.select("root", F.col("x.id").alias("f_id"), F.col("x.node").alias("f_node")), "first")
+    hits = packed.join(first, F.col("doc_id").eqNullSafe(F.col("f_id"))).select("row", "text", "root", "f_node")
+    hits = mark(hits, ["row", "root", "f_node"]).filter(F.col(column) == F.col("f_node"))
+    turn = F.row_number().over(Window.partitionBy("root").orderBy(F.xxhash64("row")))  # repeated rows
+    return hits.withColumn("turn", turn).filter("turn = 1").select(*unpacked("row", docs.columns))
