@@ -42,7 +42,7 @@ MOST_SEEDS = 65_536
 DEGREE, SAMPLE = 32, 16
 #: Share of edges that changed below which the graph is done.
 SETTLED = 0.01
-POOL, EXPAND = 24, 40
+POOL, EXPAND = 24, 96
 
 
 def usable(table: DataFrame) -> DataFrame:
@@ -71,6 +71,8 @@ def block_of(node: Column, blocks: int, deal: int = 0) -> Column:
 
 def _matrix(column, kind) -> np.ndarray:
     rows = column.to_pylist()
+    if not rows:
+        return np.zeros((0, 0), np.float32 if kind == np.float16 else np.float64)
     return np.frombuffer(b"".join(rows), kind).reshape(len(rows), -1).astype(np.float32 if kind == np.float16 else np.float64)
 
 
