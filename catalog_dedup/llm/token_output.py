@@ -31,8 +31,8 @@ from .common import open_store, shared_folder, stash
 BLOCK = 65536
 MAGIC = b"BPLANES1"
 END = 1
-#: Words that a worker's tokenizer remembers before it starts anew (about 250 MB).
-REMEMBERED = 1_000_000
+#: Words that a worker's tokenizer remembers before it starts anew (about 200 MB).
+REMEMBERED = 800_000
 _FOOTER = "<5Q8s"
 
 
@@ -98,15 +98,15 @@ def word_tokenizer(path: str):
     return encode
 
 
+_KEPT: dict = {}
+
+
 def kept_tokenizer(path: str):
-    """The worker process's tokenizer, kept with its words for later tasks on a module that outlives them."""
-    import pyspark
-
-    held = pyspark.__dict__.setdefault("_catalog_dedup_tokenizers", {})
-    if path not in held:
-        held.clear()
-        held[path] = word_tokenizer(path)
-    return held[path]
+    """The worker process's tokenizer, kept with its words for later tasks."""
+    if path not in _KEPT:
+        _KEPT.clear()
+        _KEPT[path] = word_tokenizer(path)
+    return _KEPT[path]
 
 
 class ShardWriter:
