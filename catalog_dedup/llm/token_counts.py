@@ -5,6 +5,10 @@ the number of tokens of the best unigram segmentation of that prefix, computed o
 where a pre-token ends, its count is stored. A document's count is the sum over its pre-tokens. Nothing is shuffled: a
 task keeps its own trie, and starts anew beyond ``NODES`` nodes, which bounds its memory and changes no count.
 
+Pre-tokens of over ``LONG`` characters would fill the trie with nodes that nothing shares, so theirs are let go at once: the same
+recurrence keeps the last pieces' scores only. As in ``lattice``, the file's pieces and scores are read as a unigram lexicon whatever
+model it was made for.
+
 Of equally good segmentations the one with the longer last piece counts. A character that is no piece counts as many tokens
 as it has UTF-8 bytes (one where the table has no byte pieces). Null and empty texts have 0 tokens. Rows are counted one by
 one; an empty table gives no rows. Input columns named like a result are replaced.
@@ -19,7 +23,7 @@ from pyspark.sql import types as T
 from .common import map_text
 from .pieces import PieceTable, splitter
 
-NODES = 600_000
+NODES, LONG = 600_000, 4096
 
 
 class ForwardTrie:
@@ -39,6 +43,8 @@ class ForwardTrie:
         known = self.terminal.get(word)
         if known is not None:
             return known
+        if len(word) > LONG:
+            return self.count_long(word)
         if len(self.score) > self.most:
             self.clear()
         pieces, longest, child, score, tokens = self.table.pieces, self.table.longest, self.child, self.score, self.tokens
@@ -63,6 +69,23 @@ class ForwardTrie:
         self.terminal[word] = tokens[node]
         return tokens[node]
 
+    def count_long(self, word: str) -> int:
+        """The same without a node; scores and counts of the last ``longest`` prefixes are at hand."""
+        pieces, longest = self.table.pieces, self.table.longest
+        score, tokens = [0.0] * (longest + 1), [0] * (longest + 1)
+        for end, c in enumerate(word, 1):
+            best, n = -np.inf, 0
+            for start in range(max(0, end - longest), end):
+                hit = pieces.get(word[start:end])
+                at = start % (longest + 1)
+                if hit and score[at] + hit[1] > best:
+                    best, n = score[at] + hit[1], tokens[at] + 1
+            at = (end - 1) % (longest + 1)
+            if c not in pieces and score[at] + self.table.unknown > best:
+                best, n = score[at] + self.table.unknown, tokens[at] + (len(c.encode("utf-8", "surrogatepass")) if self.table.bytes_from >= 0 else 1)
+            score[end % (longest + 1)], tokens[end % (longest + 1)] = best, n
+        return tokens[len(word) % (longest + 1)]
+
 
 def count_tokens(docs: DataFrame, table: PieceTable, keep: list[str]) -> DataFrame:
     """``keep`` columns, ``n_pre_tokens`` and ``n_tokens`` of every row."""
