@@ -1,7 +1,7 @@
 """Quality classifier: histogram gradient-boosted trees over document statistics.
 
 Statistics come from the whole text alone. Trees grow on the driver from histograms of binned features of a labelled
-sample with at most about ``SAMPLE`` rows (chosen by a hash of doc_id), are flattened into arrays of one complete binary
+sample of at most about ``SAMPLE`` labels (chosen by a hash of doc_id) and twice as many rows, are flattened into arrays of one complete binary
 tree each, and are walked for a whole batch at once with numpy.
 
 Null texts count as empty, and empty texts get a score like any other. Without labels every score is 0.5, with labels of
@@ -107,7 +107,10 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> dict:
     known = labels.filter(F.col("quality").isNotNull() & (remainder(F.col("doc_id"), FOLDS) != HELD_OUT)).select(F.col("doc_id").alias("_id"), F.col("quality").alias("_label"))
     n = known.count()
     chosen = F.broadcast(known.filter(uniform(F.col("_id")) < min(1.0, sample / max(n, 1))))  # about `sample` rows at most
-    rows = docs.select("doc_id", "text").join(chosen, F.col("doc_id") == F.col("_id"))
+    rows = docs.select("doc_id", "text").join(chosen, F.col("doc_id") == F.col("_id")).select("_id", "_label", "text")
+    # An id may stand in many rows: repeated ones count once, and of too many different ones a share is drawn.
+    met = rows.count()
+    rows = rows.filter(uniform(F.col("_id"), F.col("text")) < min(1.0, 2 * sample / max(met, 1))).dropDuplicates(["_id", "_label", "text"])
     made = map_text(rows, ["_label"], [("x", T.ArrayType(T.DoubleType()))], lambda texts: [[statistics(t) for t in texts]])
     got = sorted((r["_label"], tuple(r["x"])) for r in made.collect())
     y = np.array([g[0] for g in got], float)
