@@ -3,7 +3,7 @@
 Character trigrams of the whole lower-cased text (runs of other characters than letters count as one space) are hashed
 into ``DIM`` counts and scaled to unit length. Linear support vector machines, one against one, first tell the language
 family and then, within the family, the language. Models learn from a sample of labelled rows whose expected size is
-``SAMPLE`` per language at most, chosen by a hash of doc_id; everything else covers all rows.
+``SAMPLE`` per language and ``SAMPLED`` in all at most, chosen by a hash of doc_id and text; everything else covers all rows.
 
 Null texts and texts without a letter are ``und`` with score 0, and so are all texts if no row has a label. With one
 learned language every other text is given that, with score 1. Ties go to the first in code-point order. Rows are judged
@@ -22,7 +22,7 @@ from pyspark.sql import types as T
 from .common import map_text, remainder, uniform
 
 DIM = 4096
-SAMPLE = 1000
+SAMPLE, SAMPLED = 1000, 8000
 FOLDS, HELD_OUT = 4, 2
 #: ISO 639-1 codes by family. Any other code is a family of its own.
 FAMILIES = {
@@ -95,8 +95,9 @@ def fit(docs: DataFrame, learn: Column, sample: int = SAMPLE) -> dict | None:
     counts = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}  # a row per language
     if not counts:
         return None
+    sample = min(sample, max(1, SAMPLED // len(counts)))
     share = F.element_at(F.create_map(*[v for k, n in counts.items() for v in (F.lit(k), F.lit(min(1.0, sample / n)))]), F.col("lang"))
-    chosen = rows.filter(uniform(F.col("doc_id")) < share).select(F.col("lang").alias("_label"), "text")
+    chosen = rows.filter(uniform(F.col("doc_id"), F.col("text")) < share).dropDuplicates(["lang", "doc_id", "text"]).select(F.col("lang").alias("_label"), "text")
     made = map_text(chosen, ["_label"], [("x", T.BinaryType())], lambda texts: [[None if (c := trigram_counts(t)) is None else unit(c).astype(np.float16).tobytes() for t in texts]])
     got = [(r["_label"], r["x"]) for r in made.filter("x IS NOT NULL").collect()]
     if not got:
