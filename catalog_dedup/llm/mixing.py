@@ -93,7 +93,8 @@ def mix_sizes(docs: DataFrame, **options) -> DataFrame:
 
 
 def mix(docs: DataFrame, **options) -> DataFrame:
-    """The mixed corpus with the columns of ``docs``: a row per epoch of each document, the one at a cut with its words up to the cut."""
+    """The mixed corpus with the columns of ``docs``: a row per epoch of each document. The one document of a source at its
+    cut has its words up to the cut, parted by single spaces (its white space is not kept); all other texts are as they were."""
     sized = stash(sized_rows(docs, []), "sizes")
     p = small(stash(plan(sized, **options), "mix-plan"))
     names = docs.columns

@@ -259,14 +259,26 @@ def test_words_are_tokenized_as_in_whole_texts(text):
     assert np.frombuffer(token_output.word_tokenizer(path)([text])[0], "<u4").tolist() == want
 
 
+def test_words_of_all_latin_letters_are_tokenized_as_in_whole_texts():
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    tok, mine = Tokenizer.from_file(path), token_output.word_tokenizer(path)
+    r = np.random.default_rng(8)
+    letters = [chr(c) for c in range(0x20, 0x250)] + list(".,'’-–…!?€東\u0301\u200d")
+    texts = [f"{a}b {b}{a}, x{a}." for a, b in zip(letters, letters[1:] + letters[:1])]
+    texts += ["".join(r.choice([*letters, " ", " ", "."], 40)) for _ in range(1500)]
+    assert [np.frombuffer(x, "<u4").tolist() for x in mine(texts)] == [tok.encode(t, add_special_tokens=False).ids for t in texts]
+
+
 def test_neighbours(spark, monkeypatch):
     monkeypatch.setattr(nn_descent, "BLOCK", 200)
     r = np.random.default_rng(0)
     x = r.normal(size=(700, 12))
     x[650:] = x[0]  # copies
-    rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(1000, None), (1020, [0.0] * 12), (1040, [1.0] * 3), (1060, [float("nan")] * 12), (1080, [None] * 12)]
+    rows = [(i, v.tolist(), "n") for i, v in enumerate(x)] + [(3, x[3].tolist(), "again")] + [(1000, None, "n"), (1020, [0.0] * 12, "n"), (1040, [1.0] * 3, "n"), (1060, [float("nan")] * 12, "n"), (1080, [None] * 12, "n"), (None, x[1].tolist(), "n")]
     got = {}
-    for q in nn_descent.neighbours(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect():
+    for q in nn_descent.neighbours(spark.createDataFrame(rows, "vec_id long, embedding array<double>, node string")).collect():
         got.setdefault(q.query_id, {})[q["rank"]] = (q.vec_id, q.score)
     hit = n = 0
     for i in range(0, 700, 20):
@@ -274,7 +286,7 @@ def test_neighbours(spark, monkeypatch):
         order = [j for j in np.lexsort((np.arange(700), -s)) if j != i][:20]
         assert sorted(got[i]) == list(range(1, 21)) and all(np.isclose(s[v], t) for v, t in got[i].values())
         hit, n = hit + len({v for v, _ in got[i].values()} & set(order)), n + 20
-    assert hit / n > 0.9 and set(got) == set(range(0, 700, 20))
+    assert hit / n > 0.95 and set(got) == set(range(0, 700, 20))
     assert nn_descent.neighbours(spark.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
     few = spark.createDataFrame([(i, [float(i), 1.0]) for i in range(5)], "vec_id long, embedding array<double>")
     assert [r.vec_id for r in nn_descent.neighbours(few).orderBy("rank").collect()] == [1, 2, 3, 4]
@@ -283,23 +295,184 @@ def test_neighbours(spark, monkeypatch):
 def test_descent_and_search_cut_nothing(spark, monkeypatch):
     r = np.random.default_rng(4)
     # Leaves that know only their centre: after one round each knows all the others.
-    x = r.normal(size=(20, 8)).astype(np.float16)
+    x = r.normal(size=(17, 8)).astype(np.float16)
+    leaves = list(range(1, 17))
     nodes = spark.createDataFrame([(0, i, v.tobytes(), v.astype(float).tobytes()) for i, v in enumerate(x)], "block int, node long, short binary, exact binary")
     f = lambda a, b: float(x[a].astype(np.float32) @ x[b].astype(np.float32))
-    graph = [(0, 0, list(range(1, 20)), [f(0, i) for i in range(1, 20)], [True] * 19, 19)] + [(0, i, [0], [f(i, 0)], [True], 1) for i in range(1, 20)]
-    graph = spark.createDataFrame(graph, "block int, node long, near array<long>, score array<float>, fresh array<boolean>, changed int")
-    assert all(set(g.near) == set(range(20)) - {g.node} for g in nn_descent.descend(nodes, graph, 1).collect())
+    low = float("-inf")
+    graph = [(0, 0, leaves, [f(0, i) for i in leaves], [False] * 16, leaves, [], low, 16)] + [(0, i, [0], [f(i, 0)], [False], [0], [], low, 1) for i in leaves]
+    graph = spark.createDataFrame(graph, nn_descent._GRAPH)
+    assert all(set(g.near) == set(range(17)) - {g.node} for g in nn_descent.descend(nodes, graph, 17, 1).collect())
+    # An edge stays new until it has been handed on; what was handed on counts as old.
+    known = spark.createDataFrame([(0, 0, list(range(1, 21)), [1.0 - i / 100 for i in range(20)], [True] * 20)], "block int, node long, near array<long>, score array<float>, fresh array<boolean>")
+    found = spark.createDataFrame([], nn_descent._PROPOSED)
+    g = nn_descent.joined_back(known, found, 1).first()
+    assert g.new == list(range(1, 17)) and g.old == [] and g.fresh == [False] * 16 + [True] * 4 and g.changed == 0
     # A chain of nodes, each known to the one before it only.
     n = 12
     chain = spark.createDataFrame([(0, i, b"", np.array([float(i + 1), 1.0]).tobytes()) for i in range(n)], "block int, node long, short binary, exact binary")
     adjacency = spark.createDataFrame([(i, [i + 1]) for i in range(n - 1)], "node long, adjacent array<long>")
     query = spark.createDataFrame([(0, np.array([1.0, 0.0]).tobytes(), [0])], "q long, vector binary, start array<long>")
-    assert [h.node for h in nn_descent.search(chain, adjacency, query, 1, 1).collect()] == [n - 1]
+    assert [h.node for h in nn_descent.search(chain, adjacency, query, 1, 1, 256).collect()] == [n - 1]
     # Rounds go on until edges have settled.
     calls = []
     from pyspark.sql import functions as F
 
     monkeypatch.setattr(nn_descent, "start_graph", lambda *_: graph)
-    monkeypatch.setattr(nn_descent, "descend", lambda nodes, graph, blocks: calls.append(1) or graph.withColumn("changed", F.lit(100 if len(calls) < 9 else 0)))
-    nn_descent.build(nodes, 2, 20)
+    monkeypatch.setattr(nn_descent, "descend", lambda nodes, graph, count, turn: calls.append(1) or graph.withColumn("changed", F.lit(100 if len(calls) < 9 else 0)))
+    nn_descent.build(nodes, 17)
     assert len(calls) == 9
+
+
+def test_every_size_is_worked_on_alike():
+    for n in (500, 2000, 10_000, 50_000, 3_000_000):
+        deals, cells = nn_descent.deals_for(n)
+        assert cells > 1 and n / cells <= nn_descent.LEAF and deals * cells <= nn_descent.MOST_SEEDS
+    deals, cells = nn_descent.deals_for(10**10)
+    assert deals * cells <= nn_descent.MOST_SEEDS
+
+
+CLASHING = ["_text", "_words", "_lines", "t_lang", "o_total", "Kept", "N_WORDS", "n_lines", "row", "_fp", "_node", "root", "turn", "_turn", "node", "fp", "word", "part", "path", "ids", "h", "size", "key", "range", "taken", "g_source", "s_node", "f_id", "hit", "p_url", "x", "_label", "_id"]
+
+
+def test_columns_of_any_name_come_through(spark, table):
+    """Extra columns with names that operators use inside keep their values; those named like a result are replaced."""
+    names = ["doc_id", "text", "lang", "source", *CLASHING]
+    docs = spark.createDataFrame([(i, t, lang, s, *[f"{c} {i}" for c in CLASHING]) for i, t, lang, s, *_ in corpus(30)[:30]], "doc_id long, text string, lang string, source string, " + ", ".join(f"`{c}` string" for c in CLASHING))
+
+    def whole(df, gone=()):
+        kept = [c for c in CLASHING if c.lower() not in gone]
+        rows = df.collect()
+        assert rows and all(r[c] == f"{c} {r.doc_id}" for r in rows for c in kept)
+
+    from catalog_dedup.llm import near_copies
+
+    whole(quality_rules.apply_rules(docs, names), ("kept", "n_words"))
+    whole(simhash.one_of_each(docs))
+    whole(near_copies.one_of_each(docs))
+    whole(mixing.mix(docs))
+    whole(language_id.identify(docs, names))
+    whole(quality_classifier.score(docs, quality_classifier.fit(docs, spark.createDataFrame([(i, i % 2) for i in range(30)], "doc_id long, quality int")), names))
+    whole(token_counts.count_tokens(docs, table, names))
+    whole(lattice.encode(docs, table, names), ("ids",))
+    rules = spark.createDataFrame([("com", "/", "allow")], "host string, path string, verdict string")
+    pages = docs.withColumnRenamed("text", "url")
+    whole(url_filters.judge(pages, rules, [c for c in pages.columns if c != "url"]), ("path",))
+    assert simhash.duplicate_classes(docs).count() == 30 and mixing.mix_sizes(docs).count() == 30
+    assert token_output.read_shards(token_output.write_shards(docs, public_tokenizers.path("word_bpe_49k.json"))).count() == 30
+
+
+def test_units_of_any_length(spark, table, monkeypatch):
+    """Long units go block by block, and long pre-tokens without a trie; both as brute force has it."""
+    texts = ["ab" * 3000 + "東" * 300 + "é" * 700, "x" * 5000, "a" * 65, "e" * 64, "short"]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    split = pieces.splitter(table)
+    want = [[i for w in split(t) for i in best_path(w, table)] for t in texts]
+    for head in (lattice.HEAD, 1):
+        monkeypatch.setattr(lattice, "HEAD", head)
+        got = {r.doc_id: r for r in lattice.encode(rows, table, ["doc_id"]).collect()}
+        assert [list(got[i].ids) for i in range(len(texts))] == want and all(r.round_trip for r in got.values())
+    counts = {r.doc_id: r.n_tokens for r in token_counts.count_tokens(rows, table, ["doc_id"]).collect()}
+    assert [counts[i] for i in range(len(texts))] == list(map(len, want))
+
+
+def test_units_cut_alike_whatever_the_slice(table, monkeypatch):
+    from catalog_dedup.llm import units
+
+    cutter = units.Cutter(table)
+    texts = ["the end  of   it\nand so on. " * 30, None, "", "東京 ñ", "aaaa" * 50]
+
+    def cut():
+        out = [[] for _ in texts]
+        for codes, heads, owner in cutter.blocks(texts):
+            s = codes.tobytes().decode("utf-32-le")
+            for k, a, b in zip(owner.tolist(), heads[:-1].tolist(), heads[1:].tolist()):
+                out[k].append(s[a:b])
+        return out
+
+    plain = cut()
+    assert ["".join(x) for x in plain] == [("▁" + t).replace(" ", "▁") if t else "" for t in texts]
+    monkeypatch.setattr(units, "SLICE", 16)
+    assert cut() == plain
+    every = sorted({u for x in plain for u in x})
+    assert len(set(zip(*[h.tolist() for h in units.hashes_of(every)]))) == len(every)
+
+
+def test_statistics_equal_plain_counts():
+    for text in ["", "Hello, World! It is 42 | 7 #tag\nline two\nline two", " a  a b B b b ", "ÄÖ ñ 東京 … x|y", "w " * 3000]:
+        got = dict(zip(quality_classifier.FEATURES, quality_classifier.statistics(text)))
+        w = text.split()
+        n, lines = max(len(w), 1), [x for x in text.split("\n") if x.strip()]
+        count = lambda f: sum(map(f, text))
+        want = {
+            "words": len(w), "word_length": sum(map(len, w)) / n, "distinct_words": len(set(w)) / n, "distinct_pairs": len({(w[i], w[i + 1]) for i in range(len(w) - 1)}) / n,
+            "stutters": sum(w[i] == w[i + 1] for i in range(len(w) - 1)) / n, "lines": len(lines) / n, "distinct_lines": len(set(lines)) / max(len(lines), 1),
+            "digits": count(lambda c: c in "0123456789") / max(len(text), 1), "symbols": count(lambda c: c in "#*$%&<>@^~=+_") / n, "exclamations": count(lambda c: c in "!?") / n,
+            "stops": count(lambda c: c in ".,") / n, "bars": text.count("|") / n, "longest_word": max(map(len, w), default=0), "title_words": sum(x.istitle() for x in w) / n,
+        }
+        assert all(np.isclose(got[k], v) for k, v in want.items())
+
+
+def test_language_equals_one_text_at_a_time(spark):
+    """Predictions against trigrams counted one by one and machines asked one by one."""
+    words = {"en": "the heon onhe of and with", "de": "und der schei über nicht ein", "fr": "les éau leçon de la pour", "ru": "это что как был они при"}
+    rows = [(i, " ".join(np.random.default_rng(i).permutation(words[k].split() * 4)), k) for i in range(120) for k in [sorted(words)[i % 4]]]
+    rows += [(3, rows[3][1], "ru"), (200, None, "en"), (201, "", "en"), (202, "7 !", "en"), (203, "über THE 東京 " * 4000, None), (None, "les de la", "fr")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = language_id.fit(docs, remainder_is_not(language_id.FOLDS, language_id.HELD_OUT))
+
+    def counts(text):
+        letter = lambda c: "a" <= c <= "z" or (ord(c) >= 0xC0 and c not in "×÷" and not 0x2000 <= ord(c) <= 0x2BFF)
+        s = ""
+        for c in text.lower():
+            c = c if letter(c) else " "
+            s += "" if c == " " and s.endswith(" ") else c
+        out, s = np.zeros(language_id.DIM), f" {s} "
+        for a, b, c in zip(s, s[1:], s[2:]):
+            h = (ord(a) * 0x9E3779B1 + ord(b) * 0x85EBCA77 + ord(c) * 0xC2B2AE3D) * 0x27D4EB2F165667C5 % 2**64
+            out[(h >> 52) % language_id.DIM] += 1
+        return out
+
+    def vote(m, x):
+        k = len(m["names"])
+        won = np.ones((k, k))
+        for (a, b), w in zip(m["pairs"], m["w"]):
+            won[a, b] = 1 / (1 + np.exp(-3 * (float(w[:-1] @ x) + float(w[-1]))))
+            won[b, a] = 1 - won[a, b]
+        best = int(np.argmax(won.sum(1)))
+        return m["names"][best], min([won[best, j] for j in range(k) if j != best], default=1.0)
+
+    got = sorted(((r.doc_id, r.lang_pred, round(r.score, 4)) for r in language_id.predict(docs, model, ["doc_id"]).collect()), key=str)
+    want = []
+    for i, t, _ in rows:
+        if not t or not any(map(str.isalpha, t)):
+            want.append((i, "und", 0.0))
+            continue
+        x = np.sqrt(counts(t)).astype(np.float32)
+        x /= np.sqrt(x @ x)
+        family, p = vote(model["family"], x)
+        lang, q = vote(model["within"][family], x)
+        want.append((i, lang, round(p * q, 4)))
+    assert [g[:2] for g in got] == [w[:2] for w in sorted(want, key=str)]
+    assert all(abs(g[2] - w[2]) < 2e-3 for g, w in zip(got, sorted(want, key=str)))
+
+
+def remainder_is_not(parts, k):
+    from pyspark.sql import functions as F
+
+    from catalog_dedup.llm.common import remainder
+
+    return remainder(F.col("doc_id"), parts) != k
+
+
+def test_listed_urls(spark):
+    rules = spark.createDataFrame([("com", "/", "allow")], "host string, path string, verdict string")
+    listed = spark.createDataFrame([("http://Bad.example.org:80",), ("https://x.org/a%7eb?q=1#top",), ("http://other.com/",), ("nothing",), (None,)], "url string")
+    urls = ["https://bad.example.org/any/page", "http://www.bad.example.org", "http://notbad.example.org/", "http://x.org:80/a~b?q=1", "http://x.org/a~b", "http://other.com/", "http://bad.example.org.:443/p", "http://" + "a." * 5000 + "org/", None, ""]
+    got = {r.page_id: (r.rule, r.verdict) for r in url_filters.judge(spark.createDataFrame(list(enumerate(urls)), "page_id int, url string"), rules, ["page_id"], listed=listed).collect()}
+    assert [got[i] for i in range(len(urls))] == [(None, "block"), (None, "block"), (None, "allow"), (None, "block"), (None, "allow"), ("com/", "allow"), (None, "block"), (None, "allow"), (None, "allow"), (None, "allow")]
+    assert url_filters.judge(spark.createDataFrame([], "page_id int, url string"), rules, ["page_id"], listed=listed).count() == 0
+    # Few blocks are crowded and pass more, but never lose a key.
+    h = np.arange(5000, dtype=np.int64) * 104729
+    keys = spark.createDataFrame([(int(x),) for x in h], "h long")
+    assert (url_filters.built(keys, 5000) == url_filters.blocked_bloom(h)).all() and url_filters.possible(url_filters.blocked_bloom(h, 2), h).all()

@@ -1,16 +1,16 @@
 """The pipeline, stage by stage, against brute force on the smallest documents."""
 
 import duckdb
-import numpy as np
 import pytest
 
 pytest.importorskip("corpus_pipeline")
 
 import corpus_pipeline  # noqa: E402
-from catalog_dedup.llm import language_id, mixing, oracles, pieces, simhash  # noqa: E402
+from catalog_dedup.llm import language_id, mixing, oracles, pieces  # noqa: E402
 from catalog_dedup.llm.common import remainder, stash  # noqa: E402
 from catalog_dedup.llm.queries import piece_table  # noqa: E402
 
+from .test_near_copies import roots_of  # noqa: E402
 from .test_operators import best_path  # noqa: E402
 
 SF = "/root/testdata/sf0.001"
@@ -53,14 +53,9 @@ def test_stages(spark):
 
     # Near-duplicates: all pairs.
     before = sorted(docs.collect(), key=lambda r: r.doc_id)
-    fp = simhash.fingerprints([r.text.encode() for r in before])
-    root = list(range(len(before)))
-    for _ in before:
-        for i in range(len(before)):
-            for j in np.flatnonzero(np.bitwise_count(fp ^ fp[i]) <= 2):
-                root[i] = root[j] = min(root[i], root[j])
+    stay = set(roots_of([(r.doc_id, r.text) for r in before]))
     docs = stash(stages["SimHash near-dedup"](spark, docs, SF), "t")
-    assert docs.columns == columns and keys(docs.collect()) == keys([r for i, r in enumerate(before) if root[i] == i])
+    assert docs.columns == columns and keys(docs.collect()) == keys([r for r in before if r.doc_id in stay])
 
     # Mixing: words of every source against targets worked out one by one.
     before = docs.collect()
