@@ -55,6 +55,23 @@ def dense_features(df: DataFrame, key: str, text: str, limit: int = FIRST, width
     return df.withColumn("vec", counted(F.transform(first_tokens(F.col(text), limit), token_hash)))
 
 
+GENERIC_WIDTH, GRAM = 512, 3
+
+
+def grams(text: Column) -> Column:
+    """Character 3-grams of the normalised text."""
+    t = normalise(text)
+    return F.when(F.length(t) >= GRAM, F.transform(F.sequence(F.lit(1), F.length(t) - (GRAM - 1)), lambda i: F.substring(t, i, F.lit(GRAM)))).otherwise(F.array().cast("array<string>"))
+
+
+def generic_features(df: DataFrame, key: str, text: str, width: int = GENERIC_WIDTH) -> DataFrame:
+    """Stand-in for a general sentence encoder that has never seen the catalogue: hashed character 3-grams of the whole text in long
+    form: key, dim, val."""
+    each = df.select(key, F.explode(grams(F.col(text))).alias("g")).withColumn("h", token_hash(F.col("g")))
+    signed = each.select(key, (F.col("h") % width).alias("dim"), F.when(F.shiftright("h", 16) % 2 == 1, -1).otherwise(1).alias("v"))
+    return signed.groupBy(key, "dim").agg(F.sum("v").alias("val")).filter("val != 0")
+
+
 def budget_coverage(df: DataFrame, text: str, limits: tuple[int, ...] = (8, 16, 32, 64)) -> DataFrame:
     """Share of rows whose tokens all fit each budget."""
     n = df.select(F.size(tokens(F.col(text))).alias("n"))

@@ -1,6 +1,7 @@
 """Images to 128-d vectors: autoencoders plain and masked, and their loss measures.
 
-Images are 24 x 24 gray in a 3 x 3 grid of 8 x 8 patches. Kinds: conv_ae (no path around the bottleneck), patch_ae (all patches
+Images are 24 x 24 gray in a 3 x 3 grid of 8 x 8 patches. Kinds: conv_ae (two strided 3 x 3
+convolutions, a bottleneck that no path goes around, and a decoder of two upsampling convolutions), patch_ae (all patches
 through a block, pooled), mae_random (4 random patches, 32 numbers each, hidden patches reconstructed) and mae_guided (centre,
 two others, the whole shrunk to a patch; the full image reconstructed). Backbones: global (attention over all patches), windowed
 (attention of neighbours only) and conv_stem (convolution in place of attention).
@@ -15,9 +16,11 @@ from pyspark.sql import DataFrame
 
 from ..functions import raster
 from . import train
-from .tape import Tensor, concat, conv1d
+from .tape import Tensor, concat, conv1d, conv2d, doubled
 
 SIDE, PATCH, CELLS = 24, 8, 9
+#: Channels of the two convolutions of conv_ae, which halve the side twice (24, 12, 6).
+CHANNELS = (6, 12)
 EXPONENTS = (0.0448, 0.2856, 0.3001, 0.2363, 0.1333)
 
 
@@ -33,14 +36,18 @@ class ImageEncoder:
         mat = lambda a, b: r.normal(0, a**-0.5, (a, b))
         w = {"embed": mat(p, h), "place": r.normal(0, 0.1, (CELLS + 1, h)), "up": mat(h, 2 * h), "down": mat(2 * h, h), "decode": mat(128, 2 * h), "pixels": mat(2 * h, SIDE * SIDE)}
         w |= {k: mat(h, h) for k in "qkvo"} | {"mix": mat(3 * h, h)}
-        w["code"] = mat(h, 32) if self.kind.startswith("mae") else mat(CELLS * h if self.kind == "conv_ae" else h, 128)
+        if self.kind == "conv_ae":
+            c, d = CHANNELS
+            return {"in1": mat(9, c), "in2": mat(9 * c, d), "code": mat(36 * d, 128), "spread": mat(128, 36 * d), "out1": mat(9 * d, c), "out2": mat(9 * c, 1)}
+        w["code"] = mat(h, 32) if self.kind.startswith("mae") else mat(h, 128)
         return w
 
     def vector(self, w: dict[str, Tensor], images: np.ndarray, keys: np.ndarray, seed: int = 0) -> tuple[Tensor, np.ndarray]:
         """Vectors (n, 128) and the cells that were seen (n, k; CELLS is the shrunk whole)."""
         cells = raster.cells(images)  # n, 9, 64
         if self.kind == "conv_ae":
-            y = (Tensor(cells) @ w["embed"]).relu().reshape(len(images), -1)
+            y = conv2d(Tensor(images.reshape(len(images), -1, 1)), w["in1"], 2).relu()
+            y = conv2d(y, w["in2"], 2).relu().reshape(len(images), 36 * CHANNELS[1])
             return (y @ w["code"]).tanh(), np.tile(np.arange(CELLS), (len(images), 1))
         if self.kind == "patch_ae":
             seen, at = cells, np.tile(np.arange(CELLS), (len(images), 1))
@@ -64,6 +71,9 @@ class ImageEncoder:
         return (x @ w["code"]).tanh().reshape(len(images), 128), at
 
     def rebuilt(self, w: dict[str, Tensor], v: Tensor) -> Tensor:
+        if self.kind == "conv_ae":
+            y = (v @ w["spread"]).relu().reshape(v.shape[0], 36, CHANNELS[1])
+            return conv2d(doubled(conv2d(doubled(y), w["out1"]).relu()), w["out2"]).sigmoid().reshape(v.shape[0], SIDE * SIDE)
         return ((v @ w["decode"]).relu() @ w["pixels"]).sigmoid()
 
     def objective(self, w: dict[str, Tensor], batch: dict[str, list], seed: int) -> tuple[Tensor, int]:
@@ -95,7 +105,7 @@ class ImageEncoder:
                     p = b.slice(i, 512)
                     images = raster.unpack(p.column("pixels").to_pylist())
                     v = me.vector({k: Tensor(x) for k, x in weights.items()}, images, p.column("key").to_numpy().astype(np.uint64))[0].data
-                    yield pa.RecordBatch.from_arrays([p.column("id"), pa.array(list(v.astype(np.float32)), pa.list_(pa.float32()))], names=["id", "vec"])
+                    yield pa.RecordBatch.from_arrays([p.column("id"), pa.ListArray.from_arrays(pa.array(np.arange(0, v.size + 1, v.shape[1]), pa.int32()), pa.array(v.astype(np.float32).ravel()))], names=["id", "vec"])
 
         return rows.select("id", "key", "pixels").mapInArrow(run, "id long, vec array<float>")
 

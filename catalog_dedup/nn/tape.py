@@ -155,3 +155,25 @@ def conv1d(x: Tensor, w: Tensor) -> Tensor:
     pad = Tensor(np.zeros((b, k // 2, c)))
     long = concat([pad, x, pad], 1)
     return concat([long[:, i : i + n] for i in range(k)], 2) @ w
+
+
+def _windows(side: int, stride: int) -> np.ndarray:
+    """For each output of a 3 x 3 convolution with edges repeated: the nine input places (rows of a flattened square)."""
+    at = np.arange(0, side, stride)
+    r, c = np.meshgrid(at, at, indexing="ij")
+    near = [np.clip(r + i, 0, side - 1) * side + np.clip(c + j, 0, side - 1) for i in (-1, 0, 1) for j in (-1, 0, 1)]
+    return np.stack([x.ravel() for x in near], 1)
+
+
+def conv2d(x: Tensor, w: Tensor, stride: int = 1) -> Tensor:
+    """3 x 3 convolution of square images x (batch, side * side, c) with w (9 * c, out)."""
+    b, n, c = x.shape
+    at = _windows(int(n**0.5), stride)
+    return x[:, at].reshape(b, len(at), 9 * c) @ w
+
+
+def doubled(x: Tensor) -> Tensor:
+    """Square images (batch, side * side, c) with every pixel repeated twice each way."""
+    side = int(x.shape[1] ** 0.5)
+    at = np.arange(2 * side) // 2
+    return x[:, (at[:, None] * side + at[None, :]).ravel()]

@@ -30,7 +30,7 @@ class TextEncoder:
     width: int = 32
     heads: int = 2
     vocab: int = 512
-    length: int = 16
+    length: int = 32
     dim: int = 128
     leaves: int = 0
 
@@ -39,7 +39,9 @@ class TextEncoder:
         return self.depth // 2 if self.backbone == "distilled" else self.depth
 
     def taps(self) -> list[int]:
-        return [i for i in self.layers if i < self.blocks]
+        if any(i >= self.blocks for i in self.layers):
+            raise ValueError(f"layers {self.layers} of a backbone with {self.blocks} blocks")
+        return list(self.layers)
 
     def weights(self, seed: int = 0) -> dict[str, np.ndarray]:
         r, h = np.random.default_rng(seed), self.width
@@ -127,7 +129,7 @@ class TextEncoder:
                 for i in range(0, b.num_rows, 256):
                     p = b.slice(i, 256)
                     v = me.vector({k: Tensor(x) for k, x in weights.items()}, me.pad(p.column(1).to_pylist())).data.astype(np.float32)
-                    yield pa.RecordBatch.from_arrays([p.column(0), pa.array(list(v), pa.list_(pa.float32()))], names=["id", "vec"])
+                    yield pa.RecordBatch.from_arrays([p.column(0), pa.ListArray.from_arrays(pa.array(np.arange(0, v.size + 1, v.shape[1]), pa.int32()), pa.array(v.ravel()))], names=["id", "vec"])
 
         return rows.select("id", "ids").mapInArrow(run, "id long, vec array<float>")
 
@@ -141,9 +143,9 @@ def _chance(keys: np.ndarray, width: int, seed: int) -> np.ndarray:
 
 
 def token_ids(df: DataFrame, key: str, text: str, enc: TextEncoder) -> DataFrame:
-    """id, key, ids: tokens of the first positions hashed into the vocabulary."""
+    """id, key, ids: tokens of the first positions hashed into the vocabulary. A null text has none, like an empty one."""
     hashed = F.transform(tx.first_tokens(F.col(text), enc.length), lambda t: (tx.token_hash(t) % (enc.vocab - FIRST_WORD) + FIRST_WORD).cast("int"))
-    return df.select(F.col(key).alias("id"), F.abs(F.xxhash64(key)).alias("key"), hashed.alias("ids")).filter(F.size("ids") > 0)
+    return df.select(F.col(key).alias("id"), F.abs(F.xxhash64(key)).alias("key"), F.coalesce(hashed, F.array().cast("array<int>")).alias("ids"))
 
 
 def train_mlm(rows: DataFrame, enc: TextEncoder, steps: int, lr: float = 3e-3, share: float = 1.0, schedule: str = "cosine", start: dict | None = None) -> tuple[dict[str, np.ndarray], list[float]]:

@@ -14,6 +14,8 @@ from .tape import Tensor
 
 #: Partial gradients that meet in one task of the first level of the sum; the driver gets as many rows as tasks remain.
 FAN_IN = 16
+#: Rows that are worth a task of their own.
+TASK_ROWS = 2048
 
 
 class AdamW:
@@ -102,6 +104,7 @@ def gradients(rows: DataFrame, weights: dict[str, np.ndarray], loss: Loss, seed:
 def fit(rows: DataFrame, key: str, weights: dict[str, np.ndarray], loss: Loss, steps: int, lr: float = 1e-4, schedule: str = "cosine", share: float = 1.0, decay: float = 0.01) -> list[float]:
     """Train ``weights`` in place; returns the mean loss of every step. A step sees the share of rows that a hash of key and step picks."""
     optimiser, curve = AdamW(decay), []
+    rows = rows.coalesce(max(1, -(-rows.count() // TASK_ROWS)))  # small samples need no more tasks; large ones keep theirs
     for t in range(steps):
         part = rows if share >= 1 else rows.filter(F.pmod(F.xxhash64(key, F.lit(t)), F.lit(1 << 20)) < int(share * (1 << 20)))
         total, n, grads = gradients(part, weights, loss, t)

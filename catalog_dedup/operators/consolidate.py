@@ -38,3 +38,11 @@ def buy_box(offers: DataFrame, sellers: DataFrame) -> DataFrame:
     w = Window.partitionBy("product_key")
     best = o.withColumns({"r": F.row_number().over(w.orderBy("price", F.desc("s_acctbal"), "listing_id")), "n_offers": F.count("*").over(w)})
     return best.filter("r = 1").select("product_key", "listing_id", "price", "n_offers")
+
+
+def effect(rows: DataFrame) -> DataFrame:
+    """One row about listings with their group (g, price, product_key): how many there are before and after grouping, the largest
+    group, listings dearer than their group's best price, and groups that mix products."""
+    by = rows.groupBy("g").agg(F.count("*").alias("n"), F.min("price").alias("best"), (F.min("product_key") != F.max("product_key")).alias("mixed"))
+    j = rows.select("g", "price").join(by.select("g", "best"), "g").agg(F.sum((F.col("price") > F.col("best")).cast("long")).alias("dearer"))
+    return by.agg(F.sum("n").alias("listings"), F.count("*").alias("products"), F.max("n").alias("largest"), F.count_if(F.col("mixed")).alias("impure")).crossJoin(j)  # one row each

@@ -74,8 +74,13 @@ class Decider:
         return ((h @ w["w2"] + w["c2"]).relu() @ w["w3"] + w["c3"])[:, 0]
 
     @classmethod
-    def fit(cls, pairs: DataFrame, text: DataFrame | None, image: DataFrame | None, steps: int = 40, lr: float = 1e-2, modalities: tuple[str, ...] = ("text", "image"), raw: bool = False, share: float = 1.0, extra: str | None = None) -> Decider:
-        """``extra`` is reserved for attribute columns of pairs."""
+    def untrained(cls, modalities: tuple[str, ...], width: dict[str, int], raw: bool = False) -> Decider:
+        inputs, r = sum((2 * width[m] + 2) if raw else (4 * width[m] + 3) for m in modalities), np.random.default_rng(0)
+        w = {"w1": r.normal(0, inputs**-0.5, (inputs, 64)), "c1": np.zeros(64), "w2": r.normal(0, 0.12, (64, 32)), "c2": np.zeros(32), "w3": r.normal(0, 0.18, (32, 1)), "c3": np.zeros(1)}
+        return cls(w, modalities, width, raw)
+
+    @classmethod
+    def fit(cls, pairs: DataFrame, text: DataFrame | None, image: DataFrame | None, steps: int = 40, lr: float = 1e-2, modalities: tuple[str, ...] = ("text", "image"), raw: bool = False, share: float = 1.0) -> Decider:
         rows, width = pairs.select("a", "b", "is_match"), {}
         for m, v in (("text", text), ("image", image)):
             if m in modalities:
@@ -84,9 +89,7 @@ class Decider:
         rows = written(rows)
         n = rows.agg(F.count("*").alias("n"), F.sum(F.col("is_match").cast("int")).alias("p")).first()
         balance = n["p"] / max(n["n"] - n["p"], 1)
-        inputs = sum((2 * k + 2) if raw else (4 * k + 3) for k in width.values())
-        r = np.random.default_rng(0)
-        w = {"w1": r.normal(0, inputs**-0.5, (inputs, 64)), "c1": np.zeros(64), "w2": r.normal(0, 0.12, (64, 32)), "c2": np.zeros(32), "w3": r.normal(0, 0.18, (32, 1)), "c3": np.zeros(1)}
+        w = cls.untrained(modalities, width, raw).weights
 
         def loss(t: dict[str, Tensor], batch: dict[str, list], seed: int):
             y = np.array(batch["is_match"], float)

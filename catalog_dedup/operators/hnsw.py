@@ -114,3 +114,19 @@ def search_shards(queries: DataFrame, vectors: DataFrame, top: int, ef: int = 64
         return pa.table([pa.array(c) for c in zip(*out, strict=True)], schema=kinds) if out else kinds.empty_table()
 
     return ranked(asked.groupBy("shard").cogroup(base.groupBy("shard")).applyInArrow(run, "q long, c long, score double"), top)
+
+
+def graph_links(vectors: DataFrame, ef: int = 64, m: int = 12, shard: int = SHARD) -> int:
+    """Links of the graphs that ``search_shards`` builds."""
+    n = max(1, -(-vectors.count() // shard))
+    base = vectors.select(F.pmod(F.xxhash64("id"), F.lit(n)).cast("int").alias("shard"), "id", "vec")
+
+    def count(b):
+        import pyarrow as pa
+
+        ids = b.column("id").to_numpy()
+        order = np.argsort(ids)
+        g = Graph(ids[order], matrix(b.column("vec"))[order], m, max(ef, 2 * m))
+        return pa.table([pa.array([sum(len(x) for layer in g.links for x in layer.values())], pa.int64())], names=["links"])
+
+    return base.groupBy("shard").applyInArrow(count, "links long").agg(F.sum("links")).first()[0] or 0

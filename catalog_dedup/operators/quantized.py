@@ -21,6 +21,11 @@ def scalar_codes(vectors: DataFrame, step: int = STEP) -> DataFrame:
 def scalar_search(queries: DataFrame, vectors: DataFrame, top: int, rerank: int) -> DataFrame:
     """q, c, score, rank: the best ``rerank`` by codes, scored exactly and cut to ``top``."""
     near = search(scalar_codes(queries).select("id", "vec"), scalar_codes(vectors).select("id", "vec"), rerank).select("q", "c")
+    return exact_scores(near, queries, vectors, top)
+
+
+def exact_scores(near: DataFrame, queries: DataFrame, vectors: DataFrame, top: int) -> DataFrame:
+    """The best ``top`` of the pairs (q, c) by exact cosine."""
     a, b = (df.select(F.col("id").alias(k), F.col("vec").alias(f"v{k}")) for df, k in ((queries, "q"), (vectors, "c")))
     pair = near.join(a, "q").join(b, "c")
     long = F.lit(0).cast("long")
@@ -29,6 +34,14 @@ def scalar_search(queries: DataFrame, vectors: DataFrame, top: int, rerank: int)
     return ranked(pair.select("q", "c", (dot / F.sqrt((norm("vq") * norm("vc")).cast("double"))).alias("score")), top)
 
 
+def inverted_scalar_search(queries: DataFrame, vectors: DataFrame, centroids: np.ndarray, top: int, probes: int, rerank: int, step: int = STEP) -> DataFrame:
+    """The same over inverted lists that hold codes: lists are scanned by code, the best ``rerank`` scored exactly."""
+    codes = scalar_codes(vectors, step).select("id", "vec")
+    index = ivf.Index.build(codes, np.floor(centroids / step))
+    near = index.search(scalar_codes(queries, step).select("id", "vec"), rerank, probes).select("q", "c")
+    return exact_scores(near, queries, vectors, top)
+
+
 def train_products(x: np.ndarray, parts: int, words: int, steps: int = 8) -> np.ndarray:
     """Codewords (parts x words x d/parts) by k-means on each slice, seeded with the first rows."""
     out = []

@@ -11,9 +11,10 @@ from ..operators.store import Store
 from ..sources import listings
 from ..sources.formats import scratch, written
 from ..sources.tables import load
+from ..streaming import windows
 from . import sql
 from .registry import query
-from .search import document_candidates, document_candidates_sql, offer_candidates, offer_candidates_sql
+from .search import ASKED, LIST_PROBES, document_candidates, document_candidates_sql, offer_candidates, offer_candidates_sql, text_index, text_vectors
 
 CUT = 800
 O3 = sql.OFFERS3
@@ -321,3 +322,71 @@ def match_pipeline(spark: SparkSession, sf: str) -> DataFrame:
     frozen decider, matches only. ``match_report`` has the trained decider on text and images."""
     o = written(listings.offers(spark, sf))
     return frozen_scores(candidate_pairs(o), o).filter("z >= 0").select("a", "b", "is_match", "z")
+
+
+@query(rf"""WITH {sql.OFFERS}, g AS (SELECT listing_id, unnest(list_transform(range(1, len(t) - 1), lambda i: substr(t, i, 3))) AS g FROM (SELECT listing_id, {_TITLE_KEY} AS t FROM offers) WHERE len(t) >= 3),
+h AS (SELECT listing_id, ('0x' || substr(md5(g), 1, 8))::BIGINT AS h FROM g), f AS (SELECT listing_id, h % {tx.GENERIC_WIDTH} AS dim, sum(CASE WHEN (h >> 16) % 2 = 1 THEN -1 ELSE 1 END)::BIGINT AS val FROM h GROUP BY ALL HAVING val <> 0)
+SELECT listing_id, count(*) AS n_dims, sum(val * val)::BIGINT AS n2, sum(dim * val)::BIGINT AS moment FROM f GROUP BY 1""")
+def generic_512(spark: SparkSession, sf: str) -> DataFrame:
+    """Vectors of a general 512-d encoder that is not tuned to the catalogue, in digest: non-zero numbers, squared norm, first moment."""
+    f = tx.generic_features(listings.offers(spark, sf), "listing_id", "title")
+    return f.groupBy("listing_id").agg(F.count("*").alias("n_dims"), F.sum(F.col("val") * F.col("val")).alias("n2"), F.sum(F.col("dim") * F.col("val")).alias("moment"))
+
+
+#: How two listings of one product are worded, from the bits that chose the wording: layout (h % 5), synonyms (bits 4, 5), brand (bit 6).
+_WORDING = """CASE WHEN x.h % 5 <> y.h % 5 OR (x.h >> 6) % 2 <> (y.h >> 6) % 2 THEN 'otherwise' WHEN (x.h >> 4) % 4 <> (y.h >> 4) % 4 THEN 'by synonyms only' ELSE 'not at all' END"""
+
+
+@query(rf"""WITH {SCORED}, keys AS (SELECT listing_id, {_TITLE_KEY} AS same_title, {_TOKEN_KEY} AS same_tokens FROM offers3)
+SELECT {_WORDING} AS differ, count(*) AS pairs, count(*) FILTER (kx.same_title = ky.same_title) AS by_title, count(*) FILTER (kx.same_tokens = ky.same_tokens) AS by_tokens, count(*) FILTER (pm >= {FLAGGED}) AS by_vectors
+FROM scored JOIN offers3 x ON x.listing_id = a JOIN offers3 y ON y.listing_id = b JOIN keys kx ON kx.listing_id = a JOIN keys ky ON ky.listing_id = b WHERE origin = 'same product' GROUP BY 1""")
+def keyword_miss(spark: SparkSession, sf: str) -> DataFrame:
+    """True pairs by how their titles differ, and how many of them equal titles, equal token sets and close vectors find: keywords miss
+    pairs that differ by a synonym."""
+    o, s = scored(spark, sf)
+    side = lambda k: o.select(F.col("listing_id").alias(k), F.col("h").alias(f"h{k}"), tx.normalise(F.col("title")).alias(f"t{k}"), baselines.token_set(F.col("title")).alias(f"w{k}"))
+    j = s.filter("origin = 'same product'").join(side("a"), "a").join(side("b"), "b")
+    bits = lambda c, at, n: F.pmod(F.shiftright(c, at), F.lit(n))
+    other = (F.col("ha") % 5 != F.col("hb") % 5) | (bits("ha", 6, 2) != bits("hb", 6, 2))
+    differ = F.when(other, "otherwise").when(bits("ha", 4, 4) != bits("hb", 4, 4), "by synonyms only").otherwise("not at all")
+    return j.groupBy(differ.alias("differ")).agg(F.count("*").alias("pairs"), F.count_if(F.col("ta") == F.col("tb")).alias("by_title"), F.count_if(F.col("wa") == F.col("wb")).alias("by_tokens"), F.count_if(F.col("pm") >= FLAGGED).alias("by_vectors"))
+
+
+_EFFECT = "SELECT '{name}' AS grouping, count(*) AS listings, count(DISTINCT g) AS products, max(n) AS largest, sum((price > best)::BIGINT)::BIGINT AS dearer, count(DISTINCT CASE WHEN mixed THEN g END) AS impure FROM (SELECT *, count(*) OVER w AS n, min(price) OVER w AS best, min(product_key) OVER w <> max(product_key) OVER w AS mixed FROM ({rows}) WINDOW w AS (PARTITION BY g))"
+_BY_TOKENS = f"SELECT *, min(listing_id) OVER (PARTITION BY {_TOKEN_KEY}) AS g FROM offers"
+
+
+@query(f"WITH {sql.OFFERS} {_EFFECT.format(name='none', rows='SELECT *, listing_id AS g FROM offers')} UNION ALL {_EFFECT.format(name='equal tokens', rows=_BY_TOKENS)} UNION ALL {_EFFECT.format(name='truth', rows='SELECT *, product_key AS g FROM offers')}")
+def consolidation(spark: SparkSession, sf: str) -> DataFrame:
+    """What grouping does to the catalogue: products before and after, the largest group, listings that are dearer than their group's
+    best price, and groups that hold more than one product. Without grouping, by equal token sets, and by the truth."""
+    o = written(listings.offers(spark, sf))
+    tokens = baselines.keyword_all_tokens(o, "listing_id", "title").select(F.col("b").alias("listing_id"), F.col("a").alias("rep"))
+    by_tokens = o.join(tokens, "listing_id", "left").withColumn("g", F.coalesce("rep", "listing_id"))
+    out = None
+    for name, rows in (("none", o.withColumn("g", F.col("listing_id"))), ("equal tokens", by_tokens), ("truth", o.withColumn("g", F.col("product_key")))):
+        r = consolidate.effect(rows).select(F.lit(name).alias("grouping"), "listings", "products", "largest", "dearer", "impure")
+        out = r if out is None else out.unionByName(r)
+    return out
+
+
+@query(f"""WITH {offer_candidates_sql(5)}, wanted AS (SELECT q AS a, c AS b, x.product_key = y.product_key AS is_match FROM candidates JOIN offers x ON x.listing_id = q JOIN offers y ON y.listing_id = c),
+{_FROZEN.format(pairs='one_more AS (SELECT 1)')} SELECT a, b, z FROM z WHERE z >= 0""")
+def serving(spark: SparkSession, sf: str) -> DataFrame:
+    """Daily serving: arriving listings come as a stream, each batch is searched in the stored index, scored by the frozen decider and
+    written; a replayed batch overwrites itself. Batch by batch gives what one batch gives."""
+    o = written(listings.offers(spark, sf))
+    _, index = text_index(o, "listing_id", "title")
+    path = scratch(spark)
+    o.filter(ASKED).select("listing_id", "title").repartition(3, "listing_id").write.parquet(f"{path}/arrivals")
+    arrivals = spark.readStream.schema("listing_id long, title string").option("maxFilesPerTrigger", 1).parquet(f"{path}/arrivals")
+    batches: list[str] = []
+
+    def serve(batch: DataFrame, number: int) -> None:
+        hits = index.search(text_vectors(batch, "listing_id", "title"), 5, LIST_PROBES, positive=True)
+        scored_hits = frozen_scores(hits.select(F.col("q").alias("a"), F.col("c").alias("b")), o).filter("z >= 0")
+        scored_hits.select("a", "b", "z").write.mode("overwrite").parquet(f"{path}/matches/{number}")
+        batches.append(f"{path}/matches/{number}")
+
+    windows.collect_updates(arrivals, serve, "append")
+    return spark.read.schema("a long, b long, z long").parquet(*batches)

@@ -1,8 +1,16 @@
-"""Trained miniatures and image work: encoders, decider, pair model, ablations."""
+"""Trained miniatures and image work: encoders, decider, pair model, ablations.
+
+Reports hold measured numbers, which no SQL can give. For each there is ``<report>_checked``: what the report must show on any data
+(which side wins, what falls, what is whole), one row a claim, from the same run. Models learn from bounded samples: about
+``SAMPLE`` rows for encoders, ``PAIRS`` labelled pairs for pair models, both drawn by hash; measures cover all rows of their split.
+"""
 
 from __future__ import annotations
 
+import math
+import statistics
 import time
+from collections.abc import Callable
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -12,14 +20,57 @@ from ..functions import raster
 from ..functions import text as tx
 from ..nn import image_encoder as im
 from ..nn import text_encoder as te
+from ..operators import baselines, flat, hnsw, ivf, metrics, pairs, pca, quantized
 from ..operators import decider as dm
-from ..operators import metrics, pairs, pca
 from ..sources import listings
 from ..sources.formats import written
 from ..sources.tables import load
-from .registry import query
+from . import sql
+from .registry import QUERIES, query
+from .search import TOP, asked, fixed, lists_for
 
 STEPS = 6
+SAMPLE, PAIRS = 2000, 6000
+_HELD: dict[tuple, object] = {}
+
+
+def held(spark: SparkSession, sf: str, name: str, make: Callable):
+    """``make()``, once for a session and its tables: weights and the rows of reports, which are few."""
+    key = (spark.sparkContext.applicationId, sf, name)
+    if key not in _HELD:
+        _HELD[key] = make()
+    return _HELD[key]
+
+
+def report(schema: str, claims: dict[str, Callable[[list], bool]]):
+    """Registers a report (a function that returns tuples) and its checked form."""
+
+    def add(fn):
+        name = fn.__name__
+        rows = lambda spark, sf: held(spark, sf, name, lambda: fn(spark, sf))
+
+        def run(spark: SparkSession, sf: str) -> DataFrame:
+            return spark.createDataFrame(rows(spark, sf), schema)
+
+        def checked(spark: SparkSession, sf: str) -> DataFrame:
+            found = rows(spark, sf)
+            return spark.createDataFrame([(c, bool(holds(found))) for c, holds in claims.items()], "claim string, holds boolean")
+
+        run.__name__, run.__doc__ = name, fn.__doc__
+        checked.__name__, checked.__doc__ = f"{name}_checked", f"What {name} must show."
+        query()(run)
+        values = ", ".join("('" + c.replace("'", "''") + "', true)" for c in claims)
+        query(f"SELECT * FROM (VALUES {values}) t(claim, holds)")(checked)
+        return fn
+
+    return add
+
+
+def sampled(rows: DataFrame, key: str = "id", most: int = SAMPLE) -> DataFrame:
+    """About ``most`` rows by a hash of the key."""
+    n = rows.count()
+    return rows if n <= most else rows.filter(F.pmod(F.xxhash64(key, F.lit("sample")), F.lit(1 << 20)) < int(most / n * (1 << 20)))
+
 
 _PIXELS = """gray AS (SELECT vec_id, unnest(range(64)) AS k, greatest(0, least(255, floor((unnest(embedding)::DOUBLE + 0.6::DOUBLE) / 1.2::DOUBLE * 255)::BIGINT)) AS gray FROM embeddings),
 cell AS (SELECT r, c FROM (SELECT unnest(range(9)) AS r), (SELECT unnest(range(9)) AS c)),
@@ -51,83 +102,122 @@ def guided_patches(spark: SparkSession, sf: str) -> DataFrame:
     return chosen.unionByName(small.select("vec_id", F.lit(3).cast("long").alias("slot"), F.lit(9).cast("long").alias("cell"), "ink"))
 
 
-def titles(spark: SparkSession, sf: str, share: float = 1.0) -> DataFrame:
-    o = listings.offers3(spark, sf)
-    return o if share >= 1 else o.filter(F.pmod(F.xxhash64("product_key"), F.lit(1000)) < int(1000 * share))
+@query(f"""WITH {_PIXELS}, drawn AS (SELECT vec_id, cell, row_number() OVER (PARTITION BY vec_id ORDER BY md5(vec_id || '|' || cell)) - 1 AS slot FROM embeddings, (SELECT unnest(range(9)) AS cell) QUALIFY slot < 4)
+SELECT vec_id, slot::BIGINT AS slot, cell::BIGINT AS cell, sum(gray)::BIGINT AS ink FROM drawn JOIN pix USING (vec_id) WHERE (row // 3) * 3 + col // 3 = cell GROUP BY ALL""")
+def random_patches(spark: SparkSession, sf: str) -> DataFrame:
+    """Four hash-drawn patches of each picture, with their sums of gray."""
+    e = load(spark, sf, "embeddings", "vec_id", "embedding")
+    p = raster.vector_pixels(e).withColumn("cell", F.floor(F.col("row") / 3) * 3 + F.floor(F.col("col") / 3))
+    keys = F.transform(F.sequence(F.lit(0).cast("long"), F.lit(8).cast("long")), lambda c: F.struct(F.md5(F.concat_ws("|", F.col("vec_id").cast("string"), c.cast("string"))).alias("h"), c.alias("cell")))
+    drawn = e.select(F.col("vec_id").alias("v"), F.posexplode(F.slice(F.array_sort(keys), 1, 4)).alias("slot", "x")).select("v", F.col("slot").cast("long").alias("slot"), F.col("x.cell").alias("want"))
+    return p.join(drawn, (F.col("vec_id") == F.col("v")) & (F.col("cell") == F.col("want"))).groupBy("vec_id", "slot", "cell").agg(F.sum("gray").alias("ink"))
+
+
+def titles(spark: SparkSession, sf: str) -> DataFrame:
+    """Three sellers a product: for trained reports, where every product has as many pairs."""
+    return written(listings.offers3(spark, sf))
+
+
+def _texts(spark: SparkSession, sf: str, enc: te.TextEncoder, table: str = "documents") -> DataFrame:
+    if table == "documents":
+        return te.token_ids(load(spark, sf, "documents", "doc_id", "text"), "doc_id", "text", enc)
+    return te.token_ids(listings.offers3(spark, sf), "listing_id", "title", enc)
 
 
-def _encoded(spark: SparkSession, sf: str, enc: te.TextEncoder, table: str = "documents") -> DataFrame:
-    key, text = ("doc_id", "text") if table == "documents" else ("listing_id", "title")
-    rows = load(spark, sf, "documents", "doc_id", "text") if table == "documents" else titles(spark, sf)
-    return te.token_ids(rows, key, text, enc)
+def trained_text(spark: SparkSession, sf: str, enc: te.TextEncoder, table: str = "documents") -> dict[str, np.ndarray]:
+    """Weights after STEPS steps of masked-token training on a sample."""
+    return held(spark, sf, f"text {enc} {table}", lambda: te.train_mlm(written(sampled(_texts(spark, sf, enc, table))), enc, STEPS, share=0.25)[0])
+
+
+def trained_images(spark: SparkSession, sf: str, enc: im.ImageEncoder, crop: float = 0.5, steps: int = STEPS) -> dict[str, np.ndarray]:
+    """Weights after ``steps`` steps on a sample of pictures, of which the loader crops a share."""
+    make = lambda: im.train_images(written(raster.rendered(sampled(listings.offers(spark, sf), "listing_id"), crop)), enc, steps, share=0.25)[0]
+    return held(spark, sf, f"images {enc} {crop} {steps}", make)
+
+
+def fit_for_use(v: DataFrame) -> DataFrame:
+    """id, width, bounded (no component beyond 1, none that is no number), from the vectors themselves."""
+    return v.select("id", F.size("vec").cast("long").alias("width"), F.forall("vec", lambda x: ~F.isnan(x) & (F.abs(x) <= 1)).alias("bounded"))
 
 
 def _encode_query(kind: str):
     def run(spark: SparkSession, sf: str) -> DataFrame:
         enc = te.TextEncoder(kind=kind)
-        return enc.encode(_encoded(spark, sf, enc), enc.weights())
+        return enc.encode(_texts(spark, sf, enc), trained_text(spark, sf, enc))
+
+    def checked(spark: SparkSession, sf: str) -> DataFrame:
+        return fit_for_use(run(spark, sf))
 
-    return run
+    return run, checked
 
 
 for _kind in ("cls", "multilayer"):
-    _f = _encode_query(_kind)
-    _f.__name__, _f.__doc__ = f"text_encode_{_kind}", f"128-d vectors of documents by the {_kind} encoder."
+    _f, _g = _encode_query(_kind)
+    _f.__name__, _f.__doc__ = f"text_encode_{_kind}", f"128-d vectors of all documents by the {_kind} encoder, trained on a sample."
+    _g.__name__, _g.__doc__ = f"text_encode_{_kind}_checked", "Every document has one vector, of 128 numbers in [-1, 1]."
     query()(_f)
+    query("SELECT doc_id AS id, 128::BIGINT AS width, true AS bounded FROM documents")(_g)
 
 
-def _losses(spark: SparkSession, sf: str, encs: dict[str, te.TextEncoder]) -> DataFrame:
+def _losses(spark: SparkSession, sf: str, encs: dict[str, te.TextEncoder]) -> list[tuple]:
     """Held-out masked-token loss of each encoder after the same steps on the same batches."""
     out = []
     for name, enc in encs.items():
-        rows = written(_encoded(spark, sf, enc, "offers"))
-        held = F.pmod(F.xxhash64("id", F.lit("held out")), F.lit(10)) == 0
-        w, curve = te.train_mlm(rows.filter(~held), enc, STEPS, share=0.05)
-        out.append((name, curve[0], curve[-1], te.train.evaluate(rows.filter(held), w, enc.mlm)))
-    return spark.createDataFrame(out, "model string, first_loss double, last_loss double, held_out_loss double")
+        rows = written(_texts(spark, sf, enc, "offers"))
+        test = F.pmod(F.xxhash64("id", F.lit("held out")), F.lit(10)) == 0
+        w, curve = te.train_mlm(written(sampled(rows.filter(~test))), enc, STEPS, share=0.25)
+        out.append((name, curve[0], curve[-1], te.train.evaluate(sampled(rows.filter(test)), w, enc.mlm)))
+    return out
 
 
-@query()
-def mlm_loss(spark: SparkSession, sf: str) -> DataFrame:
+_FALLS = {"the loss falls": lambda rows: all(r[2] < r[1] for r in rows), "held-out loss is below that of a uniform guess": lambda rows: all(0 < r[3] < math.log(512) for r in rows)}
+
+
+@report("model string, first_loss double, last_loss double, held_out_loss double", _FALLS)
+def mlm_loss(spark: SparkSession, sf: str) -> list[tuple]:
     """Sentence token alone against chosen layers with convolutions."""
     return _losses(spark, sf, {"cls": te.TextEncoder(kind="cls"), "multilayer": te.TextEncoder(kind="multilayer")})
 
 
-@query()
-def text_backbones(spark: SparkSession, sf: str) -> DataFrame:
+@report("model string, first_loss double, last_loss double, held_out_loss double", _FALLS)
+def text_backbones(spark: SparkSession, sf: str) -> list[tuple]:
+    """Full, convolutional and distilled backbones."""
     return _losses(spark, sf, {b: te.TextEncoder(kind="cls", backbone=b) for b in ("full", "conv", "distilled")})
 
 
-@query()
-def text_layer_choice(spark: SparkSession, sf: str) -> DataFrame:
+@report("model string, first_loss double, last_loss double, held_out_loss double", _FALLS)
+def text_layer_choice(spark: SparkSession, sf: str) -> list[tuple]:
     return _losses(spark, sf, {",".join(map(str, ls)): te.TextEncoder(layers=ls) for ls in ((1, 3, 5, 7, 9, 11), (2, 6, 10), (9, 10, 11))})
 
 
-@query()
-def training_curve(spark: SparkSession, sf: str) -> DataFrame:
+def _curves(rows: list[tuple], name: str) -> list[float]:
+    return [r[2] for r in rows if r[0] == name]
+
+
+@report("schedule string, step int, loss double", {"every schedule lowers the loss": lambda rows: all(_curves(rows, n)[-1] < _curves(rows, n)[0] for n in ("constant", "cosine")), "both start alike": lambda rows: _curves(rows, "constant")[0] == _curves(rows, "cosine")[0]})
+def training_curve(spark: SparkSession, sf: str) -> list[tuple]:
     """Loss by step under a constant and a cosine learning rate."""
     enc = te.TextEncoder(kind="cls", depth=4)
-    rows = written(_encoded(spark, sf, enc))
-    out = []
+    rows, out = written(sampled(_texts(spark, sf, enc))), []
     for schedule in ("constant", "cosine"):
-        _, curve = te.train_mlm(rows, enc, STEPS, share=0.3, schedule=schedule)
+        _, curve = te.train_mlm(rows, enc, STEPS, share=0.5, schedule=schedule)
         out += [(schedule, k, v) for k, v in enumerate(curve)]
-    return spark.createDataFrame(out, "schedule string, step int, loss double")
+    return out
 
 
-@query()
-def adaptation(spark: SparkSession, sf: str) -> DataFrame:
+@report("adaptation string, within_leaf double, across_leaves double, gap double", {"supervised adaptation draws a leaf's products closer together": lambda rows: rows[1][3] > rows[0][3]})
+def adaptation(spark: SparkSession, sf: str) -> list[tuple]:
     """Unsupervised against supervised adaptation from the same start: how alike distinct products of one leaf become."""
-    kinds = load(spark, sf, "part", "p_type").distinct().orderBy("p_type").collect()
+    kinds = load(spark, sf, "part", "p_type").distinct().orderBy("p_type").collect()  # the leaves of the catalogue
     enc = te.TextEncoder(kind="cls", depth=4, leaves=len(kinds))
-    base, _ = te.train_mlm(written(_encoded(spark, sf, enc)), enc, 3, share=0.3)
-    o = written(titles(spark, sf))
+    base, _ = te.train_mlm(written(sampled(_texts(spark, sf, enc))), enc, 3, share=0.5)
+    o = titles(spark, sf)
     leaf = F.create_map(*[x for k, r in enumerate(kinds) for x in (F.lit(r[0]), F.lit(k))])[F.col("p_type")]
     rows = written(te.token_ids(o, "listing_id", "title", enc).join(o.select(F.col("listing_id").alias("id"), leaf.alias("leaf"), "product_key"), "id"))
-    out = []
+    learn, out = written(sampled(rows)), []
     for name, loss in (("unsupervised", enc.mlm), ("supervised", enc.leaf)):
         w = dict(base)
-        te.train.fit(rows, "id", w, loss, STEPS, 3e-3, share=0.1)
+        te.train.fit(learn, "id", w, loss, 2 * STEPS, 3e-3, share=0.25)
         v = enc.encode(rows, w).join(rows.select("id", "leaf"), "id")
         unit = v.withColumn("n", F.sqrt(F.aggregate("vec", F.lit(0.0), lambda s, x: s + x * x))).select("id", "leaf", F.posexplode(F.transform("vec", lambda x: x / F.col("n"))).alias("d", "x"))
         within = unit.groupBy("leaf", "d").agg(F.sum("x").alias("s"), F.count("*").alias("n")).groupBy("leaf").agg(F.sum(F.col("s") * F.col("s")).alias("q"), F.max("n").alias("n")).agg(F.sum(F.col("q") - F.col("n")).alias("a"), F.sum(F.col("n") * (F.col("n") - 1)).alias("b")).first()
@@ -135,20 +225,16 @@ def adaptation(spark: SparkSession, sf: str) -> DataFrame:
         w_mean = within["a"] / within["b"]
         a_mean = (across["q"] - across["n"] - within["a"]) / (across["n"] * (across["n"] - 1) - within["b"])
         out.append((name, w_mean, a_mean, w_mean - a_mean))
-    return spark.createDataFrame(out, "adaptation string, within_leaf double, across_leaves double, gap double")
-
+    return out
 
-def pictures(spark: SparkSession, sf: str, crop: bool = False, share: float = 0.1) -> DataFrame:
-    return raster.rendered(titles(spark, sf, share), crop)
 
-
-def _image_losses(spark: SparkSession, sf: str, encs: dict[str, im.ImageEncoder]) -> DataFrame:
-    """Mean multi-scale structural similarity of held-out pictures and their reconstructions."""
-    rows = written(pictures(spark, sf))
-    held = F.pmod(F.xxhash64("id", F.lit("held out")), F.lit(10)) == 0
+def _image_losses(spark: SparkSession, sf: str, encs: dict[str, im.ImageEncoder]) -> list[tuple]:
+    """Training on a sample; mean multi-scale structural similarity of held-out pictures and their reconstructions."""
+    rows = written(raster.rendered(sampled(titles(spark, sf), "listing_id")))
+    test = F.pmod(F.xxhash64("id", F.lit("held out")), F.lit(10)) == 0
     out = []
     for name, enc in encs.items():
-        w, curve = im.train_images(rows.filter(~held), enc, STEPS, share=0.5)
+        w, curve = im.train_images(rows.filter(~test), enc, STEPS, share=0.25)
 
         def similar(batches, enc=enc, w=w):
             import pyarrow as pa
@@ -159,56 +245,65 @@ def _image_losses(spark: SparkSession, sf: str, encs: dict[str, im.ImageEncoder]
                     y = enc.reconstruct(w, x, b.column("key").to_numpy().astype(np.uint64))
                     yield pa.RecordBatch.from_arrays([pa.array(im.ms_ssim(x, y))], names=["s"])
 
-        s = rows.filter(held).mapInArrow(similar, "s double").agg(F.avg("s")).first()[0]
+        s = rows.filter(test).mapInArrow(similar, "s double").agg(F.avg("s")).first()[0]
         out.append((name, curve[0], curve[-1], s))
-    return spark.createDataFrame(out, "model string, first_loss double, last_loss double, ms_ssim double")
+    return out
 
 
-@query()
-def image_lineage(spark: SparkSession, sf: str) -> DataFrame:
+_LEARNS = {"the loss falls": lambda rows: all(r[2] < r[1] for r in rows), "similarity lies in 0..1": lambda rows: all(0 <= r[3] <= 1 for r in rows)}
+
+
+@report("model string, first_loss double, last_loss double, ms_ssim double", _LEARNS)
+def image_lineage(spark: SparkSession, sf: str) -> list[tuple]:
+    """Autoencoders plain, masked at random and guided, and the structural loss."""
     kinds = ("conv_ae", "patch_ae", "mae_random", "mae_guided")
     return _image_losses(spark, sf, {k: im.ImageEncoder(kind=k) for k in kinds} | {"conv_ae, structural loss": im.ImageEncoder(kind="conv_ae", loss="ssim")})
 
 
-@query()
-def image_backbones(spark: SparkSession, sf: str) -> DataFrame:
+@report("model string, first_loss double, last_loss double, ms_ssim double", _LEARNS)
+def image_backbones(spark: SparkSession, sf: str) -> list[tuple]:
     return _image_losses(spark, sf, {b: im.ImageEncoder(backbone=b) for b in ("global", "windowed", "conv_stem")})
 
 
 def _image_query(kind: str):
     def run(spark: SparkSession, sf: str) -> DataFrame:
         enc = im.ImageEncoder(kind=kind)
-        return enc.encode(pictures(spark, sf), enc.weights())
+        return enc.encode(raster.rendered(listings.offers(spark, sf)), trained_images(spark, sf, enc))
+
+    def checked(spark: SparkSession, sf: str) -> DataFrame:
+        return fit_for_use(run(spark, sf))
 
-    return run
+    return run, checked
 
 
 for _kind in ("conv_ae", "patch_ae", "mae_random", "mae_guided"):
-    _f = _image_query(_kind)
-    _f.__name__, _f.__doc__ = f"image_encode_{_kind}", f"128-d vectors of rendered listings by {_kind}."
+    _f, _g = _image_query(_kind)
+    _f.__name__, _f.__doc__ = f"image_encode_{_kind}", f"128-d vectors of all rendered listings by {_kind}, trained on a sample."
+    _g.__name__, _g.__doc__ = f"image_encode_{_kind}_checked", "Every listing has one vector, of 128 numbers in [-1, 1]."
     query()(_f)
+    query(f"WITH {sql.OFFERS} SELECT listing_id AS id, 128::BIGINT AS width, true AS bounded FROM offers")(_g)
+
+
+@report("augmented boolean, cropped boolean, one_product double, other_products double, seconds double", {"pictures of one product are more alike than those of others": lambda rows: all(r[2] > r[3] for r in rows)})
+def scale_gap(spark: SparkSession, sf: str) -> list[tuple]:
+    """Cosine of pictures of one product by different sellers and of pictures of different products of one type, of encoders trained
+    without and with random cropping, on pictures as they are and cropped; the seconds that rendering takes with and without the crop."""
+    o, enc, out = titles(spark, sf), im.ImageEncoder(), []
+    labelled = written(pairs.labelled(o).filter("origin IN ('same product', 'same type')"))
+    for augmented in (False, True):
+        w = trained_images(spark, sf, enc, 0.5 if augmented else 0.0, 4 * STEPS)
+        for crop in (False, True):
+            began = time.perf_counter()
+            rows = written(raster.rendered(o, float(crop)))
+            took = time.perf_counter() - began
+            r = dm.cosines(labelled, enc.encode(rows, w)).agg(F.avg(F.when(F.col("is_match"), F.col("cosine"))).alias("s"), F.avg(F.when(~F.col("is_match"), F.col("cosine"))).alias("o")).first()
+            out.append((augmented, crop, r["s"], r["o"], took))
+    return out
 
 
-@query()
-def scale_gap(spark: SparkSession, sf: str) -> DataFrame:
-    """Cosine of pictures of one product by different sellers, with and without cropping to the object, and what cropping costs."""
-    o = titles(spark, sf, 0.1)
-    enc, out = im.ImageEncoder(), []
-    tp = written(listings.true_pairs(o))
-    for crop in (False, True):
-        began = time.perf_counter()
-        rows = written(raster.rendered(o, crop))
-        took = time.perf_counter() - began
-        v = enc.encode(rows, enc.weights())
-        out.append((crop, dm.cosines(tp, v).agg(F.avg("cosine")).first()[0], took))
-    return spark.createDataFrame(out, "cropped boolean, mean_cosine double, seconds double")
-
-
-@query()
-def ms_ssim(spark: SparkSession, sf: str) -> DataFrame:
-    """Structural similarity of each picture with its cropped form."""
-    o = titles(spark, sf, 0.05)
-    a, b = raster.rendered(o), raster.rendered(o, True).withColumnRenamed("pixels", "other").drop("key")
+def similar_pictures(spark: SparkSession, sf: str) -> DataFrame:
+    o = listings.offers(spark, sf)
+    a, b = raster.rendered(o), raster.rendered(o, 1.0).withColumnRenamed("pixels", "other").drop("key")
 
     @F.arrow_udf("double")
     def similar(x, y):
@@ -219,93 +314,241 @@ def ms_ssim(spark: SparkSession, sf: str) -> DataFrame:
     return a.join(b, "id").select("id", similar("pixels", "other").alias("ms_ssim"))
 
 
-def _vectors(spark: SparkSession, sf: str, o: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Text vectors (hashed titles, unit length) and image vectors of listings."""
-    t = tx.dense_features(o.select("listing_id", "title"), "listing_id", "title")
+@query()
+def ms_ssim(spark: SparkSession, sf: str) -> DataFrame:
+    """Structural similarity of each picture with its cropped form."""
+    return similar_pictures(spark, sf)
+
+
+@query(f"WITH {sql.OFFERS} SELECT listing_id AS id, true AS within FROM offers")
+def ms_ssim_checked(spark: SparkSession, sf: str) -> DataFrame:
+    return similar_pictures(spark, sf).select("id", F.col("ms_ssim").between(0, 1).alias("within"))
+
+
+def unit_text(o: DataFrame, width: int = tx.WIDTH) -> DataFrame:
+    """id, vec: hashed titles of unit length."""
+    t = tx.dense_features(o.select("listing_id", "title"), "listing_id", "title", width=width)
     n = F.sqrt(F.aggregate("vec", F.lit(0.0), lambda s, x: s + x * x))
-    t = t.select(F.col("listing_id").alias("id"), F.transform("vec", lambda x: (x / F.greatest(n, F.lit(1e-9))).cast("float")).alias("vec"))
-    enc = im.ImageEncoder(kind="conv_ae")
-    return written(t), written(enc.encode(raster.rendered(o, True), enc.weights()))
+    return t.select(F.col("listing_id").alias("id"), F.transform("vec", lambda x: (x / F.greatest(n, F.lit(1e-9))).cast("float")).alias("vec"))
+
 
+def image_vectors(spark: SparkSession, sf: str, o: DataFrame, steps: int = 4 * STEPS) -> DataFrame:
+    """id, vec of the listings in ``o`` by the trained guided encoder, cropped as production does before encoding."""
+    enc = im.ImageEncoder()
+    return enc.encode(raster.rendered(o, 1.0), trained_images(spark, sf, enc, 0.5, steps))
 
-def _labelled(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame, DataFrame]:
-    o = written(titles(spark, sf))
+
+def _split(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Listings, a bounded sample of training pairs and all test pairs (of products that training never sees)."""
+    o = titles(spark, sf)
     p = written(pairs.labelled(o))
-    train = p.filter(F.col("split") == "train").filter(F.pmod(F.xxhash64("a", "b"), F.lit(100)) < 50)
-    return o, train, p.filter(F.col("split") == "test")
+    train = p.filter("split = 'train'").withColumn("pair", F.xxhash64("a", "b"))
+    return o, written(sampled(train, "pair", PAIRS).drop("pair")), p.filter("split = 'test'")
 
 
-@query()
-def decider_fit_report(spark: SparkSession, sf: str) -> DataFrame:
-    """Macro-F1 on unseen products of the decider with text, image and both, the pair model and the best single cut."""
-    o, train, test = _labelled(spark, sf)
-    t, v = _vectors(spark, sf, o)
-    out = []
+def pictured(spark: SparkSession, sf: str, o: DataFrame, *wanted: DataFrame) -> DataFrame:
+    """Image vectors of the listings that stand in the wanted pairs, and of no others."""
+    ids = wanted[0].select("a", "b")
+    for w in wanted[1:]:
+        ids = ids.union(w.select("a", "b"))
+    ids = ids.select(F.explode(F.array("a", "b")).alias("listing_id"))
+    return written(image_vectors(spark, sf, o.join(ids, "listing_id", "left_semi")))
+
+
+@report("matcher string, macro_f1 double, seconds double", {"the decider beats one cut": lambda rows: dict(r[:2] for r in rows)["text"] > dict(r[:2] for r in rows)["cosine cut"], "text alone beats image alone": lambda rows: dict(r[:2] for r in rows)["text"] > dict(r[:2] for r in rows)["image"]})
+def decider_fit_report(spark: SparkSession, sf: str) -> list[tuple]:
+    """Macro-F1 on unseen products of the decider with text, image and both, the pair model and the best single cut; and seconds of
+    training and scoring."""
+    o, train, test = _split(spark, sf)
+    t, v, out = written(unit_text(o)), pictured(spark, sf, o, train, test), []
     for name, use in (("text", ("text",)), ("image", ("image",)), ("both", ("text", "image"))):
-        m = dm.Decider.fit(train, t, v, steps=60, lr=2e-2, modalities=use, share=0.3)
-        out.append((name, dm.macro_f1(m.score(test, t, v))))
-    s = dm.Siamese.fit(train, t, steps=10)
-    out.append(("siamese", dm.macro_f1(s.score(test, t))))
+        began = time.perf_counter()
+        f1 = dm.macro_f1(dm.Decider.fit(train, t, v, steps=60, lr=2e-2, modalities=use, share=0.5).score(test, t, v))
+        out.append((name, f1, time.perf_counter() - began))
+    began = time.perf_counter()
+    out.append(("siamese", dm.macro_f1(dm.Siamese.fit(train, t, steps=20).score(test, t)), time.perf_counter() - began))
+    began = time.perf_counter()
     cut = dm.best_cut(dm.cosines(train, t))
-    out.append(("cosine cut", dm.macro_f1(dm.cosines(test, t).withColumn("verdict", F.col("cosine") >= cut))))
-    return spark.createDataFrame(out, "matcher string, macro_f1 double")
+    out.append(("cosine cut", dm.macro_f1(dm.cosines(test, t).withColumn("verdict", F.col("cosine") >= cut)), time.perf_counter() - began))
+    return out
 
 
-@query()
-def compression(spark: SparkSession, sf: str) -> DataFrame:
-    """Macro-F1 of the decider on text vectors of 256 numbers and on their principal components."""
-    o, train, test = _labelled(spark, sf)
-    wide = tx.dense_features(o.select("listing_id", "title"), "listing_id", "title", width=256).select(F.col("listing_id").alias("id"), F.transform("vec", lambda x: x.cast("float")).alias("vec"))
-    wide = written(wide)
+def _by(rows: list[tuple], test: str, system: str, kind: str, column: int) -> float:
+    return next(r[column] for r in rows if r[:3] == (test, system, kind)) or 0.0
+
+
+@report("test string, system string, class string, precision double, recall double, f1 double", {"the matcher finds more matches than the service": lambda rows: all(_by(rows, t, "matcher", "match", 4) > _by(rows, t, "service", "match", 4) for t in ("unbiased", "biased")), "and has the better F1 of both classes on unbiased pairs": lambda rows: all(_by(rows, "unbiased", "matcher", k, 5) > _by(rows, "unbiased", "service", k, 5) for k in ("match", "not_match"))})
+def match_report(spark: SparkSession, sf: str) -> list[tuple]:
+    """The trained decider, which reads two text and two image vectors side by side, against the stand-in for the outside service, on
+    pairs of unseen products: all of them, and those that either system flags. Images are encoded for these pairs only."""
+    o, train, test = _split(spark, sf)
+    t, v = written(unit_text(o)), pictured(spark, sf, o, train, test)
+    m = dm.Decider.fit(train, t, v, steps=80, lr=2e-2, share=0.5)
+    mine = written(m.score(test, t, v).select("a", "b", "is_match", "verdict").distinct())
+    both = written(baselines.black_box(mine, o))
     out = []
-    for width in (256, 128, 64, 32):
-        v = wide
-        if width < 256:
-            mean, comps, var = pca.fit(wide, width)
-            v = written(pca.project(wide, mean, comps))
-        m = dm.Decider.fit(train, v, None, steps=30, lr=2e-2, modalities=("text",), share=0.3)
-        out.append((width, dm.macro_f1(m.score(test, v, None)), 4 * width))
-    return spark.createDataFrame(out, "width int, macro_f1 double, bytes_per_vector int")
+    for name, rows in (("unbiased", both), ("biased", both.filter("verdict OR flagged"))):
+        for system, verdict in (("matcher", "verdict"), ("service", "flagged")):
+            out += [(name, system, r["class"], r["precision"], r["recall"], r["f1"]) for r in metrics.class_report(rows, "is_match", verdict).orderBy("class").collect()]
+    return out
 
 
-@query()
-def pair_latency(spark: SparkSession, sf: str) -> DataFrame:
-    """250 pairs' titles encoded by encoders of growing width and depth: relative cost only, so that values compare as ranks."""
-    o = titles(spark, sf)
-    rows = {}
+@report("features string, macro_f1 double", {"both forms beat chance": lambda rows: all(r[1] > 0.5 for r in rows)})
+def decider_features(spark: SparkSession, sf: str) -> list[tuple]:
+    """The decider on vectors side by side, and with their differences and products."""
+    o, train, test = _split(spark, sf)
+    t = written(unit_text(o))
+    return [("side by side" if raw else "with differences and products", dm.macro_f1(dm.Decider.fit(train, t, None, steps=80, lr=2e-2, modalities=("text",), raw=raw, share=0.5).score(test, t, None))) for raw in (True, False)]
+
+
+def raw_pictures(o: DataFrame) -> DataFrame:
+    """id, vec: all pixels of the cropped pictures, the wide image vector."""
+
+    @F.arrow_udf("array<float>")
+    def numbers(p):
+        import pyarrow as pa
+
+        x = raster.unpack(p.to_pylist()).reshape(len(p), -1).astype(np.float32)
+        return pa.ListArray.from_arrays(pa.array(np.arange(0, x.size + 1, x.shape[1]), pa.int32()), pa.array(x.ravel()))
+
+    return raster.rendered(o, 1.0).select("id", numbers("pixels").alias("vec"))
+
+
+WIDE_TEXT = 768
+
+
+def _f1s(rows: list[tuple], m: str) -> list[float]:
+    return [r[2] for r in rows if r[0] == m]
+
+
+@report("modality string, width int, macro_f1 double, bytes_per_vector int", {"128 numbers of text lose at most 0.1 of the wide vector's F1": lambda rows: _f1s(rows, "text")[-1] > _f1s(rows, "text")[0] - 0.1, "a vector of 128 numbers has a sixth of the wide one's bytes": lambda rows: all(r[3] * 4 < w for r, w in zip([x for x in rows if x[1] == 128], (4 * WIDE_TEXT, 4 * 576), strict=True))})
+def compression(spark: SparkSession, sf: str) -> list[tuple]:
+    """Macro-F1 of the decider on wide vectors of either modality (768 hashed text numbers, 576 pixels) and on their principal
+    components, down to 128."""
+    o, train, test = _split(spark, sf)
+    ends = train.select("a", "b").union(test.select("a", "b")).select(F.explode(F.array("a", "b")).alias("listing_id"))
+    o = written(o.join(ends, "listing_id", "left_semi"))
     out = []
-    for name, enc in (("miniature", te.TextEncoder(kind="cls", depth=4)), ("wide", te.TextEncoder(kind="cls", width=64)), ("wide_generative", te.TextEncoder(kind="multilayer", width=96))):
-        rows = written(te.token_ids(o.limit(500), "listing_id", "title", enc))  # two texts a pair
-        w = enc.weights()
-        times = []
-        for _ in range(1):
+    for name, wide in (("text", written(unit_text(o, WIDE_TEXT))), ("image", written(raw_pictures(o)))):
+        full = wide.select(F.size("vec")).first()[0]
+        for width in (full, 512, 256, 128):
+            v = wide
+            if width < full:
+                mean, comps, _ = pca.fit(wide, width)
+                v = written(pca.project(wide, mean, comps))
+            m = dm.Decider.fit(train, v, None, steps=25, lr=2e-2, modalities=("text",), share=0.25)
+            out.append((name, width, dm.macro_f1(m.score(test, v, None)), 4 * width))
+    return out
+
+
+@report("compression string, macro_f1 double", {"components keep more than an encoder after a handful of steps": lambda rows: rows[1][1] > rows[0][1]})
+def learned_compression(spark: SparkSession, sf: str) -> list[tuple]:
+    """128 numbers from the trained encoder's own compression layer against 128 principal components of the wide text vector."""
+    o, train, test = _split(spark, sf)
+    enc = te.TextEncoder(kind="cls", depth=4)
+    learned = written(enc.encode(te.token_ids(o, "listing_id", "title", enc), trained_text(spark, sf, enc, "offers")))
+    wide = written(unit_text(o, WIDE_TEXT))
+    mean, comps, _ = pca.fit(wide, 128)
+    out = []
+    for name, v in (("learned", learned), ("principal components", written(pca.project(wide, mean, comps)))):
+        out.append((name, dm.macro_f1(dm.Decider.fit(train, v, None, steps=60, lr=2e-2, modalities=("text",), share=0.5).score(test, v, None))))
+    return out
+
+
+LATENCY_PAIRS, REPEATS = 1000, 3
+
+
+@report("model string, seconds double, ratio double", {"wider encoders take longer": lambda rows: rows[0][1] < rows[1][1] < rows[2][1]})
+def pair_latency(spark: SparkSession, sf: str) -> list[tuple]:
+    """Median seconds for 1000 pairs, both titles and both pictures encoded and the pair scored, by encoders of growing width and
+    depth: relative cost only, so that values compare as ranks."""
+    o = titles(spark, sf)
+    p = written(pairs.labelled(o).withColumn("o", F.md5(F.concat_ws("|", "a", "b"))).orderBy("o", "a", "b").limit(LATENCY_PAIRS).select("a", "b", "is_match"))
+    mine = written(o.join(p.select(F.explode(F.array("a", "b")).alias("listing_id")), "listing_id", "left_semi"))
+    pictures = written(raster.rendered(mine, 1.0))
+    rows = []
+    for name, enc, image in (
+        ("miniature", te.TextEncoder(kind="cls", depth=4), im.ImageEncoder()),
+        ("wide", te.TextEncoder(kind="cls", width=96), im.ImageEncoder(width=192)),
+        ("wide_generative", te.TextEncoder(kind="multilayer", width=192), im.ImageEncoder(kind="patch_ae", width=512)),
+    ):
+        ids, w, wi, times = written(te.token_ids(mine, "listing_id", "title", enc)), enc.weights(), image.weights(), []
+        d = dm.Decider.untrained(("text", "image"), {"text": enc.dim, "image": 128})
+        for _ in range(REPEATS):
             began = time.perf_counter()
-            enc.encode(rows, w).write.format("noop").mode("overwrite").save()
+            d.score(p, enc.encode(ids, w), image.encode(pictures, wi)).write.format("noop").mode("overwrite").save()
             times.append(time.perf_counter() - began)
-        out.append((name, min(times)))
-    return spark.createDataFrame(out, "model string, seconds double")
+        rows.append((name, statistics.median(times)))
+    return [(n, s, s / rows[0][1]) for n, s in rows]
 
 
-@query()
-def growth_latency(spark: SparkSession, sf: str) -> DataFrame:
-    """Seconds of exact and inverted-list search as vectors double by jittered copies."""
-    from ..operators import flat, ivf
-    from .search import fixed
+def jittered(v: DataFrame, copies: int, times: int) -> DataFrame:
+    """Copies of fixed-point vectors, each number moved a little, ``times`` side by side."""
+    many = v.select(F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).alias("j"), "id", "vec")
+    moved = lambda t: F.transform("vec", lambda x, i: x + F.pmod(F.hash(F.col("id"), F.col("j"), i, F.lit(t)), F.lit(200)) - 100)
+    return many.select((F.col("id") * 1000 + F.col("j")).alias("id"), F.concat(*map(moved, range(times))).alias("vec"))
+
 
+@report("n long, d int, index string, seconds double, compared long", {"exact search compares n vectors a query, inverted lists far fewer as n grows": lambda rows: all(f[4] > 2 * i[4] for f, i in zip(rows[::2], rows[1::2], strict=True) if f[0] >= 8000)})
+def growth_latency(spark: SparkSession, sf: str) -> list[tuple]:
+    """Seconds and compared vectors of exact and inverted-list search as vectors grow by jittered copies, 128 and 512 numbers wide."""
     v, out = written(fixed(spark, sf)), []
     n0 = v.count()
-    for k in (1, 4, 16):
-        many = written(v.select(F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias("j"), "id", "vec").select((F.col("id") * 1000 + F.col("j")).alias("id"), F.transform("vec", lambda x, i: x + F.pmod(F.hash(F.col("id"), F.col("j"), i), F.lit(200)) - 100).alias("vec")))
-        q = written(many.filter("id % 20000 = 0"))
-        c = ivf.seeds(many, max(1, int((k * n0) ** 0.5)))
-        for name, run in (("flat", lambda: flat.search(q, many, 10)), ("inverted lists", lambda: ivf.search(q, many, c, 10, 8))):
-            began = time.perf_counter()
-            run().write.format("noop").mode("overwrite").save()
-            out.append((k * n0, name, time.perf_counter() - began))
-    return spark.createDataFrame(out, "n long, index string, seconds double")
-
-
-@query()
-def relative_gains(spark: SparkSession, sf: str) -> DataFrame:
-    """Memory ratio of 512 to 128 numbers, by the model and by payload."""
-    return spark.createDataFrame([("512 / 128, modelled", metrics.modelled_gib(10**7, 512) / metrics.modelled_gib(10**7, 128)), ("512 / 128, payload", 4.0)], "measure string, value double")
+    for d in (128, 512):
+        for k in (1, 4, 16):
+            many = written(jittered(v, k, d // 64))
+            q = written(many.filter("id % 20000 = 0"))
+            asking = q.count()
+            index = ivf.Index.build(many, ivf.seeds(many, max(1, int((k * n0) ** 0.5))))
+            for name, run, seen in (("flat", lambda: flat.search(q, many, 10), asking * k * n0), ("inverted lists", lambda: index.search(q, 10, 8), index.scanned(q, 8).first()[0])):  # noqa: B023
+                began = time.perf_counter()
+                run().write.format("noop").mode("overwrite").save()
+                out.append((k * n0, d, name, time.perf_counter() - began, int(seen)))
+    return out
+
+
+def _of(rows: list[tuple], name: str) -> tuple:
+    return next(r for r in rows if r[0] == name)
+
+
+@report("index string, bytes long, recall double, compared long, seconds double", {"the graph needs more bytes than inverted lists": lambda rows: _of(rows, "graph")[1] > _of(rows, "inverted lists")[1], "codes need the fewest bytes": lambda rows: _of(rows, "product codes")[1] == min(r[1] for r in rows), "and lose most recall": lambda rows: _of(rows, "product codes")[2] == min(r[2] for r in rows), "exact search finds all": lambda rows: _of(rows, "flat")[2] == 1.0})
+def index_choice(spark: SparkSession, sf: str) -> list[tuple]:
+    """Bytes, recall of the exact top 10, compared vectors and seconds of each index, for a query set. Bytes are those of vectors as
+    float32, ids, centroids, codes and the links that the graph really has."""
+    v = written(fixed(spark, sf))
+    q = written(asked(v))
+    n, m, d = v.count(), q.count(), v.select(F.size("vec")).first()[0]
+    exact = written(flat.search(q, v, TOP))
+    want = exact.count()
+    index = ivf.Index.build(v, ivf.seeds(v, lists_for(v)))
+    books = quantized.trained_books(v, 8, 16)
+    links = hnsw.graph_links(v)
+    probes = max(1, len(index.sizes) // 4)
+    plain = metrics.footprint(n, d)
+    out = []
+    for name, size, seen, run in (
+        ("flat", plain, m * n, lambda: flat.search(q, v, TOP)),
+        ("inverted lists", metrics.footprint(n, d, lists=len(index.sizes)), index.scanned(q, probes).first()[0], lambda: index.search(q, TOP, probes)),
+        ("graph", metrics.footprint(n, d) + 8 * links, None, lambda: hnsw.search_shards(q, v, TOP)),
+        ("one byte a number", n * d + 8 * n, m * n, lambda: quantized.scalar_search(q, v, TOP, 4 * TOP)),
+        ("inverted lists, one byte a number", n * d + 8 * n + 4 * len(index.sizes) * d, index.scanned(q, probes).first()[0], lambda: quantized.inverted_scalar_search(q, v, index.centroids, TOP, probes, 4 * TOP)),
+        ("product codes", 8 * n + 8 * n + 4 * 16 * d, m * n, lambda: quantized.product_search(q, v, TOP, 8, books)),
+    ):
+        began = time.perf_counter()
+        hits = written(run().select("q", "c"))
+        out.append((name, int(size), hits.join(exact.select("q", "c"), ["q", "c"]).count() / want, None if seen is None else int(seen), time.perf_counter() - began))
+    return out
+
+
+@report("measure string, value double, published double", {"512 numbers cost about four times 128": lambda rows: 3.5 < rows[0][1] < 4.1 and rows[1][1] == 4.0, "the matcher gains recall over the service": lambda rows: rows[2][1] > 0, "the small encoders are faster": lambda rows: rows[3][1] > 1 and rows[4][1] > rows[3][1]})
+def relative_gains(spark: SparkSession, sf: str) -> list[tuple]:
+    """Memory ratio of 512 to 128 numbers by the model and by payload, points of match recall gained over the stand-in service, and
+    speed-ups over the wide encoders, from the reports themselves."""
+    found = held(spark, sf, "match_report", lambda: match_report(spark, sf))
+    slow = held(spark, sf, "pair_latency", lambda: pair_latency(spark, sf))
+    bytes_of = lambda d: sum(r["vectors"] for r in QUERIES["index_footprint"](spark, sf).filter((F.col("d") == d) & (F.col("n") == 10**7)).collect())
+    gain = 100 * (_by(found, "unbiased", "matcher", "match", 4) - _by(found, "unbiased", "service", "match", 4))
+    return [
+        ("512 / 128, modelled", metrics.modelled_gib(10**7, 512) / metrics.modelled_gib(10**7, 128), 20 / 5.5), ("512 / 128, payload", bytes_of(512) / bytes_of(128), 4.0),
+        ("match recall points over the service", gain, 12.0), ("speed-up over wide", slow[1][2], 6.2), ("speed-up over wide generative", slow[2][2], 30.2),
+    ]
