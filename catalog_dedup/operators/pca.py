@@ -8,6 +8,9 @@ from pyspark.sql import functions as F
 
 from .flat import matrix
 
+#: Matrices that meet in one task of the sum.
+FAN_IN = 16
+
 
 def gram(vectors: DataFrame) -> DataFrame:
     """i, j, s: sums of products for i <= j; one matrix a task, added up by a shuffle of at most tasks x d^2 / 2 rows."""
@@ -28,14 +31,41 @@ def gram(vectors: DataFrame) -> DataFrame:
 
 
 def moments(vectors: DataFrame) -> tuple[int, np.ndarray, np.ndarray]:
-    """Count, mean and covariance: the products of (1, x) with itself in one pass."""
-    one = vectors.select(F.concat(F.array(F.lit(1.0)), F.transform("vec", lambda v: v.cast("double"))).alias("vec"))
-    rows = gram(one).collect()  # d^2 / 2 numbers
-    d = max((r["j"] for r in rows), default=0) + 1
-    g = np.zeros((d, d))
-    for r in rows:
-        g[r["i"], r["j"]] = g[r["j"], r["i"]] = r["s"]
-    n = int(g[0, 0])
+    """Count, mean and covariance from the products of (1, x) with itself in one pass: a task hands on one matrix, matrices are added
+    in a tree, and FAN_IN of them at most reach the driver."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        total = None
+        for b in batches:
+            x = matrix(b.column(0))
+            if len(x):
+                x = np.hstack([np.ones((len(x), 1)), x])
+                total = x.T @ x + (0 if total is None else total)
+        if total is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], names=["g"])
+
+    def add(batches):
+        import pyarrow as pa
+
+        total = None
+        for b in batches:
+            for g in b.column(0).to_pylist():
+                total = np.frombuffer(g) + (0 if total is None else total)
+        if total is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], names=["g"])
+
+    parts, tasks = vectors.select("vec").mapInArrow(run, "g binary"), vectors.rdd.getNumPartitions()
+    while tasks > FAN_IN:
+        tasks = -(-tasks // FAN_IN)
+        parts = parts.repartition(tasks).mapInArrow(add, "g binary")
+    found = sorted(bytes(r["g"]) for r in parts.collect())  # the order of arrival doesn't matter
+    if not found:
+        return 0, np.zeros(0), np.zeros((0, 0))
+    g = sum(np.frombuffer(x) for x in found)
+    g = g.reshape(int(len(g) ** 0.5), -1)
+    n = int(round(g[0, 0]))
     mean = g[0, 1:] / max(n, 1)
     return n, mean, g[1:, 1:] / max(n, 1) - np.outer(mean, mean)
 

@@ -30,8 +30,10 @@ from .registry import QUERIES, query
 from .search import TOP, asked, fixed, lists_for
 
 STEPS = 6
-SAMPLE, PAIRS = 2000, 6000
+SAMPLE, PAIRS = 2000, 4000
 _HELD: dict[tuple, object] = {}
+#: Names of reports; their claims are about tables of some size.
+REPORTS: list[str] = []
 
 
 def held(spark: SparkSession, sf: str, name: str, make: Callable):
@@ -58,6 +60,7 @@ def report(schema: str, claims: dict[str, Callable[[list], bool]]):
 
         run.__name__, run.__doc__ = name, fn.__doc__
         checked.__name__, checked.__doc__ = f"{name}_checked", f"What {name} must show."
+        REPORTS.append(name)
         query()(run)
         values = ", ".join("('" + c.replace("'", "''") + "', true)" for c in claims)
         query(f"SELECT * FROM (VALUES {values}) t(claim, holds)")(checked)
@@ -363,7 +366,7 @@ def decider_fit_report(spark: SparkSession, sf: str) -> list[tuple]:
     t, v, out = written(unit_text(o)), pictured(spark, sf, o, train, test), []
     for name, use in (("text", ("text",)), ("image", ("image",)), ("both", ("text", "image"))):
         began = time.perf_counter()
-        f1 = dm.macro_f1(dm.Decider.fit(train, t, v, steps=60, lr=2e-2, modalities=use, share=0.5).score(test, t, v))
+        f1 = dm.macro_f1(dm.Decider.fit(train, t, v, steps=40, lr=2e-2, modalities=use, share=0.5).score(test, t, v))
         out.append((name, f1, time.perf_counter() - began))
     began = time.perf_counter()
     out.append(("siamese", dm.macro_f1(dm.Siamese.fit(train, t, steps=20).score(test, t)), time.perf_counter() - began))
@@ -383,7 +386,7 @@ def match_report(spark: SparkSession, sf: str) -> list[tuple]:
     pairs of unseen products: all of them, and those that either system flags. Images are encoded for these pairs only."""
     o, train, test = _split(spark, sf)
     t, v = written(unit_text(o)), pictured(spark, sf, o, train, test)
-    m = dm.Decider.fit(train, t, v, steps=80, lr=2e-2, share=0.5)
+    m = dm.Decider.fit(train, t, v, steps=50, lr=2e-2, share=0.5)
     mine = written(m.score(test, t, v).select("a", "b", "is_match", "verdict").distinct())
     both = written(baselines.black_box(mine, o))
     out = []
@@ -398,7 +401,7 @@ def decider_features(spark: SparkSession, sf: str) -> list[tuple]:
     """The decider on vectors side by side, and with their differences and products."""
     o, train, test = _split(spark, sf)
     t = written(unit_text(o))
-    return [("side by side" if raw else "with differences and products", dm.macro_f1(dm.Decider.fit(train, t, None, steps=80, lr=2e-2, modalities=("text",), raw=raw, share=0.5).score(test, t, None))) for raw in (True, False)]
+    return [("side by side" if raw else "with differences and products", dm.macro_f1(dm.Decider.fit(train, t, None, steps=50, lr=2e-2, modalities=("text",), raw=raw, share=0.5).score(test, t, None))) for raw in (True, False)]
 
 
 def raw_pictures(o: DataFrame) -> DataFrame:
@@ -436,7 +439,7 @@ def compression(spark: SparkSession, sf: str) -> list[tuple]:
             if width < full:
                 mean, comps, _ = pca.fit(wide, width)
                 v = written(pca.project(wide, mean, comps))
-            m = dm.Decider.fit(train, v, None, steps=25, lr=2e-2, modalities=("text",), share=0.25)
+            m = dm.Decider.fit(train, v, None, steps=15, lr=2e-2, modalities=("text",), share=0.5)
             out.append((name, width, dm.macro_f1(m.score(test, v, None)), 4 * width))
     return out
 
@@ -445,13 +448,15 @@ def compression(spark: SparkSession, sf: str) -> list[tuple]:
 def learned_compression(spark: SparkSession, sf: str) -> list[tuple]:
     """128 numbers from the trained encoder's own compression layer against 128 principal components of the wide text vector."""
     o, train, test = _split(spark, sf)
+    ends = train.select("a", "b").union(test.select("a", "b")).select(F.explode(F.array("a", "b")).alias("listing_id"))
+    o = written(o.join(ends, "listing_id", "left_semi"))
     enc = te.TextEncoder(kind="cls", depth=4)
     learned = written(enc.encode(te.token_ids(o, "listing_id", "title", enc), trained_text(spark, sf, enc, "offers")))
     wide = written(unit_text(o, WIDE_TEXT))
     mean, comps, _ = pca.fit(wide, 128)
     out = []
     for name, v in (("learned", learned), ("principal components", written(pca.project(wide, mean, comps)))):
-        out.append((name, dm.macro_f1(dm.Decider.fit(train, v, None, steps=60, lr=2e-2, modalities=("text",), share=0.5).score(test, v, None))))
+        out.append((name, dm.macro_f1(dm.Decider.fit(train, v, None, steps=25, lr=2e-2, modalities=("text",), share=0.5).score(test, v, None))))
     return out
 
 
