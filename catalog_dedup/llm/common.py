@@ -7,6 +7,7 @@ import re
 import tempfile
 import uuid
 from collections.abc import Callable
+from itertools import count
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -38,9 +39,15 @@ def open_store(folder: str):
     return fs.FileSystem.from_uri(folder) if "://" in folder or folder.startswith("file:") else (fs.LocalFileSystem(), folder)
 
 
+_WRITES = count(1)
+
+
 def stash(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` as Parquet in the shared folder and read it back: later jobs start from it, and a lost executor loses nothing."""
+    """Write ``df`` as Parquet in the shared folder and read it back: later jobs start from it, and a lost executor loses nothing.
+    Iterative methods come here again and again, so what is left of earlier plans and shuffles is let go now and then."""
     spark = df.sparkSession
+    if next(_WRITES) % 5 == 0:
+        release(spark)
     path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)

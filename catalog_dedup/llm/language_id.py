@@ -22,7 +22,7 @@ from pyspark.sql import types as T
 from .common import map_text, remainder, uniform
 
 DIM = 4096
-SAMPLE, SAMPLED = 1000, 8000
+SAMPLE, SAMPLED = 500, 6000
 FOLDS, HELD_OUT = 4, 2
 #: ISO 639-1 codes by family. Any other code is a family of its own.
 FAMILIES = {
