@@ -330,9 +330,17 @@ def ms_ssim_checked(spark: SparkSession, sf: str) -> DataFrame:
 
 def unit_text(o: DataFrame, width: int = tx.WIDTH) -> DataFrame:
     """id, vec: hashed titles of unit length."""
+
+    @F.arrow_udf("array<float>")
+    def scaled(v):
+        import pyarrow as pa
+
+        x = v.flatten().to_numpy(zero_copy_only=False).reshape(len(v), -1).astype(np.float32) if len(v) else np.zeros((0, width), np.float32)
+        x /= np.maximum(np.sqrt((x * x).sum(1, keepdims=True)), 1e-9)
+        return pa.ListArray.from_arrays(pa.array(np.arange(0, x.size + 1, width), pa.int32()), pa.array(x.ravel()))
+
     t = tx.dense_features(o.select("listing_id", "title"), "listing_id", "title", width=width)
-    n = F.sqrt(F.aggregate("vec", F.lit(0.0), lambda s, x: s + x * x))
-    return t.select(F.col("listing_id").alias("id"), F.transform("vec", lambda x: (x / F.greatest(n, F.lit(1e-9))).cast("float")).alias("vec"))
+    return t.select(F.col("listing_id").alias("id"), scaled("vec").alias("vec"))
 
 
 def image_vectors(spark: SparkSession, sf: str, o: DataFrame, steps: int = 4 * STEPS) -> DataFrame:
