@@ -31,7 +31,9 @@ from .common import open_store, shared_folder, stash
 BLOCK = 65536
 MAGIC = b"BPLANES1"
 END = 1
-#: Words that a worker's tokenizer remembers before it starts anew (about 250 MB).
+#: Bytes of text that a task tokenizes, about: words are remembered within a task, so that larger ones learn fewer words again.
+SHARD_BYTES = 128 << 20
+#: Words that a task remembers before it starts anew (about 250 MB).
 REMEMBERED = 1_000_000
 _FOOTER = "<5Q8s"
 
@@ -98,17 +100,6 @@ def word_tokenizer(path: str):
     return encode
 
 
-_KEPT: dict = {}
-
-
-def kept_tokenizer(path: str):
-    """The worker process's tokenizer, kept with its words for later tasks."""
-    if path not in _KEPT:
-        _KEPT.clear()
-        _KEPT[path] = word_tokenizer(path)
-    return _KEPT[path]
-
-
 class ShardWriter:
     """Appends documents to one shard; holds a block of ids and the table of documents."""
 
@@ -183,7 +174,8 @@ def read_shard(source) -> Iterator[tuple[int | None, bytes]]:
 def write_shards(docs: DataFrame, vocabulary: str, end: int = END, folder: str | None = None) -> DataFrame:
     """Write the ids of all rows; returns the manifest: shard (number), path, docs, ids and start (ids in earlier shards)."""
     folder = folder or f"{shared_folder(docs.sparkSession)}/token-shards-{uuid.uuid4().hex}"
-    rows = docs.select("doc_id", "text").repartitionByRange(F.col("doc_id").asc_nulls_first(), F.xxhash64("text")).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.xxhash64("text"))
+    size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    rows = docs.select("doc_id", "text").repartitionByRange(max(1, -(-size // SHARD_BYTES)), F.col("doc_id").asc_nulls_first(), F.xxhash64("text")).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.xxhash64("text"))
     last = np.array([end], np.uint32).tobytes()
 
     def write(batches):
@@ -199,7 +191,7 @@ def write_shards(docs: DataFrame, vocabulary: str, end: int = END, folder: str |
                 part = b.slice(i, 512)
                 if writer is None:
                     sink = store.open_output_stream(path)
-                    encode, writer = kept_tokenizer(vocabulary), ShardWriter(sink)
+                    encode, writer = word_tokenizer(vocabulary), ShardWriter(sink)
                 for key, ids in zip(part.column(0).to_pylist(), encode(part.column(1).to_pylist()), strict=True):
                     writer.add(key, ids + last)
         if writer:
