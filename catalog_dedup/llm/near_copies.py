@@ -1,16 +1,21 @@
-"""Near copies by SimHash at a word-shingle Jaccard similarity: wide radius, sorted tables, exact verification.
+"""Near copies at a word-shingle Jaccard similarity: SimHash in sorted tables, then an exact search for what the tables miss.
 
 A text's set of 5-word shingles (lower-cased ASCII, words between ASCII white space; shorter texts are one shingle) has a
-fingerprint of 128 bits; texts with equal sets are one node. Two sets with Jaccard 0.8 differ in about 19 bits, which is too many for
-the exact search of ``simhash``. So every node enters several tables, each sorted by the fingerprint with its bits in another
-order, and meets the ``REACH`` nodes that follow it there: nodes whose fingerprints agree in a long prefix. The number of tables
-grows with the number of nodes such that two nodes ``BITS`` apart share such a prefix somewhere with a probability of about 95 % (more
-the more alike they are; a tight group is joined through any of its members). Pairs that meet are thinned by pivot distance tables (the
-largest coordinate difference is at most the distance) and by exact distance; what is left is verified by the exact Jaccard.
-
-Verification goes round by round, and leaves out what can change nothing: each node's closest pairs first, then the components of the
-verified links are formed, and pairs within a component need no verification. Rounds look at four times more pairs of a node than the
-one before and end when no pair is left, so all are settled and a group of m copies costs a few m verifications.
+fingerprint of 128 bits; texts with equal sets are one node. Every node enters ``TABLES`` tables, each sorted by the fingerprint with
+its bits in another order, and meets the ``REACH`` nodes that follow it there. Pairs that meet are thinned by pivot distance tables (the
+largest coordinate difference is at most the distance) and by exact distance; what is left is verified by the exact Jaccard. This
+joins most groups with few pairs a node.
+
+No link is lost, whatever the tables miss. A set's shingles have one order (rare ones of a sample first, then by hash; any order is
+right), and two sets that reach the similarity share one of each other's first fifth. So each node is filed under those shingles.
+Nodes of one component have nothing left to settle; others under a shingle are pairs if that makes at most ``PAIRS`` a member. Under a
+more crowded shingle all members are first compared with one of them, which joins groups of copies in proportion to their size; those
+still apart are filed anew under that shingle and a second one, then a third, and are pairs thereafter. Pairs are thinned by their sizes, by what can follow the
+shared shingle and by the parities of hashed shingles, all of which are bounds, and verified.
+
+Verification of what the tables found goes round by round, and leaves out what can change nothing: each node's closest pairs first,
+then the components of the verified links are formed, and pairs within a component need no verification. Rounds look at four times
+more pairs of a node than the one before and end when no pair is left.
 
 Null texts and texts without words are one node without shingles. Rows may repeat. An empty table gives no rows.
 """
@@ -25,14 +30,20 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from .common import map_text, stash
+from .common import discard, map_text, release, small, stash, uniform
 from .simhash import components, first_of_each
 
 SHINGLE, SIMILARITY = 5, 0.8
-#: Expected differing bits of two sets at the similarity, and the most that are looked at (about two deviations more).
-BITS, MOST_BITS = 19, 29
-REACH, LEAST_TABLES = 8, 16
+#: Most differing bits that tables look at (two sets at the similarity differ in about 19).
+MOST_BITS = 29
+REACH, TABLES = 4, 8
 PIVOTS = 8
+#: Pairs a member that a shingle may make; more make it crowded. After so many shingles more, all members are pairs.
+PAIRS, LEVELS = 64, 2
+#: The sample that puts rare shingles first: texts at least (about), their least share, and shingles at most.
+SAMPLE, SHARE, COMMON = 4000, 1 / 32, 500_000
+#: Bits of parities of every set, and at most of the wider ones of sets for which those are too few.
+PARITIES, MOST_PARITIES = 512, 1 << 16
 
 
 class _Hashes(dict):
@@ -82,28 +93,82 @@ def _node(shingles: np.ndarray) -> int:
     return h - (1 << 64) if h >= 1 << 63 else h
 
 
-def with_node(docs: DataFrame, keep: list[str], more: str | None = None) -> DataFrame:
-    """``keep`` columns, ``s_node`` (a long that tells the shingle set) and the fingerprint as ``s_print`` or the set as ``s_set``, if
-    ``more`` names it."""
-    made = {"s_print": fingerprint, "s_set": np.ndarray.tobytes}.get(more)
+def least_shared(size: int, similarity: float) -> int:
+    """Shingles that a set of this size shares with any other at the similarity, at least."""
+    return math.ceil(similarity * size - 1e-6)
+
+
+def in_order(shingles: np.ndarray, common: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """Shingles (sorted) in the order of all sets: those not among the ``common`` (sorted hashes, counts) first, then rarer ones."""
+    if not len(common[0]) or not len(shingles):
+        return shingles
+    at = np.minimum(np.searchsorted(common[0], shingles), len(common[0]) - 1)
+    return shingles[np.argsort(np.where(common[0][at] == shingles, common[1][at], 0), kind="stable")]
+
+
+def parities(shingles: np.ndarray, bits: int = PARITIES) -> bytes:
+    """A bit a slot that tells if an odd number of shingles falls into it: two sets differ in as many shingles at least as in bits."""
+    odd = np.bincount((shingles % np.uint64(bits)).astype(np.int64), minlength=bits) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
+
+
+def wide_parities(shingles: np.ndarray) -> bytes:
+    """Two to four bits a shingle, a power of two, for sets of over half as many shingles as PARITIES."""
+    return parities(shingles, min(MOST_PARITIES, 2 << len(shingles).bit_length())) if 2 * len(shingles) > PARITIES else b""
+
+
+def differing(x: list[bytes], y: list[bytes]) -> np.ndarray:
+    """Differing bits of pairs of parities. Those of more bits are folded to as few as the other has; none differ if one is empty."""
+    nx, ny = (np.array([len(v) for v in z], np.int64) for z in (x, y))
+    out = np.zeros(len(nx), np.int64)
+    for i, j in {*zip(nx.tolist(), ny.tolist(), strict=True)}:
+        if not (width := min(i, j)):
+            continue
+        at = np.flatnonzero((nx == i) & (ny == j))
+        u, v = (np.bitwise_xor.reduce(np.frombuffer(b"".join([z[k] for k in at]), np.uint8).reshape(len(at), -1, width), 1) for z in (x, y))
+        out[at] = np.bitwise_count(u ^ v).sum(1)
+    return out
+
+
+def common_shingles(docs: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted hashes and counts of shingles that several texts of a hash sample hold. They only set an order."""
+    share = min(1.0, max(SHARE, SAMPLE / max(docs.count(), 1)))
+
+    def run(batches):
+        import pyarrow as pa
+
+        hash_of = _Hashes()
+        for b in batches:
+            found = [shingle_set(t, hash_of) for t in b.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(found).view(np.int64) if found else np.zeros(0, np.int64))], names=["h"])
+
+    texts = docs.filter(uniform(F.col("doc_id")) < share).select(F.col("text").cast("binary"))
+    counted = texts.mapInArrow(run, "h long").groupBy("h").agg(F.count("*").alias("n")).filter("n > 1").orderBy(F.desc("n"), "h").limit(COMMON).toArrow()
+    h, n = counted.column("h").to_numpy().view(np.uint64), counted.column("n").to_numpy()
+    order = np.argsort(h)
+    return h[order], n[order].astype(np.int32)
+
+
+#: What ``with_node`` can tell of a set beside its node.
+_MADE = {"s_print": (T.BinaryType(), lambda s, *_: fingerprint(s)), "s_set": (T.BinaryType(), lambda s, *_: s.tobytes()), "s_size": (T.IntegerType(), lambda s, *_: len(s)), "s_odd": (T.BinaryType(), lambda s, *_: parities(s)), "s_wide": (T.BinaryType(), lambda s, *_: wide_parities(s)), "s_first": (T.BinaryType(), lambda s, common, t: in_order(s, common)[: len(s) - least_shared(len(s), t) + 1].tobytes())}
+
+
+def with_node(docs: DataFrame, keep: list[str], *more: str, common: tuple | None = None, similarity: float = SIMILARITY) -> DataFrame:
+    """``keep`` columns, ``s_node`` (a long that tells the shingle set) and of ``more`` the fingerprint ``s_print``, the set ``s_set``,
+    its size ``s_size``, its parities ``s_odd`` and ``s_wide`` and the shingles it is filed under ``s_first``."""
     held: list[_Hashes] = []
 
     def run(texts: list) -> list:
         if not held:
             held.append(_Hashes())
         sets = [shingle_set(t, held[0]) for t in texts]
-        return [[_node(s) for s in sets], *([list(map(made, sets))] if made else [])]
-
-    return map_text(docs, keep, [("s_node", T.LongType()), *([(more, T.BinaryType())] if more else [])], run, binary=True)
-
+        made = [[_MADE[m][1](s, common, similarity) for s in sets] for m in more]
+        return [[_node(s) for s in sets], *[np.array(x, np.int32) if m == "s_size" else x for m, x in zip(more, made, strict=True)]]
 
-def tables_for(nodes: int) -> int:
-    """So many that two nodes BITS apart are REACH nodes apart at most in one of them with about 95 %."""
-    prefix = max(0.0, math.log2(max(nodes, 1) / REACH))
-    return max(LEAST_TABLES, math.ceil(3 / (1 - BITS / 128) ** prefix))
+    return map_text(docs, keep, [("s_node", T.LongType()), *[(m, _MADE[m][0]) for m in more]], run, binary=True)
 
 
-def candidates(nodes: DataFrame, tables: int) -> DataFrame:
+def candidates(nodes: DataFrame, tables: int = TABLES) -> DataFrame:
     """a < b and their distance: pairs that meet in a table, within MOST_BITS."""
     orders = [np.random.default_rng(1000 + t).permutation(128) for t in range(tables)]
     refs = np.random.default_rng(20).integers(0, 256, (PIVOTS, 16), dtype=np.uint8)
@@ -147,7 +212,7 @@ def candidates(nodes: DataFrame, tables: int) -> DataFrame:
             t0, x0, n0 = t[-REACH:], x[-REACH:], n[-REACH:]
 
     entered = nodes.select("s_node", "s_print").mapInArrow(enter, "t int, key binary, node long")
-    # Pivots see permuted bits; distances are the same in every order. Neighbours on both sides of a border between tasks meet in other tables.
+    # Pivots see permuted bits; distances are the same in every order. Neighbours on both sides of a border between tasks are left to other tables.
     return entered.repartitionByRange("t", "key").sortWithinPartitions("t", "key", "node").mapInArrow(meet, "a long, b long, d int").distinct()
 
 
@@ -168,17 +233,143 @@ def verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "sa", "sb").mapInArrow(check, "a long, b long")
 
 
+def sets_of(docs: DataFrame, nodes: DataFrame, wanted: DataFrame) -> DataFrame:
+    """s_node and s_set of the ``wanted`` nodes, from one text of each."""
+    chosen = stash(nodes.join(wanted, "s_node", "left_semi").select(F.col("s_node").alias("c_node"), F.col("doc_id").alias("c_id")), "chosen")
+    packed = docs.select("doc_id", "text").join(small(chosen), F.col("doc_id").eqNullSafe(F.col("c_id"))).select("c_node", "text")
+    return stash(with_node(packed, ["c_node"], "s_set").filter("s_node = c_node").dropDuplicates(["s_node"]).select("s_node", "s_set"), "sets")
+
+
+def ends_of(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.explode(F.array("a", "b")).alias("s_node")).distinct()
+
+
+_FILED = "key long, node long, root long, size int, at int"
+
+
+def meeting(filed: DataFrame, level: int, similarity: float, star: bool) -> DataFrame:
+    """From nodes filed under keys (``_FILED``; ``at`` is the place of the key's last shingle in the set, ``level`` shingles are shared
+    before it): a, b of pairs of different roots, with key null; and every member of a crowded key as a, with key, size and at. With
+    ``star`` members of crowded keys also pair with one of them."""
+
+    def settle(key, node, root, size, at):
+        """Whole keys, sorted by key and root."""
+        n = len(key)
+        new_key = np.r_[True, key[1:] != key[:-1]]
+        new_run = new_key | np.r_[True, root[1:] != root[:-1]]
+        key_at, run_at = np.flatnonzero(new_key), np.flatnonzero(new_run)
+        key_end, run_end = np.r_[key_at[1:], n], np.r_[run_at[1:], n]
+        of_key, of_run = np.cumsum(new_key) - 1, np.cumsum(new_run) - 1
+        after = key_end[of_key] - run_end[of_run]  # members of later roots
+        crowded = (np.add.reduceat(after, key_at) > (PAIRS * (key_end - key_at) if level < LEVELS else np.inf))[of_key]
+        many = np.where(crowded, 0, after)
+        i = np.repeat(np.arange(n), many)
+        j = run_end[of_run[i]] + np.arange(len(i)) - np.repeat(np.cumsum(many) - many, many)
+        if star:
+            k = np.flatnonzero(crowded & (after < after[key_at][of_key]))
+            i, j = np.r_[i, key_at[of_key[k]]], np.r_[j, k]
+        x, y = size[i].astype(np.int64), size[j].astype(np.int64)
+        reach = level + np.minimum(x - at[i], y - at[j])
+        good = (np.minimum(x, y) >= similarity * np.maximum(x, y) - 1e-6) & (reach >= similarity / (1 + similarity) * (x + y) - 1e-6)
+        pairs = np.unique(np.stack([np.minimum(node[i[good]], node[j[good]]), np.maximum(node[i[good]], node[j[good]])], 1), axis=0)
+        return pairs, np.flatnonzero(crowded)
+
+    def run(batches):
+        import pyarrow as pa
+
+        held = [np.zeros(0, np.int64)] * 3 + [np.zeros(0, np.int32)] * 2
+        waiting, rows = [], 0
+
+        def out(whole):
+            pairs, c = settle(*whole)
+            some = lambda k: pa.concat_arrays([pa.nulls(len(pairs), pa.from_numpy_dtype(whole[k].dtype)), pa.array(whole[k][c])])
+            return pa.RecordBatch.from_arrays([pa.array(np.r_[pairs[:, 0], whole[1][c]]), pa.concat_arrays([pa.array(pairs[:, 1]), pa.nulls(len(c), pa.int64())]), some(0), some(3), some(4)], names=["a", "b", "key", "size", "at"])
+
+        for b in batches:
+            waiting.append([c.to_numpy() for c in b.columns])
+            rows += b.num_rows
+            if rows < len(held[0]):  # a long key is looked at a few times only
+                continue
+            held = [np.concatenate(c) for c in zip(held, *waiting, strict=True)]
+            waiting, rows = [], 0
+            cut = int(np.searchsorted(held[0], held[0][-1])) if len(held[0]) else 0  # the last key may go on
+            if cut:
+                yield out([c[:cut] for c in held])
+                held = [c[cut:] for c in held]
+        held = [np.concatenate(c) for c in zip(held, *waiting, strict=True)] if waiting else held
+        if len(held[0]):
+            yield out(held)
+
+    return filed.repartition("key").sortWithinPartitions("key", "root", "node").mapInArrow(run, "a long, b long, key long, size int, at int")
+
+
+def first_filed(nodes: DataFrame, roots: DataFrame) -> DataFrame:
+    """Nodes under each shingle of ``s_first``."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            for i in range(0, b.num_rows, 1024):
+                part = b.slice(i, 1024)
+                first = part.column(3).to_pylist()
+                many = np.array([len(x) // 8 for x in first], np.int64)
+                at = np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
+                own = [pa.array(np.repeat(part.column(c).to_numpy(), many)) for c in range(3)]
+                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(b"".join(first), np.int64)), *own, pa.array(at.astype(np.int32))], names=["key", "node", "root", "size", "at"])
+
+    rooted = nodes.join(small(roots), nodes["s_node"] == roots["node"], "left")
+    return rooted.filter("s_size > 0").select("s_node", F.coalesce("root", "s_node").alias("root"), "s_size", "s_first").mapInArrow(run, _FILED)
+
+
+def deeper_filed(crowded: DataFrame, sets: DataFrame, level: int, common: tuple, similarity: float) -> DataFrame:
+    """Nodes under a crowded key and one more shingle of theirs behind it."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            for r in b.to_pylist():
+                s = in_order(np.frombuffer(r["s_set"], np.uint64), common)
+                end = len(s) - least_shared(len(s), similarity) + level + 1
+                for x in r["x"]:
+                    at = np.arange(x["at"] + 1, min(end, len(s)), dtype=np.int32)
+                    key = _mixed(s[at] ^ np.array([x["key"]], np.int64).view(np.uint64), 0x9E3779B97F4A7C15).view(np.int64)
+                    yield pa.RecordBatch.from_arrays([pa.array(key), *[pa.array(np.full(len(at), v, k)) for v, k in ((r["node"], np.int64), (r["root"], np.int64), (len(s), np.int32))], pa.array(at)], names=["key", "node", "root", "size", "at"])
+
+    by_node = crowded.groupBy("node").agg(F.first("root").alias("root"), F.collect_list(F.struct("key", "at")).alias("x"))
+    return by_node.join(sets.withColumnRenamed("s_node", "node"), "node").select("node", "root", "x", "s_set").mapInArrow(run, _FILED)
+
+
+def thinned(pairs: DataFrame, nodes: DataFrame, similarity: float, parity: str) -> DataFrame:
+    """Pairs without those whose parities forbid the similarity."""
+    side = lambda k: nodes.select(F.col("s_node").alias(k), F.col(parity).alias(f"o{k}"), F.col("s_size").alias(f"n{k}"))
+
+    def check(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            most = b.column(4).to_numpy() * ((1 - similarity) / (1 + similarity)) + 1e-6
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], names=["a", "b"]).filter(pa.array(differing(b.column(2).to_pylist(), b.column(3).to_pylist()) <= most))
+
+    return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "oa", "ob", (F.col("na") + F.col("nb")).alias("n")).mapInArrow(check, "a long, b long")
+
+
+def no_roots(spark) -> DataFrame:
+    return spark.createDataFrame([], "node long, root long")
+
+
 def classes(docs: DataFrame, similarity: float = SIMILARITY) -> tuple[DataFrame, DataFrame]:
     """Rows (doc_id, s_node), and s_node and root of every node that has links."""
     spark = docs.sparkSession
-    rows = stash(with_node(docs, ["doc_id"], "s_print"), "prints")
-    nodes = stash(rows.groupBy("s_node").agg(F.first("s_print").alias("s_print"), F.min("doc_id").alias("doc_id")), "nodes")
-    pairs = stash(candidates(nodes, tables_for(nodes.count())), "pairs")
-    ends = pairs.select(F.explode(F.array("a", "b")).alias("s_node")).distinct()
-    # One text of each node in a pair gives its set.
-    chosen = stash(nodes.join(ends, "s_node", "left_semi").select(F.col("s_node").alias("c_node"), F.col("doc_id").alias("c_id")), "chosen")
-    packed = docs.select("doc_id", "text").join(chosen, F.col("doc_id").eqNullSafe(F.col("c_id"))).select("c_node", "text")
-    sets = stash(with_node(packed, ["c_node"], "s_set").filter("s_node = c_node").dropDuplicates(["s_node"]).select("s_node", "s_set"), "sets")
+    common = common_shingles(docs)
+    told = ("s_print", "s_size", "s_odd", "s_wide", "s_first")
+    wide = stash(with_node(docs, ["doc_id"], *told, common=common, similarity=similarity), "prints")
+    nodes = stash(wide.groupBy("s_node").agg(F.first(F.struct(*told)).alias("x"), F.min("doc_id").alias("doc_id")).select("s_node", "x.*", "doc_id"), "nodes")
+    rows = stash(wide.select("doc_id", "s_node"), "rows")
+    discard(wide)
+    pairs = stash(candidates(nodes), "pairs")
+    sets = sets_of(docs, nodes, ends_of(pairs))
     links, roots, left, most = None, None, pairs, 1
     while not left.isEmpty():
         both = left.select(F.explode(F.array(F.struct(F.col("a").alias("n"), "a", "b", "d"), F.struct(F.col("b").alias("n"), "a", "b", "d"))).alias("x")).select("x.*")
@@ -191,11 +382,37 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> tuple[DataFrame,
         rest = left.join(picked, ["a", "b"], "left_anti").join(side("a"), "a", "left").join(side("b"), "b", "left")
         left = stash(rest.filter("coalesce(ra, a) != coalesce(rb, b)").select("a", "b", "d"), "left")
         most *= 4
-    if roots is None:
-        roots = spark.createDataFrame([], "node long, root long")
+    discard(sets)
+    release(spark)
+    roots = exact_rest(docs, nodes, links, no_roots(spark) if roots is None else roots, common, similarity)
     return rows.select("doc_id", "s_node"), roots.select(F.col("node").alias("s_node"), "root")
 
 
+def exact_rest(docs: DataFrame, nodes: DataFrame, links: DataFrame | None, roots: DataFrame, common: tuple, similarity: float) -> DataFrame:
+    """``roots`` (node, root) after all links that are missing among ``links``."""
+    filed, level = first_filed(nodes, roots), 0
+    while True:
+        for star in (True, False):  # crowded keys are looked at again once their groups are joined
+            met = stash(meeting(filed, level, similarity, star), "met")
+            release(docs.sparkSession)
+            pairs = stash(thinned(met.filter("key IS NULL").select("a", "b").distinct(), nodes, similarity, "s_odd"), "thinned")
+            pairs = stash(thinned(pairs, nodes, similarity, "s_wide"), "thinned")
+            if not pairs.isEmpty():
+                sets = sets_of(docs, nodes, ends_of(pairs))
+                good = verified(pairs, sets, similarity)
+                links = stash(good if links is None else links.union(good), "links")
+                discard(sets)
+                roots = stash(components(links), "roots")
+            crowded = met.filter("key IS NOT NULL").select("key", F.col("a").alias("node"), "size", "at")
+            if crowded.isEmpty():
+                return roots
+            filed = crowded.join(roots, "node", "left").select("key", "node", F.coalesce("root", "node").alias("root"), "size", "at")
+        crowded = stash(filed, "crowded")
+        sets = sets_of(docs, nodes, crowded.select(F.col("node").alias("s_node")).distinct())
+        level += 1
+        filed = deeper_filed(crowded, sets, level, common, similarity)
+
+
 def one_of_each(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """The rows of ``docs`` without near copies: of each group linked by a Jaccard of ``similarity`` or more the one with the smallest
     doc_id stays (null ids come last, and of repeated rows one stays)."""

@@ -77,3 +77,26 @@ def test_large_group_makes_few_verifications(spark, monkeypatch):
     monkeypatch.setattr(near_copies, "verified", lambda pairs, *a: seen.append(pairs.count()) or checked(pairs, *a))
     assert [x.doc_id for x in near_copies.one_of_each(spark.createDataFrame(rows, "doc_id long, text string")).collect()] == [0]
     assert sum(seen) < 6 * len(rows)
+
+
+@pytest.mark.parametrize("most", [64, 0])
+def test_no_link_is_lost_when_tables_find_none(spark, rows, monkeypatch, most):
+    none = lambda *_: spark.createDataFrame([], "a long, b long, d int")
+    monkeypatch.setattr(near_copies, "candidates", none)
+    monkeypatch.setattr(near_copies, "PAIRS", most, raising=False)
+    common = " ".join(f"line{k}" for k in range(40))  # in many texts, which stay apart
+    texts = [(i, t) if i % 3 or t is None else (i, f"{t} {common}") for i, t in rows]
+    docs = spark.createDataFrame(texts, "doc_id long, text string").repartition(3)
+    assert sorted(r.doc_id for r in near_copies.one_of_each(docs).collect()) == sorted(set(roots_of(texts)))
+
+
+def test_parities_are_bounds():
+    r = np.random.default_rng(7)
+    for size in (3, 300, 2040, 2100, 40_000):
+        x = np.unique(r.integers(0, 2**63, size, dtype=np.uint64))
+        y = np.unique(np.r_[x[size // 10 :], r.integers(0, 2**63, size // 12, dtype=np.uint64)])
+        z = np.unique(r.integers(0, 2**63, size, dtype=np.uint64))
+        for make in (near_copies.parities, near_copies.wide_parities):
+            d = near_copies.differing([make(x), make(x), make(x)], [make(y), make(z), make(x)])
+            assert d[0] <= len(np.setxor1d(x, y)) and d[2] == 0
+        assert size < 300 or d[1] > 0.25 * size  # far sets are told apart
