@@ -46,7 +46,8 @@ def byte_letters() -> list[str]:
 
 
 def word_tokenizer(path: str):
-    """texts -> list of bytes (uint32 ids). Splits at ASCII white space, which this vocabulary's own splitter never crosses.
+    """texts (str or UTF-8 bytes) -> list of bytes (uint32 ids). Splits at ASCII white space, which this vocabulary's own splitter
+    never crosses, as ``bytes.split`` does.
 
     Words are remembered. Those of Latin letters alone, perhaps with full stops or commas behind, are one pre-token (and one
     of marks), so their lower-cased bytes go straight to the vocabulary's merges; others take the tokenizer's whole way.
@@ -61,8 +62,6 @@ def word_tokenizer(path: str):
     letters = byte_letters()
     # Latin letters that have one small letter each and that normalisation leaves alone (not the dotted capital I).
     simple = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f]+)([.,]*)").fullmatch
-    spaces = str.maketrans("\n\t\r\x0b\x0c", "     ")
-    memo: dict[str, bytes] = {}
     heads: dict[str, bytes] = {}
 
     def whole(text: str) -> bytes:
@@ -84,16 +83,20 @@ def word_tokenizer(path: str):
             ids += heads[marks]
         return ids
 
-    def encode(texts: list[str | None]) -> list[bytes]:
+    class Memo(dict):
+        def __missing__(self, word: bytes) -> bytes:
+            ids = self[word] = learn(word.decode())
+            return ids
+
+    memo = Memo()
+
+    def encode(texts: list[str | bytes | None]) -> list[bytes]:
         out = []
         for t in texts:
-            words = t.translate(spaces).split(" ") if t else []
             if len(memo) > REMEMBERED:
                 memo.clear()
                 heads.clear()
-            for w in words:
-                if w not in memo:
-                    memo[w] = learn(w)
+            words = (t.encode() if isinstance(t, str) else t).split() if t else []
             out.append(b"".join(map(memo.__getitem__, words)))
         return out
 
@@ -176,6 +179,7 @@ def write_shards(docs: DataFrame, vocabulary: str, end: int = END, folder: str |
     folder = folder or f"{shared_folder(docs.sparkSession)}/token-shards-{uuid.uuid4().hex}"
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     rows = docs.select("doc_id", "text").repartitionByRange(max(1, -(-size // SHARD_BYTES)), F.col("doc_id").asc_nulls_first(), F.xxhash64("text")).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.xxhash64("text"))
+    rows = rows.select("doc_id", F.col("text").cast("binary").alias("text"))  # words are looked up by their bytes
     last = np.array([end], np.uint32).tobytes()
 
     def write(batches):

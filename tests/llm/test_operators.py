@@ -271,6 +271,18 @@ def test_words_of_all_latin_letters_are_tokenized_as_in_whole_texts():
     assert [np.frombuffer(x, "<u4").tolist() for x in mine(texts)] == [tok.encode(t, add_special_tokens=False).ids for t in texts]
 
 
+def test_words_are_split_and_remembered_as_bytes(monkeypatch):
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    tok, mine = Tokenizer.from_file(path), token_output.word_tokenizer(path)
+    texts = ["one\ttwo\nthree\x0bfour\x0cfive\rsix  seven ", "a\u00a0b\x1cc\x85d e\u2003f", "", "na\u00efve, 東京 two"]
+    want = [tok.encode(t, add_special_tokens=False).ids for t in texts]
+    monkeypatch.setattr(token_output, "REMEMBERED", 3)  # memory starts anew between texts
+    assert [np.frombuffer(x, "<u4").tolist() for x in mine([t.encode() for t in texts])] == want
+    assert mine([None, *texts]) == [b"", *mine([t.encode() for t in texts])]
+
+
 def test_neighbours(spark, monkeypatch):
     monkeypatch.setattr(nn_descent, "BLOCK", 200)
     r = np.random.default_rng(0)
