@@ -17,6 +17,8 @@ from pyspark.sql import types as T
 SPACE = r"[\x20\x09-\x0D]+"
 #: Rows up to which a table keyed by language, source or the like is broadcast; beyond it, joins shuffle.
 BROADCAST_ROWS = 100_000
+#: Bytes of rows in an Arrow batch, about: Spark's own 64 MB are held several times over, in the JVM and in Python, by each task.
+BATCH_BYTES = 4 << 20
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -95,10 +97,13 @@ def unpacked(row: str, keep: list[str]) -> list[Column]:
 
 def map_text(df: DataFrame, keep: list[str], fields: list[tuple[str, T.DataType]], fn: Callable[[list], list], binary: bool = False) -> DataFrame:
     """``keep`` columns of ``df`` and the new ``fields``, which ``fn`` makes from a batch's whole texts (a list of str or
-    bytes with None for null) as a list of arrays. Rows stay where they are; a batch is one Arrow record batch. A column of ``keep``
-    named like a new field is replaced by it; all other names are free."""
+    bytes with None for null) as a list of arrays. Rows stay where they are; a batch is one Arrow record batch of about ``BATCH_BYTES``.
+    A column of ``keep`` named like a new field is replaced by it; all other names are free. Text that is kept travels once."""
     keep = others(keep, [n for n, _ in fields])
-    rows = df.select(carried(keep).alias("row"), F.col("text").cast("binary" if binary else "string").alias("text"))
+    kind, held = T.BinaryType() if binary else T.StringType(), "text" in keep and df.schema["text"].dataType
+    at = keep.index("text") if held == kind else None
+    rows = df.select(carried(keep).alias("row"), *([F.col("text").cast(kind).alias("text")] if at is None else []))
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", f"{BATCH_BYTES}b")
     schema = T.StructType([*(rows.schema["row"].dataType.fields if keep else []), *[T.StructField(n, t) for n, t in fields]])
     names = schema.fieldNames()
 
@@ -108,8 +113,9 @@ def map_text(df: DataFrame, keep: list[str], fields: list[tuple[str, T.DataType]
         for b in batches:
             for i in range(0, b.num_rows, 1024):  # bounds what Python objects hold at once
                 part = b.slice(i, 1024)
-                made = [a if isinstance(a, pa.Array) else pa.array(a) for a in fn(part.column(1).to_pylist())]
-                yield pa.RecordBatch.from_arrays([*(part.column(0).flatten() if keep else []), *made], names=names)
+                kept = part.column(0).flatten() if keep else []
+                made = [a if isinstance(a, pa.Array) else pa.array(a) for a in fn((part.column(1) if at is None else kept[at]).to_pylist())]
+                yield pa.RecordBatch.from_arrays([*kept, *made], names=names)
 
     return rows.mapInArrow(run, schema)
 

@@ -9,7 +9,7 @@ sp = pytest.importorskip("sentencepiece")
 
 import public_tokenizers  # noqa: E402
 
-from catalog_dedup.llm import language_id, lattice, mixing, nn_descent, pieces, quality_classifier, quality_rules, simhash, token_counts, token_output, url_filters  # noqa: E402
+from catalog_dedup.llm import common, language_id, lattice, mixing, nn_descent, pieces, quality_classifier, quality_rules, simhash, token_counts, token_output, url_filters  # noqa: E402
 
 WORDS = "the of and reingth onhe tionat, erblewh heon. Edor ñgaó über çè 東京 x1 !!! foo_bar".split()
 
@@ -283,6 +283,19 @@ def test_words_are_split_and_remembered_as_bytes(monkeypatch):
     assert mine([None, *texts]) == [b"", *mine([t.encode() for t in texts])]
 
 
+def test_batches_of_long_texts_are_bounded_and_kept_text_travels_once(spark):
+    from pyspark.sql import functions as F
+    from pyspark.sql import types as T
+
+    docs = spark.range(64, numPartitions=1).select(F.col("id").alias("doc_id"), F.when(F.col("id") % 8 != 3, F.repeat(F.lit("é"), 300_000)).alias("text"))
+    for keep in (["doc_id", "text"], ["doc_id"]):
+        made = common.map_text(docs, keep, [("n", T.LongType())], lambda texts: [[sum(len(t or "") for t in texts)] * len(texts)])
+        got = made.select("doc_id", "n", *[F.length(c).alias("chars") for c in keep[1:]]).collect()
+        assert sorted(r.doc_id for r in got) == list(range(64))
+        assert max(r.n for r in got) <= 4_000_000 // 2 + 300_000 + 300_000  # a batch of 4 MB and the row that fills it
+        assert all(r.chars == (None if r.doc_id % 8 == 3 else 300_000) for r in got if len(keep) > 1)
+
+
 def test_neighbours(spark, monkeypatch):
     monkeypatch.setattr(nn_descent, "BLOCK", 200)
     r = np.random.default_rng(0)
