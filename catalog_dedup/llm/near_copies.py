@@ -8,10 +8,12 @@ joins most groups with few pairs a node.
 
 No link is lost, whatever the tables miss. A set's shingles have one order (rare ones of a sample first, then by hash; any order is
 right), and two sets that reach the similarity share one of each other's first fifth. So each node is filed under those shingles.
-Nodes of one component have nothing left to settle; others under a shingle are pairs if that makes at most ``PAIRS`` a member. Under a
-more crowded shingle all members are first compared with one of them, which joins groups of copies in proportion to their size; those
-still apart are filed anew under that shingle and a second one, then a third, and are pairs thereafter. Pairs are thinned by their sizes, by what can follow the
-shared shingle and by the parities of hashed shingles, all of which are bounds, and verified.
+Nodes of one component have nothing left to settle; others under a shingle are written as pairs if that makes at most ``FEW`` a member.
+More are compared where they meet: their parities of hashed shingles go to cells of at most two blocks of members, and only pairs
+that the parities allow are written. Under a crowded shingle (over ``STAR`` pairs a member) all members are first compared with one
+of them, which joins groups of copies in proportion to their size. Those still apart under a shingle of over ``PAIRS`` a member are
+filed anew under that shingle and a second one, then a third, and are compared in cells thereafter. Pairs are thinned by their sizes,
+by what can follow the shared shingle and by the parities, all of which are bounds, and verified.
 
 Verification of what the tables found goes round by round, and leaves out what can change nothing: each node's closest pairs first,
 then the components of the verified links are formed, and pairs within a component need no verification. Rounds look at four times
@@ -30,6 +32,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
+from . import common as shared
 from .common import discard, map_text, release, small, stash, uniform
 from .simhash import components, first_of_each
 
@@ -38,8 +41,11 @@ SHINGLE, SIMILARITY = 5, 0.8
 MOST_BITS = 29
 REACH, TABLES = 4, 8
 PIVOTS = 8
-#: Pairs a member that a shingle may make; more make it crowded. After so many shingles more, all members are pairs.
-PAIRS, LEVELS = 64, 2
+#: Pairs a member that a shingle may make: as written pairs, compared at once in cells, and compared in cells after members have met
+#: one of them. After so many shingles more, all members are compared.
+FEW, STAR, PAIRS, LEVELS = 4, 64, 2048, 2
+#: Members in a block of a cell, and pairs that are held at a time.
+BLOCK, HELD = 512, 1 << 18
 #: The sample that puts rare shingles first: texts at least (about), their least share, and shingles at most.
 SAMPLE, SHARE, COMMON = 4000, 1 / 32, 500_000
 #: Bits of parities of every set, and at most of the wider ones of sets for which those are too few.
@@ -240,6 +246,31 @@ def sets_of(docs: DataFrame, nodes: DataFrame, wanted: DataFrame) -> DataFrame:
     return stash(with_node(packed, ["c_node"], "s_set").filter("s_node = c_node").dropDuplicates(["s_node"]).select("s_node", "s_set"), "sets")
 
 
+def joined(links: DataFrame) -> DataFrame:
+    """node, root of ``links`` (stashed) for all nodes but roots, like ``components``: few links (as many as a table that is broadcast has) in one task and one
+    job, more by its rounds."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        parts = [np.stack([c.to_numpy() for c in b.columns], 1) for b in batches if b.num_rows]
+        node, e = np.unique(np.concatenate(parts) if parts else np.zeros((0, 2), np.int64), return_inverse=True)
+        e, root, before = e.reshape(-1, 2), np.arange(len(node)), None
+        while before is None or (root != before).any():
+            before, least = root, root[e].min(1)
+            root = root.copy()
+            for k in (0, 1):
+                np.minimum.at(root, e[:, k], least)
+                np.minimum.at(root, before[e[:, k]], least)
+            root = root[root]
+        k = np.flatnonzero(root != np.arange(len(node)))
+        yield pa.RecordBatch.from_arrays([pa.array(node[k]), pa.array(node[root[k]])], names=["node", "root"])
+
+    if links.limit(shared.BROADCAST_ROWS + 1).count() > shared.BROADCAST_ROWS:
+        return components(links)
+    return links.select("a", "b").coalesce(1).mapInArrow(run, "node long, root long")
+
+
 def ends_of(pairs: DataFrame) -> DataFrame:
     return pairs.select(F.explode(F.array("a", "b")).alias("s_node")).distinct()
 
@@ -247,60 +278,134 @@ def ends_of(pairs: DataFrame) -> DataFrame:
 _FILED = "key long, node long, root long, size int, at int"
 
 
+_MET = "a long, b long, key long, root long, size int, at int, cell int, block int"
+
+
+def _whole_keys(batches, settle):
+    """``settle`` of the columns of whole keys (the first column, sorted) at a time."""
+    waiting, held, rows = [], None, 0
+    for b in batches:
+        if not b.num_rows:
+            continue
+        waiting.append([c.to_numpy(zero_copy_only=False) for c in b.columns])
+        rows += b.num_rows
+        if held and rows < len(held[0]):  # a long key is looked at a few times only
+            continue
+        held = [np.concatenate(c) for c in zip(*([held] if held else []), *waiting, strict=True)]
+        waiting, rows = [], 0
+        if cut := int(np.searchsorted(held[0], held[0][-1])):  # the last key may go on
+            yield from settle(*(c[:cut] for c in held))
+            held = [c[cut:] for c in held]
+    if held:
+        yield from settle(*(np.concatenate(c) for c in zip(held, *waiting, strict=True)))
+
+
+def _ends(new: np.ndarray) -> np.ndarray:
+    """For each row the end of its run; ``new`` tells where runs begin."""
+    at = np.flatnonzero(new)
+    return np.r_[at[1:], len(new)][np.cumsum(new) - 1]
+
+
+def _partners(begin: np.ndarray, many: np.ndarray):
+    """Index pairs (i, j) of every row i and the ``many`` rows from ``begin``, about ``HELD`` at a time."""
+    total = np.cumsum(many)
+    low = 0
+    while low < len(many):
+        high = max(low + 1, int(np.searchsorted(total, (total[low - 1] if low else 0) + HELD, "right")))
+        n = many[low:high]
+        i = np.repeat(np.arange(low, high), n)
+        yield i, begin[i] + np.arange(len(i)) - np.repeat(np.cumsum(n) - n, n)
+        low = high
+
+
+def _may_reach(i: np.ndarray, j: np.ndarray, size: np.ndarray, at: np.ndarray, level: int, similarity: float) -> np.ndarray:
+    """Of pairs that share a key: whether sizes and what can follow the key's last shingle allow the similarity."""
+    x, y = size[i].astype(np.int64), size[j].astype(np.int64)
+    reach = level + np.minimum(x - at[i], y - at[j])
+    return (np.minimum(x, y) >= similarity * np.maximum(x, y) - 1e-6) & (reach >= similarity / (1 + similarity) * (x + y) - 1e-6)
+
+
+def _sorted_pairs(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    return np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], 1), axis=0)
+
+
 def meeting(filed: DataFrame, level: int, similarity: float, star: bool) -> DataFrame:
     """From nodes filed under keys (``_FILED``; ``at`` is the place of the key's last shingle in the set, ``level`` shingles are shared
-    before it): a, b of pairs of different roots, with key null; and every member of a crowded key as a, with key, size and at. With
-    ``star`` members of crowded keys also pair with one of them."""
+    before it): a, b of pairs of different roots, with key null; every member of a key of more pairs as a, once for each cell in which
+    it is to be compared; and every member of a crowded key as a, with cell null. With ``star`` keys are crowded early, and members of
+    crowded keys also pair with one of them."""
+    few, most = min(FEW, PAIRS), min(STAR, PAIRS) if star else PAIRS if level < LEVELS else np.inf
 
     def settle(key, node, root, size, at):
         """Whole keys, sorted by key and root."""
+        import pyarrow as pa
+
         n = len(key)
         new_key = np.r_[True, key[1:] != key[:-1]]
-        new_run = new_key | np.r_[True, root[1:] != root[:-1]]
-        key_at, run_at = np.flatnonzero(new_key), np.flatnonzero(new_run)
-        key_end, run_end = np.r_[key_at[1:], n], np.r_[run_at[1:], n]
-        of_key, of_run = np.cumsum(new_key) - 1, np.cumsum(new_run) - 1
-        after = key_end[of_key] - run_end[of_run]  # members of later roots
-        crowded = (np.add.reduceat(after, key_at) > (PAIRS * (key_end - key_at) if level < LEVELS else np.inf))[of_key]
-        many = np.where(crowded, 0, after)
-        i = np.repeat(np.arange(n), many)
-        j = run_end[of_run[i]] + np.arange(len(i)) - np.repeat(np.cumsum(many) - many, many)
+        key_at, key_end = np.flatnonzero(new_key)[np.cumsum(new_key) - 1], _ends(new_key)
+        run_end = _ends(new_key | np.r_[True, root[1:] != root[:-1]])
+        after = key_end - run_end  # members of later roots
+        made = np.add.reduceat(after, np.flatnonzero(new_key))[np.cumsum(new_key) - 1] / (key_end - key_at)  # pairs a member
+        crowded = made > most
+        found = [np.zeros((0, 2), np.int64)]
+        for i, j in _partners(run_end, np.where(made <= few, after, 0)):
+            good = _may_reach(i, j, size, at, level, similarity)
+            found.append(_sorted_pairs(node[i[good]], node[j[good]]))
         if star:
-            k = np.flatnonzero(crowded & (after < after[key_at][of_key]))
-            i, j = np.r_[i, key_at[of_key[k]]], np.r_[j, k]
-        x, y = size[i].astype(np.int64), size[j].astype(np.int64)
-        reach = level + np.minimum(x - at[i], y - at[j])
-        good = (np.minimum(x, y) >= similarity * np.maximum(x, y) - 1e-6) & (reach >= similarity / (1 + similarity) * (x + y) - 1e-6)
-        pairs = np.unique(np.stack([np.minimum(node[i[good]], node[j[good]]), np.maximum(node[i[good]], node[j[good]])], 1), axis=0)
-        return pairs, np.flatnonzero(crowded)
-
-    def run(batches):
+            k = np.flatnonzero(crowded & (after < after[key_at]))
+            good = _may_reach(key_at[k], k, size, at, level, similarity)
+            found.append(_sorted_pairs(node[key_at[k[good]]], node[k[good]]))
+        pairs, c = np.unique(np.concatenate(found), axis=0), np.flatnonzero(crowded)
+        m = np.flatnonzero((made > few) & ~crowded)
+        blocks, own = -(-(key_end - key_at)[m] // BLOCK), (np.arange(n) - key_at)[m] // BLOCK
+        other = np.arange(blocks.sum()) - np.repeat(np.cumsum(blocks) - blocks, blocks)
+        m, own = np.repeat(m, blocks), np.repeat(own, blocks)
+        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32())
+        names = ["a", "b", "key", "root", "size", "at", "cell", "block"]
+        for rows, columns in (
+            (len(pairs), {"a": pairs[:, 0], "b": pairs[:, 1]}),
+            (len(c), {"a": node[c], "key": key[c], "root": root[c], "size": size[c], "at": at[c]}),
+            (len(m), {"a": node[m], "key": key[m], "root": root[m], "size": size[m], "at": at[m], "cell": (np.minimum(own, other) << 15) + np.maximum(own, other), "block": own > other}),
+        ):
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(columns[x].astype(k.to_pandas_dtype())) if x in columns else pa.nulls(rows, k) for x, k in zip(names, kinds, strict=True)], names=names)
+
+    run = lambda batches: _whole_keys(batches, settle)
+    return filed.repartition("key").sortWithinPartitions("key", "root", "node").mapInArrow(run, _MET)
+
+
+def compared(members: DataFrame, nodes: DataFrame, level: int, similarity: float) -> DataFrame:
+    """a, b of pairs of different roots in a cell whose parities allow the similarity."""
+
+    def settle(key, cell, block, root, node, size, at, bits):
+        """Whole keys, sorted by key, cell, block and root."""
         import pyarrow as pa
 
-        held = [np.zeros(0, np.int64)] * 3 + [np.zeros(0, np.int32)] * 2
-        waiting, rows = [], 0
-
-        def out(whole):
-            pairs, c = settle(*whole)
-            some = lambda k: pa.concat_arrays([pa.nulls(len(pairs), pa.from_numpy_dtype(whole[k].dtype)), pa.array(whole[k][c])])
-            return pa.RecordBatch.from_arrays([pa.array(np.r_[pairs[:, 0], whole[1][c]]), pa.concat_arrays([pa.array(pairs[:, 1]), pa.nulls(len(c), pa.int64())]), some(0), some(3), some(4)], names=["a", "b", "key", "size", "at"])
-
-        for b in batches:
-            waiting.append([c.to_numpy() for c in b.columns])
-            rows += b.num_rows
-            if rows < len(held[0]):  # a long key is looked at a few times only
-                continue
-            held = [np.concatenate(c) for c in zip(held, *waiting, strict=True)]
-            waiting, rows = [], 0
-            cut = int(np.searchsorted(held[0], held[0][-1])) if len(held[0]) else 0  # the last key may go on
-            if cut:
-                yield out([c[:cut] for c in held])
-                held = [c[cut:] for c in held]
-        held = [np.concatenate(c) for c in zip(held, *waiting, strict=True)] if waiting else held
-        if len(held[0]):
-            yield out(held)
-
-    return filed.repartition("key").sortWithinPartitions("key", "root", "node").mapInArrow(run, "a long, b long, key long, size int, at int")
+        new_cell = np.r_[True, (key[1:] != key[:-1]) | (cell[1:] != cell[:-1])]
+        new_block = new_cell | np.r_[True, block[1:] != block[:-1]]
+        new_run = new_block | np.r_[True, root[1:] != root[:-1]]
+        begin = np.where(cell >> 15 == cell & 0x7FFF, _ends(new_run), _ends(new_block))  # blocks of a cell meet each other, or one itself
+        least = PARITIES // 8
+        narrow = np.zeros((len(key), least // 8), np.uint64)
+        long = np.array([len(x) for x in bits], np.int64)
+        for width in set(long.tolist()):
+            k = np.flatnonzero(long == width)
+            narrow[k] = np.bitwise_xor.reduce(np.frombuffer(b"".join(bits[k]), np.uint8).reshape(len(k), -1, least), 1).view(np.uint64)
+        for i, j in _partners(begin, _ends(new_cell) - begin):
+            good = (root[i] != root[j]) & _may_reach(i, j, size, at, level, similarity)
+            i, j = i[good], j[good]
+            far = (size[i].astype(np.int64) + size[j]) * ((1 - similarity) / (1 + similarity)) + 1e-6
+            good = np.bitwise_count(narrow[i] ^ narrow[j]).sum(1, dtype=np.int64) <= far
+            i, j, far = i[good], j[good], far[good]
+            good = differing(bits[i].tolist(), bits[j].tolist()) <= far
+            pairs = _sorted_pairs(node[i[good]], node[j[good]])
+            if len(pairs):
+                yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
+
+    run = lambda batches: _whole_keys(batches, settle)
+    told = nodes.select(F.col("s_node").alias("a"), F.when(F.length("s_wide") > F.length("s_odd"), F.col("s_wide")).otherwise(F.col("s_odd")).alias("bits"))
+    rows = members.join(told, "a").select("key", "cell", "block", "root", F.col("a").alias("node"), "size", "at", "bits")
+    return rows.repartition("key", "cell").sortWithinPartitions("key", "cell", "block", "root", "node").mapInArrow(run, "a long, b long")
 
 
 def first_filed(nodes: DataFrame, roots: DataFrame) -> DataFrame:
@@ -377,7 +482,7 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> tuple[DataFrame,
         picked = stash(both.withColumn("k", turn).filter(F.col("k") <= most).select("a", "b").distinct(), "picked")
         good = verified(picked, sets, similarity)
         links = stash(good if links is None else links.union(good), "links")
-        roots = stash(components(links), "roots")
+        roots = stash(joined(links), "roots")
         side = lambda k: roots.select(F.col("node").alias(k), F.col("root").alias(f"r{k}"))  # noqa: B023, E731
         rest = left.join(picked, ["a", "b"], "left_anti").join(side("a"), "a", "left").join(side("b"), "b", "left")
         left = stash(rest.filter("coalesce(ra, a) != coalesce(rb, b)").select("a", "b", "d"), "left")
@@ -396,14 +501,15 @@ def exact_rest(docs: DataFrame, nodes: DataFrame, links: DataFrame | None, roots
             met = stash(meeting(filed, level, similarity, star), "met")
             release(docs.sparkSession)
             pairs = stash(thinned(met.filter("key IS NULL").select("a", "b").distinct(), nodes, similarity, "s_odd"), "thinned")
-            pairs = stash(thinned(pairs, nodes, similarity, "s_wide"), "thinned")
+            near = thinned(pairs, nodes, similarity, "s_wide").union(compared(met.filter("cell IS NOT NULL"), nodes, level, similarity))
+            pairs = stash(near.distinct(), "thinned")
             if not pairs.isEmpty():
                 sets = sets_of(docs, nodes, ends_of(pairs))
                 good = verified(pairs, sets, similarity)
                 links = stash(good if links is None else links.union(good), "links")
                 discard(sets)
-                roots = stash(components(links), "roots")
-            crowded = met.filter("key IS NOT NULL").select("key", F.col("a").alias("node"), "size", "at")
+                roots = stash(joined(links), "roots")
+            crowded = met.filter("key IS NOT NULL AND cell IS NULL").select("key", F.col("a").alias("node"), "size", "at")
             if crowded.isEmpty():
                 return roots
             filed = crowded.join(roots, "node", "left").select("key", "node", F.coalesce("root", "node").alias("root"), "size", "at")

@@ -100,3 +100,34 @@ def test_parities_are_bounds():
             d = near_copies.differing([make(x), make(x), make(x)], [make(y), make(z), make(x)])
             assert d[0] <= len(np.setxor1d(x, y)) and d[2] == 0
         assert size < 300 or d[1] > 0.25 * size  # far sets are told apart
+
+
+def filed_rows(spark, n, shared):
+    """Nodes of one crowded shingle that have ``shared`` other shingles in common, and their parities."""
+    r = np.random.default_rng(8)
+    passage = r.integers(0, 2**63, shared, dtype=np.uint64)
+    sets = [np.unique(np.r_[passage, r.integers(0, 2**63, 300, dtype=np.uint64)]) for _ in range(n - 2)]
+    sets += [sets[0][3:], sets[-1][3:]]  # a near copy of the first and of the last
+    nodes = [(k, near_copies.parities(s), near_copies.wide_parities(s)) for k, s in enumerate(sets)]
+    filed = spark.createDataFrame([(7, k, k, len(s), 0) for k, s in enumerate(sets)], "key long, node long, root long, size int, at int")
+    return filed, spark.createDataFrame(nodes, "s_node long, s_odd binary, s_wide binary")
+
+
+@pytest.mark.parametrize("block", [512, 16])
+def test_crowded_shingle_writes_rows_in_proportion(spark, monkeypatch, block):
+    monkeypatch.setattr(near_copies, "BLOCK", block, raising=False)
+    filed, nodes = filed_rows(spark, 100, 20)  # 4,950 pairs, of which two are near copies
+    met = near_copies.meeting(filed, 0, 0.8, False)
+    assert met.count() <= 100 * -(-100 // block)
+    found = near_copies.compared(met.filter("cell IS NOT NULL"), nodes, 0, 0.8).collect()
+    assert {(0, 98), (97, 99)} <= {(x.a, x.b) for x in found} and len(found) < 20
+
+
+def test_links_join_alike_in_one_task_and_in_rounds(spark, monkeypatch):
+    r = np.random.default_rng(9)
+    edges = [(int(a), int(b)) for a, b in r.integers(-300, 300, (250, 2))] + [(k, k + 1) for k in range(1000, 1200)]
+    links = spark.createDataFrame(edges, "a long, b long")
+    one = {(x.node, x.root) for x in near_copies.joined(links).collect()}
+    monkeypatch.setattr(near_copies.shared, "BROADCAST_ROWS", 10)
+    rounds = {(x.node, x.root) for x in near_copies.joined(links).collect()}
+    assert one == rounds and (1200, 1000) in one
